@@ -3,11 +3,15 @@
 from __future__ import annotations
 
 from .jaccard_join import op7_jaccard_join
+from .positional_index import OP6_SQL, op6_positional_index
 
 
 def queries():
-    return {"op7_jaccard_join": op7_jaccard_join}
+    return {
+        "op6_positional_index": op6_positional_index,
+        "op7_jaccard_join": op7_jaccard_join,
+    }
 
 
 def oracle_sql():
-    return {}
+    return {"op6_positional_index": OP6_SQL}
