@@ -2,12 +2,16 @@
 
 from __future__ import annotations
 
+from .bit_packing import op3_bit_packing
 from .jaccard_join import op7_jaccard_join
+from .length_buckets import op2_length_buckets
 from .positional_index import OP6_SQL, op6_positional_index
 
 
 def queries():
     return {
+        "op2_length_buckets": op2_length_buckets,
+        "op3_bit_packing": op3_bit_packing,
         "op6_positional_index": op6_positional_index,
         "op7_jaccard_join": op7_jaccard_join,
     }
