@@ -5,7 +5,8 @@ Exact, and without comparing all pairs:
 1. Equal shingle sets collapse to one class; a class is a node from here on.
 2. Every class gets a 512-bit hashed *parity* bitmap.  Each shingle outside the
    intersection flips one bit, so ``popcount(a xor b)`` never exceeds the size
-   of the symmetric difference, which bounds the overlap from above.
+   of the symmetric difference, which bounds the overlap from above.  Sets too
+   large for 512 bits have a second bitmap as wide as their size band asks.
 3. A one-hop star around min-hash leaders links the bulk of any large group of
    near copies in linear work.  It only saves work: nothing depends on its recall.
 4. Prefix filter: a class can only reach the threshold with another one if they
@@ -40,6 +41,7 @@ from .workspace import Workspace, ship
 ORDER_BITS = 20  # cells of the frequency order: 4 MB a task while counting, 1 MB when broadcast
 SLICE_BITS = 14
 SIG_WORDS = 8
+WIDE_FROM = 700  # sets from this size on saturate 64 * SIG_WORDS bits
 STARS = 4
 SMALL_TILE = 32
 BLOCK = 1024
@@ -49,7 +51,7 @@ _STAR_SALT = [np.uint64((2 * i + 1) * 0x5851F42D4C957F2D % 2**64) for i in range
 _SIG_SALT = np.uint64(0xA0761D6478BD642F)
 _CLASS_SALT = [np.uint64(0xE7037ED1A0B428DB), np.uint64(0x8EBC6AF09C88C6E3)]
 
-_PROFILE = ["id long", "n long", "k1 long", "k2 long"] + [f"m{i} long" for i in range(STARS)] + [f"s{i} long" for i in range(SIG_WORDS)] + ["slice int", "cells binary"]
+_PROFILE = ["id long", "n long", "k1 long", "k2 long"] + [f"m{i} long" for i in range(STARS)] + [f"s{i} long" for i in range(SIG_WORDS)] + ["wide binary", "slice int", "cells binary"]
 
 
 def overlap_needed(n: np.ndarray | int, percent: int):
@@ -57,11 +59,27 @@ def overlap_needed(n: np.ndarray | int, percent: int):
     return -(-percent * n // 100)
 
 
+def _wide_bitmap(values: np.ndarray) -> bytes:
+    """Parity bitmap of at least half as many bits as the set has members, a power of two; halves fold by xor."""
+    bits = max(64 * SIG_WORDS, 1 << int(len(values) // 2 - 1).bit_length())
+    odd = np.bincount((kernel.mix64(values ^ _SIG_SALT) & np.uint64(bits - 1)).astype(np.int64), minlength=bits) & 1
+    return np.packbits(odd.astype(np.uint8)).tobytes()
+
+
+def _wide_distance(x: np.ndarray, y: np.ndarray) -> int:
+    """Differing bits at the narrower width."""
+    if len(x) > len(y):
+        x, y = y, x
+    while len(y) > len(x):
+        y = y[: len(y) // 2] ^ y[len(y) // 2 :]
+    return int(np.bitwise_count(x ^ y).sum())
+
+
 def _profile(size: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         cells = np.zeros(1 << ORDER_BITS, dtype=np.int64)
         names = [x.split()[0] for x in _PROFILE]
-        types = [pa.int64()] * (4 + STARS + SIG_WORDS) + [pa.int32(), pa.binary()]
+        types = [pa.int64()] * (4 + STARS + SIG_WORDS) + [pa.binary(), pa.int32(), pa.binary()]
         for batch in batches:
             ids = batch.column("id")
             for lo, hi, values, cut in kernel.shingle_sets(batch.column("text"), size):
@@ -80,7 +98,8 @@ def _profile(size: int):
                     odd = np.bincount(bit, minlength=rows * 64 * SIG_WORDS) & 1
                     cols[2 + STARS :] = np.packbits(odd.astype(np.uint8)).view(np.uint64).reshape(rows, SIG_WORDS).T
                     cells += np.bincount((values >> np.uint64(64 - ORDER_BITS)).astype(np.int64), minlength=len(cells))
-                out = [ids.slice(lo, rows), pa.array(n)] + [pa.array(c.view(np.int64)) for c in cols]
+                wide = [_wide_bitmap(values[cut[i] : cut[i + 1]]) if n[i] >= WIDE_FROM else None for i in range(rows)]
+                out = [ids.slice(lo, rows), pa.array(n)] + [pa.array(c.view(np.int64)) for c in cols] + [pa.array(wide, pa.binary())]
                 yield pa.RecordBatch.from_arrays([*out, pa.nulls(rows, pa.int32()), pa.nulls(rows, pa.binary())], names=names)
         per = cells.reshape(-1, 1 << SLICE_BITS)
         used = np.flatnonzero(per.any(axis=1))
@@ -278,9 +297,26 @@ def _bounded(pairs: DataFrame, nodes: DataFrame, percent: int) -> DataFrame:
     return joined.filter(F.lit(100 + percent) * top >= F.lit(percent) * (F.col("na") + F.col("nb"))).select("a", "b").distinct()
 
 
-def _verified(pairs: DataFrame, docs: DataFrame, size: int, percent: int, work: Workspace, name: str) -> DataFrame:
-    """Pairs that reach the threshold, by intersecting the sorted arrays of their documents."""
-    pairs = work.save(pairs, f"{name}-pairs")
+def _wide_bound(percent: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            x, y = batch.column("x"), batch.column("y")
+            total = batch.column("na").to_numpy() + batch.column("nb").to_numpy()
+            ham = np.zeros(len(total), dtype=np.int64)
+            for i in np.flatnonzero(x.is_valid().to_numpy(zero_copy_only=False) & y.is_valid().to_numpy(zero_copy_only=False)):
+                ham[i] = _wide_distance(np.frombuffer(x[i].as_buffer(), dtype=np.uint8), np.frombuffer(y[i].as_buffer(), dtype=np.uint8))
+            keep = pa.array((100 + percent) * ((total - ham) // 2) >= percent * total)
+            yield pa.RecordBatch.from_arrays([batch.column("a").filter(keep), batch.column("b").filter(keep)], names=["a", "b"])
+
+    return run
+
+
+def _verified(pairs: DataFrame, profiles: DataFrame, docs: DataFrame, size: int, percent: int, work: Workspace, name: str) -> DataFrame:
+    """Pairs that reach the threshold: wide bitmaps of large sets first, then sorted arrays of what is left."""
+    pairs = work.save(pairs, f"{name}-bounded")
+    wide = profiles.filter("slice IS NULL AND id IS NOT NULL").select("id", "n", F.col("wide").alias("w"))
+    both = pairs.join(wide.toDF("a", "na", "x"), "a").join(wide.toDF("b", "nb", "y"), "b")
+    pairs = work.save(both.mapInArrow(_wide_bound(percent), "a long, b long").distinct(), f"{name}-pairs")
     ids = work.save(pairs.select(F.col("a").alias("id")).union(pairs.select(F.col("b").alias("id"))).distinct(), f"{name}-ids")
     few = ids.count() <= BROADCAST_IDS
     wanted = docs.join(F.broadcast(ids) if few else ids, "id", "left_semi")
@@ -321,7 +357,7 @@ def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     hubs = nodes.select("id", F.posexplode(F.array(*mins)).alias("p", "m"))
     heads = hubs.groupBy("p", "m").agg(F.min("id").alias("a"), F.max("id").alias("last")).filter("a <> last").drop("last")
     star_pairs = hubs.join(heads, ["p", "m"]).filter("a <> id").select("a", F.col("id").alias("b")).distinct()
-    star_links = _verified(_bounded(star_pairs, lone, percent), docs, size, percent, work, "star")
+    star_links = _verified(_bounded(star_pairs, lone, percent), profiles, docs, size, percent, work, "star")
     stars = star_links.groupBy("b").agg(F.min("a").alias("star"))
     starred = work.save(
         nodes.select("id", "n", *sig).join(stars.withColumnRenamed("b", "id"), "id", "left").withColumn("star", F.coalesce("star", "id")), "starred"
@@ -341,7 +377,7 @@ def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     sides = [block_pairs.join(block_rows.withColumnRenamed("block", name), ["key", name]).select(*by, F.lit(i).alias("side"), "id", "n", "star", *sig) for i, name in enumerate(("hi", "lo"))]
     large = sides[0].union(sides[1]).groupBy(*by).applyInArrow(_block_pair(percent), "a long, b long")
     pairs = _bounded(small, starred, percent).union(large).distinct()
-    links = _verified(pairs, docs, size, percent, work, "tile")
+    links = _verified(pairs, profiles, docs, size, percent, work, "tile")
 
     found = components(star_links.union(links).select(F.col("a").alias("u"), F.col("b").alias("v")), work)
     named = classes.select(*same, F.col("id").alias("class_id")).join(found.select(F.col("node").alias("class_id"), "component"), "class_id", "left")
