@@ -6,12 +6,14 @@ from .bit_packing import op3_bit_packing
 from .jaccard_join import op7_jaccard_join
 from .length_buckets import op2_length_buckets
 from .positional_index import OP6_SQL, op6_positional_index
+from .quality_classifier import op4_quality_classifier
 
 
 def queries():
     return {
         "op2_length_buckets": op2_length_buckets,
         "op3_bit_packing": op3_bit_packing,
+        "op4_quality_classifier": op4_quality_classifier,
         "op6_positional_index": op6_positional_index,
         "op7_jaccard_join": op7_jaccard_join,
     }
