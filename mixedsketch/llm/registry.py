@@ -7,6 +7,7 @@ from .jaccard_join import op7_jaccard_join
 from .length_buckets import op2_length_buckets
 from .positional_index import OP6_SQL, op6_positional_index
 from .quality_classifier import op4_quality_classifier
+from .rule_ledger import OP8_ABLATION_SQL, OP8_SQL, op8_policy_ablations, op8_rule_ledger
 
 
 def queries():
@@ -16,8 +17,14 @@ def queries():
         "op4_quality_classifier": op4_quality_classifier,
         "op6_positional_index": op6_positional_index,
         "op7_jaccard_join": op7_jaccard_join,
+        "op8_rule_ledger": op8_rule_ledger,
+        "op8_policy_ablations": op8_policy_ablations,
     }
 
 
 def oracle_sql():
-    return {"op6_positional_index": OP6_SQL}
+    return {
+        "op6_positional_index": OP6_SQL,
+        "op8_rule_ledger": OP8_SQL,
+        "op8_policy_ablations": OP8_ABLATION_SQL,
+    }
