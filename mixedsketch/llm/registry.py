@@ -5,6 +5,7 @@ from __future__ import annotations
 from .bit_packing import op3_bit_packing
 from .jaccard_join import op7_jaccard_join
 from .length_buckets import op2_length_buckets
+from .pii_pseudonyms import op1_pii_pseudonyms
 from .positional_index import OP6_SQL, op6_positional_index
 from .quality_classifier import op4_quality_classifier
 from .rule_ledger import OP8_ABLATION_SQL, OP8_SQL, op8_policy_ablations, op8_rule_ledger
@@ -12,6 +13,7 @@ from .rule_ledger import OP8_ABLATION_SQL, OP8_SQL, op8_policy_ablations, op8_ru
 
 def queries():
     return {
+        "op1_pii_pseudonyms": op1_pii_pseudonyms,
         "op2_length_buckets": op2_length_buckets,
         "op3_bit_packing": op3_bit_packing,
         "op4_quality_classifier": op4_quality_classifier,
