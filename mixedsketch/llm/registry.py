@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from .bit_packing import op3_bit_packing
+from .chat_format import OP5_SQL, op5_chat_format
 from .jaccard_join import op7_jaccard_join
 from .length_buckets import op2_length_buckets
 from .pii_pseudonyms import op1_pii_pseudonyms
@@ -17,6 +18,7 @@ def queries():
         "op2_length_buckets": op2_length_buckets,
         "op3_bit_packing": op3_bit_packing,
         "op4_quality_classifier": op4_quality_classifier,
+        "op5_chat_format": op5_chat_format,
         "op6_positional_index": op6_positional_index,
         "op7_jaccard_join": op7_jaccard_join,
         "op8_rule_ledger": op8_rule_ledger,
@@ -26,6 +28,7 @@ def queries():
 
 def oracle_sql():
     return {
+        "op5_chat_format": OP5_SQL,
         "op6_positional_index": OP6_SQL,
         "op8_rule_ledger": OP8_SQL,
         "op8_policy_ablations": OP8_ABLATION_SQL,
