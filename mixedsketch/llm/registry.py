@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from .bit_packing import op3_bit_packing
 from .chat_format import OP5_SQL, op5_chat_format
+from .html_content import op10_html_content
 from .jaccard_join import op7_jaccard_join
 from .length_buckets import op2_length_buckets
 from .pii_pseudonyms import op1_pii_pseudonyms
@@ -23,6 +24,7 @@ def queries():
         "op7_jaccard_join": op7_jaccard_join,
         "op8_rule_ledger": op8_rule_ledger,
         "op8_policy_ablations": op8_policy_ablations,
+        "op10_html_content": op10_html_content,
     }
 
 
