@@ -12,6 +12,8 @@ from .positional_index import OP6_SQL, op6_positional_index
 from .quality_classifier import op4_quality_classifier
 from .rule_ledger import OP8_ABLATION_SQL, OP8_SQL, op8_policy_ablations, op8_rule_ledger
 
+from .url_templates import OP9_SQL, op9_url_templates
+
 
 def queries():
     return {
@@ -24,6 +26,7 @@ def queries():
         "op7_jaccard_join": op7_jaccard_join,
         "op8_rule_ledger": op8_rule_ledger,
         "op8_policy_ablations": op8_policy_ablations,
+        "op9_url_templates": op9_url_templates,
         "op10_html_content": op10_html_content,
     }
 
@@ -34,4 +37,5 @@ def oracle_sql():
         "op6_positional_index": OP6_SQL,
         "op8_rule_ledger": OP8_SQL,
         "op8_policy_ablations": OP8_ABLATION_SQL,
+        "op9_url_templates": OP9_SQL,
     }
