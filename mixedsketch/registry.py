@@ -6,17 +6,20 @@ would show.  Sums that may pass 2^63 are cast to BIGINT on the test tables.
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .functions.hashing import owner, sql_fold, sql_linear, sql_owner, sql_row, sql_sign
+from .functions.hashing import canon_key, sql_fold, sql_owner, sql_row, sql_sign
 from .operators import agms, baselines, buffers, cm, composite, consistency, exact, interleave, ladder, measures, slots, static_state
 from .relational import RELATIONAL
 from .sources import streams
 from .sources.streams import STREAMS, sql_stream
 from .spec import TEST, SketchSpec
+from .streaming import queries as live
+from .workloads import WORKLOADS
 from .workspace import Workspace
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -655,8 +658,6 @@ SELECT event_type, CAST(f2 AS BIGINT) AS f2, exact FROM (SELECT event_type, min(
 )
 def per_group_f2(spark, d):
     events = streams.load(spark, d, "events", ["event_id", "event_type", "user_id"])
-    from .functions.hashing import canon_key
-
     s = events.select("event_type", canon_key(F.col("user_id")).alias("key"), F.lit(1).alias("weight"))
     truth = s.groupBy("event_type", "key").agg(F.sum("weight").alias("f")).groupBy("event_type").agg(F.sum(F.col("f") * F.col("f")).cast("bigint").alias("exact"))
     return _long(cm.f2_plus(cm.build(s, T, by=["event_type"]), ["event_type"]).select("event_type", "f2").join(truth, "event_type"), "f2")
@@ -677,9 +678,44 @@ def hosts(spark, d):
     return STREAMS["S9"](spark, d).groupBy(F.col("k").alias("host")).agg(F.count("*").alias("n"))
 
 
+# ------------------------------------------------------------------ streams that arrive
+
+
+def _run_stream(spark: SparkSession, d: str, make, mode: str) -> DataFrame:
+    """Run a streaming query over the events file until it is read, and return its result table."""
+    events = live.keyed(spark.readStream.schema(streams.SCHEMAS["events"]).option("pathGlobFilter", "events.parquet").parquet(d))
+    work = Workspace(spark, "stream")
+    return live.run_available(make(events), f"mixedsketch_{uuid.uuid4().hex}", work.path("checkpoint"), mode)
+
+
+@register("stream_window_f1", "SELECT CAST(CAST(ts AS DATE) AS VARCHAR) AS day, count(*) AS f1 FROM events GROUP BY 1")
+def stream_window_f1(spark, d):
+    out = _run_stream(spark, d, live.window_f1, "complete")
+    return out.select(F.to_date("start").cast("string").alias("day"), F.col("f1").cast("bigint").alias("f1"))
+
+
+@register(
+    "stream_cm_window",
+    f"""WITH f AS (SELECT CAST(CAST(ts AS DATE) AS VARCHAR) AS day, {sql_fold('CAST(user_id AS VARCHAR)')} AS x, count(*) AS f FROM events GROUP BY ALL)
+    SELECT day, row, CAST(col AS INT) AS col, CAST(sum(f) AS BIGINT) AS cnt FROM ({" UNION ALL ".join(f"SELECT day, {j} AS row, {sql_row('x', T, j)} AS col, f FROM f" for j in range(H))}) GROUP BY ALL""",
+)
+def stream_cm_window(spark, d):
+    out = _run_stream(spark, d, lambda e: live.window_cells(e, T), "complete")
+    return out.select(F.to_date("start").cast("string").alias("day"), "row", "col", F.col("cnt").cast("bigint").alias("cnt"))
+
+
+@register("stream_composite", "SELECT count(*) AS f1, true AS settled FROM events WHERE user_id IS NOT NULL")
+def stream_composite(spark, d):
+    """The newest snapshots of a live composite sketch: all updates counted, all versions matched."""
+    rows = _run_stream(spark, d, lambda e: live.live_composite(e, T), "update")
+    newest = composite.latest(rows)
+    return newest.agg(F.sum("f1").cast("bigint").alias("f1"), F.every(F.col("v_begin") == F.col("v_end")).alias("settled"))
+
+
 for _name, (_fn, _sql) in RELATIONAL.items():
     QUERIES[_name] = _fn
     SQL[_name] = _sql
+QUERIES.update(WORKLOADS)
 
 
 def flagship(spark: SparkSession, d: str) -> DataFrame:
@@ -694,5 +730,3 @@ def queries() -> dict[str, Query]:
 def oracle_sql() -> dict[str, str]:
     return dict(SQL)
 
-
-__all__ = ["flagship", "oracle_sql", "owner", "queries", "sql_linear"]
