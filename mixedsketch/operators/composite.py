@@ -193,6 +193,7 @@ def metrics(state: DataFrame, handoffs: DataFrame) -> DataFrame:
 
 
 def latest(states: DataFrame) -> DataFrame:
-    """Per part the newest row whose two versions agree."""
-    newest = F.row_number().over(Window.partitionBy("part").orderBy(F.desc("v_end")))
+    """Per part the newest row whose two versions agree: the most hand-overs, then the most updates seen."""
+    order = [F.desc(c) for c in ("v_end", "f1", "updates") if c in states.columns]
+    newest = F.row_number().over(Window.partitionBy("part").orderBy(*order))
     return states.filter("v_begin = v_end").withColumn("n", newest).filter("n = 1").drop("n")

@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions.hashing import owner
 from ..spec import SketchSpec
 from . import buffers, cm, prefix
 
@@ -79,15 +80,20 @@ def monotone_matrix(s: DataFrame, spec: SketchSpec, grain: int) -> DataFrame:
     those of max(t_q1, t_q2) <= T, and such a maximum is one of the three times,
     so three histograms over the time points answer all nine pairs.
     """
-    seen = visibility(s, spec)
+    seen = visibility(s, spec).withColumn("part", owner(F.col("key"), spec))
     times = F.explode(F.array(*[F.struct(F.lit(q).alias("q"), F.col(f"t_{q}").alias("t")) for q in QUERIES])).alias("x")
-    hist = seen.select(times).select("x.q", prefix.bucket(F.col("x.t"), 3 * grain).alias("bucket")).filter("bucket IS NOT NULL").groupBy("q", "bucket").agg(F.count("*").alias("n"))
-    counts = hist.groupBy("bucket").agg(*[F.sum(F.when(F.col("q") == q, F.col("n")).otherwise(0)).alias(q) for q in QUERIES])
-    run = counts.select("bucket", *[F.sum(q).over(Window.orderBy("bucket")).alias(q) for q in QUERIES])  # a row a time point
+    hist = seen.select("part", times).select("part", "x.q", prefix.bucket(F.col("x.t"), 3 * grain).alias("bucket")).filter("bucket IS NOT NULL").groupBy("part", "q", "bucket").agg(F.count("*").alias("n"))
     bound = {("point", "f1"): spec.P, ("point", "f2"): spec.P * spec.B, ("f1", "f2"): spec.P * spec.P * spec.B}
-    pairs = [(a, b, F.greatest(F.col(a) - F.col(b), F.lit(0)), bound.get((a, b), 0)) for a in QUERIES for b in QUERIES]
-    cells = F.explode(F.array(*[F.struct(F.lit(a).alias("q1"), F.lit(b).alias("q2"), d.cast("bigint").alias("d"), F.lit(r).cast("bigint").alias("bound")) for a, b, d, r in pairs])).alias("c")
-    worst = run.select(cells).groupBy("c.q1", "c.q2", "c.bound").agg(F.max("c.d").alias("worst"))
+    worst = None
+    for local in (True, False):  # a point query sees one part, the others all of them
+        by = ["part", "bucket"] if local else ["bucket"]
+        counts = hist.groupBy(*by).agg(*[F.sum(F.when(F.col("q") == q, F.col("n")).otherwise(0)).alias(q) for q in QUERIES])
+        over = Window.partitionBy(*by[:-1]).orderBy("bucket")  # a row a time point
+        run = counts.select("bucket", *[F.sum(q).over(over).alias(q) for q in QUERIES])
+        pairs = [(a, b, F.greatest(F.col(a) - F.col(b), F.lit(0)), bound.get((a, b), 0)) for a in QUERIES for b in QUERIES if (a == "point") == local]
+        cells = F.explode(F.array(*[F.struct(F.lit(a).alias("q1"), F.lit(b).alias("q2"), d.cast("bigint").alias("d"), F.lit(r).cast("bigint").alias("bound")) for a, b, d, r in pairs])).alias("c")
+        rows = run.select(cells).groupBy("c.q1", "c.q2", "c.bound").agg(F.max("c.d").alias("worst"))
+        worst = rows if worst is None else worst.unionByName(rows)
     # right after a row entered its buffer its producer's counter lags by that row
     late = F.when((F.col("q1") == "point") & (F.col("q2") == "f1"), F.greatest("worst", F.lit(1))).otherwise(F.col("worst")).cast("bigint")
     return worst.select("q1", "q2", late.alias("worst"), "bound", (late <= F.col("bound")).alias("ok"))

@@ -474,13 +474,13 @@ def visibility(spark, d):
 
 _PAIR = {("point", "f1"): P, ("point", "f2"): P * B, ("f1", "f2"): P * P * B}
 _MONO = " UNION ALL ".join(
-    f"SELECT '{a}' AS q1, '{b}' AS q2, CAST(greatest(coalesce(max(n), 0), {1 if (a, b) == ('point', 'f1') else 0}) AS BIGINT) AS worst, {_PAIR.get((a, b), 0)}::BIGINT AS bound FROM (SELECT t, count(*) FILTER (WHERE t_{a} <= t AND (t_{b} IS NULL OR t_{b} > t)) AS n FROM v, tp GROUP BY t)"
+    f"SELECT '{a}' AS q1, '{b}' AS q2, CAST(greatest(coalesce(max(n), 0), {1 if (a, b) == ('point', 'f1') else 0}) AS BIGINT) AS worst, {_PAIR.get((a, b), 0)}::BIGINT AS bound FROM (SELECT t, count(*) FILTER (WHERE t_{a} <= t AND (t_{b} IS NULL OR t_{b} > t)) AS n FROM v, tp GROUP BY t{', owner' if a == 'point' else ''})"
     for a in consistency.QUERIES
     for b in consistency.QUERIES
 )
 
 
-@register("monotone_matrix", f"WITH {_CHUNKS}, {_GRAIN}, v AS (SELECT 3 * seq AS t_point, 3 * seq + 1 AS t_f1, 3 * flush_seq + 2 AS t_f2 FROM k), tp AS (SELECT DISTINCT ceil(t_f1 / (3 * g))::BIGINT * 3 * g AS t FROM v, g), m AS ({_MONO}) SELECT *, worst <= bound AS ok FROM m")
+@register("monotone_matrix", f"WITH {_CHUNKS}, {_GRAIN}, v AS (SELECT owner, 3 * seq AS t_point, 3 * seq + 1 AS t_f1, 3 * flush_seq + 2 AS t_f2 FROM k), tp AS (SELECT DISTINCT ceil(t_f1 / (3 * g))::BIGINT * 3 * g AS t FROM v, g), m AS ({_MONO}) SELECT *, worst <= bound AS ok FROM m")
 def monotone_matrix(spark, d):
     s = STREAMS["S1"](spark, d)
     return consistency.monotone_matrix(s, T, _grain(s))

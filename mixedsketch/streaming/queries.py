@@ -36,9 +36,10 @@ def window_cells(events: DataFrame, spec: SketchSpec, window: str = "1 day", lat
 
 def window_f2(cells: DataFrame) -> DataFrame:
     """(start, f2, f1, alarm): the second moment of each finished window and its share of f1 squared, a sign of skew."""
-    f2 = cm.f2_plus(cells, ["start"]).groupBy("start").agg(F.sum("f2").cast("double").alias("f2"))
-    f1 = cells.filter("row = 0").groupBy("start").agg(F.sum("cnt").cast("double").alias("f1"))
-    return f2.join(f1, "start").withColumn("alarm", F.col("f2") / (F.col("f1") * F.col("f1")))
+    rows = cells.groupBy("start", "part", "row").agg(F.sum(cm.square(F.col("cnt"))).alias("sq"), F.sum("cnt").alias("n"))
+    parts = rows.groupBy("start", "part").agg(F.min("sq").alias("sq"), F.max("n").alias("n"))  # any row has all counts
+    out = parts.groupBy("start").agg(F.sum("sq").cast("double").alias("f2"), F.sum("n").cast("double").alias("f1"))
+    return out.withColumn("alarm", F.col("f2") / (F.col("f1") * F.col("f1")))
 
 
 def sessions(events: DataFrame, gap: str = "30 minutes", late: str = "1 hour") -> DataFrame:

@@ -24,8 +24,15 @@ def shared_folder(spark: SparkSession) -> str:
     return folder.rstrip("/")
 
 
+#: Rows in a batch between the JVM and Python.  A row may be a long text, and both sides hold batches outside
+#: any limit that Spark watches, so the default of 10,000 is lowered; another setting of the user's is left alone.
+BATCH_ROWS = "1000"
+
+
 def ship(spark: SparkSession) -> None:
-    """Send this package to the executors once a context, so that they need no path of the driver's."""
+    """Send this package to the executors once a context, so that they need no path of the driver's, and keep batches small."""
+    if spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch") == "10000":
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", BATCH_ROWS)
     sc = spark.sparkContext
     if getattr(sc, "_mixedsketch_sent", False):
         return
