@@ -29,6 +29,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from . import kernel
 from .token_cache import token_cache
 from .workspace import Workspace, ship
 
@@ -206,7 +207,7 @@ def write_packed(docs: DataFrame, work: Workspace, vocabulary: str = "word_bpe_4
     docs = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     tie = F.xxhash64("text")
     ordered = docs.repartitionByRange(parts, F.col("doc_id"), tie).sortWithinPartitions(F.col("doc_id"), tie)
-    return work.save(ordered.mapInArrow(_write(work.path("shards"), vocabulary, end_id), "part int, seq int, path string, docs long, ids long"), "manifest")
+    return work.save(ordered.mapInArrow(kernel.tidy(_write(work.path("shards"), vocabulary, end_id)), "part int, seq int, path string, docs long, ids long"), "manifest")
 
 
 def _read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -225,7 +226,7 @@ def read_packed(manifest: DataFrame) -> DataFrame:
     """Per document, from the shards: (doc_id, start, n_tokens, ids_crc32); shards are read side by side."""
     order = Window.orderBy("part", "seq").rowsBetween(Window.unboundedPreceding, -1)  # one small row a shard
     based = manifest.select("path", F.coalesce(F.sum("ids").over(order), F.lit(0)).alias("base"))
-    return based.repartition(max(1, manifest.count())).mapInArrow(_read, "doc_id long, start long, n_tokens long, ids_crc32 long")
+    return based.repartition(max(1, manifest.count())).mapInArrow(kernel.tidy(_read), "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
 def op3_bit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:

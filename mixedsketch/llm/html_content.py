@@ -21,6 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from . import kernel
 from .labelled_pages import labelled_pages
 from .workspace import ship
 
@@ -274,7 +275,7 @@ def extract_content(pages: DataFrame, keep: list[str], html_col: str = "html", w
     shared = spark.sparkContext.broadcast(weights or learn(labelled_pages()))
     cols = pages.select(*keep, F.col(html_col).cast("string").alias("__html"))
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in cols.schema.fields if f.name != "__html")
-    return cols.mapInArrow(_extract(shared, "__html"), f"{schema}, text string")
+    return cols.mapInArrow(kernel.tidy(_extract(shared, "__html")), f"{schema}, text string")
 
 
 def op10_html_content(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -124,7 +124,7 @@ def _add_slices(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def frequency_order(profiles: DataFrame, spark: SparkSession) -> np.ndarray:
     """log2 of the Count-Min row of all shingles, one byte a cell (fixed size)."""
     rank = np.zeros((1 << (ORDER_BITS - SLICE_BITS), 1 << SLICE_BITS), dtype=np.uint8)
-    for row in profiles.filter("slice IS NOT NULL").select("slice", "cells").repartition(1 << (ORDER_BITS - SLICE_BITS), "slice").mapInArrow(_add_slices, "slice int, rank binary").collect():
+    for row in profiles.filter("slice IS NOT NULL").select("slice", "cells").repartition(1 << (ORDER_BITS - SLICE_BITS), "slice").mapInArrow(kernel.tidy(_add_slices), "slice int, rank binary").collect():
         rank[row["slice"]] = np.frombuffer(bytes(row["rank"]), dtype=np.uint8)
     return rank.reshape(-1)
 
@@ -316,13 +316,13 @@ def _verified(pairs: DataFrame, profiles: DataFrame, docs: DataFrame, size: int,
     pairs = work.save(pairs, f"{name}-bounded")
     wide = profiles.filter("slice IS NULL AND id IS NOT NULL").select("id", "n", F.col("wide").alias("w"))
     both = pairs.join(wide.toDF("a", "na", "x"), "a").join(wide.toDF("b", "nb", "y"), "b")
-    pairs = work.save(both.mapInArrow(_wide_bound(percent), "a long, b long").distinct(), f"{name}-pairs")
+    pairs = work.save(both.mapInArrow(kernel.tidy(_wide_bound(percent)), "a long, b long").distinct(), f"{name}-pairs")
     ids = work.save(pairs.select(F.col("a").alias("id")).union(pairs.select(F.col("b").alias("id"))).distinct(), f"{name}-ids")
     few = ids.count() <= BROADCAST_IDS
     wanted = docs.join(F.broadcast(ids) if few else ids, "id", "left_semi")
-    arrays = work.save(wanted.mapInArrow(_arrays(size), "id long, arr binary"), f"{name}-arrays")
+    arrays = work.save(wanted.mapInArrow(kernel.tidy(_arrays(size)), "id long, arr binary"), f"{name}-arrays")
     both = pairs.join(arrays.select(F.col("id").alias("a"), F.col("arr").alias("x")), "a").join(arrays.select(F.col("id").alias("b"), F.col("arr").alias("y")), "b")
-    return work.save(both.mapInArrow(_intersect(percent), "a long, b long").distinct(), f"{name}-links")
+    return work.save(both.mapInArrow(kernel.tidy(_intersect(percent)), "a long, b long").distinct(), f"{name}-links")
 
 
 def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = 5, percent: int = 80) -> DataFrame:
@@ -346,7 +346,7 @@ def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     sig = [f"s{i}" for i in range(SIG_WORDS)]
     mins = [f"m{i}" for i in range(STARS)]
 
-    profiles = work.save(docs.mapInArrow(_profile(size), ", ".join(_PROFILE)), "profiles")
+    profiles = work.save(docs.mapInArrow(kernel.tidy(_profile(size)), ", ".join(_PROFILE)), "profiles")
     rows = profiles.filter("slice IS NULL").select("id", "n", "k1", "k2", *mins, *sig)
     same = ["n", "k1", "k2"]
     classes = work.save(rows.filter("n > 0").groupBy(*same).agg(F.min("id").alias("id"), *[F.first(c).alias(c) for c in [*mins, *sig]]), "classes")
@@ -364,11 +364,11 @@ def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     )
 
     order = spark.sparkContext.broadcast(frequency_order(profiles, spark))
-    keys = docs.mapInArrow(_prefixes(size, percent, order), "id long, n long, keys array<long>")
+    keys = docs.mapInArrow(kernel.tidy(_prefixes(size, percent, order)), "id long, n long, keys array<long>")
     keyed = keys.join(starred.select("id", "n", "star"), ["id", "n"]).select(F.explode("keys").alias("key"), "n", "id", "star")
     parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), 1)
     tiles = work.save(
-        keyed.repartition(parts, "key").sortWithinPartitions("key", "n", "id").mapInArrow(_tiles(percent), "kind int, a long, b long, c long, d long"), "tiles"
+        keyed.repartition(parts, "key").sortWithinPartitions("key", "n", "id").mapInArrow(kernel.tidy(_tiles(percent)), "kind int, a long, b long, c long, d long"), "tiles"
     )
     small = tiles.filter("kind = 0").select("a", "b").distinct()
     block_rows = tiles.filter("kind = 1").select(F.col("a").alias("key"), F.col("b").alias("block"), F.col("c").alias("id")).join(starred, "id")

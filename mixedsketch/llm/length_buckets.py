@@ -14,6 +14,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from . import kernel
 from .token_cache import token_cache
 from .workspace import Workspace, ship
 
@@ -103,7 +104,7 @@ def pack_documents(docs: DataFrame, buckets: int = BUCKETS, token_budget: int =
     ship(spark)
     work = Workspace(spark, "buckets")
     rows = docs.select(F.monotonically_increasing_id().alias("rid"), F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    rows = work.save(rows.mapInArrow(_lengths(vocabulary), "rid long, doc_id long, n_tokens long"), "lengths")
+    rows = work.save(rows.mapInArrow(kernel.tidy(_lengths(vocabulary)), "rid long, doc_id long, n_tokens long"), "lengths")
     hist = rows.groupBy("n_tokens").count().collect()
     lengths, counts = [r[0] for r in hist], [r[1] for r in hist]
     bounds, _ = optimal_boundaries(lengths, counts, buckets)

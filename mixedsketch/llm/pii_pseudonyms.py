@@ -20,6 +20,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from . import kernel
 from .workspace import ship
 
 ROUNDS = 8
@@ -275,7 +276,7 @@ def pseudonymise(docs: DataFrame, key: bytes = DEMO_KEY, text_col: str = "text")
     ship(docs.sparkSession)
     docs = docs.drop("pii_kinds")
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)
-    return docs.mapInArrow(_pseudonymise(key, text_col), f"{schema}, pii_kinds array<string>")
+    return docs.mapInArrow(kernel.tidy(_pseudonymise(key, text_col)), f"{schema}, pii_kinds array<string>")
 
 
 def op1_pii_pseudonyms(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -216,7 +216,7 @@ def train(docs: DataFrame, labels: DataFrame, positives: int = SAMPLE_POSITIVE,
     chosen = trusted.join(open_text, "doc_id", "full")
     rows = docs.join(F.broadcast(chosen), "doc_id")  # at most positives + unlabelled ids
     flags = chosen.collect()
-    got = rows.select("doc_id", "text").mapInArrow(_feature_rows, "doc_id long, x binary").toPandas()
+    got = rows.select("doc_id", "text").mapInArrow(kernel.tidy(_feature_rows), "doc_id long, x binary").toPandas()
     if not len(got):
         return None
     got = got.assign(x=[bytes(v) for v in got["x"]]).sort_values(["doc_id", "x"]).drop_duplicates()  # any order of arrival gives one model
@@ -249,7 +249,7 @@ def scored(docs: DataFrame, labels: DataFrame, keep: list[str] | None = None, id
     model = spark.sparkContext.broadcast(train(texts, labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("quality"))))
     carried = texts if keep is None else docs.select(*keep)
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in carried.schema.fields)
-    return carried.mapInArrow(_score_rows(model), f"{schema}, score double")
+    return carried.mapInArrow(kernel.tidy(_score_rows(model)), f"{schema}, score double")
 
 
 def op4_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:

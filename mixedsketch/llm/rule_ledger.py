@@ -137,7 +137,7 @@ def ledger(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> D
     ship(docs.sparkSession)
     rows = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     kind = rows.schema["doc_id"].dataType.simpleString()
-    measured = rows.mapInArrow(_rows, ", ".join([f"doc_id {kind}"] + [f"{m} long" for m in MEASURES]))
+    measured = rows.mapInArrow(kernel.tidy(_rows), ", ".join([f"doc_id {kind}"] + [f"{m} long" for m in MEASURES]))
     bits = sum((F.when(F.expr(c), F.lit(1 << i)).otherwise(F.lit(0)) for i, c in enumerate(RULES.values())), F.lit(0))
     return measured.withColumn("fail_bits", bits.cast("long"))
 

@@ -18,9 +18,10 @@ import pyarrow as pa
 
 from . import kernel
 
-SLOT_BITS = 21
-POOL = 16 << 20
+SLOT_BITS = 20
+POOL = 6 << 20
 CHUNK = 400
+SLICE_BYTES = 1 << 20  # numpy needs some thirty bytes for each byte of text in work
 
 _WHITE, _LETTER, _MARK, _OTHER = 0, 1, 2, 3
 #: ASCII letters and those of Latin-1 in UTF-8, and ASCII marks; digits, the apostrophe, the start of
@@ -130,14 +131,14 @@ class TokenCache:
     def counts(self, texts: pa.Array) -> np.ndarray:
         """Tokens per text."""
         out = [np.zeros(0, dtype=np.int64)]
-        for lo, hi in kernel.slices(texts, 8 << 20):
+        for lo, hi in kernel.slices(texts, SLICE_BYTES):
             _, size, owner = self._spans(texts.slice(lo, hi - lo))
             out.append(np.bincount(owner, weights=size, minlength=hi - lo).astype(np.int64))
         return np.concatenate(out)
 
     def encode(self, texts: pa.Array) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
         """(first row, end row, ids of all these rows, ids per row)."""
-        for lo, hi in kernel.slices(texts, 8 << 20):
+        for lo, hi in kernel.slices(texts, SLICE_BYTES):
             at, size, owner = self._spans(texts.slice(lo, hi - lo))
             ids = self.pool[ragged(at, size)]
             yield lo, hi, ids, np.bincount(owner, weights=size, minlength=hi - lo).astype(np.int64)
