@@ -6,7 +6,8 @@ log-odds of its name inside against outside the content, never above zero.  One
 linear scan finds the contiguous region of the highest sum, and the text blocks
 of that region whose own surroundings are not boilerplate make the main text.
 A stretch of boilerplate costs the scan no more than ``GAP``, so an advert in
-the middle cannot cut off the end of an article.
+the middle cannot cut off the end of an article; tags that bound the content as
+a whole (below ``BOUND``) always cost what they score.
 """
 
 from __future__ import annotations
@@ -25,7 +26,7 @@ from . import kernel
 from .labelled_pages import labelled_pages
 from .workspace import ship
 
-GAP = 6.0
+GAP, BOUND = 1.0, -3.0
 
 #: Elements by their part in the layout.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
@@ -246,6 +247,9 @@ def main_text(page: str | None, weights: Weights) -> str:
         else:
             own.append(0.0)
             s = weights.tag.get(t, -0.5)
+            if s < BOUND:
+                scores.append(s)
+                continue
         s = max(s, -GAP - gap)  # what a stretch without content costs in all
         gap += s
         scores.append(s)

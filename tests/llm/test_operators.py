@@ -1,0 +1,523 @@
+"""The corpus operators against brute force, round trips and edge cases."""
+
+import hashlib
+import itertools
+import random
+import re
+import zlib
+
+import numpy as np
+import pandas as pd
+import pyarrow as pa
+import pytest
+from pyspark.sql import functions as F
+
+from mixedsketch.llm import bit_packing, chat_format, html_content, jaccard_join, kernel, length_buckets, pii_pseudonyms, positional_index, quality_classifier, rule_ledger, token_cache, url_templates
+from mixedsketch.llm.graph import components
+from mixedsketch.llm.labelled_pages import labelled_pages
+from mixedsketch.llm.workspace import Workspace
+
+NAME = "word_bpe_49k.json"
+DOCS = "doc_id bigint, text string, lang string, source string, n_chars bigint"
+
+
+def docs_of(spark, rows):
+    """Documents, with columns whose names clash with the operators' own."""
+    return spark.createDataFrame([(i, t, "en", "s", len(t or ""), 1, "x", 2.0, True) for i, t in rows], DOCS + ", n bigint, id string, score double, kept boolean")
+
+
+EDGES = [(1, None), (2, ""), (3, "   \n\t "), (4, "one"), (5, "two words"), (6, "word " * 3000), (7, "word " * 3000), (7, "word " * 3000), (None, "a b c d e f g"), (None, None), (8, "Éé ß 漢字  x"), (9, "a" * 5000), (10, "one")]
+
+
+# ------------------------------------------------------------------ kernel
+
+
+def test_words_and_hashes():
+    texts = ["", "a", " a\tb\n", None, "x\x0by\x0cz\r", "Ä b"]
+    buf, offsets = kernel.flatten(pa.array(texts))
+    starts, ends, owner = kernel.words(buf, offsets)
+    got = [[] for _ in texts]
+    for s, e, o in zip(starts, ends, owner, strict=True):
+        got[o].append(buf[s:e].tobytes().decode())
+    assert got == [(t or "").split() for t in texts]
+    h = kernel.word_hashes(buf, starts, ends)
+    words = [w for g in got for w in g]
+    assert len(set(h.tolist())) == len(set(words))
+
+
+def test_shingles_tell_arrangements_apart():
+    texts = [" ".join(p) for p in itertools.product("ab", repeat=4)] + [" ".join(p) for p in itertools.permutations("abcd")]
+    seen = {}
+    for lo, _, values, cut in kernel.shingle_sets(pa.array(texts), 4):
+        for i in range(len(cut) - 1):
+            assert cut[i + 1] - cut[i] == 1
+            seen.setdefault(int(values[cut[i]]), set()).add(texts[lo + i])
+    assert all(len(v) == 1 for v in seen.values())
+
+
+def test_slices_cover_all_rows():
+    texts = pa.array(["x" * n for n in (5, 0, 3_000_000, 1, 1)])
+    cut = list(kernel.slices(texts, 10))
+    assert cut[0][0] == 0 and cut[-1][1] == 5 and all(a[1] == b[0] for a, b in itertools.pairwise(cut))
+
+
+# ------------------------------------------------------------------ 1
+
+
+def test_feistel_is_a_permutation():
+    f = pii_pseudonyms.Feistel(b"key", "t")
+    for n in (1, 2, 5, 10, 97, 1000):
+        assert sorted(f.permute(i, n) for i in range(n)) == list(range(n))
+    assert sorted(f.permute(i, 100, lambda v: v % 7 == 0) for i in range(0, 100, 7)) == list(range(0, 100, 7))
+
+
+def test_values_keep_their_format():
+    p = pii_pseudonyms.Pseudonymiser(b"key")
+    new, kinds = p.rewrite("card 4111 1111 1111 1111 or 9807915762804490, mail jo.smith+x@mail7.example.com, call +1 (974) 555-3436 97.51.17.173\nborn 1984-02-29 12/31/1999 31.12.1999 ssn 123-45-6789 GB82 WEST 1234 5698 7654 32 TOKEN = \"AB12CD34EF\"")
+    assert sorted(kinds) == sorted(["account", "account", "email", "phone", "ip", "iso_date", "date", "date", "ssn", "iban", "secret"])
+    card = re.search(r"card (\d{4} \d{4} \d{4} \d{4}) or (\d{16}),", new)
+    assert pii_pseudonyms.luhn(card[1].replace(" ", "")) and not pii_pseudonyms.luhn(card[2])
+    assert re.search(r"mail [a-z]{2}\.[a-z]{5}\+[a-z]@[a-z]{4}\d\.[a-z]{7}\.com, call \+1 \(\d{3}\) \d{3}-\d{4} (?:\d{1,3}\.){3}\d{1,3}\n", new)
+    assert pii_pseudonyms.iban_valid(re.search(r"GB\d\d [A-Z]{4} \d{4} \d{4} \d{4} \d\d", new)[0].replace(" ", ""))
+    assert re.search(r'TOKEN = "[0-9A-F]{10}"', new)
+    for old in ("4111 1111", "9807915762804490", "jo.smith", "555-3436", "97.51.17.173", "1984-02-29", "12/31/1999", "31.12.1999", "123-45-6789", "AB12CD34EF"):
+        assert old not in new
+    assert pii_pseudonyms.Pseudonymiser(b"key").rewrite(new)[0] != new and pii_pseudonyms.Pseudonymiser(b"other").rewrite("1984-02-29") != p.rewrite("1984-02-29")
+
+
+def test_equal_values_stay_linked_and_clean_text_stays():
+    p = pii_pseudonyms.Pseudonymiser(b"key")
+    a, b = p.rewrite("x 10.0.0.1 y")[0], p.rewrite("10.0.0.1")[0]
+    assert a == f"x {b} y"
+    many = {p.rewrite(f"2001-{m:02d}-{d:02d}")[0] for m in range(1, 13) for d in range(1, 29)}
+    assert len(many) == 12 * 28 and all(re.fullmatch(r"\d{4}-\d\d-\d\d", v) for v in many)
+    for clean in ("Licensed under CC BY-NC 4.0.", "Version 2.0. and 3.14", "in 1984 we had 12 of 300", "31/31/1999", "999.1.1.1", "a@b", "key to the door", "2024-13-45"):
+        assert p.rewrite(clean) == (clean, [])
+
+
+def test_pseudonymise_edges(spark):
+    rows = EDGES + [(20, "mail a.b@c.example.com"), (21, "mail a.b@c.example.com")]
+    docs = docs_of(spark, rows)
+    out = pii_pseudonyms.pseudonymise(docs)
+    assert out.columns == [*docs.columns, "pii_kinds"]
+    got = sorted(((r["doc_id"], r["text"], r["kept"]) for r in out.collect()), key=str)
+    assert [g[:2] for g in got if g[0] not in (20, 21)] == sorted(EDGES, key=str)
+    new = {g[1] for g in got if g[0] in (20, 21)}
+    assert len(new) == 1 and "a.b@" not in new.pop()
+    assert pii_pseudonyms.pseudonymise(docs.filter("false")).isEmpty()
+
+
+# ------------------------------------------------------------------ 2 and 3
+
+
+def _least_padding(lengths, counts, k):
+    order = sorted(range(len(lengths)), key=lambda i: lengths[i])
+    L, C = [lengths[i] for i in order], [counts[i] for i in order]
+    best = [0] + [None] * len(L)
+    answer = None
+    for _ in range(k):
+        now = [None] * (len(L) + 1)
+        for b in range(1, len(L) + 1):
+            options = [best[a] + sum(C[i] * (L[b - 1] - L[i]) for i in range(a, b)) for a in range(b) if best[a] is not None]
+            now[b] = min(options) if options else None
+        best = now
+        if best[-1] is not None and (answer is None or best[-1] < answer):
+            answer = best[-1]
+    return answer
+
+
+def test_boundaries_are_optimal():
+    rng = random.Random(4)
+    for _ in range(150):
+        m = rng.randint(1, 12)
+        lengths, counts, k = rng.sample(range(50), m), [rng.randint(1, 9) for _ in range(m)], rng.randint(1, 5)
+        bounds, cost = length_buckets.optimal_boundaries(lengths, counts, k)
+        assert cost == _least_padding(lengths, counts, k) == sum(c * (bounds[int(np.searchsorted(bounds, v))] - v) for v, c in zip(lengths, counts, strict=True))
+    assert length_buckets.optimal_boundaries([], [], 4) == ([], 0)
+
+
+def test_packing_edges(spark):
+    docs = docs_of(spark, EDGES)
+    out = length_buckets.pack_documents(docs, buckets=3, token_budget=100).toPandas()
+    assert len(out) == len(EDGES) and sorted(out.doc_id.dropna()) == sorted(i for i, _ in EDGES if i is not None)
+    per = out.groupby("batch").agg(n=("slot", "size"), length=("bucket_length", "first"), slots=("slot", "nunique"), buckets=("bucket", "nunique"))
+    assert (per.slots == per.n).all() and (per.buckets == 1).all() and ((per.n * per.length <= 100) | (per.n == 1)).all()
+    assert (out.n_tokens <= out.bucket_length).all()
+    assert length_buckets.pack_documents(docs.filter("false")).isEmpty()
+
+
+def test_token_counts_are_those_of_the_library(spark, data):
+    from tokenizers import Tokenizer
+
+    cache = token_cache.token_cache(NAME)
+    import public_tokenizers
+
+    t = Tokenizer.from_file(public_tokenizers.path(NAME))
+    rng = random.Random(3)
+    bits = ["a", "B", "é", "×", "÷", "'s", "'RE", "3", "<|endoftext|>", "<|ENDOFTEXT|>", "<", "|>", " ", "\n", "\x0b", "\x1c", "\x00", "\u0085", " ", "µ", "ß", "İ", "é", "漢", "😀", "the", "Of", "$$", "--", "_"]
+    texts = ["".join(rng.choice(bits) for _ in range(rng.randint(0, 25))) for _ in range(3000)] + [None]
+    got = []
+    for k in range(0, len(texts), 11):
+        for _, _, ids, sizes in cache.encode(pa.array(texts[k : k + 11], pa.string())):
+            cut = np.concatenate(([0], np.cumsum(sizes)))
+            got += [ids[cut[i] : cut[i + 1]].tolist() for i in range(len(sizes))]
+    assert got == [t.encode(x or "", add_special_tokens=False).ids for x in texts]
+
+
+@pytest.mark.parametrize("bits", range(1, 33))
+def test_bit_packing_round_trip(bits):
+    ids = np.random.default_rng(bits).integers(0, 2**bits, 777)
+    data = bit_packing.pack(ids, bits)
+    assert len(data) == -(-777 // 64) * 8 * bits
+    assert (bit_packing.unpack(data, bits)[:777] == ids).all()
+    first = int.from_bytes(data, "little") & ((1 << bits) - 1)
+    assert first == ids[0]
+
+
+def test_shard_random_access():
+    class File:
+        def __init__(self):
+            self.data = b""
+
+        def write(self, b):
+            self.data += b
+
+        def close(self):
+            pass
+
+        def read_at(self, n, at):
+            return self.data[at : at + n]
+
+        def size(self):
+            return len(self.data)
+
+    rng = np.random.default_rng(1)
+    sizes = np.array([0, 1, 5, 300, 0, 9000, 64])
+    ids = rng.integers(0, 100_000, sizes.sum())
+    f = File()
+    w = bit_packing.ShardWriter(f, 17, block=128)
+    w.add([5, None, 7], ids[:6], sizes[:3])
+    w.add([8, 9, 10, 11], ids[6:], sizes[3:])
+    w.close()
+    r = bit_packing.ShardReader(f)
+    cut = np.concatenate(([0], np.cumsum(sizes)))
+    for i in (6, 3, 0, 5, 1):
+        assert (r.document(i) == ids[cut[i] : cut[i + 1]]).all()
+    assert (r.read(130, 400) == ids[130:400]).all() and r.nulls.tolist() == [False, True] + [False] * 5
+    assert [c for _, c in r.digests()] == [zlib.crc32(ids[cut[i] : cut[i + 1]].astype("<u4").tobytes()) for i in range(7)]
+
+
+def test_packed_files_edges(spark):
+    from tokenizers import Tokenizer
+    import public_tokenizers
+
+    t = Tokenizer.from_file(public_tokenizers.path(NAME))
+    docs = docs_of(spark, EDGES)
+    out = bit_packing.read_packed(bit_packing.write_packed(docs, Workspace(spark, "t"))).orderBy("start").collect()
+    assert len(out) == len(EDGES) and [r["doc_id"] for r in out if r["doc_id"] is not None] == sorted(i for i, _ in EDGES if i is not None)
+    at, want = 0, {}
+    for i, x in EDGES:
+        ids = t.encode(x or "", add_special_tokens=False).ids + [2]
+        want.setdefault(i, []).append((len(ids), zlib.crc32(np.array(ids, "<u4").tobytes())))
+    for r in out:
+        assert r["start"] == at and (r["n_tokens"], r["ids_crc32"]) in want[r["doc_id"]]
+        at += r["n_tokens"]
+    assert bit_packing.read_packed(bit_packing.write_packed(docs.filter("false"), Workspace(spark, "t"))).isEmpty()
+
+
+# ------------------------------------------------------------------ 4
+
+
+def test_held_out_accuracy(spark):
+    d = "/root/testdata/sf0.01"
+    out = quality_classifier.op4_quality_classifier(spark, d).toPandas()
+    assert len(out) == 1000 and out.score.between(0, 1).all()
+    assert all(h == (zlib.crc32(str(i).encode()) % 3 == 1) for i, h in zip(out.doc_id, out.held_out, strict=True))
+    both = pd.read_parquet(f"{d}/labels.parquet").merge(out[out.held_out], on="doc_id")
+    assert (both.predicted == both.quality).mean() > 0.97
+
+
+def test_labels_of_the_held_out_third_are_not_used(spark, data):
+    docs, labels = spark.read.parquet(f"{data}/documents.parquet"), spark.read.parquet(f"{data}/labels.parquet")
+    flipped = labels.withColumn("quality", F.when(quality_classifier.held_out("doc_id"), 1 - F.col("quality")).otherwise(F.col("quality")))
+    a = quality_classifier.scored(docs, labels).select("doc_id", "score").collect()
+    assert sorted(a) == sorted(quality_classifier.scored(docs.select("doc_id", "text"), flipped).select("doc_id", "score").collect())
+
+
+def test_non_negative_risk_learns_from_positives_and_unlabelled():
+    rng = np.random.default_rng(0)
+    p = rng.normal(1.5, 1, (800, 5))
+    u = np.concatenate([rng.normal(1.5, 1, (900, 5)), rng.normal(-1.5, 1, (600, 5))])
+    model = quality_classifier.fit(p, u, 0.6, steps=600)
+    assert (model.score(rng.normal(1.5, 1, (500, 5))) > 0.5).mean() > 0.95 and (model.score(rng.normal(-1.5, 1, (500, 5))) < 0.5).mean() > 0.95
+    assert quality_classifier.estimate_prior(8, 2, p, u) == 0.75
+    assert 0.3 < quality_classifier.estimate_prior(8, 0, p, u) <= 0.98
+
+
+def test_scoring_edges(spark):
+    docs = docs_of(spark, EDGES)
+    labels = spark.createDataFrame([(4, 1, 0), (5, 1, 0), (6, 0, 0), (6, 1, 0), (None, 1, 0), (3, None, 0), (99, 1, 0)], "doc_id bigint, quality int, toxic int")
+    out = quality_classifier.scored(docs, labels)
+    assert out.count() == len(EDGES) and out.filter("score IS NULL OR score < 0 OR score > 1").isEmpty()
+    none = quality_classifier.scored(docs, labels.filter("false"))
+    assert none.filter("score <> 0").isEmpty() and none.count() == len(EDGES)
+    assert quality_classifier.scored(docs.filter("false"), labels).isEmpty()
+
+
+# ------------------------------------------------------------------ 5
+
+
+def test_template_round_trip_and_masks():
+    rng = random.Random(3)
+    bits = chat_format.CONTROL + [chat_format.ESCAPE, chat_format.ESCAPE + "c", "<", "|", "[", "INST]", "/", "s>", "a", " ", "\n", "é", "😀", "漢", "turn|>"]
+    t = chat_format._tokenizer("byte_bpe_50k.json")
+    for _ in range(800):
+        turns = [(rng.choice(["user", "assistant", "a\nb", "<|end|>"]), "".join(rng.choice(bits) for _ in range(rng.randint(0, 12)))) for _ in range(rng.randint(0, 5))]
+        text, spans = chat_format.render(turns)
+        assert chat_format.parse(text) == turns
+        code = t.encode(text, add_special_tokens=False)
+        o = np.array(code.offsets, dtype=np.int64).reshape(-1, 2)
+        _, lo, hi = chat_format.mask_tokens(o[:, 0], o[:, 1], spans)
+        assert chat_format.unescape("".join(text[a:b] for a, b in zip(lo, hi, strict=True))) == "".join(x for r, x in turns if r == "assistant")
+        assert t.decode(code.ids, skip_special_tokens=False) == text
+
+
+def test_conversation_edges(spark):
+    rows = [(1, 1, "assistant", "b"), (1, 0, "user", "a"), (2, 0, "assistant", None), (3, 0, None, "x"), (4, 0, "user", "t"), (4, 0, "user", "t"), (None, 0, "assistant", "n"), (5, None, "assistant", "first"), (5, 0, "assistant", "second")]
+    df = spark.createDataFrame([(*r, 1) for r in rows], "conv_id bigint, turn bigint, role string, text string, turns int")
+    out = {r["conv_id"]: r for r in chat_format.format_conversations(df).collect()}
+    assert len(out) == 6
+    assert chat_format.parse(out[1]["formatted"]) == [("user", "a"), ("assistant", "b")]
+    assert chat_format.parse(out[2]["formatted"]) == [("assistant", "")] and not any(out[2]["loss_mask"])
+    assert chat_format.parse(out[4]["formatted"]) == [("user", "t")] * 2
+    loss = out[5]
+    assert "".join(loss["formatted"][a:b] for a, b in zip(loss["loss_from"], loss["loss_to"], strict=True)) == "firstsecond"
+    assert chat_format.format_conversations(df.filter("false")).isEmpty()
+
+
+# ------------------------------------------------------------------ 6
+
+
+def _contaminated(docs, items, window=10):
+    word = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
+    low = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
+    cut = lambda t: word.findall((t or "").translate(low))
+    out = []
+    for i, t in docs:
+        w = cut(t)
+        hit, found = set(), set()
+        for item, text in items:
+            v = cut(text)
+            k = min(window, len(v))
+            for a in range(len(v) - k + 1 if k else 0):
+                for b in range(len(w) - k + 1):
+                    if w[b : b + k] == v[a : a + k]:
+                        hit |= set(range(b, b + k))
+                        found.add(str(item) if item is not None else "")
+        out.append((i, len(w), len(hit), len(found), hashlib.sha256(",".join(sorted(found)).encode()).hexdigest(), bool(hit)))
+    return sorted(out, key=str)
+
+
+def test_phrases_against_brute_force(spark):
+    rng = random.Random(8)
+    vocabulary = ["the", "of", "a", "b", "Éa", "éa", "x1", "ß", "K"]
+    phrase = lambda n: " ".join(rng.choice(vocabulary) for _ in range(n))
+    items = [(i, phrase(rng.randint(1, 16))) for i in range(8)] + [(3, "the of"), (50, None), (51, "..."), (None, "a b x1"), (1, "same words here"), (1, "same words here")]
+    docs = [(i, f"{phrase(rng.randint(0, 30))} {rng.choice(items)[1] or ''}, {phrase(5)}") for i in range(40)] + [(7, "THE OF"), (7, "THE OF"), (None, "the of"), (60, None), (61, ""), (62, "?!"), (63, "K b")]
+    out = positional_index.contamination(docs_of(spark, docs), spark.createDataFrame(items, "item_id bigint, text string"))
+    assert sorted((tuple(r) for r in out.collect()), key=str) == _contaminated(docs, items)
+    assert positional_index.contamination(docs_of(spark, docs).filter("false"), spark.createDataFrame(items, "item_id bigint, text string")).isEmpty()
+    clean = positional_index.contamination(docs_of(spark, docs), spark.createDataFrame([], "item_id bigint, text string"))
+    assert clean.count() == len(docs) and clean.filter("contaminated").isEmpty()
+
+
+def test_proximity_in_any_order(spark):
+    docs = docs_of(spark, [(1, "red z z blue z green"), (2, "green blue red"), (3, "red " + "z " * 60 + "blue green"), (4, "red blue")])
+    items = spark.createDataFrame([(1, "red blue green")], "item_id bigint, text string")
+    work = Workspace(spark, "t")
+    items = positional_index.test_items(items)
+    postings = positional_index.build_postings(docs, items, work)
+    near = positional_index.proximity_matches(postings, items, work, slop=10).select("rid").distinct()
+    assert sorted(r[0] for r in postings.filter("term IS NULL").join(near, "rid").select("doc_id").collect()) == [1, 2]
+
+
+def test_plans_have_no_python(spark, data):
+    from mixedsketch.plans.inspect import plan_text
+
+    for f in (positional_index.op6_positional_index, url_templates.op9_url_templates):
+        assert not re.search("Python|Pandas|Arrow", plan_text(f(spark, data)))
+
+
+# ------------------------------------------------------------------ 7
+
+
+def _joined(docs, size, percent):
+    sets = []
+    for _, t in docs:
+        w = (t or "").encode().lower().split()
+        sets.append({tuple(w[i : i + size]) for i in range(len(w) - size + 1)} if len(w) >= size else ({tuple(w)} if w else set()))
+    parent = list(range(len(docs)))
+
+    def root(x):
+        while parent[x] != x:
+            x = parent[x]
+        return x
+
+    for a, b in itertools.combinations(range(len(docs)), 2):
+        both = len(sets[a] & sets[b])
+        if both and 100 * both >= percent * (len(sets[a]) + len(sets[b]) - both):
+            parent[root(a)] = root(b)
+    least = {}
+    for i, (d, _) in enumerate(docs):
+        if d is not None:
+            r = root(i)
+            least[r] = min(least.get(r, d), d)
+    return sorted(((d, len(sets[i]), least.get(root(i)) if sets[i] else d) for i, (d, _) in enumerate(docs)), key=str)
+
+
+@pytest.mark.parametrize(("size", "percent"), [(4, 85), (5, 80), (1, 50)])
+def test_links_against_brute_force(spark, size, percent, monkeypatch):
+    monkeypatch.setattr(jaccard_join, "SMALL_TILE", 6)
+    monkeypatch.setattr(jaccard_join, "BLOCK", 8)
+    rng = random.Random(size)
+    base = [[rng.choice("abcdefghij") + str(rng.randint(0, 99)) for _ in range(n)] for n in (6, 40, 60, 900)]
+    docs = []
+    for i in range(90):
+        w = list(rng.choice(base))
+        for _ in range(rng.choice([0, 0, 1, 2, 4, 8])):
+            w[rng.randrange(len(w))] = rng.choice(["x", "y", f"z{rng.randint(0, 5)}"])
+        docs.append((1000 - i, " ".join(w)))
+    docs += [(i + 5000, t) for i, t in EDGES if i not in (None, 7)] + [(None, "a b c d e f g"), (None, None), (77, "Tie One"), (78, "tie  ONE")]
+    out = jaccard_join.jaccard_components(docs_of(spark, docs), size=size, percent=percent)
+    assert sorted((tuple(r) for r in out.collect()), key=str) == _joined(docs, size, percent)
+
+
+def test_repeated_ids_and_empty_tables(spark):
+    rows = [(7, "a b c d e"), (7, "a b c d e"), (3, "a b c d e"), (9, None), (9, None)]
+    out = sorted(tuple(r) for r in jaccard_join.jaccard_components(docs_of(spark, rows), size=4, percent=85).collect())
+    assert out == [(3, 2, 3), (7, 2, 3), (7, 2, 3), (9, 0, 9), (9, 0, 9)]
+    assert jaccard_join.jaccard_components(docs_of(spark, rows).filter("false")).isEmpty()
+
+
+def test_bitmaps_bound_the_difference():
+    rng = np.random.default_rng(2)
+    for n in (1000, 5000):
+        pool = rng.integers(0, 2**63, 3 * n).astype(np.uint64)
+        for m in (n, n // 2, 2 * n):
+            a, b = np.unique(pool[:n]), np.unique(pool[n // 3 : n // 3 + m])
+            x, y = (np.frombuffer(jaccard_join._wide_bitmap(v), dtype=np.uint8) for v in (a, b))
+            assert jaccard_join._wide_distance(x, y) <= len(np.setxor1d(a, b))
+
+
+def test_components_of_chains_and_cycles(spark):
+    edges = [(i, i + 1) for i in range(50)] + [(100, 101), (101, 102), (102, 100), (7, 7), (200, 201), (200, 201), (None, 3)]
+    got = {r["node"]: r["component"] for r in components(spark.createDataFrame(edges, "u bigint, v bigint"), Workspace(spark, "t")).collect()}
+    assert got == {**{i: 0 for i in range(51)}, 100: 100, 101: 100, 102: 100, 200: 200, 201: 200}
+    assert components(spark.createDataFrame([], "u bigint, v bigint"), Workspace(spark, "t")).isEmpty()
+
+
+# ------------------------------------------------------------------ 8
+
+
+def test_measurements_against_brute_force(spark):
+    rng = random.Random(5)
+    texts = [t for _, t in EDGES] + ["\n".join(" ".join(rng.choice(["a", "B#", "<c>", "dé", "|"]) for _ in range(rng.randint(0, 12))) for _ in range(rng.randint(0, 8))) for _ in range(60)]
+    for text, got in zip(texts, rule_ledger.measure(pa.array(texts, pa.string())), strict=True):
+        t = text or ""
+        w = re.findall(r"[^\x20\x09-\x0D]+", t)
+        windows = [tuple(w[i : i + 8]) for i in range(len(w) - 7)]
+        covered = {p for i, x in enumerate(windows) if windows.count(x) > 1 for p in range(i, i + 8)} if len(windows) < 500 else set(range(len(w)))
+        lines = [x for x in t.split("\n") if re.search(r"[^\x20\x09-\x0D]", x)]
+        want = [len(w), sum(map(len, w)), sum(c in "#*$%&|<>" for c in t), len(lines) - len(set(lines)), len(covered), len(lines), len(re.findall("[A-Z]", t)), sum(a == b for a, b in itertools.pairwise(w))]
+        assert got.tolist() == want, t[:80]
+
+
+def test_ledger_edges_and_ablations(spark):
+    docs = docs_of(spark, EDGES)
+    book = rule_ledger.ledger(docs)
+    assert book.count() == len(EDGES) and rule_ledger.ledger(docs.filter("false")).isEmpty()
+    kept = rule_ledger.apply_policy(book, rule_ledger.BASE).filter("kept").count()
+    rows = rule_ledger.ablations(book, [rule_ledger.BASE, rule_ledger.STRICT]).collect()
+    base = [r for r in rows if r["policy"] == "base"]
+    assert {r["n_kept"] for r in base} == {kept} and all(r["n_kept_without"] == r["n_kept"] + r["n_only"] for r in rows)
+
+
+# ------------------------------------------------------------------ 9
+
+
+def test_url_parts_and_rules(spark):
+    urls = [
+        ("http://A.Net/x?y#z", "a.net", "/x", "net/", "block"),
+        ("https://example.net/en/1", "example.net", "/en/1", "example.net/en/", "allow"),
+        ("https://m.example.net/en", "m.example.net", "/en", "net/", "block"),
+        ("http://x.example.com/de/5#top", "x.example.com", "/de/5", "example.com/de/", "block"),
+        ("http://notexample.com/de/5", "notexample.com", "/de/5", None, "allow"),
+        ("http://a.org/fr/", "a.org", "/fr/", "org/fr/", "allow"),
+        ("ftp://h.net", "h.net", "", None, "allow"),
+        ("http://h.net?q=/x", "h.net", "", None, "allow"),
+        ("no scheme", "", "", None, "allow"),
+        (None, "", "", None, "allow"),
+        ("", "", "", None, "allow"),
+        ("http://É.net/É", "É.net", "/É", "net/", "block"),
+    ]
+    df = spark.createDataFrame([(i, u[0], "h") for i, u in enumerate(urls)] + [(0, urls[0][0], "again"), (None, None, "x")], "page_id bigint, url string, host string")
+    got = sorted((tuple(r) for r in url_templates.url_verdicts(df).collect()), key=str)
+    want = [(i, *u[1:]) for i, u in enumerate(urls)] + [(0, *urls[0][1:]), (None, "", "", None, "allow")]
+    assert got == sorted(want, key=str)
+    many = url_templates.RULES + [(f"h{i}.zz", "/", "block") for i in range(300)]
+    assert sorted((tuple(r) for r in url_templates.url_verdicts(df, many).collect()), key=str) == got
+    assert url_templates.url_verdicts(df.filter("false")).isEmpty()
+
+
+def test_templates_generalise_and_reject(spark):
+    rows = [(i, f"http://shop.example/item/s{chr(97 + i % 26)}{chr(97 + i // 26)}") for i in range(60)] + [(100 + i, f"http://shop.example/item/bad{chr(97 + i)}x") for i in range(26)]
+    rules = [("shop.example", "/item/s", "block")]
+    out = {r["page_id"]: (r["rule"], r["verdict"]) for r in url_templates.url_verdicts(spark.createDataFrame(rows, "page_id bigint, url string"), rules).collect()}
+    assert all(out[i] == ("shop.example/item/s", "block") for i in range(60))
+    assert all(out[100 + i] == (None, "block") for i in range(26))  # the segment is a wildcard, and most of its pages are labelled
+
+
+# ------------------------------------------------------------------ 10
+
+
+@pytest.fixture(scope="module")
+def weights():
+    return html_content.learn(labelled_pages())
+
+
+def test_best_region_against_brute_force():
+    rng = random.Random(6)
+    for _ in range(300):
+        s = [rng.randint(-5, 5) for _ in range(rng.randint(0, 12))]
+        lo, hi = html_content.best_region(s)
+        top = max([0] + [sum(s[a:b]) for a in range(len(s)) for b in range(a + 1, len(s) + 1)])
+        assert sum(s[lo:hi]) == top
+
+
+def test_content_of_pages(weights):
+    page = '<html><head><title>t</title><script>var a="</p>";</script></head><body><nav><ul><li><a href="/">Home</a></li></ul></nav><div class="ad">Buy now cheap.</div><article><h1>Big &amp; &lt;b&gt; &am</h1><p>One  two<b>three</b>\n four.<br><p>Five.<aside>Related stuff here</aside><p>Six &quot;x&quot;.<form><input><button>Go</button></form><p>End.</article><section class="comments"><p>I liked this a lot, thanks.</p></section><footer>&copy; me</footer></body>'
+    assert html_content.main_text(page, weights) == 'Big & <b> &am One twothree four. Five. Six "x". End.'
+    for empty in (None, "", "<html></html>", "<nav><a>x</a></nav>"):
+        assert html_content.main_text(empty, weights) == ""
+    assert html_content.main_text("just words", weights) == "just words"
+    held = labelled_pages(150, seed=123)
+    assert sum(html_content.main_text(p, weights) == " ".join(b) for p, b in held) > 0.85 * len(held)
+
+
+def test_pages_of_the_tables(spark, data, weights):
+    import html as html_lib
+
+    pages = pd.read_parquet(f"{data}/pages.parquet")
+    out = html_content.op10_html_content(spark, data).toPandas().set_index("page_id")
+    assert len(out) == len(pages)
+    for i, h in zip(pages.page_id, pages.html, strict=True):
+        inner = re.search(r"<article>(.*)</article>", h, re.S)[1].replace("<b>", "").replace("</b>", "")
+        want = " ".join(x for x in (" ".join(html_lib.unescape(b).split()) for b in re.split(r"</?(?:p|h1|br)>", inner)) if x)
+        assert out.text[i] == want and out.n_chars[i] == len(want)
+
+
+def test_page_edges(spark, weights):
+    df = spark.createDataFrame([(1, "u", None, "x"), (1, "u", None, "x"), (None, None, "<p>a</p>", "y"), (2, "v", "<p>" + "long " * 20000, "z")], "page_id bigint, url string, html string, text string")
+    out = html_content.extract_content(df, ["page_id", "url"], weights=weights)
+    assert sorted((r["page_id"], len(r["text"])) for r in out.filter("page_id IS NOT NULL").collect()) == [(1, 0), (1, 0), (2, 99_999)]
+    assert html_content.extract_content(df.filter("false"), ["page_id"], weights=weights).isEmpty()
