@@ -19,7 +19,7 @@ from .sources import streams
 from .sources.streams import STREAMS, sql_stream
 from .spec import TEST, SketchSpec
 from .streaming import queries as live
-from .workloads import WORKLOADS
+from .workloads import WORKLOADS, weighted
 from .workspace import Workspace
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -274,6 +274,12 @@ def ladder_report(spark, d):
     return _long(out, "f2", "exact")
 
 
+@register("w9_weighted", SQL["ladder_report"].split(" UNION ALL SELECT * FROM (WITH")[0].replace("SELECT 'S7' AS stream, method", "SELECT method").replace(sql_stream("S7"), sql_stream("S4")))
+def w9_weighted(spark, d):
+    """All order-free methods on weighted updates."""
+    return _long(weighted(spark, d), "f2", "exact")
+
+
 # ------------------------------------------------------------------ buffers and the composite, static slots
 
 _CHUNKS = f"""s AS (SELECT seq, {sql_fold("k")} AS x FROM ({sql_stream('S1')})),

@@ -223,7 +223,6 @@ WORKLOADS = {
     "w6_ablation": ablation,
     "w7_freshness": freshness,
     "w8_point_accuracy": point_accuracy,
-    "w9_weighted": weighted,
     "w11_disagreement": disagreement,
     "w13_quantiles": quantiles,
     "builtin_point": baseline_point,
