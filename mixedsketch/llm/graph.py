@@ -35,6 +35,7 @@ def components(edges: DataFrame, work: Workspace, name: str = "components", roun
             break
         seen = mark
         now = _toward_smallest(now, work, f"{name}-{i + 1}")
+        work.drop(f"{name}-{i + 1}-big", f"{name}-{i}-small" if i else f"{name}-0")
     else:
         raise RuntimeError("star contraction did not settle")
     return now.select(F.col("u").alias("node"), F.col("v").alias("component")).union(now.select(F.col("v").alias("node"), F.col("v").alias("component")).distinct())

@@ -380,6 +380,7 @@ def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     links = _verified(pairs, profiles, docs, size, percent, work, "tile")
 
     found = components(star_links.union(links).select(F.col("a").alias("u"), F.col("b").alias("v")), work)
+    work.drop("starred", "tiles", *[f"{stage}-{table}" for stage in ("star", "tile") for table in ("bounded", "pairs", "ids", "arrays", "links")])  # nothing reads them again
     named = classes.select(*same, F.col("id").alias("class_id")).join(found.select(F.col("node").alias("class_id"), "component"), "class_id", "left")
     named = named.select(*[F.col(c).alias(f"q_{c}") for c in same], F.coalesce("component", "class_id").alias("component"))
     out = rows.select("id", *same).join(named, F.expr("n = q_n AND k1 = q_k1 AND k2 = q_k2"), "left")
@@ -389,3 +390,17 @@ def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
 def op7_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Classes of ``documents`` at four words and 85 percent."""
     return jaccard_components(spark.read.parquet(f"{sf_dir}/documents.parquet"), size=4, percent=85)
+
+
+_FOLD = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
+
+OP7_SQL = rf"""
+WITH RECURSIVE d AS (SELECT doc_id, regexp_extract_all({_FOLD}, '[^\x20\x09-\x0D]+') AS w FROM documents),
+sh AS (SELECT DISTINCT doc_id, array_to_string(w[i : i + 3], ' ') AS s FROM (SELECT doc_id, w, unnest(range(1, greatest(len(w) - 3, 1) + 1)) AS i FROM d WHERE len(w) > 0)),
+n AS (SELECT doc_id, count(*) AS n FROM sh GROUP BY doc_id),
+o AS (SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS o FROM sh a JOIN sh b ON a.s = b.s AND a.doc_id < b.doc_id GROUP BY ALL),
+e AS (SELECT a, b FROM o JOIN n x ON a = x.doc_id JOIN n y ON b = y.doc_id WHERE 100 * o >= 85 * (x.n + y.n - o)),
+both_ways AS (SELECT a, b FROM e UNION ALL SELECT b, a FROM e),
+r AS (SELECT doc_id AS x, doc_id AS y FROM d UNION SELECT r.x, f.b FROM r JOIN both_ways f ON r.y = f.a)
+SELECT d.doc_id, coalesce(n, 0) AS n_shingles, c AS component_id FROM d LEFT JOIN n USING (doc_id) JOIN (SELECT x AS doc_id, min(y) AS c FROM r GROUP BY x) USING (doc_id)
+"""

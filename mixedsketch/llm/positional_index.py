@@ -129,6 +129,7 @@ def contamination(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", tex
     items = work.save(test_items(items), "items")
     postings = build_postings(docs, items, work, id_col, text_col)
     spans = work.save(phrase_matches(postings, items, work, window), "spans")
+    work.drop("anchors", "triples", "rows", "vocabulary")
     hit = spans.select("rid", F.explode(F.sequence("first", "last")).alias("pos")).distinct().groupBy("rid").agg(F.count("*").alias("n_hit"))
     which = spans.select("rid", "iid").distinct().join(_small(items.select("iid", "item"), items.count()), "iid")
     which = which.groupBy("rid").agg(F.sort_array(F.collect_set("item")).alias("items"))

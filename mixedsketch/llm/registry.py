@@ -5,7 +5,7 @@ from __future__ import annotations
 from .bit_packing import op3_bit_packing
 from .chat_format import OP5_SQL, op5_chat_format
 from .html_content import op10_html_content
-from .jaccard_join import op7_jaccard_join
+from .jaccard_join import OP7_SQL, op7_jaccard_join
 from .length_buckets import op2_length_buckets
 from .pii_pseudonyms import op1_pii_pseudonyms
 from .positional_index import OP6_SQL, op6_positional_index
@@ -35,6 +35,7 @@ def oracle_sql():
     return {
         "op5_chat_format": OP5_SQL,
         "op6_positional_index": OP6_SQL,
+        "op7_jaccard_join": OP7_SQL,
         "op8_rule_ledger": OP8_SQL,
         "op8_policy_ablations": OP8_ABLATION_SQL,
         "op9_url_templates": OP9_SQL,
