@@ -12,7 +12,6 @@ from __future__ import annotations
 from collections.abc import Iterator
 from decimal import Decimal
 
-import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -33,21 +32,23 @@ class OwnerState:
 
     def __init__(self, spec: SketchSpec):
         self.spec = spec
-        self.cells = np.zeros((spec.H, spec.K), dtype=np.int64)
+        self.cells = [[0] * spec.K for _ in range(spec.H)]
         self.f2rows = [0] * spec.H
         self.slots: dict[int, list] = {}  # key -> [cnt, old, avg]
-        self.cols: dict[int, np.ndarray] = {}  # columns of the slots' keys
+        self.cols: dict[int, list[int]] = {}  # columns of the slots' keys
+        self.weakest: int | None = None  # key of the lightest slot, while known
         self.v_begin = self.v_end = 0
         self.updates = self.hits = self.inserts = self.misses = self.swaps = 0
 
     def _add(self, cols, v: int) -> int:
         """Add to the matrix, keep the partial sums, and return the estimate afterwards."""
         least = None
-        for j, col in enumerate(cols):
-            c = int(self.cells[j, col])
-            self.cells[j, col] = c + v
-            self.f2rows[j] += 2 * c * v + v * v
-            least = c + v if least is None or c + v < least else least
+        for j, (row, col) in enumerate(zip(self.cells, cols, strict=True)):
+            c = row[col]
+            row[col] = n = c + v
+            self.f2rows[j] += v * (c + n)  # n^2 - c^2
+            if least is None or n < least:
+                least = n
         return least
 
     def update(self, key: int, v: int, cols) -> None:
@@ -57,26 +58,30 @@ class OwnerState:
             self.hits += 1
             slot[0] += v
             slot[2] = self.spec.w * v + (1 - self.spec.w) * slot[2]
+            if key == self.weakest:
+                self.weakest = None
         elif len(self.slots) < self.spec.C:
             self.inserts += 1
-            self.slots[key], self.cols[key] = [v, 0, float(v)], cols
+            self.slots[key], self.cols[key], self.weakest = [v, 0, float(v)], cols, None
         else:
             self.misses += 1
             est = self._add(cols, v)
             if not self.slots:
                 return
-            weakest = min(self.slots, key=lambda k: (self.slots[k][0], k))
+            if self.weakest is None:
+                self.weakest = min((x[0], k) for k, x in self.slots.items())[1]
+            weakest = self.weakest
             cnt, old, _ = self.slots[weakest]
             if est > cnt:
                 self.swaps += 1
                 if cnt > old:
                     self._add(self.cols[weakest], cnt - old)
                 del self.slots[weakest], self.cols[weakest]
-                self.slots[key], self.cols[key] = [est, est, float(v)], cols
+                self.slots[key], self.cols[key], self.weakest = [est, est, float(v)], cols, None
 
     def row(self, part: int) -> dict:
         slots = [{"key": k, "cnt": s[0], "old": s[1], "avg": s[2]} for k, s in sorted(self.slots.items())]
-        return {"part": part, "cells": self.cells.reshape(-1), "slots": slots, "f2rows": [Decimal(v) for v in self.f2rows], "v_begin": self.v_begin, "v_end": self.v_end} | {n: getattr(self, n) for n in ("updates", "hits", "inserts", "misses", "swaps")}
+        return {"part": part, "cells": [c for row in self.cells for c in row], "slots": slots, "f2rows": [Decimal(v) for v in self.f2rows], "v_begin": self.v_begin, "v_end": self.v_end} | {n: getattr(self, n) for n in ("updates", "hits", "inserts", "misses", "swaps")}
 
 
 ARROW_STATE = pa.schema(
@@ -101,7 +106,7 @@ def _drain(spec: SketchSpec):
         state, part, mark = None, None, None
         for batch in batches:
             keys = batch.column("key").to_numpy()
-            cols = row_hashes_np(keys, spec)
+            cols = row_hashes_np(keys, spec).tolist()
             for i, (o, m, p, key, v) in enumerate(zip(batch.column("owner").to_pylist(), batch.column("flush_seq").to_pylist(), batch.column("producer").to_pylist(), keys.tolist(), batch.column("cnt").to_pylist(), strict=True)):
                 if o != part:
                     if state is not None:

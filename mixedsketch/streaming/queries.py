@@ -69,7 +69,7 @@ def _live(spec: SketchSpec):
             state, lanes, seen = composite.OwnerState(spec), {}, 0
         rows = pd.concat(list(frames)).sort_values(["event_id"], kind="stable")
         keys = rows["key"].to_numpy()
-        columns = dict(zip(keys.tolist(), row_hashes_np(keys, spec), strict=True))
+        columns = dict(zip(keys.tolist(), row_hashes_np(keys, spec).tolist(), strict=True))
         known = dict(getattr(state, "seen_cols", {}))
         known.update(columns)
         for seq, k, v in zip(rows["event_id"].tolist(), keys.tolist(), rows["weight"].tolist(), strict=True):
