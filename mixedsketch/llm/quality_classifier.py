@@ -32,7 +32,7 @@ from .workspace import ship
 SAMPLE_POSITIVE = 12_000
 SAMPLE_UNLABELLED = 24_000
 HIDDEN = 24
-STEPS = 1_500
+STEPS = 700
 BATCH = 1_024
 
 #: Bytes that count one by one; other bytes count by class.
