@@ -69,12 +69,13 @@ class Lane:
 
     def add(self, key: int, weight: int, spec: SketchSpec) -> dict[int, int] | None:
         """The contents, if this update fills the buffer (it is empty afterwards)."""
-        self.counts[key] = self.counts.get(key, 0) + weight
+        counts = self.counts
+        counts[key] = counts.get(key, 0) + weight
         self.total += weight
-        if len(self.counts) < spec.C and (spec.B is None or self.total < spec.B):
+        if len(counts) < spec.C and (spec.B is None or self.total < spec.B):
             return None
-        full, self.counts, self.total = self.counts, {}, 0
-        return full
+        self.counts, self.total = {}, 0
+        return counts
 
 
 HANDOFF = "owner int, producer long, flush_seq long, pos int, key long, cnt long, handed boolean"
@@ -99,7 +100,10 @@ def _lanes(spec: SketchSpec, task_is_producer: bool):
             who = [task] * batch.num_rows if task_is_producer else batch.column("producer").to_pylist()
             seqs = range(last, last + batch.num_rows) if task_is_producer else batch.column("seq").to_pylist()
             for seq, key, weight, o, p in zip(seqs, keys.tolist(), batch.column("weight").to_pylist(), own, who, strict=True):
-                full = lanes.setdefault((p, o), Lane()).add(key, weight, spec)
+                lane = lanes.get((p, o))
+                if lane is None:
+                    lane = lanes[(p, o)] = Lane()
+                full = lane.add(key, weight, spec)
                 if full is not None:
                     at = seq + spec.flush_lag
                     out += [(o, p, at, i, k, c, True) for i, (k, c) in enumerate(full.items())]
