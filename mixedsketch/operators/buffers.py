@@ -91,6 +91,7 @@ def _batch(rows: list[tuple]) -> pa.RecordBatch:
 def _lanes(spec: SketchSpec, task_is_producer: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         lanes: dict[tuple[int, int], Lane] = {}
+        direct = not spec.self_buffer and not task_is_producer  # own keys go to their slots at once
         task = TaskContext.get().partitionId() if task_is_producer else 0
         last = 0
         for batch in batches:
@@ -100,6 +101,9 @@ def _lanes(spec: SketchSpec, task_is_producer: bool):
             who = [task] * batch.num_rows if task_is_producer else batch.column("producer").to_pylist()
             seqs = range(last, last + batch.num_rows) if task_is_producer else batch.column("seq").to_pylist()
             for seq, key, weight, o, p in zip(seqs, keys.tolist(), batch.column("weight").to_pylist(), own, who, strict=True):
+                if p == o and direct:
+                    out.append((o, p, seq + spec.flush_lag, 0, key, weight, True))
+                    continue
                 lane = lanes.get((p, o))
                 if lane is None:
                     lane = lanes[(p, o)] = Lane()

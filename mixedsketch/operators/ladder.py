@@ -42,3 +42,14 @@ def report(s: DataFrame, spec: SketchSpec) -> DataFrame:
         row = df.select(F.lit(name).alias("method"), "f2")
         out = row if out is None else out.unionByName(row)
     return out.crossJoin(truth)
+
+
+def concurrent(s: DataFrame, spec: SketchSpec, kind: str, t0: int, step: int) -> DataFrame:
+    """One row: f2 of a rung whose part i is read at t0 + i * step, each counter or part at one moment.
+
+    ``kind``: wide (aligned), part_cm or part_slots.  What a part has seen by
+    its moment is a prefix of its rows, so the answer lies between those at the
+    first and the last moment.
+    """
+    seen = s.filter(F.col("seq") <= F.lit(t0) + owner(F.col("key"), spec) * F.lit(step))
+    return {"wide": wide, "part_cm": part_cm, "part_slots": part_slots}[kind](seen, spec)

@@ -62,3 +62,17 @@ def grouped_report(s: DataFrame, spec: SketchSpec, by: list[str]) -> DataFrame:
         one = cm.f2_plus(cm.from_frequencies(f, spec, layout, by), by).groupBy(*by).agg(F.sum("f2").cast(cm.BIG).alias("f2")).select(*by, F.lit(name).alias("method"), "f2")
         out = one if out is None else out.unionByName(one)
     return out.join(truth, by)
+
+
+def shuffled_bytes(spark: SparkSession, df: DataFrame) -> int:
+    """Bytes that running ``df`` writes to shuffles, from Spark's own stage figures."""
+
+    def total() -> int:
+        sc = spark.sparkContext._jsc.sc()
+        sc.listenerBus().waitUntilEmpty(10_000)
+        stages = sc.statusStore().stageList(None, False, False, spark.sparkContext._gateway.new_array(spark.sparkContext._jvm.double, 0), None)
+        return sum(stages.apply(i).shuffleWriteBytes() for i in range(stages.size()))
+
+    before = total()
+    df.write.format("noop").mode("overwrite").save()
+    return total() - before

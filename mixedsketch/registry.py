@@ -426,6 +426,20 @@ def versioned_f2(spark, d):
     return interleave.versioned(STREAMS["S1"](spark, d), T, T0, STEP, WIDTH).withColumn("f2", F.round("f2", 3))
 
 
+_SEEN = f"f AS (SELECT x, CAST(count(*) AS BIGINT) AS f, {sql_owner('x', T)} AS part FROM (SELECT seq, {sql_fold('k')} AS x FROM ({sql_stream('S1')})) WHERE seq <= {T0} + {sql_owner('x', T)} * {STEP} GROUP BY x)"
+
+
+@register("concurrent_f2", f"WITH {_SEEN}, {_SETTLED}, cw AS ({_WIDE}), cp AS ({_PARTS}), cl AS ({_cells('light', 'part')}) SELECT 'wide' AS kind, CAST({_plus('cw')} AS BIGINT) AS f2 UNION ALL SELECT 'part_cm', CAST({_plus('cp')} AS BIGINT) UNION ALL SELECT 'part_slots', CAST({_plus('cl')} + (SELECT sum(f * f) FROM h) AS BIGINT)")
+def concurrent_f2(spark, d):
+    """The rungs without buffers, read part after part while rows arrive."""
+    s = STREAMS["S1"](spark, d)
+    out = None
+    for kind in ("wide", "part_cm", "part_slots"):
+        row = ladder.concurrent(s, T, kind, T0, STEP).select(F.lit(kind).alias("kind"), "f2")
+        out = row if out is None else out.unionByName(row)
+    return _long(out, "f2")
+
+
 # ------------------------------------------------------------------ consistency
 
 _GRAIN = "g AS (SELECT greatest(1, coalesce(max(event_id), 0) // 200) AS g FROM events)"

@@ -116,6 +116,12 @@ def agg_rollup(spark: SparkSession, d: str) -> DataFrame:
     return load(spark, d, "customer", ["c_nationkey", "c_mktsegment"]).rollup("c_nationkey", "c_mktsegment").agg(F.count("*").alias("n"))
 
 
+@register("agg_grouping_sets", "SELECT l_returnflag, l_linestatus, count(*) AS n FROM lineitem GROUP BY GROUPING SETS ((l_returnflag), (l_linestatus), ())")
+def agg_grouping_sets(spark: SparkSession, d: str) -> DataFrame:
+    flag, status = F.col("l_returnflag"), F.col("l_linestatus")
+    return load(spark, d, "lineitem", ["l_returnflag", "l_linestatus"]).groupingSets([[flag], [status], []], flag, status).agg(F.count("*").alias("n")).select("l_returnflag", "l_linestatus", "n")
+
+
 @register("agg_conditional", "SELECT event_type, count(*) FILTER (WHERE value > 50) AS big, count(DISTINCT user_id) AS users, arg_max(event_id, value * 1000000 + event_id) AS top, round(median(value), 6) AS med, round(stddev_samp(value), 6) AS sd FROM events GROUP BY event_type")
 def agg_conditional(spark: SparkSession, d: str) -> DataFrame:
     e = load(spark, d, "events", ["event_id", "event_type", "user_id", "value"])

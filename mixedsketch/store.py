@@ -36,6 +36,7 @@ def merge_checked(a: tuple[SketchSpec, DataFrame], b: tuple[SketchSpec, DataFram
     return cm.merge(a[1], b[1])
 
 
-def read_state(spark: SparkSession, checkpoint: str, variable: str) -> DataFrame:
-    """The state table of a stateful stream, by its checkpoint folder."""
-    return spark.read.format("statestore").option("stateVarName", variable).load(checkpoint)
+def read_state(spark: SparkSession, checkpoint: str, variable: str | None = None) -> DataFrame:
+    """The state table of a stateful stream, by its checkpoint folder; ``variable`` for operators with several."""
+    reader = spark.read.format("statestore")
+    return (reader.option("stateVarName", variable) if variable else reader).load(checkpoint)

@@ -53,6 +53,11 @@ def deduplicated(events: DataFrame, late: str = "1 hour") -> DataFrame:
     return events.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"])
 
 
+def with_names(events: DataFrame, names: DataFrame, on: str) -> DataFrame:
+    """Each arriving row with the columns that a table has for its key; rows without any stay."""
+    return events.join(names, on, "left")
+
+
 _SNAPSHOT = "part int, v_begin bigint, v_end bigint, f1 bigint, f2_projected double, f2rows array<double>, hits bigint, swaps bigint"
 
 

@@ -270,3 +270,28 @@ def test_builtin_count_min_is_one_sided(spark, data):
     from mixedsketch.workloads import baseline_point
 
     assert all(r["builtin"] >= r["exact"] for r in baseline_point(spark, data).collect())
+
+
+def test_own_keys_may_skip_the_buffers(spark, data):
+    s = STREAMS["S1"](spark, data).select("seq", "key", "weight")
+    spec = SMALL.but(self_buffer=False)
+    handoffs = buffers.replay(s, spec).cache()
+    assert handoffs.filter("producer = owner AND NOT handed").isEmpty() and handoffs.agg(F.sum("cnt")).first()[0] == 1000
+    state = composite.drain(handoffs, spec)
+    want = {tuple(r) for r in cm.build(s, spec, "parts").select("part", "row", "col", "cnt").collect()}
+    assert {tuple(r) for r in composite.conserved_cells(state, handoffs, spec).select("part", "row", "col", "cnt").collect()} == want
+
+
+def test_concurrent_rungs_lie_between_begin_and_end(spark, data):
+    s = STREAMS["S1"](spark, data)
+    for kind, f in (("wide", ladder.wide), ("part_cm", ladder.part_cm)):
+        lo, hi = (int(one(f(s.filter(f"seq <= {t}"), SMALL))) for t in (400, 400 + 3 * 50))
+        assert lo <= int(one(ladder.concurrent(s, SMALL, kind, 400, 50))) <= hi
+
+
+def test_buffers_cut_what_is_shuffled(spark):
+    """On a skewed stream the map-side buffers move fewer bytes than the rows would."""
+    s = streams.s8_zipf(spark, "", 2.0).select("seq", "key", "weight").cache()
+    s.count()
+    rows = measures.shuffled_bytes(spark, s.repartition(4, "key"))
+    assert 0 < measures.shuffled_bytes(spark, buffers.combine(s, TEST).repartition(4, "owner")) < rows

@@ -131,3 +131,13 @@ def test_twins_agree(spark, data, name):
 def test_moments_of_tokens_match_counts(spark, data):
     s = STREAMS["S7"](spark, data)
     assert exact.moments(s).first()["f1"] == s.count() == exact.moment(s, 1).first()[0]
+
+
+def test_names_join_a_stream_and_state_is_readable(spark, data, files, tmp_path):
+    events = streams.stream(spark, files, "events", 4).select("event_id", "user_id")
+    names = spark.range(100).select(F.col("id").alias("user_id"), F.concat(F.lit("u"), F.col("id").cast("string")).alias("name"))
+    named = live.run_available(live.with_names(events, names, "user_id"), "named", str(tmp_path / "n"), "append")
+    assert named.count() == 1000 and named.filter("user_id < 100 AND name IS NULL").isEmpty()
+    counts = live.window_f1(live.keyed(streams.stream(spark, files, "events", 4)))
+    live.run_available(counts, "counts", str(tmp_path / "s"), "complete")
+    assert store.read_state(spark, str(tmp_path / "s")).count() == counts.sparkSession.table("counts").count()
