@@ -141,3 +141,12 @@ def test_names_join_a_stream_and_state_is_readable(spark, data, files, tmp_path)
     counts = live.window_f1(live.keyed(streams.stream(spark, files, "events", 4)))
     live.run_available(counts, "counts", str(tmp_path / "s"), "complete")
     assert store.read_state(spark, str(tmp_path / "s")).count() == counts.sparkSession.table("counts").count()
+
+
+def test_matrix_as_an_aggregate(spark, data):
+    from mixedsketch.functions.aggregates import cm_agg
+
+    s = STREAMS["S2"](spark, data)
+    got = s.agg(cm_agg(TEST)("key", "weight").alias("m")).first()["m"]
+    want = {(r["row"], r["col"]): r["cnt"] for r in cm.build(s, TEST).collect()}
+    assert {(i // TEST.K, i % TEST.K): c for i, c in enumerate(got) if c} == want
