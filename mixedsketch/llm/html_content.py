@@ -178,7 +178,7 @@ class Weights:
         return self.bias + sum(self.context.get(c, 0.0) for c in context)
 
 
-def learn(pages: list[tuple[str, list[str]]], steps: int = 12) -> Weights:
+def learn(pages: list[tuple[str, list[str]]], steps: int = 14) -> Weights:
     """Weights from pages with their content blocks, by logistic regression on surroundings and tag counts.
 
     A block is content when its text is among the page's labelled ones.
@@ -205,7 +205,7 @@ def learn(pages: list[tuple[str, list[str]]], steps: int = 12) -> Weights:
     target, w = np.array(y), np.zeros(len(vocabulary) + 1)
     for _ in range(steps):  # Newton-like steps with a ridge
         p = 1 / (1 + np.exp(-np.clip(x @ w, -30, 30)))
-        ridge = np.full(len(w), 0.02)
+        ridge = np.full(len(w), 0.005)
         h = (x * np.maximum(p * (1 - p), 1e-4)[:, None]).T @ x + np.diag(ridge + 1e-6)
         step = np.linalg.solve(h, x.T @ (target - p) - ridge * w)
         w += np.clip(step, -2, 2)

@@ -24,7 +24,7 @@ BOILERPLATE = {
 CONTENT = "content article post entry main story body text article-body post-content entry-content main-content page prose".split()
 
 _TAGS = {"advert": ["div", "aside", "section", "ins"], "menu": ["nav", "ul", "div", "menu"], "header": ["header", "div"], "footer": ["footer", "div"], "sidebar": ["aside", "div", "section"], "notice": ["div", "section", "dialog", "p"], "form": ["form", "div"], "comments": ["section", "div", "ol", "article"], "share": ["div", "ul"]}
-_ROLES = {"menu": "navigation", "header": "banner", "footer": "contentinfo", "sidebar": "complementary", "form": "search", "notice": "alert"}
+_ROLES = {"menu": "navigation", "header": "banner", "footer": "contentinfo", "sidebar": "complementary", "form": "search", "notice": "alert dialog alertdialog status"}
 #: Elements that tell their kind without a class.
 _PLAIN = {"nav", "header", "footer", "aside", "form", "menu", "dialog"}
 
@@ -46,7 +46,7 @@ class _Maker:
             names = rng.sample(BOILERPLATE[kind].split(), rng.choice([1, 1, 2]))
             attrs = f' {rng.choice(["class", "class", "id"])}="{rng.choice(["-", " ", "_"]).join(names)}"'
         if kind in _ROLES and rng.random() < 0.15:
-            attrs += f' role="{_ROLES[kind]}"'
+            attrs += f' role="{rng.choice(_ROLES[kind].split())}"'
         if kind in ("menu", "share"):
             items = "".join(f'<li><a href="/{i}">{self.words(1, 2)}</a></li>' for i in range(rng.randint(2, 7)))
             inner = items if tag in ("ul", "menu") else f"<ul>{items}</ul>"
@@ -90,7 +90,7 @@ class _Maker:
         return "".join(parts)
 
 
-def labelled_pages(count: int = 400, seed: int = 11) -> list[tuple[str, list[str]]]:
+def labelled_pages(count: int = 600, seed: int = 11) -> list[tuple[str, list[str]]]:
     """(html, content blocks) pairs; the same for the same arguments."""
     rng = random.Random(seed)
     pages = []
