@@ -76,7 +76,7 @@ def _power_table(n: int, inverse: bool) -> np.ndarray:
     return have[:n]
 
 
-def slices(texts: pa.Array, max_bytes: int = 1 << 20) -> Iterator[tuple[int, int]]:
+def slices(texts: pa.Array, max_bytes: int = 1 << 19) -> Iterator[tuple[int, int]]:
     """Row ranges of at most ``max_bytes`` of text each (a longer text stands alone)."""
     sizes = np.cumsum(pc.fill_null(pc.binary_length(texts), 0).to_numpy(zero_copy_only=False).astype(np.int64))
     at, base = 0, 0

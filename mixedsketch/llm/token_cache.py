@@ -21,7 +21,7 @@ from . import kernel
 SLOT_BITS = 20
 POOL = 6 << 20
 CHUNK = 400
-SLICE_BYTES = 1 << 20  # numpy needs some thirty bytes for each byte of text in work
+SLICE_BYTES = 1 << 19  # numpy needs some thirty bytes for each byte of text in work
 
 _WHITE, _LETTER, _MARK, _OTHER = 0, 1, 2, 3
 #: ASCII letters and those of Latin-1 in UTF-8, and ASCII marks; digits, the apostrophe, the start of
