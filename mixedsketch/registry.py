@@ -377,42 +377,87 @@ def exclusive_f2(spark, d):
 
 
 T0, STEP, DELTA = 4000, 300, 500
+SCANS = 4  # scans of the whole stream: at each quarter of it, the last after its end
+
+
+def _scan(s: DataFrame, i: int) -> tuple[int, int, int, int]:
+    """(t0, step, delta, width) of the i-th scan, i in 1..SCANS, as shares of the last seq of the stream."""
+    last = s.agg(F.max("seq")).first()[0] or 0
+    return last * i // SCANS, max(1, last // 100), max(1, last // 60), max(1, last // 750)
+
+
+_LAST = f"(SELECT coalesce(max(seq), 0)::BIGINT FROM ({sql_stream('S1')}))"
+
+
+def _scan_sql(i: int) -> tuple[str, str, str, str]:
+    return f"({_LAST} * {i} // {SCANS})", f"greatest(1, {_LAST} // 100)", f"greatest(1, {_LAST} // 60)", f"greatest(1, {_LAST} // 750)"
+
+
+def _every_scan(sql) -> str:
+    return " UNION ALL ".join(f"SELECT {i} AS scan, * FROM ({sql(*_scan_sql(i))})" for i in range(1, SCANS + 1))
+
+
+def _each_scan(s: DataFrame, run) -> DataFrame:
+    out = None
+    for i in range(1, SCANS + 1):
+        row = run(*_scan(s, i)).select(F.lit(i).alias("scan"), "*")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+def _unsynced_sql(t0, step, delta, width=None) -> str:
+    return f"WITH {_CHUNKS} SELECT CAST(owner AS INT) AS part, CAST({t0} + owner * {step} AS BIGINT) AS t, count(*) FILTER (WHERE handed AND flush_seq > {t0} + owner * {step} AND flush_seq <= {t0} + owner * {step} + {delta} AND seq <= {t0} + owner * {step}) AS n FROM k GROUP BY owner"
 
 
 def _unsynced(name: str, order: str):
-    @register(name, f"WITH {_CHUNKS} SELECT CAST(owner AS INT) AS part, CAST({T0} + owner * {STEP} AS BIGINT) AS t, count(*) FILTER (WHERE handed AND flush_seq > {T0} + owner * {STEP} AND flush_seq <= {T0} + owner * {STEP} + {DELTA} AND seq <= {T0} + owner * {STEP}) AS n FROM k GROUP BY owner")
+    @register(name, _unsynced_sql(T0, STEP, DELTA))
     def run(spark, d):
         return interleave.unsynced(STREAMS["S1"](spark, d), T, T0, STEP, DELTA, order)
 
+    @register(f"{name}_whole", _every_scan(_unsynced_sql))
+    def whole(spark, d):
+        s = STREAMS["S1"](spark, d)
+        return _each_scan(s, lambda t0, step, delta, _: interleave.unsynced(s, T, t0, step, delta, order))
+
 
 _unsynced("unsynced_missed", "sketch_first")
 _unsynced("unsynced_double", "buffers_first")
 
 
-@register(
-    "unsynced_f2",
-    " UNION ALL ".join(
-        f"""SELECT * FROM (WITH {_STATE}, a AS (SELECT x, owner AS part, count(*) FILTER (WHERE coalesce(flush_seq, {1 << 62}) <= {T0} + owner * {STEP} + {ds}) AS f,
-      count(*) FILTER (WHERE seq <= {T0} + owner * {STEP} + {db} AND coalesce(flush_seq, {1 << 62}) > {T0} + owner * {STEP} + {db}) AS b FROM k GROUP BY ALL),
+def _unsynced_f2_sql(t0, step, delta, width=None) -> str:
+    return " UNION ALL ".join(
+        f"""SELECT * FROM (WITH {_STATE}, a AS (SELECT x, owner AS part, count(*) FILTER (WHERE coalesce(flush_seq, {1 << 62}) <= {t0} + owner * {step} + {ds}) AS f,
+      count(*) FILTER (WHERE seq <= {t0} + owner * {step} + {db} AND coalesce(flush_seq, {1 << 62}) > {t0} + owner * {step} + {db}) AS b FROM k GROUP BY ALL),
       lt AS (SELECT x, part, f FROM a WHERE x NOT IN (SELECT x FROM h) AND f > 0), cl AS ({_cells('lt', 'part')}),
       lp AS (SELECT part, min(sq) AS v FROM (SELECT part, row, sum(cnt * cnt) AS sq FROM cl GROUP BY ALL) GROUP BY part), hp AS (SELECT part, sum((f + b) * (f + b)) AS w FROM a WHERE x IN (SELECT x FROM h) GROUP BY part)
       SELECT '{o}' AS read_order, CAST(part AS INT) AS part, CAST(coalesce(v, 0) + coalesce(w, 0) AS BIGINT) AS f2 FROM lp FULL JOIN hp USING (part))"""
-        for o, ds, db in (("sketch_first", 0, DELTA), ("buffers_first", DELTA, 0))
-    ),
-)
+        for o, ds, db in (("sketch_first", 0, delta), ("buffers_first", delta, 0))
+    )
+
+
+@register("unsynced_f2", _unsynced_f2_sql(T0, STEP, DELTA))
 def unsynced_f2(spark, d):
-    rows = [interleave.unsynced_f2(STREAMS["S1"](spark, d), T, T0, STEP, DELTA, o).select(F.lit(o).alias("read_order"), "part", "f2") for o in ("sketch_first", "buffers_first")]
+    return _unsynced_f2(STREAMS["S1"](spark, d), T0, STEP, DELTA)
+
+
+def _unsynced_f2(s, t0, step, delta, width=None) -> DataFrame:
+    rows = [interleave.unsynced_f2(s, T, t0, step, delta, o).select(F.lit(o).alias("read_order"), "part", "f2") for o in ("sketch_first", "buffers_first")]
     return _long(rows[0].unionByName(rows[1]), "f2")
 
 
+@register("unsynced_f2_whole", _every_scan(_unsynced_f2_sql))
+def unsynced_f2_whole(spark, d):
+    s = STREAMS["S1"](spark, d)
+    return _each_scan(s, lambda *at: _unsynced_f2(s, *at))
+
+
 WIDTH = 40
 
 
-@register(
-    "versioned_f2",
-    f"""WITH {_STATE}, e AS (SELECT DISTINCT owner AS part, producer, flush_seq, {T0} + owner * {STEP} AS t FROM k WHERE handed),
-ag AS (SELECT part, min(flush_seq) AS again FROM e WHERE flush_seq > t AND flush_seq <= t + {WIDTH} GROUP BY part),
-pt AS (SELECT range AS part, {T0} + range * {STEP} AS t, again FROM range({P}) LEFT JOIN ag ON part = range),
+def _versioned_sql(t0, step, delta, width) -> str:
+    return f"""WITH {_STATE}, e AS (SELECT DISTINCT owner AS part, producer, flush_seq, {t0} + owner * {step} AS t FROM k WHERE handed),
+ag AS (SELECT part, min(flush_seq) AS again FROM e WHERE flush_seq > t AND flush_seq <= t + {width} GROUP BY part),
+pt AS (SELECT range AS part, {t0} + range * {step} AS t, again FROM range({P}) LEFT JOIN ag ON part = range),
 sn AS (SELECT k.*, pt.part FROM k JOIN pt ON k.owner = pt.part WHERE flush_seq <= coalesce(again, t)),
 vf AS (SELECT x, part, count(*) AS f FROM sn GROUP BY ALL), vl AS (SELECT * FROM vf WHERE x NOT IN (SELECT x FROM h)), cv AS ({_cells('vl', 'part')}),
 lp AS (SELECT part, min(sq) AS v FROM (SELECT part, row, sum(cnt * cnt) AS sq FROM cv GROUP BY ALL) GROUP BY part),
@@ -420,26 +465,46 @@ va AS (SELECT x, list_reduce(list(n::DOUBLE ORDER BY flush_seq, producer), lambd
 hp AS (SELECT part, sum((f + {P / 2} * avg) ** 2) AS w FROM vf JOIN va USING (x) GROUP BY part),
 ve AS (SELECT part, count(*) AS v_end FROM e JOIN pt USING (part) WHERE flush_seq <= coalesce(again, pt.t) GROUP BY part)
 SELECT CAST(pt.part AS INT) AS part, CAST(pt.t AS BIGINT) AS t, coalesce(v_end, 0) AS v_end, CAST(again IS NOT NULL AS INT) AS retries, round(coalesce(v, 0)::DOUBLE + coalesce(w, 0), 3) AS f2
-FROM pt LEFT JOIN ve USING (part) LEFT JOIN lp USING (part) LEFT JOIN hp USING (part)""",
-)
+FROM pt LEFT JOIN ve USING (part) LEFT JOIN lp USING (part) LEFT JOIN hp USING (part)"""
+
+
+@register("versioned_f2", _versioned_sql(T0, STEP, DELTA, WIDTH))
 def versioned_f2(spark, d):
     return interleave.versioned(STREAMS["S1"](spark, d), T, T0, STEP, WIDTH).withColumn("f2", F.round("f2", 3))
 
 
-_SEEN = f"f AS (SELECT x, CAST(count(*) AS BIGINT) AS f, {sql_owner('x', T)} AS part FROM (SELECT seq, {sql_fold('k')} AS x FROM ({sql_stream('S1')})) WHERE seq <= {T0} + {sql_owner('x', T)} * {STEP} GROUP BY x)"
+@register("versioned_f2_whole", _every_scan(_versioned_sql))
+def versioned_f2_whole(spark, d):
+    s = STREAMS["S1"](spark, d)
+    return _each_scan(s, lambda t0, step, _, width: interleave.versioned(s, T, t0, step, width)).withColumn("f2", F.round("f2", 3))
+
 
+def _concurrent_sql(t0, step, delta=None, width=None) -> str:
+    seen = f"f AS (SELECT x, CAST(count(*) AS BIGINT) AS f, {sql_owner('x', T)} AS part FROM (SELECT seq, {sql_fold('k')} AS x FROM ({sql_stream('S1')})) WHERE seq <= {t0} + {sql_owner('x', T)} * {step} GROUP BY x)"
+    return f"WITH {seen}, {_SETTLED}, cw AS ({_WIDE}), cp AS ({_PARTS}), cl AS ({_cells('light', 'part')}) SELECT 'wide' AS kind, CAST({_plus('cw')} AS BIGINT) AS f2 UNION ALL SELECT 'part_cm', CAST({_plus('cp')} AS BIGINT) UNION ALL SELECT 'part_slots', CAST({_plus('cl')} + (SELECT sum(f * f) FROM h) AS BIGINT)"
 
-@register("concurrent_f2", f"WITH {_SEEN}, {_SETTLED}, cw AS ({_WIDE}), cp AS ({_PARTS}), cl AS ({_cells('light', 'part')}) SELECT 'wide' AS kind, CAST({_plus('cw')} AS BIGINT) AS f2 UNION ALL SELECT 'part_cm', CAST({_plus('cp')} AS BIGINT) UNION ALL SELECT 'part_slots', CAST({_plus('cl')} + (SELECT sum(f * f) FROM h) AS BIGINT)")
+
+@register("concurrent_f2", _concurrent_sql(T0, STEP))
 def concurrent_f2(spark, d):
     """The rungs without buffers, read part after part while rows arrive."""
-    s = STREAMS["S1"](spark, d)
+    return _concurrent(STREAMS["S1"](spark, d), T0, STEP)
+
+
+def _concurrent(s, t0, step, delta=None, width=None) -> DataFrame:
     out = None
     for kind in ("wide", "part_cm", "part_slots"):
-        row = ladder.concurrent(s, T, kind, T0, STEP).select(F.lit(kind).alias("kind"), "f2")
+        row = ladder.concurrent(s, T, kind, t0, step).select(F.lit(kind).alias("kind"), "f2")
         out = row if out is None else out.unionByName(row)
     return _long(out, "f2")
 
 
+@register("concurrent_f2_whole", _every_scan(_concurrent_sql))
+def concurrent_f2_whole(spark, d):
+    """The same at each quarter of the stream; by the last scan all of it has arrived."""
+    s = STREAMS["S1"](spark, d)
+    return _each_scan(s, lambda *at: _concurrent(s, *at))
+
+
 # ------------------------------------------------------------------ consistency
 
 _GRAIN = "g AS (SELECT greatest(1, coalesce(max(event_id), 0) // 200) AS g FROM events)"

@@ -99,6 +99,16 @@ def join_interval(spark: SparkSession, d: str) -> DataFrame:
     return e.join(F.broadcast(blocks), "block").filter("event_id BETWEEN lo AND hi").groupBy("slot").agg(F.count("*").alias("n"))
 
 
+@register("join_interval_whole", "WITH m AS (SELECT coalesce(max(event_id), 0) // 20 + 1 AS w FROM events) SELECT i.range AS slot, count(*) AS n FROM range(20) i JOIN m ON true JOIN events ON event_id BETWEEN i.range * w AND i.range * w + w * 3 // 2 GROUP BY i.range")
+def join_interval_whole(spark: SparkSession, d: str) -> DataFrame:
+    """The same with twenty overlapping intervals that cover every event number, as wide as the table is long."""
+    e = load(spark, d, "events", ["event_id"])
+    w = (e.agg(F.max("event_id")).first()[0] or 0) // 20 + 1
+    slots = spark.range(20).select(F.col("id").alias("slot"), (F.col("id") * w).alias("lo"), (F.col("id") * w + w * 3 // 2).alias("hi"))
+    blocks = slots.withColumn("block", F.explode(F.sequence(F.floor(F.col("lo") / w), F.floor(F.col("hi") / w))))
+    return e.withColumn("block", F.floor(F.col("event_id") / w)).join(F.broadcast(blocks), "block").filter("event_id BETWEEN lo AND hi").groupBy("slot").agg(F.count("*").alias("n"))
+
+
 @register("join_brand_f2", "SELECT p_brand, CAST(sum(f * f) AS BIGINT) AS f2 FROM (SELECT l_partkey, count(*) AS f FROM lineitem GROUP BY 1) JOIN part ON l_partkey = p_partkey GROUP BY p_brand")
 def join_brand_f2(spark: SparkSession, d: str) -> DataFrame:
     f = load(spark, d, "lineitem", ["l_partkey"]).groupBy("l_partkey").agg(F.count("*").alias("f"))
