@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import struct
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -40,3 +42,19 @@ def builtin_point(s: DataFrame, keys: list[int], eps: float = 0.001, confidence:
     jvm = s.sparkSession.sparkContext._jvm
     sketch = jvm.org.apache.spark.util.sketch.CountMinSketch.readFrom(bytes(blob))
     return [int(sketch.estimateCount(jvm.java.lang.Long(k))) for k in keys]
+
+
+def builtin_points(s: DataFrame, keys: DataFrame, eps: float = 0.001, confidence: float = 0.99, seed: int = 7) -> DataFrame:
+    """(key, est) of the same aggregate for any number of keys: its counters become a table that the keys meet in a join.
+
+    Keys stay below 2^31, as folded ones do, so that the products of its row hashes fit.
+    """
+    blob = bytes(s.agg(F.count_min_sketch("key", F.lit(eps), F.lit(confidence), F.lit(seed)).alias("sk")).first()["sk"])
+    _, _, depth, width = struct.unpack_from(">iqii", blob)
+    factors = struct.unpack_from(f">{depth}q", blob, 20)
+    table = struct.unpack_from(f">{depth * width}q", blob, 20 + 8 * depth)
+    cells = s.sparkSession.createDataFrame([(i // width, i % width, c) for i, c in enumerate(table) if c], "row int, col bigint, cnt bigint")
+    product = [F.col("key") * F.lit(a) for a in factors]
+    at = F.array(*[((p + F.shiftright(p, 32)).bitwiseAND(F.lit((1 << 31) - 1)) % F.lit(width)) for p in product])
+    asked = keys.select("key").distinct().select("key", F.posexplode(at).alias("row", "col"))
+    return asked.join(F.broadcast(cells), ["row", "col"], "left").groupBy("key").agg(F.min(F.coalesce("cnt", F.lit(0))).alias("est"))

@@ -138,6 +138,15 @@ def _asked(spark, d, stream: str = "S3") -> DataFrame:
 _ASKED = "q AS (SELECT x FROM f WHERE x % 10 = 0 UNION SELECT range * 7919 + 13 FROM range(50))"
 
 
+def _asked_all(spark, d, stream: str = "S3") -> DataFrame:
+    """All keys of the stream, and absent ones."""
+    here = STREAMS[stream](spark, d).select("key")
+    return here.union(spark.range(50).select((F.col("id") * 7919 + 13).alias("key"))).distinct()
+
+
+_ASKED_ALL = "q AS (SELECT x FROM f UNION SELECT range * 7919 + 13 FROM range(50))"
+
+
 def _estimates(cells: str, part: str = "0") -> str:
     rows = " UNION ALL ".join(f"SELECT x, {part} AS part, {j} AS row, {sql_row('x', T, j)} AS col FROM q" for j in range(H))
     return f"SELECT a.x, min(coalesce(c.cnt, 0)) AS est FROM ({rows}) a LEFT JOIN {cells} c ON a.part = c.part AND a.row = c.row AND a.col = c.col GROUP BY a.x"
@@ -150,6 +159,13 @@ def cm_point(spark, d):
     return est.join(exact.freq(s), "key", "left").select("key", "est", F.coalesce("f", F.lit(0)).cast("bigint").alias("exact"))
 
 
+@register("cm_point_all", SQL["cm_point"].replace(_ASKED, _ASKED_ALL))
+def cm_point_all(spark, d):
+    s = STREAMS["S3"](spark, d)
+    est = cm.point(cm.build(s, T), _asked_all(spark, d), T)
+    return est.join(exact.freq(s), "key", "left").select("key", "est", F.coalesce("f", F.lit(0)).cast("bigint").alias("exact"))
+
+
 @register("cm_f1", f"WITH {_freq('S4')}, c1 AS ({_SINGLE}) SELECT row, CAST(sum(cnt) AS BIGINT) AS f1 FROM c1 GROUP BY row")
 def cm_f1(spark, d):
     cells = cm.build(STREAMS["S4"](spark, d), T)
@@ -257,6 +273,12 @@ def settled_point(spark, d):
     return slots.point(cells, top, _asked(spark, d), T)
 
 
+@register("settled_point_all", SQL["settled_point"].replace(_ASKED, _ASKED_ALL))
+def settled_point_all(spark, d):
+    cells, top = slots.settled(STREAMS["S3"](spark, d), T)
+    return slots.point(cells, top, _asked_all(spark, d), T)
+
+
 @register(
     "ladder_report",
     " UNION ALL ".join(
@@ -625,6 +647,13 @@ def point_error(spark, d):
     return out.withColumns({c: F.round(c, 6) for c in ("avg_error", "exact_share")})
 
 
+@register("point_error_all", SQL["point_error"].replace(_ASKED, _ASKED_ALL))
+def point_error_all(spark, d):
+    s = STREAMS["S3"](spark, d)
+    out = measures.point_error(cm.point(cm.build(s, T), _asked_all(spark, d), T), exact.freq(s), 30)
+    return out.withColumns({c: F.round(c, 6) for c in ("avg_error", "exact_share")})
+
+
 _PS = [1, 2, 4, 8, 16, 32, 64, 128]
 
 

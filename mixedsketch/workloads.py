@@ -147,14 +147,12 @@ def freshness(spark: SparkSession, d: str, spec: SketchSpec = TEST) -> DataFrame
 
 
 def point_accuracy(spark: SparkSession, d: str, spec: SketchSpec = TEST) -> DataFrame:
-    """(stream, method, kind, n, avg_error, max_error, exact_share): the 100 heaviest, 100 arbitrary and 50 absent keys."""
+    """(stream, method, kind, n, avg_error, max_error, exact_share): all keys, heavy from the count of the 100th on, and 50 absent ones."""
     out = None
     for name in ("S1", "S3", "S7"):
         s = STREAMS[name](spark, d)
         truth = Workspace(spark, "w8").save(exact.freq(s), "truth")
-        top = truth.orderBy(F.desc("f"), "key").limit(100).select("key")
-        some = truth.orderBy(F.xxhash64("key")).limit(100).select("key")
-        keys = top.union(some).union(spark.range(50).select((F.col("id") * 7919 + 13).alias("key"))).distinct()
+        keys = truth.select("key").union(spark.range(50).select((F.col("id") * 7919 + 13).alias("key"))).distinct()
         bar = truth.orderBy(F.desc("f")).limit(100).agg(F.min("f")).first()[0] or 1
         light, heavy = slots.settled(s, spec)
         for method, est in (("matrix", cm.point(cm.build(s, spec), keys, spec)), ("parts", cm.point(cm.build(s, spec, "parts"), keys, spec, "parts")), ("slots", slots.point(light, heavy, keys, spec))):
@@ -207,11 +205,10 @@ def disagreement(spark: SparkSession, d: str, spec: SketchSpec = TEST) -> DataFr
 
 
 def baseline_point(spark: SparkSession, d: str) -> DataFrame:
-    """(key, builtin, exact): Spark's own Count-Min aggregate on twenty keys."""
+    """(key, builtin, exact): Spark's own Count-Min aggregate on all keys."""
     s = streams.s3_parts(spark, d)
-    some = exact.freq(s).orderBy("key").limit(20).collect()
-    est = baselines.builtin_point(s, [r["key"] for r in some])
-    return spark.createDataFrame([(r["key"], e, int(r["f"])) for r, e in zip(some, est, strict=True)], "key bigint, builtin bigint, exact bigint")
+    truth = exact.freq(s)
+    return baselines.builtin_points(s, truth).join(truth, "key").select("key", F.col("est").alias("builtin"), F.col("f").cast("bigint").alias("exact"))
 
 
 WORKLOADS = {
