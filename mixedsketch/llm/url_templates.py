@@ -22,7 +22,7 @@ from .workspace import Workspace
 #: The rules, as (host, path, action).
 RULES = [("net", "/", "block"), ("example.net", "/en/", "allow"), ("example.com", "/de/", "block"), ("org", "/fr/", "allow")]
 
-LEVELS = 3
+LEVELS = 3  # of the SQL twin, whose pages are no deeper; the operator goes as deep as the paths
 MANY, MANY_PERCENT = 20, 30  # distinct segments, and their share of the pages, that make a wildcard
 ENOUGH = 5  # labels with which a branch can be told from others
 CHI2 = 3.84  # 95 percent, one degree of freedom
@@ -64,38 +64,59 @@ def with_rules(pages: DataFrame, rules: list[tuple[str, str, str]]) -> DataFrame
     return pages.join(best, ["host", "path"], "left").select(*pages.columns, "best.rule", "best.action")
 
 
-def _segments(path) -> list[F.Column]:
-    parts = F.split(F.regexp_replace(F.substring(path, 2, 1 << 30), r"[0-9]+", "{n}"), "/")
-    return [F.coalesce(F.get(parts, F.lit(i)), F.lit("")) for i in range(LEVELS)] + [(F.size(parts) > LEVELS).cast("int")]
+def _segments(path) -> F.Column:
+    return F.split(F.regexp_replace(F.substring(path, 2, 1 << 30), r"[0-9]+", "{n}"), "/")
+
+
+def _branches(node: DataFrame, parent: list[str], seg: str) -> DataFrame:
+    """(parent, seg, branch): the name that each child has in the template.
+
+    ``node`` has a row per child with n, l and b; an empty segment past the end of a path is a child too.
+    """
+    told = F.col("l") >= ENOUGH
+    level = node.groupBy(*parent).agg(F.count("*").alias("kinds"), F.sum("n").alias("all"), F.sum(F.when(told, F.col("l")).otherwise(0)).alias("pl"), F.sum(F.when(told, F.col("b")).otherwise(0)).alias("pb"), F.sum((~told).cast("long")).alias("few"))
+    both = node.join(level, parent)
+    # |b - l p| within the limit, times the pooled labels so that it stays in whole numbers
+    gap = F.col("b") * F.col("pl") - F.col("l") * F.col("pb")
+    alike = told & (gap.cast("double") * gap <= F.lit(CHI2) * F.col("l") * F.col("pb") * (F.col("pl") - F.col("pb")))
+    both = both.withColumn("alike", alike)
+    friends = both.groupBy(*parent).agg(F.sum(F.col("alike").cast("long")).alias("friends"))
+    many = (F.col("kinds") >= MANY) & (100 * F.col("kinds") > MANY_PERCENT * F.col("all"))
+    branch = F.when(many, "*").when(F.col("alike") & (F.col("friends") >= 2), "~").when(~told & (F.col("few") >= 2), "?").otherwise(F.concat(F.lit("="), F.col(seg)))
+    return both.join(friends, parent).select(*parent, seg, branch.alias("branch"))
 
 
 def path_templates(pages: DataFrame, work: Workspace) -> DataFrame:
-    """(host, s1.., more, t1.., n, labelled, blocked, rejected) per distinct run of segments, with its template and the template's counts.
+    """(host, parts, depth, n, template, tn, tl, tb, rejected) per distinct run of segments, with its template and the template's counts.
 
-    ``pages`` has host, s1.., more and action.
+    ``pages`` has host, parts and action.  The tree goes down until no path has
+    a further segment to share; runs that have ended wait aside, but the end counts as a
+    child of its parent on the level where others go on.
     """
-    segs = [f"s{i + 1}" for i in range(LEVELS)]
-    tree = pages.groupBy("host", *segs, "more").agg(F.count("*").alias("n"), F.count("action").alias("labelled"), F.sum(F.when(F.col("action") == "block", 1).otherwise(0)).cast("long").alias("blocked"))
-    tree = work.save(tree, "segments")
-    for i in range(LEVELS):
-        parent, seg, out = ["host"] + [f"t{j + 1}" for j in range(i)], segs[i], f"t{i + 1}"
-        node = tree.groupBy(*parent, seg).agg(F.sum("n").alias("n"), F.sum("labelled").alias("l"), F.sum("blocked").alias("b"))
-        told = F.col("l") >= ENOUGH
-        level = node.groupBy(*parent).agg(F.count("*").alias("kinds"), F.sum("n").alias("all"), F.sum(F.when(told, F.col("l")).otherwise(0)).alias("pl"), F.sum(F.when(told, F.col("b")).otherwise(0)).alias("pb"), F.sum((~told).cast("long")).alias("few"))
-        both = node.join(level, parent)
-        # |b - l p| within the limit, times the pooled labels so that it stays in whole numbers
-        gap = F.col("b") * F.col("pl") - F.col("l") * F.col("pb")
-        alike = told & (gap.cast("double") * gap <= F.lit(CHI2) * F.col("l") * F.col("pb") * (F.col("pl") - F.col("pb")))
-        both = both.withColumn("alike", alike)
-        friends = both.groupBy(*parent).agg(F.sum(F.col("alike").cast("long")).alias("friends"))
-        many = (F.col("kinds") >= MANY) & (100 * F.col("kinds") > MANY_PERCENT * F.col("all"))
-        branch = F.when(many, "*").when(F.col("alike") & (F.col("friends") >= 2), "~").when(~told & (F.col("few") >= 2), "?").otherwise(F.concat(F.lit("="), F.col(seg)))
-        named = both.join(friends, parent).select(*parent, seg, branch.alias(out))
-        tree = work.save(tree.join(named, [*parent, seg]), f"level{i + 1}")
-    template = ["host", *[f"t{i + 1}" for i in range(LEVELS)], "more"]
-    counts = tree.groupBy(*template).agg(F.sum("n").alias("tn"), F.sum("labelled").alias("tl"), F.sum("blocked").alias("tb"))
+    tree = pages.groupBy("host", "parts").agg(F.count("*").alias("n"), F.count("action").alias("labelled"), F.sum(F.when(F.col("action") == "block", 1).otherwise(0)).cast("long").alias("blocked"))
+    tree = work.save(tree.withColumns({"template": F.array().cast("array<string>"), "up": F.lit("")}), "segments")
+    deepest = tree.agg(F.max(F.size("parts"))).first()[0] or 0
+    done, i = None, 0
+    while i < deepest and not tree.isEmpty():
+        here = tree.withColumn("seg", F.coalesce(F.get("parts", F.lit(i)), F.lit("")))
+        node = here.groupBy("host", "up", "seg").agg(F.sum("n").alias("n"), F.sum("labelled").alias("l"), F.sum("blocked").alias("b"))
+        named = here.join(_branches(node, ["host", "up"], "seg"), ["host", "up", "seg"])
+        step = named.select("host", "parts", "n", "labelled", "blocked", F.concat("template", F.array("branch")).alias("template"))
+        # a name of fixed length for the branch, however deep it lies
+        step = step.withColumn("up", F.sha2(F.to_json("template").cast("binary"), 256))
+        saved, i = work.save(step, f"level{i + 1}"), i + 1
+        on = saved.groupBy("host", "up").agg(F.max(F.size("parts")).alias("longest"), F.count("*").alias("runs"))
+        both = saved.join(on, ["host", "up"])
+        further = (F.col("longest") > i) & (F.col("runs") > 1)  # a lone run has nobody to share a template with
+        over = both.filter(~further).drop("longest", "runs")
+        tree = work.save(both.filter(further).drop("longest", "runs"), f"open{i}")
+        done = over if done is None else done.unionByName(over)
+    if done is None:
+        done = tree
+    done = done.select("host", "parts", "n", "labelled", "blocked", "template")
+    counts = done.groupBy("host", "template").agg(F.sum("n").alias("tn"), F.sum("labelled").alias("tl"), F.sum("blocked").alias("tb"))
     rejected = (2 * F.col("tl") >= F.col("tn")) & (4 * (F.col("tb") + PRIOR // 2) >= 3 * (F.col("tl") + PRIOR))
-    return tree.join(counts.withColumn("rejected", rejected), template)
+    return done.join(counts.withColumn("rejected", rejected), ["host", "template"])
 
 
 def url_verdicts(pages: DataFrame, rules: list[tuple[str, str, str]] = RULES, id_col: str = "page_id", url_col: str = "url") -> DataFrame:
@@ -108,11 +129,10 @@ def url_verdicts(pages: DataFrame, rules: list[tuple[str, str, str]] = RULES, id
     work = Workspace(pages.sparkSession, "urls")
     host, path = url_parts(F.col(url_col))
     rows = with_rules(pages.select(F.col(id_col).alias("page_id"), host.alias("host"), path.alias("path")), rules)
-    names = [f"s{i + 1}" for i in range(LEVELS)] + ["more"]
-    rows = rows.withColumns(dict(zip(names, _segments(F.col("path")), strict=True)))
-    bad = work.save(path_templates(rows, work).filter("rejected").select("host", *names, F.lit(True).alias("bad")), "rejected")
+    rows = rows.withColumn("parts", _segments(F.col("path")))
+    bad = work.save(path_templates(rows, work).filter("rejected").select("host", "parts", F.lit(True).alias("bad")), "rejected")
     few = bad.count() <= BROADCAST_ROWS
-    out = rows.join(F.broadcast(bad) if few else bad, ["host", *names], "left")
+    out = rows.join(F.broadcast(bad) if few else bad, ["host", "parts"], "left")
     return out.select("page_id", "host", "path", "rule", F.coalesce("action", F.when(F.col("bad"), "block"), F.lit("allow")).alias("verdict"))
 
 

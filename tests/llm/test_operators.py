@@ -477,6 +477,14 @@ def test_templates_generalise_and_reject(spark):
     assert all(out[100 + i] == (None, "block") for i in range(26))  # the segment is a wildcard, and most of its pages are labelled
 
 
+def test_templates_reach_the_last_segment(spark):
+    word = lambda i: chr(97 + i % 26) + chr(97 + i // 26) + "q"
+    for deep in ("a/b", "a/b/c/d/e/f"):
+        rows = [(i, f"http://h.example.com/de/{deep}/spam") for i in range(80)] + [(100 + i, f"http://h.example.com/{word(i)}/{deep}/news") for i in range(80)]
+        out = {r["page_id"]: r["verdict"] for r in url_templates.url_verdicts(spark.createDataFrame(rows, "page_id bigint, url string")).collect()}
+        assert {out[i] for i in range(80)} == {"block"} and {out[100 + i] for i in range(80)} == {"allow"}
+
+
 # ------------------------------------------------------------------ 10
 
 
