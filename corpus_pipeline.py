@@ -27,9 +27,9 @@ def without(docs: DataFrame, ids: DataFrame, work: Workspace) -> DataFrame:
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the positive-unlabelled classifier scores 0.5 or more."""
+    """Documents that the positive-unlabelled classifier scores 0.5 or more; all of them where no model can be fitted."""
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet")
-    return scored(docs, labels, keep=COLUMNS).filter("score >= 0.5").select(*COLUMNS)
+    return scored(docs, labels, keep=COLUMNS, untrained=1.0).filter("score >= 0.5").select(*COLUMNS)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -229,19 +229,19 @@ def train(docs: DataFrame, labels: DataFrame, positives: int = SAMPLE_POSITIVE,
     return fit(p, u, estimate_prior(ones, zeros, p, u))
 
 
-def _score_rows(model):
+def _score_rows(model, untrained: float):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(model.value.score(features(batch.column("text"))) if model.value else np.zeros(batch.num_rows))], names=[*batch.schema.names, "score"])
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(model.value.score(features(batch.column("text"))) if model.value else np.full(batch.num_rows, untrained))], names=[*batch.schema.names, "score"])
 
     return run
 
 
-def scored(docs: DataFrame, labels: DataFrame, keep: list[str] | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def scored(docs: DataFrame, labels: DataFrame, keep: list[str] | None = None, id_col: str = "doc_id", text_col: str = "text", untrained: float = 0.0) -> DataFrame:
     """All rows with their score; ``keep`` names further columns to carry along.
 
     Null texts score as empty ones; null ids are scored but never learnt from;
-    repeated rows are kept; without any trusted positive every score is 0.
+    repeated rows are kept; without any trusted positive every score is ``untrained``.
     """
     spark = docs.sparkSession
     ship(spark)
@@ -249,7 +249,7 @@ def scored(docs: DataFrame, labels: DataFrame, keep: list[str] | None = None, id
     model = spark.sparkContext.broadcast(train(texts, labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("quality"))))
     carried = texts if keep is None else docs.select(*keep)
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in carried.schema.fields)
-    return carried.mapInArrow(kernel.tidy(_score_rows(model)), f"{schema}, score double")
+    return carried.mapInArrow(kernel.tidy(_score_rows(model, untrained)), f"{schema}, score double")
 
 
 def op4_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:

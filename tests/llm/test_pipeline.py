@@ -41,6 +41,12 @@ def test_quality_keeps_what_scores_half(spark, stages):
     assert len(set(good) - set(stages["quality"].doc_id)) <= 2
 
 
+def test_quality_keeps_all_without_a_model(spark, tmp_path):
+    spark.createDataFrame([], "doc_id bigint, quality int, toxic int").write.parquet(str(tmp_path / "labels.parquet"))
+    docs = spark.createDataFrame([(i, f"text {i}", "en", "s", 6) for i in range(5)], "doc_id bigint, text string, lang string, source string, n_chars bigint")
+    assert sorted(r["doc_id"] for r in cp.quality(spark, docs, str(tmp_path)).collect()) == list(range(5))
+
+
 def test_one_of_each_group_stays(stages):
     want = {d for d, _, c in _joined(pairs(stages["quality"]), 5, 80) if d == c}
     assert sorted(stages["near_duplicates"].doc_id) == sorted(want)
