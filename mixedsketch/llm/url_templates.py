@@ -3,10 +3,17 @@
 Rules decide where one fits (the longest wins) and label the pages they fit.
 For the rest, every host has a tree of path segments, in which digits are
 wildcards from the start.  Level by level, a branching with many distinct
-segments for its size becomes one wildcard; labelled siblings whose share of
-blocked pages does not differ from their pooled share merge, and so do siblings
-with too few labels to tell; others stay literal.  A template is rejected when
-most of its pages are labelled and its smoothed share of blocked ones is high.
+segments for its size becomes one wildcard, and labelled siblings on one side
+(mostly blocked, or mostly not) whose share of blocked pages does not differ
+from that side's pooled share merge; others stay literal.
+
+A page's path with its wildcards is its template.  The purity of a template on
+a host is the share of blocked pages among the labelled ones of its merged
+branch, smoothed towards the share of the same template over all hosts, which
+itself is smoothed towards a half; a template that few hosts have labels for
+counts a half there.  A template is rejected where the lower confidence bound
+of its purity is high, so a path that rules have condemned wherever they reach
+is condemned on hosts that no rule knows, unless pages of that host say otherwise.
 
 Counting happens once, by (host, segments); the levels work on those counts.
 Built-in expressions only.
@@ -22,11 +29,13 @@ from .workspace import Workspace
 #: The rules, as (host, path, action).
 RULES = [("net", "/", "block"), ("example.net", "/en/", "allow"), ("example.com", "/de/", "block"), ("org", "/fr/", "allow")]
 
-LEVELS = 3  # of the SQL twin, whose pages are no deeper; the operator goes as deep as the paths
 MANY, MANY_PERCENT = 20, 30  # distinct segments, and their share of the pages, that make a wildcard
 ENOUGH = 5  # labels with which a branch can be told from others
 CHI2 = 3.84  # 95 percent, one degree of freedom
-PRIOR = 4  # pseudo-labels, half of them blocked
+PRIOR = 4  # pseudo-labels, half of them blocked, behind a template's share over all hosts
+STRENGTH = 4  # pseudo-labels, at that share, behind a template on one host
+FEW_HOSTS = 3  # hosts with labels from which on the share over all hosts says anything
+LEAST_PURITY = 0.75  # lower bound (one standard error) of a rejected template
 LITERAL_RULES = 200
 BROADCAST_ROWS = 500_000
 
@@ -65,62 +74,72 @@ def with_rules(pages: DataFrame, rules: list[tuple[str, str, str]]) -> DataFrame
 
 
 def _segments(path) -> F.Column:
-    return F.split(F.regexp_replace(F.substring(path, 2, 1 << 30), r"[0-9]+", "{n}"), "/")
+    """Segments with digits as wildcards; slashes at the end make none."""
+    return F.split(F.regexp_replace(F.regexp_replace(F.substring(path, 2, 1 << 30), "/+$", ""), r"[0-9]+", "{n}"), "/")
 
 
-def _branches(node: DataFrame, parent: list[str], seg: str) -> DataFrame:
-    """(parent, seg, branch): the name that each child has in the template.
+def _literal(seg) -> F.Column:
+    return F.replace(seg, F.lit("*"), F.lit("%2A"))
+
+
+def _branches(node: DataFrame) -> DataFrame:
+    """(host, up, seg, name, branch): each child's name in the template, and the merged branch it is of.
 
     ``node`` has a row per child with n, l and b; an empty segment past the end of a path is a child too.
     """
     told = F.col("l") >= ENOUGH
-    level = node.groupBy(*parent).agg(F.count("*").alias("kinds"), F.sum("n").alias("all"), F.sum(F.when(told, F.col("l")).otherwise(0)).alias("pl"), F.sum(F.when(told, F.col("b")).otherwise(0)).alias("pb"), F.sum((~told).cast("long")).alias("few"))
-    both = node.join(level, parent)
+    node = node.withColumn("side", F.when(~told, "open").when(2 * F.col("b") >= F.col("l"), "blocked").otherwise("allowed"))
+    sides = node.groupBy("host", "up", "side").agg(F.count("*").alias("kinds"), F.sum("n").alias("all"), F.sum("l").alias("pl"), F.sum("b").alias("pb"))
+    whole = sides.groupBy("host", "up").agg(F.sum("kinds").alias("kinds"), F.sum("all").alias("all"))
+    many = whole.select("host", "up", ((F.col("kinds") >= MANY) & (100 * F.col("kinds") > MANY_PERCENT * F.col("all"))).alias("many"))
+    both = node.join(sides.select("host", "up", "side", "pl", "pb"), ["host", "up", "side"]).join(many, ["host", "up"])
     # |b - l p| within the limit, times the pooled labels so that it stays in whole numbers
     gap = F.col("b") * F.col("pl") - F.col("l") * F.col("pb")
-    alike = told & (gap.cast("double") * gap <= F.lit(CHI2) * F.col("l") * F.col("pb") * (F.col("pl") - F.col("pb")))
-    both = both.withColumn("alike", alike)
-    friends = both.groupBy(*parent).agg(F.sum(F.col("alike").cast("long")).alias("friends"))
-    many = (F.col("kinds") >= MANY) & (100 * F.col("kinds") > MANY_PERCENT * F.col("all"))
-    branch = F.when(many, "*").when(F.col("alike") & (F.col("friends") >= 2), "~").when(~told & (F.col("few") >= 2), "?").otherwise(F.concat(F.lit("="), F.col(seg)))
-    return both.join(friends, parent).select(*parent, seg, branch.alias("branch"))
+    alike = (F.col("side") != "open") & (gap.cast("double") * gap <= F.lit(CHI2) * F.col("l") * F.col("pb") * (F.col("pl") - F.col("pb")))
+    branch = F.when(F.col("many"), "*").when(alike, F.concat(F.lit("~"), F.col("side"))).otherwise(F.concat(F.lit("="), F.col("seg")))
+    return both.select("host", "up", "seg", F.when(F.col("many"), "*").otherwise(_literal("seg")).alias("name"), branch.alias("branch"))
 
 
 def path_templates(pages: DataFrame, work: Workspace) -> DataFrame:
-    """(host, parts, depth, n, template, tn, tl, tb, rejected) per distinct run of segments, with its template and the template's counts.
+    """(host, parts, template, purity, rejected) per distinct run of segments.
 
     ``pages`` has host, parts and action.  The tree goes down until no path has
-    a further segment to share; runs that have ended wait aside, but the end counts as a
-    child of its parent on the level where others go on.
+    a further segment to share; a run whose node nobody else reaches keeps its
+    other segments as they are, and a run that has ended counts as a child of
+    its parent on the level where others go on.
     """
     tree = pages.groupBy("host", "parts").agg(F.count("*").alias("n"), F.count("action").alias("labelled"), F.sum(F.when(F.col("action") == "block", 1).otherwise(0)).cast("long").alias("blocked"))
-    tree = work.save(tree.withColumns({"template": F.array().cast("array<string>"), "up": F.lit("")}), "segments")
+    tree = work.save(tree.withColumns({"shape": F.lit(""), "up": F.lit("")}), "segments")
     deepest = tree.agg(F.max(F.size("parts"))).first()[0] or 0
-    done, i = None, 0
+    done, i = tree.filter("false"), 0
     while i < deepest and not tree.isEmpty():
         here = tree.withColumn("seg", F.coalesce(F.get("parts", F.lit(i)), F.lit("")))
         node = here.groupBy("host", "up", "seg").agg(F.sum("n").alias("n"), F.sum("labelled").alias("l"), F.sum("blocked").alias("b"))
-        named = here.join(_branches(node, ["host", "up"], "seg"), ["host", "up", "seg"])
-        step = named.select("host", "parts", "n", "labelled", "blocked", F.concat("template", F.array("branch")).alias("template"))
+        named = here.join(_branches(node), ["host", "up", "seg"])
         # a name of fixed length for the branch, however deep it lies
-        step = step.withColumn("up", F.sha2(F.to_json("template").cast("binary"), 256))
-        saved, i = work.save(step, f"level{i + 1}"), i + 1
+        below = F.sha2(F.concat_ws("/", "up", "branch").cast("binary"), 256)
+        saved, i = work.save(named.select("host", "parts", "n", "labelled", "blocked", F.concat_ws("/", "shape", "name").alias("shape"), below.alias("up")), f"level{i + 1}"), i + 1
         on = saved.groupBy("host", "up").agg(F.max(F.size("parts")).alias("longest"), F.count("*").alias("runs"))
         both = saved.join(on, ["host", "up"])
-        further = (F.col("longest") > i) & (F.col("runs") > 1)  # a lone run has nobody to share a template with
-        over = both.filter(~further).drop("longest", "runs")
+        further = (F.col("longest") > i) & (F.col("runs") > 1)
+        rest = F.transform(F.slice("parts", i + 1, F.greatest(F.size("parts") - i, F.lit(0))), _literal)
+        over = both.filter(~further).drop("longest", "runs").withColumn("shape", F.array_join(F.concat(F.array("shape"), rest), "/"))
         tree = work.save(both.filter(further).drop("longest", "runs"), f"open{i}")
-        done = over if done is None else done.unionByName(over)
-    if done is None:
-        done = tree
-    done = done.select("host", "parts", "n", "labelled", "blocked", "template")
-    counts = done.groupBy("host", "template").agg(F.sum("n").alias("tn"), F.sum("labelled").alias("tl"), F.sum("blocked").alias("tb"))
-    rejected = (2 * F.col("tl") >= F.col("tn")) & (4 * (F.col("tb") + PRIOR // 2) >= 3 * (F.col("tl") + PRIOR))
-    return done.join(counts.withColumn("rejected", rejected), ["host", "template"])
+        done = done.unionByName(over)
+    template = F.regexp_replace("shape", "/+$", "")
+    done = work.save(done.withColumn("template", F.when(template == "", "/").otherwise(template)).drop("shape"), "templates")
+    own = done.groupBy("host", "up").agg(F.sum("labelled").alias("tl"), F.sum("blocked").alias("tb"))
+    by_host = done.filter("labelled > 0").groupBy("template", "host").agg(F.sum("labelled").alias("pl"), F.sum("blocked").alias("pb"))
+    pool = by_host.groupBy("template").agg(F.sum("pl").alias("pl"), F.sum("pb").alias("pb"), F.count("*").alias("hosts")).filter(F.col("hosts") >= FEW_HOSTS)
+    share = F.coalesce((F.col("pb") + PRIOR / 2) / (F.col("pl") + float(PRIOR)), F.lit(0.5))
+    weight = F.col("tl") + float(STRENGTH)
+    judged = done.join(own, ["host", "up"]).join(pool, "template", "left").withColumn("purity", (F.col("tb") + STRENGTH * share) / weight)
+    lower = F.col("purity") - F.sqrt(F.col("purity") * (1.0 - F.col("purity")) / weight)
+    return judged.select("host", "parts", "template", F.round("purity", 6).alias("purity"), (lower >= LEAST_PURITY).alias("rejected"))
 
 
 def url_verdicts(pages: DataFrame, rules: list[tuple[str, str, str]] = RULES, id_col: str = "page_id", url_col: str = "url") -> DataFrame:
-    """Per row: (page_id, host, path, rule, verdict).
+    """Per row: (page_id, host, path, rule, verdict, template, purity).
 
     Null urls, and those without "://", have empty parts, no rule, and share
     one template of the empty host.  Null and repeated ids keep their rows;
@@ -130,10 +149,10 @@ def url_verdicts(pages: DataFrame, rules: list[tuple[str, str, str]] = RULES, id
     host, path = url_parts(F.col(url_col))
     rows = with_rules(pages.select(F.col(id_col).alias("page_id"), host.alias("host"), path.alias("path")), rules)
     rows = rows.withColumn("parts", _segments(F.col("path")))
-    bad = work.save(path_templates(rows, work).filter("rejected").select("host", "parts", F.lit(True).alias("bad")), "rejected")
-    few = bad.count() <= BROADCAST_ROWS
-    out = rows.join(F.broadcast(bad) if few else bad, ["host", "parts"], "left")
-    return out.select("page_id", "host", "path", "rule", F.coalesce("action", F.when(F.col("bad"), "block"), F.lit("allow")).alias("verdict"))
+    judged = work.save(path_templates(rows, work), "judged")
+    few = judged.count() <= BROADCAST_ROWS
+    out = rows.join(F.broadcast(judged) if few else judged, ["host", "parts"])
+    return out.select("page_id", "host", "path", "rule", F.coalesce("action", F.when(F.col("rejected"), "block"), F.lit("allow")).alias("verdict"), "template", "purity")
 
 
 def op9_url_templates(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -146,31 +165,34 @@ def _sql_case(rules, of) -> str:
     return "CASE " + " ".join(f"WHEN (host = '{h}' OR ends_with(host, '.{h}')) AND starts_with(path, '{p}') THEN '{of((h, p, a))}'" for h, p, a in ordered) + " END"
 
 
-def _sql_level(i: int) -> str:
-    up, seg = ", ".join(["host"] + [f"t{j + 1}" for j in range(i)]), f"s{i + 1}"
-    before = f"l{i}" if i else "tree"
-    return f"""
-n{i} AS (SELECT {up}, {seg}, sum(n) AS n, sum(labelled) AS l, sum(blocked) AS b FROM {before} GROUP BY ALL),
-p{i} AS (SELECT *, count(*) OVER w AS kinds, sum(n) OVER w AS total, sum(CASE WHEN l >= {ENOUGH} THEN l ELSE 0 END) OVER w AS pl,
-         sum(CASE WHEN l >= {ENOUGH} THEN b ELSE 0 END) OVER w AS pb, count(*) FILTER (WHERE l < {ENOUGH}) OVER w AS few FROM n{i} WINDOW w AS (PARTITION BY {up})),
-a{i} AS (SELECT *, l >= {ENOUGH} AND CAST((b * pl - l * pb) AS DOUBLE) * (b * pl - l * pb) <= {CHI2} * l * pb * (pl - pb) AS alike FROM p{i}),
-f{i} AS (SELECT *, sum(CAST(alike AS INT)) OVER (PARTITION BY {up}) AS friends FROM a{i}),
-l{i + 1} AS (SELECT t.*, CASE WHEN kinds >= {MANY} AND 100 * kinds > {MANY_PERCENT} * total THEN '*' WHEN alike AND friends >= 2 THEN '~'
-         WHEN f.l < {ENOUGH} AND few >= 2 THEN '?' ELSE '=' || f.{seg} END AS t{i + 1} FROM {before} t JOIN f{i} f USING ({up}, {seg}))"""
+TWIN_LEVELS = 4  # the twin looks at this many segments; those of the given pages are fewer
+
+
+def _twin() -> str:
+    """The same verdicts by windows over paths of a fixed depth, one row a page."""
+    steps = []
+    for i in range(1, TWIN_LEVELS + 1):
+        steps.append(f"""
+k{i} AS (SELECT *, coalesce(seg[{i}], '') AS s, count(action) OVER c AS l, count(*) FILTER (WHERE action = 'block') OVER c AS b FROM k{i - 1} WINDOW c AS (PARTITION BY host, node, coalesce(seg[{i}], ''))),
+m{i} AS (SELECT *, CASE WHEN l < {ENOUGH} THEN 0 WHEN 2 * b >= l THEN 1 ELSE 2 END AS side,
+         count(DISTINCT s) OVER (PARTITION BY host, node) AS kinds, count(*) OVER (PARTITION BY host, node) AS pages FROM k{i}),
+j{i} AS (SELECT *, count(action) OVER o AS pl, count(*) FILTER (WHERE action = 'block') OVER o AS pb FROM m{i} WINDOW o AS (PARTITION BY host, node, side)),
+k{i} AS MATERIALIZED (SELECT page_id, host, path, rule, action, seg, CASE WHEN wild THEN shape || '/*' ELSE shape || '/' || replace(s, '*', '%2A') END AS shape,
+         list_append(node, CASE WHEN wild THEN '*' WHEN side > 0 AND CAST(b * pl - l * pb AS DOUBLE) * (b * pl - l * pb) <= {CHI2} * l * pb * (pl - pb) THEN '~' || side ELSE '=' || s END) AS node
+         FROM (SELECT *, kinds >= {MANY} AND 100 * kinds > {MANY_PERCENT} * pages AS wild FROM j{i}))""".replace(f"k{i} AS (SELECT *,", f"e{i} AS (SELECT *,").replace(f"FROM k{i})", f"FROM e{i})"))
+    return ",".join(steps)
 
 
-_S = [f"s{i + 1}" for i in range(LEVELS)]
-_T = [f"t{i + 1}" for i in range(LEVELS)]
 OP9_SQL = f"""
 WITH u AS (SELECT page_id, CASE WHEN instr(url, '://') > 0 THEN substr(url, instr(url, '://') + 3) ELSE '' END AS rest FROM pages),
 hp AS (SELECT page_id, translate(regexp_extract(rest, '^[^/?#]*', 0), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS host, regexp_extract(rest, '^[^/?#]*([^?#]*)', 1) AS path FROM u),
-r AS (SELECT *, {_sql_case(RULES, lambda r: r[0] + r[1])} AS rule, {_sql_case(RULES, lambda r: r[2])} AS action,
-  string_split(regexp_replace(substr(path, 2), '[0-9]+', '{{n}}', 'g'), '/') AS parts FROM hp),
-sg AS (SELECT *, {', '.join(f"coalesce(parts[{i + 1}], '') AS {s}" for i, s in enumerate(_S))}, CAST(len(parts) > {LEVELS} AS INT) AS more FROM r),
-tree AS (SELECT host, {', '.join(_S)}, more, count(*) AS n, count(action) AS labelled, count(*) FILTER (WHERE action = 'block') AS blocked FROM sg GROUP BY ALL),
-{','.join(_sql_level(i) for i in range(LEVELS))},
-c AS (SELECT host, {', '.join(_T)}, more, sum(n) AS tn, sum(labelled) AS tl, sum(blocked) AS tb FROM l{LEVELS} GROUP BY ALL),
-bad AS (SELECT host, {', '.join(_S)}, more FROM l{LEVELS} JOIN c USING (host, {', '.join(_T)}, more) WHERE 2 * tl >= tn AND 4 * (tb + {PRIOR // 2}) >= 3 * (tl + {PRIOR}))
-SELECT page_id, host, path, rule, coalesce(action, CASE WHEN bad.host IS NOT NULL THEN 'block' END, 'allow') AS verdict
-FROM sg LEFT JOIN bad USING (host, {', '.join(_S)}, more)
+k0 AS (SELECT *, {_sql_case(RULES, lambda r: r[0] + r[1])} AS rule, {_sql_case(RULES, lambda r: r[2])} AS action,
+  string_split(regexp_replace(regexp_replace(substr(path, 2), '/+$', ''), '[0-9]+', '{{n}}', 'g'), '/') AS seg, '' AS shape, []::VARCHAR[] AS node FROM hp),
+{_twin()},
+t AS (SELECT *, CASE WHEN regexp_replace(shape, '/+$', '') = '' THEN '/' ELSE regexp_replace(shape, '/+$', '') END AS template,
+  count(action) OVER (PARTITION BY host, node) AS tl, count(*) FILTER (WHERE action = 'block') OVER (PARTITION BY host, node) AS tb FROM k{TWIN_LEVELS}),
+pool AS (SELECT template, (count(*) FILTER (WHERE action = 'block') + {PRIOR / 2}) / (count(*) + {PRIOR}.0::DOUBLE) AS share FROM t WHERE action IS NOT NULL GROUP BY template HAVING count(DISTINCT host) >= {FEW_HOSTS}),
+p AS (SELECT t.*, (tb + {STRENGTH} * coalesce(share, 0.5::DOUBLE)) / (tl + {STRENGTH}.0::DOUBLE) AS purity FROM t LEFT JOIN pool USING (template))
+SELECT page_id, host, path, rule, coalesce(action, CASE WHEN purity - sqrt(purity * (1 - purity) / (tl + {STRENGTH}.0::DOUBLE)) >= {LEAST_PURITY} THEN 'block' ELSE 'allow' END) AS verdict,
+  template, round(purity, 6) AS purity FROM p
 """

@@ -461,11 +461,12 @@ def test_url_parts_and_rules(spark):
         ("http://É.net/É", "É.net", "/É", "net/", "block"),
     ]
     df = spark.createDataFrame([(i, u[0], "h") for i, u in enumerate(urls)] + [(0, urls[0][0], "again"), (None, None, "x")], "page_id bigint, url string, host string")
-    got = sorted((tuple(r) for r in url_templates.url_verdicts(df).collect()), key=str)
+    five = ["page_id", "host", "path", "rule", "verdict"]
+    got = sorted((tuple(r) for r in url_templates.url_verdicts(df).select(five).collect()), key=str)
     want = [(i, *u[1:]) for i, u in enumerate(urls)] + [(0, *urls[0][1:]), (None, "", "", None, "allow")]
     assert got == sorted(want, key=str)
     many = url_templates.RULES + [(f"h{i}.zz", "/", "block") for i in range(300)]
-    assert sorted((tuple(r) for r in url_templates.url_verdicts(df, many).collect()), key=str) == got
+    assert sorted((tuple(r) for r in url_templates.url_verdicts(df, many).select(five).collect()), key=str) == got
     assert url_templates.url_verdicts(df.filter("false")).isEmpty()
 
 
@@ -485,6 +486,78 @@ def test_templates_reach_the_last_segment(spark):
         assert {out[i] for i in range(80)} == {"block"} and {out[100 + i] for i in range(80)} == {"allow"}
 
 
+def _path_verdicts(rows, rules):
+    """Brute force, one page at a time: verdict, template and purity of (url) rows."""
+    u = url_templates
+    pages = []
+    for url in rows:
+        rest = url.split("://", 1)[1] if url and "://" in url else ""
+        host = re.match(r"[^/?#]*", rest)[0].lower()
+        path = re.match(r"[^?#]*", rest[len(host) :])[0]
+        fit = [r for r in rules if (host == r[0] or host.endswith("." + r[0])) and path.startswith(r[1])]
+        rule = max(fit, key=lambda r: len(r[0] + r[1])) if fit else None
+        pages.append({"host": host, "seg": re.sub(r"\d+", "{n}", path[1:].rstrip("/")).split("/"), "act": rule and rule[2], "node": (), "shape": []})
+    deepest = max((len(p["seg"]) for p in pages), default=0)
+
+    def labels(of):
+        return sum(p["act"] is not None for p in of), sum(p["act"] == "block" for p in of)
+
+    for i in range(deepest):
+        nodes = {}
+        for p in pages:
+            p["s"] = p["seg"][i] if i < len(p["seg"]) else ""
+            nodes.setdefault((p["host"], p["node"]), []).append(p)
+        for under in nodes.values():
+            kinds = sorted({p["s"] for p in under})
+            of = {k: labels([p for p in under if p["s"] == k]) for k in kinds}
+            side = {k: 0 if l < u.ENOUGH else 1 + (2 * b < l) for k, (l, b) in of.items()}
+            for p in under:
+                l, b = of[p["s"]]
+                pl, pb = (sum(of[k][j] for k in kinds if side[k] == side[p["s"]]) for j in (0, 1))
+                if len(kinds) >= u.MANY and 100 * len(kinds) > u.MANY_PERCENT * len(under):
+                    p["to"] = "*"
+                elif side[p["s"]] and (b * pl - l * pb) ** 2 <= u.CHI2 * l * pb * (pl - pb):
+                    p["to"] = ("merged", side[p["s"]])
+                else:
+                    p["to"] = "=" + p["s"]
+        for p in pages:
+            p["shape"].append("*" if p["to"] == "*" else p["s"].replace("*", "%2A"))
+            p["node"] += (p["to"],)
+    out = []
+    for p in pages:
+        p["template"] = "/" + "/".join(p["shape"]).rstrip("/")
+    for p in pages:
+        pool = [q for q in pages if q["template"] == p["template"] and q["act"]]
+        l, b = labels(pool)
+        share = (b + u.PRIOR / 2) / (l + u.PRIOR) if len({q["host"] for q in pool}) >= u.FEW_HOSTS else 0.5
+        l, b = labels([q for q in pages if (q["host"], q["node"]) == (p["host"], p["node"])])
+        purity = (b + u.STRENGTH * share) / (l + u.STRENGTH)
+        bad = purity - (purity * (1 - purity) / (l + u.STRENGTH)) ** 0.5 >= u.LEAST_PURITY
+        out.append((p["act"] or ("block" if bad else "allow"), p["template"], round(purity, 6)))
+    return out
+
+
+def test_path_trees_against_brute_force(spark):
+    rng = random.Random(12)
+    rules = [("bad.test", "/", "block"), ("bad.test", "/help/", "allow"), ("mixed.test", "/x/spam", "block"), ("mixed.test", "/x/ok", "allow")]
+    word = lambda: "".join(rng.choice("abcdefgh") for _ in range(6))
+    urls = []
+    for h in range(9):  # the spam branch is known on three hosts and unknown, but there, on others
+        host = f"h{h}.bad.test" if h < 3 else f"h{h}.mixed.test" if h < 5 else f"h{h}.free.test"
+        for _ in range(rng.randint(30, 70)):
+            urls.append(f"http://{host}/" + rng.choice(["win/{}/go", "help/{}", "x/spam/{}", "x/ok/{}", "{}", "blog/{}/c/d/e", "p/", "p", "*/q", "win/{}/stay//"]).format(rng.choice([word(), rng.randint(1, 9999)])))
+    urls += [f"http://h{i % 3}.bad.test/win/{i}/go" for i in range(45)]
+    urls += [None, "nothing", "http://free.test", "http://free.test/", "HTTP://H1.BAD.test/win/3/go?x"]
+    out = url_templates.url_verdicts(spark.createDataFrame(list(enumerate(urls)), "page_id bigint, url string"), rules).collect()
+    want = _path_verdicts(urls, rules)
+    got = {r["page_id"]: (r["verdict"], r["template"], r["purity"]) for r in out}
+    for i, w in enumerate(want):
+        assert got[i][:2] == w[:2] and abs(got[i][2] - w[2]) < 2e-6, urls[i]
+    planted = [r for r in out if r["host"].endswith("free.test") and r["template"] == "/win/{n}/go"]
+    assert planted and all(r["rule"] is None and r["verdict"] == "block" for r in planted)
+    assert all(r["verdict"] == "allow" for r in out if r["host"].endswith("free.test") and r["template"].startswith("/help"))
+
+
 # ------------------------------------------------------------------ 10
 
 
