@@ -1,32 +1,18 @@
 """Labelled pages to learn content weights from.
 
 Pages of many layouts are made from a seed; every page comes with the list of
-its content blocks.  Layouts differ in their semantic elements, class names,
-order, nesting and carelessness (unclosed paragraphs, missing ends).
+its content blocks.  Layouts differ in their elements, order, nesting and
+carelessness (unclosed paragraphs, missing ends).  Class names and ids are
+random strings, so nothing can be learnt from them.
 """
 
 from __future__ import annotations
 
 import random
 
-#: Class names that sites give to what is not content, by kind, and to content.
-BOILERPLATE = {
-    "advert": "ad ads adv advert adverts advertisement advertising sponsor sponsored promo promotion banner adsbygoogle dfp outbrain taboola",
-    "menu": "nav navbar navigation menu topnav breadcrumb breadcrumbs pagination pager toc tabs links skip",
-    "header": "header masthead topbar site-header branding logo top",
-    "footer": "footer site-footer bottom copyright legal colophon imprint credits",
-    "sidebar": "sidebar side rail aside widget widgets related recommended recommendations trending popular more tags tagcloud",
-    "notice": "cookie cookies consent gdpr notice notices notification alert popup modal overlay disclaimer warning message paywall toast",
-    "form": "form search searchbox subscribe subscription newsletter signup login register contact",
-    "comments": "comment comments commentlist reply replies respond response responses discussion disqus reviews feedback reader readers",
-    "share": "share sharing social follow",
-}
-CONTENT = "content article post entry main story body text article-body post-content entry-content main-content page prose".split()
-
-_TAGS = {"advert": ["div", "aside", "section", "ins"], "menu": ["nav", "ul", "div", "menu"], "header": ["header", "div"], "footer": ["footer", "div"], "sidebar": ["aside", "div", "section"], "notice": ["div", "section", "dialog", "p"], "form": ["form", "div"], "comments": ["section", "div", "ol", "article"], "share": ["div", "ul"]}
+#: Elements that sites use for what is not content, by kind.
+_TAGS = {"advert": ["div", "aside", "section", "ins"], "menu": ["nav", "ul", "div", "menu"], "header": ["header", "div"], "footer": ["footer", "div"], "sidebar": ["aside", "div", "section"], "notice": ["div", "section", "dialog"], "form": ["form", "div"], "comments": ["section", "div", "ol", "article"], "share": ["div", "ul"]}
 _ROLES = {"menu": "navigation", "header": "banner", "footer": "contentinfo", "sidebar": "complementary", "form": "search", "notice": "alert dialog alertdialog status"}
-#: Elements that tell their kind without a class.
-_PLAIN = {"nav", "header", "footer", "aside", "form", "menu", "dialog"}
 
 
 class _Maker:
@@ -36,26 +22,32 @@ class _Maker:
 
     def words(self, lo: int, hi: int) -> str:
         self.n += 1
-        return " ".join(["".join(self.rng.choice("abcdeimnorstu") for _ in range(self.rng.randint(2, 8))) for _ in range(self.rng.randint(lo, hi))]) + f" w{self.n}"
+        return " ".join(["".join(self.rng.choice("abcdeimnorstu") for _ in range(self.rng.randint(2, 8))) for _ in range(self.rng.randint(lo, hi))] + [f"w{self.n}"])
+
+    def named(self) -> str:
+        """No attribute, or a class or id that tells nothing."""
+        if self.rng.random() < 0.3:
+            return ""
+        return f' {self.rng.choice(["class", "class", "id"])}="{"".join(self.rng.choice("bcdfghjklmnpqrstvwxyz-") for _ in range(self.rng.randint(3, 12)))}"'
 
     def boilerplate(self, kind: str) -> str:
         rng = self.rng
         tag = rng.choice(_TAGS[kind])
-        attrs = ""
-        if tag not in _PLAIN or rng.random() < 0.4:
-            names = rng.sample(BOILERPLATE[kind].split(), rng.choice([1, 1, 2]))
-            attrs = f' {rng.choice(["class", "class", "id"])}="{rng.choice(["-", " ", "_"]).join(names)}"'
+        attrs = self.named()
         if kind in _ROLES and rng.random() < 0.15:
             attrs += f' role="{rng.choice(_ROLES[kind].split())}"'
         if kind in ("menu", "share"):
-            items = "".join(f'<li><a href="/{i}">{self.words(1, 2)}</a></li>' for i in range(rng.randint(2, 7)))
-            inner = items if tag in ("ul", "menu") else f"<ul>{items}</ul>"
+            items = "".join(f'<li><a href="/{i}">{self.words(0, 2)}</a></li>' for i in range(rng.randint(2, 7)))
+            inner = items if tag in ("ul", "menu") else rng.choice([f"<ul>{items}</ul>", items.replace("<li>", "").replace("</li>", " ")])
         elif kind == "form":
-            inner = f'<label>{self.words(1, 3)}</label><input name="q"><button>{self.words(1, 2)}</button>' + (f"<p>{self.words(3, 15)}</p>" if rng.random() < 0.5 else "")
+            inner = f'<label>{self.words(0, 3)}</label><input name="q"><button>{self.words(0, 2)}</button>' + (f"<p>{self.words(3, 15)}</p>" if rng.random() < 0.5 else "")
         elif kind == "comments":
-            inner = (f"<h3>{self.words(1, 3)}</h3>" if tag != "ol" else "") + "".join(rng.choice(["<div class=\"comment\"><p>{}</p></div>", "<li><p>{}</p></li>", "<p>{}</p>", "<article><p>{}</p></article>"]).format(self.words(3, 40)) for _ in range(rng.randint(1, 4)))
+            shape = rng.choice(["<div{}><p>{}</p></div>", "<li{}><p>{}</p></li>", "<p{}>{}</p>", "<article{}><p>{}</p></article>"])
+            inner = (f"<h3>{self.words(0, 3)}</h3>" if tag != "ol" else "") + "".join(shape.format(self.named(), self.words(3, 40)) for _ in range(rng.randint(1, 4)))
         else:
-            inner = rng.choice([self.words(2, 30), f"<p>{self.words(2, 40)}</p>", f"<h4>{self.words(1, 4)}</h4><p>{self.words(3, 25)}</p>", f'<a href="/x">{self.words(1, 6)}</a>', f"<ul><li><a href='#'>{self.words(1, 5)}</a></li><li>{self.words(1, 5)}</li></ul>"])
+            inner = rng.choice([self.words(1, 30), f"<p>{self.words(1, 40)}</p>", f"<h4>{self.words(0, 4)}</h4><p>{self.words(3, 25)}</p>", f'<a href="/x">{self.words(0, 6)}</a>', f"<ul><li><a href='#'>{self.words(0, 5)}</a></li><li>{self.words(0, 5)}</li></ul>"])
+        if tag in ("aside", "footer", "form", "header", "dialog", "nav") and rng.random() < 0.25:  # what these hold is no content, however long
+            inner += "".join(f"<p>{self.words(10, 70)}</p>" for _ in range(rng.randint(1, 4)))
         return f"<{tag}{attrs}>{inner}</{tag}>"
 
     def content(self, blocks: list[str]) -> str:
@@ -65,32 +57,44 @@ class _Maker:
             blocks.append(self.words(lo, hi))
             return blocks[-1]
 
-        parts = [f"<h1>{put(1, 9)}</h1>"]
+        def paragraph() -> str:
+            said = put(0, 60)
+            if rng.random() < 0.1:  # some of its words are a link
+                first, _, rest = said.partition(" ")
+                said = f'<a href="/y">{first}</a> {rest}' if rest else said
+            return f"<p{self.named() if rng.random() < 0.1 else ''}>{said}" + ("</p>" if rng.random() < 0.8 else "")
+
+        parts = [f"<h1>{put(0, 9)}</h1>"] if rng.random() < 0.95 else [paragraph()]
         if rng.random() < 0.15:
             parts = [f"<header>{parts[0]}</header>"]
         for _ in range(rng.randint(1, 9)):
             form = rng.random()
             if form < 0.6:
-                parts.append(f"<p>{put(1, 60)}" + ("</p>" if rng.random() < 0.8 else ""))
-            elif form < 0.68:
-                parts.append(f"<p><b>{put(1, 20)}<br>")
-            elif form < 0.76:
+                parts.append(paragraph())
+            elif form < 0.66:
+                parts.append(f"<p><b>{put(0, 20)}<br>")
+            elif form < 0.74:
                 level = rng.randint(2, 4)
-                parts.append(f"<h{level}>{put(1, 8)}</h{level}>")
-            elif form < 0.84:
-                parts.append(f"<ul><li>{put(2, 12)}</li><li>{put(2, 12)}</li></ul>")
-            elif form < 0.9:
-                parts.append(f"<blockquote>{put(3, 30)}</blockquote>")
+                parts.append(f"<h{level}>{put(0, 8)}</h{level}>")
+            elif form < 0.82:
+                parts.append(f"<ul><li>{put(1, 12)}</li><li>{put(1, 12)}</li></ul>")
+            elif form < 0.87:
+                parts.append(f"<blockquote>{put(2, 30)}</blockquote>" if rng.random() < 0.5 else f"<blockquote><p>{put(2, 30)}</p></blockquote>")
+            elif form < 0.92:
+                rows = "".join(f"<tr><td>{put(0, 6)}</td><td>{put(0, 6)}</td></tr>" for _ in range(rng.randint(1, 4)))
+                parts.append(f"<table>{rows}</table>")
             elif form < 0.95:
-                parts.append(f"<table><tr><td>{put(1, 6)}</td><td>{put(1, 6)}</td></tr></table>")
+                parts.append(f'<figure><img src="x.png"><figcaption>{put(1, 15)}</figcaption></figure>')
+            elif form < 0.97:
+                parts.append(f"<section><h2>{put(0, 8)}</h2>" + "".join(f"<p>{put(20, 70)}</p>" for _ in range(rng.randint(2, 4))) + "</section>")
             else:
-                parts.append(f"<pre>{put(3, 20)}</pre>")
+                parts.append(f"<pre>{put(2, 20)}</pre>")
             if rng.random() < 0.12:
                 parts.append(self.boilerplate(rng.choice(["advert", "sidebar", "notice", "form", "share"])))
         return "".join(parts)
 
 
-def labelled_pages(count: int = 600, seed: int = 11) -> list[tuple[str, list[str]]]:
+def labelled_pages(count: int = 700, seed: int = 11) -> list[tuple[str, list[str]]]:
     """(html, content blocks) pairs; the same for the same arguments."""
     rng = random.Random(seed)
     pages = []
@@ -100,18 +104,21 @@ def labelled_pages(count: int = 600, seed: int = 11) -> list[tuple[str, list[str
         body = make.content(blocks)
         shape = rng.random()
         if shape < 0.5:
-            body = f"<article>{body}" + (make.boilerplate("comments") if rng.random() < 0.15 else "") + "</article>"
+            body = f"<article{make.named()}>{body}" + (make.boilerplate("comments") if rng.random() < 0.15 else "") + "</article>"
             if rng.random() < 0.3:
                 body = f"<main>{body}</main>"
         elif shape < 0.65:
             body = f"<main>{body}</main>"
-        elif shape < 0.85:
-            body = f'<div {rng.choice(["class", "id"])}="{rng.choice(CONTENT)}">{body}</div>'
-        elif shape < 0.95:
-            body = f"<div>{body}</div>"
+        elif shape < 0.88:
+            body = f"<div{make.named()}>{body}</div>"
+        elif shape < 0.92:
+            body = f"<table><tr><td>{make.boilerplate('menu')}</td><td>{body}</td></tr></table>"
         before = [make.boilerplate(k) for k in rng.sample(["menu", "header", "advert", "notice", "form", "share"], rng.randint(0, 4))]
         after = [make.boilerplate(k) for k in rng.sample(["footer", "comments", "sidebar", "advert", "share", "form"], rng.randint(0, 4))]
+        inner = f"{''.join(before)}{body}{''.join(after)}"
+        if rng.random() < 0.25:  # a wrapper around everything
+            inner = f"<div{make.named()}>{inner}</div>"
         title = f"<head><title>{make.words(1, 8)}</title></head>" if rng.random() < 0.8 else ""
-        pages.append((f"<html>{title}<body>{''.join(before)}{body}{''.join(after)}" + ("</body></html>" if rng.random() < 0.9 else ""), blocks))
-    pages += [(f"{make_text}", [make_text]) for make_text in (_Maker(rng).words(1, 30) for _ in range(count // 20))]
+        pages.append((f"<html>{title}<body>{inner}" + ("</body></html>" if rng.random() < 0.9 else ""), blocks))
+    pages += [(text, [text]) for text in (_Maker(rng).words(1, 30) for _ in range(count // 20))]
     return pages
