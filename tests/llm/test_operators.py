@@ -6,6 +6,7 @@ import random
 import re
 import time
 import zlib
+from collections import Counter
 
 import numpy as np
 import pandas as pd
@@ -332,20 +333,47 @@ def test_phrases_against_brute_force(spark):
     assert clean.count() == len(docs) and clean.filter("contaminated").isEmpty()
 
 
-def test_proximity_in_any_order(spark):
-    docs = docs_of(spark, [(1, "red z z blue z green"), (2, "green blue red"), (3, "red " + "z " * 60 + "blue green"), (4, "red blue")])
-    items = spark.createDataFrame([(1, "red blue green")], "item_id bigint, text string")
-    work = Workspace(spark, "t")
-    items = positional_index.test_items(items)
-    postings = positional_index.build_postings(docs, items, work)
-    near = positional_index.proximity_matches(postings, items, work, slop=10).select("rid").distinct()
-    assert sorted(r[0] for r in postings.filter("term IS NULL").join(near, "rid").select("doc_id").collect()) == [1, 2]
+def test_one_index_serves_two_test_sets(spark):
+    docs = docs_of(spark, [(1, "a b c d"), (2, "c d e f"), (3, None)])
+    index = positional_index.build_index(docs, Workspace(spark, "t"))
+    for text, want in (("b c", {1}), ("D E", {2}), ("c d", {1, 2}), ("q", set())):
+        out = positional_index.contamination(None, spark.createDataFrame([(1, text)], "item_id bigint, text string"), index=index)
+        assert {r["doc_id"] for r in out.collect() if r["contaminated"]} == want and out.count() == 3
+
+
+def _near(docs, items, slop, window):
+    word = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
+    cut = lambda t: word.findall((t or "").lower())
+    seen = Counter(w for _, t in docs for w in cut(t))
+    out = set()
+    for d, t in docs:
+        w = cut(t)
+        for item, text in items:
+            v = cut(text)
+            for a in range(max(len(v) - window, 0) + 1 if v else 0):
+                part = v[a : a + window]
+                rarest = min(enumerate(part), key=lambda x: (seen[x[1]], x[0]))[1]
+                for p in [i for i, x in enumerate(w) if x == rarest]:
+                    if not Counter(part) - Counter(w[max(0, p - slop) : p + slop + 1]):
+                        out.add((d, item, p))
+    return sorted((d, str(i), n) for (d, i), n in Counter((d, i) for d, i, _ in out).items())
+
+
+def test_proximity_against_brute_force(spark):
+    rng = random.Random(31)
+    phrase = lambda n: " ".join(rng.choice(["red", "blue", "green", "one", "two", "of", "the", "z"]) for _ in range(n))
+    docs = [(i, phrase(rng.randint(0, 40))) for i in range(50)] + [(100, "red z z blue z green"), (101, "green blue red"), (102, "red " + "z " * 60 + "blue green"), (103, None)]
+    items = [(1, "red blue green"), (2, "two two one"), (3, phrase(6)), (4, phrase(9)), (5, "absent red"), (6, None), (7, "blue")]
+    index = positional_index.build_index(docs_of(spark, docs), Workspace(spark, "t"))
+    for slop, window in ((3, 4), (10, 10)):
+        out = positional_index.near_items(index, spark.createDataFrame(items, "item_id bigint, text string"), slop, window)
+        assert sorted(tuple(r) for r in out.collect()) == _near(docs, items, slop, window)
 
 
 def test_plans_have_no_python(spark, data):
     from mixedsketch.plans.inspect import plan_text
 
-    for f in (positional_index.op6_positional_index, url_templates.op9_url_templates):
+    for f in (positional_index.op6_positional_index, positional_index.op6_proximity, url_templates.op9_url_templates):
         assert not re.search("Python|Pandas|Arrow", plan_text(f(spark, data)))
 
 
