@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from mixedsketch.llm.jaccard_join import jaccard_components
 from mixedsketch.llm.length_buckets import pack_documents
-from mixedsketch.llm.pii_pseudonyms import pseudonymise
+from mixedsketch.llm.pii_pseudonyms import pseudonymise, session_key
 from mixedsketch.llm.positional_index import contamination
 from mixedsketch.llm.quality_classifier import scored
 from mixedsketch.llm.workspace import Workspace
@@ -57,7 +57,7 @@ def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 def pii(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All documents, personal data replaced by pseudonyms of the same format."""
-    return pseudonymise(docs.select(*COLUMNS)).withColumn("n_chars", F.char_length("text").cast("long")).select(*COLUMNS)
+    return pseudonymise(docs.select(*COLUMNS), session_key(spark)).withColumn("n_chars", F.char_length("text").cast("long")).select(*COLUMNS)
 
 
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

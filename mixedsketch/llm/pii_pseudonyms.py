@@ -1,10 +1,13 @@
 """Format-preserving pseudonyms for personal data.
 
-Each validated value is permuted within its own format by a keyed Feistel
-network: a card number stays a card number with the same check, a date a date,
-an address an address.  One key gives one permutation, so equal values stay
-equal across all documents and different ones stay different, without any
-lookup table and without moving a row.
+Each validated value is brought to one form (a date to its day number, a phone
+number to its digits, an address to its number), permuted among the values of
+its kind by a keyed Feistel network, and written in the format it was found in:
+a card number stays a card number with the same check, a date a date, an
+address an address.  One key gives one permutation, so equal values stay equal
+across all documents and spellings and different ones stay different, without
+any lookup table and without moving a row.  (Where a format can be read day
+first or month first, two different days may be written alike.)
 """
 
 from __future__ import annotations
@@ -12,8 +15,9 @@ from __future__ import annotations
 import hashlib
 import re
 from collections.abc import Callable, Iterator
-from datetime import date, timedelta
+from datetime import date
 from functools import lru_cache
+from ipaddress import IPv6Address
 
 import pyarrow as pa
 import pyarrow.compute as pc
@@ -24,6 +28,7 @@ from . import kernel
 from .workspace import ship
 
 ROUNDS = 8
+KEY_SETTING = "spark.mixedsketch.pii.key"  # of the session; the registered queries fall back on DEMO_KEY
 DEMO_KEY = b"mixedsketch demonstration key: replace in production"
 
 #: Alphabets a character is permuted within; any other character stays.
@@ -96,8 +101,24 @@ def ssn_valid(digits: str) -> bool:
     return digits[:3] not in ("000", "666") and digits[0] != "9" and digits[3:5] != "00" and digits[5:] != "0000"
 
 
-_FIRST_DAY, _LAST_DAY = date(1900, 1, 1), date(2099, 12, 31)
-_DAYS = (_LAST_DAY - _FIRST_DAY).days + 1
+#: Days of the years people write most are permuted among themselves, all others likewise.
+_FIRST_DAY, _LAST_DAY = date(1900, 1, 1).toordinal(), date(2099, 12, 31).toordinal()
+_ALL_DAYS = date.max.toordinal()
+
+#: Months as they are written, and country calling codes of one and two digits (others have three).
+MONTHS = "January February March April May June July August September October November December".split()
+SHORT_MONTHS = "Jan Feb Mar Apr May Jun Jul Aug Sep Oct Nov Dec".split()
+CODES = frozenset("1 7 20 27 30 31 32 33 34 36 39 40 41 43 44 45 46 47 48 49 51 52 53 54 55 56 57 58 60 61 62 63 64 65 66 81 82 84 86 90 91 92 93 94 95 98".split())
+_MONTH = "(?i:" + "|".join(MONTHS + ["Sept", *SHORT_MONTHS]) + ")"
+
+
+def _code(digits: str) -> int:
+    """Length of the country calling code that an international number begins with."""
+    return next((n for n in (1, 2) if digits[:n] in CODES), min(3, len(digits) - 1))
+
+
+def _month_of(name: str) -> int:
+    return next(i + 1 for i, m in enumerate(SHORT_MONTHS) if name[:3].lower() == m.lower())
 
 
 class Pseudonymiser:
@@ -106,19 +127,22 @@ class Pseudonymiser:
     #: kind, pattern; earlier kinds win where several match at one place
     PATTERNS = [
         ("secret", r"(?i:(?<!\w)(?:token|secret|password|passwd|api[_-]?key|access[_-]?key)[ \t]*[:=][ \t]*[\"']?)(?P<secret>[A-Za-z0-9+/_=-]{8,})"),
+        ("token", r"(?<![\w-])(?:AKIA|ASIA|gh[oprsu]_|github_pat_|glpat-|sk-|sk_live_|sk_test_|AIza|xox[abprs]-)(?P<token>[A-Za-z0-9][A-Za-z0-9_-]{14,})(?![\w-])"),
         ("email", r"(?<![\w.+%-])(?P<email>[\w+%-]+(?:\.[\w+%-]+)*@[A-Za-z0-9](?:[A-Za-z0-9-]*[A-Za-z0-9])?(?:\.[A-Za-z0-9](?:[A-Za-z0-9-]*[A-Za-z0-9])?)*\.[A-Za-z]{2,24})(?![\w@])"),
         ("iban", r"(?<!\w)(?P<iban>[A-Z]{2}\d{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?)(?!\w)"),
-        ("iso_date", r"(?<![\w./-])(?P<iso_date>\d{4}-\d{2}-\d{2})(?![\w-])"),
+        ("iso_date", r"(?<![\w./-])(?P<iso_date>\d{4}-\d{2}-\d{2})(?=T\d{2}:|(?![\w-]))"),
+        ("month_date", rf"(?<![\w./-])(?P<month_date>\d{{1,2}}(?:st|nd|rd|th|\.)?[ -](?:of )?{_MONTH}\.?,?[ -]\d{{4}}|{_MONTH}\.? \d{{1,2}}(?:st|nd|rd|th)?,? \d{{4}})(?![\w-])"),
         ("date", r"(?<![\w./-])(?P<date>\d{1,2}(?P<mark>[./-])\d{1,2}(?P=mark)\d{4})(?![\w-])"),
         ("ip", r"(?<![\w.])(?P<ip>(?:(?:25[0-5]|2[0-4]\d|1?\d?\d)\.){3}(?:25[0-5]|2[0-4]\d|1?\d?\d))(?!\w|\.\d)"),
+        ("ipv6", r"(?<![\w:.])(?P<ipv6>(?:[0-9A-Fa-f]{0,4}:){2,7}[0-9A-Fa-f]{0,4})(?![\w:])"),
         ("ssn", r"(?<![\w-])(?P<ssn>\d{3}-\d{2}-\d{4})(?![\w-])"),
-        ("phone", r"(?<![\w+])(?P<phone>\+1[ .-]?(?:\(\d{3}\)[ .-]?|\d{3}[ .-]?)\d{3}[ .-]?\d{4}|\+\d{1,3}[ -]?(?:\(\d{1,4}\)[ -]?)?\d{2,4}(?:[ -]?\d{2,4}){1,4}|\(\d{3}\) ?\d{3}[ .-]\d{4}|\d{3}[.-]\d{3}[.-]\d{4})(?![\w-]|\.\d)"),
+        ("phone", r"(?<![\w+])(?P<phone>\+1[ .-]?(?:\(\d{3}\)[ .-]?|\d{3}[ .-]?)\d{3}[ .-]?\d{4}|\+\d{1,3}[ -]?(?:\(\d{1,4}\)[ -]?)?\d{2,4}(?:[ -]?\d{2,4}){1,4}|\(\d{3}\) ?\d{3}[ .-]\d{4}|\d{3}[.-]\d{3}[.-]\d{4}|[2-9]\d{2}[2-9]\d{6})(?![\w-]|\.\d)"),
         ("account", r"(?<![\w.])(?P<account>\d(?:[ -]?\d){12,18})(?!\w|[.-]\d)"),
     ]
     SCAN = re.compile("|".join(p for _, p in PATTERNS))
     #: a line without any of these cannot hold a value, and no value goes over a line's end
-    SIEVE = r"[0-9@]|(?i:token|secret|passw|key)"
-    SPOT, WORDS = re.compile("[0-9@]"), ("token", "secret", "passw", "key")
+    SIEVE = r"[0-9@]|(?i:token|secret|passw|key)|AKIA|ASIA|gh[oprsu]_|_pat_|glpat-|sk[-_]|AIza|xox"
+    SPOT, WORDS = re.compile("[0-9@]"), ("token", "secret", "passw", "key", "akia", "asia", "gho_", "ghp_", "ghr_", "ghs_", "ghu_", "_pat_", "glpat-", "sk-", "sk_", "aiza", "xox")
 
     def __init__(self, key: bytes):
         self.key = key
@@ -149,14 +173,16 @@ class Pseudonymiser:
     def _image(self, kind: str, text: str) -> str | None:
         """The pseudonym, or None where the value is not valid for its kind."""
         digits = re.sub(r"\D", "", text)
-        if kind == "secret":
+        if kind in ("secret", "token"):
             for alphabet in (HEX_LOWER, HEX_UPPER):
                 if all(c in alphabet for c in text):
                     return self._string(kind, text, dict.fromkeys(alphabet, alphabet))
             return self._string(kind, text)
-        if kind == "email":
+        if kind == "email":  # capitals are a matter of spelling
             head, _, top = text.rpartition(".")
-            return f"{self._string(kind, head)}.{top}"
+            small = head.lower() if len(head.lower()) == len(head) else head
+            image = self._string(kind, small)
+            return "".join(c.upper() if o != s and len(c.upper()) == 1 else c for c, o, s in zip(image, head, small, strict=True)) + "." + top
         if kind == "iban":
             compact = text.replace(" ", "")
             if not 15 <= len(compact) <= 34 or not iban_valid(compact):
@@ -165,8 +191,18 @@ class Pseudonymiser:
             check = 98 - int("".join(str(int(c, 36)) for c in body + compact[:2] + "00")) % 97
             fresh = iter(f"{compact[:2]}{check:02d}{body}")
             return "".join(c if c == " " else next(fresh) for c in text)
-        if kind in ("iso_date", "date"):
+        if kind in ("iso_date", "date", "month_date"):
             return self._date(kind, text)
+        if kind == "ipv6":
+            try:
+                value = int(IPv6Address(text))
+            except ValueError:
+                return None
+            if len([g for g in text.split(":") if g]) < 3 or not digits:
+                return None
+            image = IPv6Address(self.network("ipv6").permute(value, 1 << 128))
+            out = image.exploded if len(text) == 39 else str(image)
+            return out.upper() if text.upper() == text else out
         if kind == "ip":
             value = 0
             for part in text.split("."):
@@ -178,38 +214,48 @@ class Pseudonymiser:
         if kind == "phone":
             if not 7 <= len(digits) <= 15:
                 return None
-            keep = re.match(r"\+\d{1,3}(?=[ .(-])", text)
-            code = keep.group() if keep else ""
-            return code + self._string(kind, text[len(code) :])
+            skip = _code(digits) if text.startswith("+") else 0
+            code = digits[:skip] or ("1" if len(digits) == 10 else "")  # ten digits are the same number as those after +1
+            value, n = int(digits[skip:]), 10 ** (len(digits) - skip)
+            image = iter(digits[:skip] + str(self.network(f"phone:{code}:{n}").permute(value, n)).zfill(len(digits) - skip))
+            return "".join(next(image) if c.isdigit() else c for c in text)
         valid = luhn(digits)
+        if not valid and any(12 < len(g) < len(digits) for g in re.split("[ -]", text)):
+            return None  # a long number beside a short one: the scan goes on inside
         return self._string(kind, text, allowed=lambda d: luhn(d) == valid)
 
+    def _day(self, day: int) -> date:
+        usual = _FIRST_DAY <= day <= _LAST_DAY
+        return date.fromordinal(self.network("date").permute(day, _ALL_DAYS + 1, lambda v: v > 0 and (_FIRST_DAY <= v <= _LAST_DAY) == usual))
+
     def _date(self, kind: str, text: str) -> str | None:
-        parts = [int(p) for p in re.split(r"\D", text)]
+        """The date of the image day, in the order, padding and names of ``text``; None if it is no date."""
+        if kind == "month_date":
+            name = re.search(r"[A-Za-z]{3,}", re.sub(r"(?<=\d)(?:st|nd|rd|th)|\bof\b", "", text)).group()
+            numbers = [int(n) for n in re.findall(r"\d+", text)]
+            try:
+                image = self._day(date(numbers[1], _month_of(name), numbers[0]).toordinal())
+            except ValueError:
+                return None
+            fresh = (MONTHS if len(name) > 4 or name.lower() in ("june", "july") else SHORT_MONTHS)[image.month - 1]
+            fresh = fresh.upper() if name.isupper() else fresh.lower() if name.islower() else fresh
+            out = text.replace(name, "\0", 1)
+            day = str(image.day).zfill(2 if re.search(r"(?<!\d)0\d(?!\d)", text) else 1)
+            ends = "th" if 10 < image.day < 14 else {1: "st", 2: "nd", 3: "rd"}.get(image.day % 10, "th")
+            out = re.sub(r"(?<!\d)\d{1,2}(st|nd|rd|th)?(?!\d)", lambda m: day + (ends if m.group(1) else ""), out, count=1)
+            out = re.sub(r"(?<!\d)\d{4}(?!\d)", f"{image.year:04d}", out, count=1)
+            return out.replace("\0", fresh)
+        parts = re.findall(r"\d+", text)
         orders = [(0, 1, 2)] if kind == "iso_date" else [(2, 1, 0), (2, 0, 1)]  # day first, then month first
         for y, m, d in orders:
             try:
-                day = date(parts[y], parts[m], parts[d])
+                day = date(int(parts[y]), int(parts[m]), int(parts[d])).toordinal()
             except ValueError:
                 continue
-            if not _FIRST_DAY <= day <= _LAST_DAY:
-                return None
-            # within dates that read the same way round and take as many characters
-            pad = [len(p) for p in re.split(r"\D", text)]
-
-            def render(v: int) -> list[str]:
-                at = _FIRST_DAY + timedelta(days=v)
-                fields = {y: at.year, m: at.month, d: at.day}
-                return [str(fields[i]).zfill(pad[i]) for i in range(3)]
-
-            def same_shape(v: int) -> bool:
-                fields = render(v)
-                if [len(f) for f in fields] != pad:
-                    return False
-                return kind == "iso_date" or (y, m, d) == orders[0] or int(fields[1]) > 12
-
-            image = self.network(f"date:{(y, m, d)}:{pad}").permute((day - _FIRST_DAY).days, _DAYS, same_shape)
-            fresh = iter(render(image))
+            image = self._day(day)
+            padded = len(parts[m]) == len(parts[d]) == 2  # one digit where there may be two: fields are not padded
+            fields = {y: f"{image.year:04d}", m: str(image.month).zfill(2 if padded else 1), d: str(image.day).zfill(2 if padded else 1)}
+            fresh = iter([fields[i] for i in range(3)])
             return re.sub(r"\d+", lambda _: next(fresh), text)
         return None
 
@@ -264,10 +310,15 @@ def _pseudonymise(key: bytes, text_col: str):
     return run
 
 
-def pseudonymise(docs: DataFrame, key: bytes = DEMO_KEY, text_col: str = "text") -> DataFrame:
+def session_key(spark: SparkSession) -> bytes:
+    """The key that the session names, or the public one for demonstrations."""
+    return spark.conf.get(KEY_SETTING, "").encode() or DEMO_KEY
+
+
+def pseudonymise(docs: DataFrame, key: bytes, text_col: str = "text") -> DataFrame:
     """All rows and columns of ``docs`` with pseudonyms in ``text_col``, plus ``pii_kinds`` (null where nothing was replaced).
 
-    Kinds: secret, email, iban, iso_date, date, ip, ssn, phone, account.  Values
+    Kinds: secret, token, email, iban, iso_date, month_date, date, ip, ipv6, ssn, phone, account.  Values
     that fail their check (a date that is none, an IBAN with a wrong check) stay;
     digit runs of 13 to 19 keep passing, or failing, the card check.  Null texts
     stay null, empty ones empty; repeated rows change alike.  A column that is
@@ -281,6 +332,6 @@ def pseudonymise(docs: DataFrame, key: bytes = DEMO_KEY, text_col: str = "text")
 
 def op1_pii_pseudonyms(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All ``documents`` with pseudonyms."""
-    out = pseudonymise(spark.read.parquet(f"{sf_dir}/documents.parquet"))
+    out = pseudonymise(spark.read.parquet(f"{sf_dir}/documents.parquet"), session_key(spark))
     kinds = F.coalesce("pii_kinds", F.array().cast("array<string>"))
     return out.select("doc_id", "text", "lang", "source", F.char_length("text").cast("long").alias("n_chars"), F.size(kinds).cast("long").alias("n_replaced"), F.array_join(F.array_sort(F.array_distinct(kinds)), ",").alias("kinds"))
