@@ -219,10 +219,9 @@ class Pseudonymiser:
             value, n = int(digits[skip:]), 10 ** (len(digits) - skip)
             image = iter(digits[:skip] + str(self.network(f"phone:{code}:{n}").permute(value, n)).zfill(len(digits) - skip))
             return "".join(next(image) if c.isdigit() else c for c in text)
-        valid = luhn(digits)
-        if not valid and any(12 < len(g) < len(digits) for g in re.split("[ -]", text)):
-            return None  # a long number beside a short one: the scan goes on inside
-        return self._string(kind, text, allowed=lambda d: luhn(d) == valid)
+        if luhn(digits):
+            return self._string(kind, text, allowed=luhn)
+        return None  # no valid number as a whole; the scan goes on inside
 
     def _day(self, day: int) -> date:
         usual = _FIRST_DAY <= day <= _LAST_DAY
@@ -319,8 +318,8 @@ def pseudonymise(docs: DataFrame, key: bytes, text_col: str = "text") -> DataFra
     """All rows and columns of ``docs`` with pseudonyms in ``text_col``, plus ``pii_kinds`` (null where nothing was replaced).
 
     Kinds: secret, token, email, iban, iso_date, month_date, date, ip, ipv6, ssn, phone, account.  Values
-    that fail their check (a date that is none, an IBAN with a wrong check) stay;
-    digit runs of 13 to 19 keep passing, or failing, the card check.  Null texts
+    that fail their check (a date that is none, an IBAN or a run of 13 to 19
+    digits with a wrong check) are no such values and stay.  Null texts
     stay null, empty ones empty; repeated rows change alike.  A column that is
     called pii_kinds already is replaced.
     """

