@@ -35,7 +35,7 @@ from .workspace import Workspace, ship
 
 MAGIC = b"MSBP"
 BLOCK = 4096
-SHARD_IDS = 64 << 20
+SHARD_IDS, SHARD_DOCS = 64 << 20, 1 << 20  # a shard ends after as many ids or documents
 READ_IDS = 1 << 20
 
 
@@ -182,7 +182,7 @@ def _write(folder: str, vocabulary: str, end_id: int):
                     name = f"part-{part:06d}-{seq:04d}-{uuid.uuid4().hex}.msbp"
                     writer = ShardWriter(files.open_output_stream(f"{path}/{name}"), bits)
                 writer.add(ids.slice(lo, hi - lo).to_pylist(), _with_end(flat, sizes, end_id), sizes + 1)
-                if writer.ids >= SHARD_IDS:
+                if writer.ids >= SHARD_IDS or len(writer.docs) >= SHARD_DOCS:
                     writer.close()
                     done.append((seq, name, len(writer.docs), writer.ids))
                     writer, seq = None, seq + 1

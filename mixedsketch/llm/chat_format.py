@@ -136,13 +136,14 @@ def format_conversations(rows: DataFrame, vocabulary: str = "byte_bpe_50k.json")
 
     ``rows`` has conv_id, turn, role, text; turns are ordered by turn, then role
     and text, so ties and repeated rows have one order and all stay.  Null
-    roles and texts are empty; rows with a null conv_id form one conversation;
-    other columns are ignored; an empty table gives no rows.  A conversation is
+    roles and texts are empty; rows with a null conv_id belong to nothing known
+    and are a conversation each; other columns are ignored; an empty table gives no rows.  A conversation is
     one output row and has to fit into a task.
     """
     ship(rows.sparkSession)
     turn = F.struct(F.col("turn").cast("long").alias("turn"), F.coalesce(F.col("role").cast("string"), F.lit("")).alias("role"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
-    grouped = rows.groupBy(F.col("conv_id").cast("long").alias("conv_id")).agg(F.sort_array(F.collect_list(turn)).alias("turns"))
+    rows = rows.select(F.col("conv_id").cast("long").alias("conv_id"), turn.alias("one"), F.when(F.col("conv_id").isNull(), F.monotonically_increasing_id()).alias("alone"))
+    grouped = rows.groupBy("conv_id", "alone").agg(F.sort_array(F.collect_list("one")).alias("turns")).drop("alone")
     return grouped.mapInArrow(kernel.tidy(_format(vocabulary)), FORMATTED)
 
 
@@ -177,12 +178,12 @@ def _sql_escape(column: str) -> str:
 
 
 OP5_SQL = f"""
-WITH r AS (SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations
-  UNION ALL SELECT -7, 0, 'user', '</s>[INST] ok [/INST]' UNION ALL SELECT -7, 1, 'assistant', '</s>[INST] ok [/INST]'),
+WITH r AS (SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text, CASE WHEN conv_id IS NULL THEN row_number() OVER () END AS alone FROM conversations
+  UNION ALL SELECT -7, 0, 'user', '</s>[INST] ok [/INST]', NULL UNION ALL SELECT -7, 1, 'assistant', '</s>[INST] ok [/INST]', NULL),
 g AS (SELECT conv_id, count(*) AS n_turns,
   string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn NULLS FIRST, role, text) AS turns,
   coalesce(string_agg(text, '' ORDER BY turn NULLS FIRST, role, text) FILTER (WHERE role = 'assistant'), '') AS loss,
   sum(length({_sql_escape("role")}) + length(replace(role, chr(10), '__')) - length(role) + length({_sql_escape("text")}) + {len(TURN) + len(END) + 2}) AS formatted_chars
-  FROM r GROUP BY conv_id)
+  FROM r GROUP BY conv_id, alone)
 SELECT conv_id, n_turns, sha256(turns) AS turns_sha256, length(loss) AS loss_chars, sha256(loss) AS loss_sha256, CAST(formatted_chars AS BIGINT) AS formatted_chars FROM g
 """

@@ -26,11 +26,12 @@ with probability below 1e-12.
 
 from __future__ import annotations
 
+import zlib
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-import zlib
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -46,6 +47,7 @@ STARS = 4
 SMALL_TILE = 32
 BLOCK = 1024
 BROADCAST_IDS = 500_000
+SAME = ["n", "k1", "k2"]  # size and two sums of hashes: what rows of one class share
 
 _STAR_SALT = [np.uint64((2 * i + 1) * 0x5851F42D4C957F2D % 2**64) for i in range(STARS)]
 _SIG_SALT = np.uint64(0xA0761D6478BD642F)
@@ -325,43 +327,62 @@ def _verified(pairs: DataFrame, profiles: DataFrame, docs: DataFrame, size: int,
     return work.save(both.mapInArrow(kernel.tidy(_intersect(percent)), "a long, b long").distinct(), f"{name}-links")
 
 
-def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = 5, percent: int = 80) -> DataFrame:
-    """Per row of ``docs``: (doc_id, n_shingles, component_id).
-
-    Texts are lower-cased (A-Z), cut into words at ASCII white space and turned
-    into the set of distinct ``size``-word shingles; a text of fewer words is
-    one shingle.  Two rows link when ``100 * |A & B| >= percent * |A | B|``;
-    ``component_id`` is the smallest id reachable by links.
+def _numbered(docs: DataFrame, id_col: str, text_col: str, work: Workspace) -> tuple[DataFrame, DataFrame | None]:
+    """((id, text) without null ids, and the numbers that rows with null ids have been given).
 
-    Nulls and empty texts: ``n_shingles`` 0, linked with nothing, component is
-    the own id.  A null id keeps its row and never names a component, so a row
-    all of whose partners have null ids has a null component.  Repeated rows
-    are kept; rows that share an id are one node.  Extra columns are ignored.
-    An empty table gives an empty result.
+    Such rows are written once, with numbers beyond all ids, so that they are
+    nodes like others.  If ids leave no room above or below, null rows link nothing.
     """
+    docs = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"))
+    n, low, high = docs.agg(F.sum(F.col("id").isNull().cast("long")), F.min("id"), F.max("id")).first()
+    if not n:
+        return docs, None
+    room = 1 << 62
+    if (high or 0) < room:
+        number = F.lit(max(high or 0, 0) + 1) + F.monotonically_increasing_id()
+    elif low > -room:
+        number = F.lit(min(low, 0) - 1) - F.monotonically_increasing_id()
+    else:
+        return docs, None
+    lost = work.save(docs.filter("id IS NULL").select(number.alias("id"), "text"), "unnamed")
+    return docs.filter("id IS NOT NULL").unionByName(lost), lost.select("id")
+
+
+@dataclass
+class Linked:
+    """Rows with their class key, classes with their smallest id, and links (a, b) between classes."""
+
+    rows: DataFrame
+    classes: DataFrame
+    links: DataFrame
+    unnamed: DataFrame | None
+
+
+def _linked(docs: DataFrame, id_col: str, text_col: str, size: int, percent: int, work: Workspace, every: bool) -> Linked:
+    """The links; ``every`` one of them, or only as many as connect what is connected."""
     spark = docs.sparkSession
     ship(spark)
-    work = Workspace(spark, "jaccard")
-    docs = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"))
+    docs, unnamed = _numbered(docs, id_col, text_col, work)
     sig = [f"s{i}" for i in range(SIG_WORDS)]
     mins = [f"m{i}" for i in range(STARS)]
 
     profiles = work.save(docs.mapInArrow(kernel.tidy(_profile(size)), ", ".join(_PROFILE)), "profiles")
     rows = profiles.filter("slice IS NULL").select("id", "n", "k1", "k2", *mins, *sig)
-    same = ["n", "k1", "k2"]
-    classes = work.save(rows.filter("n > 0").groupBy(*same).agg(F.min("id").alias("id"), *[F.first(c).alias(c) for c in [*mins, *sig]]), "classes")
+    classes = work.save(rows.filter("n > 0").groupBy(*SAME).agg(F.min("id").alias("id"), *[F.first(c).alias(c) for c in [*mins, *sig]]), "classes")
     nodes = classes.filter("id IS NOT NULL")
-
-    # star: each node against the smallest node of its min-hash groups
     lone = nodes.withColumn("star", F.col("id"))
-    hubs = nodes.select("id", F.posexplode(F.array(*mins)).alias("p", "m"))
-    heads = hubs.groupBy("p", "m").agg(F.min("id").alias("a"), F.max("id").alias("last")).filter("a <> last").drop("last")
-    star_pairs = hubs.join(heads, ["p", "m"]).filter("a <> id").select("a", F.col("id").alias("b")).distinct()
-    star_links = _verified(_bounded(star_pairs, lone, percent), profiles, docs, size, percent, work, "star")
-    stars = star_links.groupBy("b").agg(F.min("a").alias("star"))
-    starred = work.save(
-        nodes.select("id", "n", *sig).join(stars.withColumnRenamed("b", "id"), "id", "left").withColumn("star", F.coalesce("star", "id")), "starred"
-    )
+    star_links = None
+    if every:
+        starred = lone.select("id", "n", *sig, "star")
+    else:  # star: each node against the smallest node of its min-hash groups
+        hubs = nodes.select("id", F.posexplode(F.array(*mins)).alias("p", "m"))
+        heads = hubs.groupBy("p", "m").agg(F.min("id").alias("a"), F.max("id").alias("last")).filter("a <> last").drop("last")
+        star_pairs = hubs.join(heads, ["p", "m"]).filter("a <> id").select("a", F.col("id").alias("b")).distinct()
+        star_links = _verified(_bounded(star_pairs, lone, percent), profiles, docs, size, percent, work, "star")
+        stars = star_links.groupBy("b").agg(F.min("a").alias("star"))
+        starred = work.save(
+            nodes.select("id", "n", *sig).join(stars.withColumnRenamed("b", "id"), "id", "left").withColumn("star", F.coalesce("star", "id")), "starred"
+        )
 
     order = spark.sparkContext.broadcast(frequency_order(profiles, spark))
     keys = docs.mapInArrow(kernel.tidy(_prefixes(size, percent, order)), "id long, n long, keys array<long>")
@@ -378,15 +399,70 @@ def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     large = sides[0].union(sides[1]).groupBy(*by).applyInArrow(_block_pair(percent), "a long, b long")
     pairs = _bounded(small, starred, percent).union(large).distinct()
     links = _verified(pairs, profiles, docs, size, percent, work, "tile")
+    return Linked(rows.select("id", *SAME), classes.select(*SAME, "id"), links if every else star_links.union(links), unnamed)
+
+
+def _by_class(rows: DataFrame, named: DataFrame) -> DataFrame:
+    """``rows`` with the columns of ``named`` for their class (null where the set is empty)."""
+    return rows.join(named.select(*[F.col(c).alias(f"q_{c}") for c in SAME], *[c for c in named.columns if c not in SAME]), F.expr(" AND ".join(f"{c} = q_{c}" for c in SAME)), "left").drop(*[f"q_{c}" for c in SAME])
+
 
-    found = components(star_links.union(links).select(F.col("a").alias("u"), F.col("b").alias("v")), work)
+def _restore(ids: DataFrame, unnamed: DataFrame | None, column: str = "id") -> DataFrame:
+    """Numbers given to rows without an id become nulls again."""
+    if unnamed is None:
+        return ids
+    return ids.join(unnamed.select(F.col("id").alias(column), F.lit(True).alias("lost")), column, "left").withColumn(column, F.when(F.col("lost").isNull(), F.col(column))).drop("lost")
+
+
+def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = 5, percent: int = 80) -> DataFrame:
+    """Per row of ``docs``: (doc_id, n_shingles, component_id).
+
+    Texts are lower-cased (A-Z), cut into words at ASCII white space and turned
+    into the set of distinct ``size``-word shingles; a text of fewer words is
+    one shingle.  Two rows link when ``100 * |A & B| >= percent * |A | B|``;
+    ``component_id`` is the smallest id reachable by links.
+
+    Nulls and empty texts: ``n_shingles`` 0, linked with nothing, component is
+    the own id.  A row with a null id links others like any row but never names
+    a component, so one all of whose partners have null ids has a null
+    component.  Repeated rows are kept; rows that share an id are one node.
+    Extra columns are ignored.  An empty table gives an empty result.
+    """
+    work = Workspace(docs.sparkSession, "jaccard")
+    got = _linked(docs, id_col, text_col, size, percent, work, every=False)
+    found = components(got.links.select(F.col("a").alias("u"), F.col("b").alias("v")), work)
     work.drop("starred", "tiles", *[f"{stage}-{table}" for stage in ("star", "tile") for table in ("bounded", "pairs", "ids", "arrays", "links")])  # nothing reads them again
-    named = classes.select(*same, F.col("id").alias("class_id")).join(found.select(F.col("node").alias("class_id"), "component"), "class_id", "left")
-    named = named.select(*[F.col(c).alias(f"q_{c}") for c in same], F.coalesce("component", "class_id").alias("component"))
-    out = rows.select("id", *same).join(named, F.expr("n = q_n AND k1 = q_k1 AND k2 = q_k2"), "left")
+    named = got.classes.withColumnRenamed("id", "class_id").join(found.select(F.col("node").alias("class_id"), "component"), "class_id", "left")
+    named = named.select(*SAME, F.coalesce("component", "class_id").alias("component"))
+    if got.unnamed is not None:  # the smallest id that a row really has
+        rows = got.rows.join(got.unnamed.withColumn("lost", F.lit(True)), "id", "left")
+        real = _by_class(rows.filter("lost IS NULL AND n > 0").drop("lost"), named).groupBy("component").agg(F.min("id").alias("least"))
+        named = named.join(real, "component", "left").select(*SAME, F.col("least").alias("component"))
+    out = _restore(_by_class(got.rows, named), got.unnamed)
     return out.select(F.col("id").alias("doc_id"), F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("component")).otherwise(F.col("id")).alias("component_id"))
 
 
+def jaccard_links(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = 5, percent: int = 80) -> tuple[DataFrame, DataFrame]:
+    """(links, members): every link (a, b) between classes of equal sets, and per row (doc_id, class_id, class_size, n_links).
+
+    A class is named by its smallest id; rows of one class link each other, and
+    ``n_links`` counts all rows but itself that a row links.  Rows with empty
+    sets have no class and no links.  A class of null ids alone has a number
+    beyond all ids.  Everything else is as in ``jaccard_components``, which
+    needs fewer links than there are.
+    """
+    work = Workspace(docs.sparkSession, "jaccard-links")
+    got = _linked(docs, id_col, text_col, size, percent, work, every=True)
+    sizes = got.rows.filter("n > 0").groupBy(*SAME).agg(F.count("*").alias("class_size"))
+    named = work.save(_by_class(sizes, got.classes.withColumnRenamed("id", "class_id")), "named")
+    both = got.links.union(got.links.select("b", "a")).join(named.select(F.col("class_id").alias("b"), F.col("class_size").alias("k")), "b")
+    degree = both.groupBy(F.col("a").alias("class_id")).agg(F.sum("k").alias("others"))
+    named = named.join(degree, "class_id", "left")
+    members = _restore(_by_class(got.rows, named), got.unnamed)
+    n_links = F.coalesce(F.col("class_size") - 1 + F.coalesce("others", F.lit(0)), F.lit(0))
+    return got.links, members.select(F.col("id").alias("doc_id"), "class_id", "class_size", n_links.cast("long").alias("n_links"))
+
+
 def op7_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Classes of ``documents`` at four words and 85 percent."""
     return jaccard_components(spark.read.parquet(f"{sf_dir}/documents.parquet"), size=4, percent=85)

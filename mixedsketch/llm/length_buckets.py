@@ -20,7 +20,7 @@ from .workspace import Workspace, ship
 
 BUCKETS = 16
 TOKEN_BUDGET = 65_536
-CHUNK_ROWS = 4096
+CHUNK_ROWS, CHUNK_BATCHES = 4096, 16  # a chunk of a bucket has about as many rows, or rows for as many full batches
 
 
 def optimal_boundaries(lengths: list[int], counts: list[int], buckets: int) -> tuple[list[int], int]:
@@ -97,8 +97,9 @@ def pack_documents(docs: DataFrame, buckets: int = BUCKETS, token_budget: int =
     their rows; other columns are ignored; an empty table gives no rows.
 
     Only the histogram, a row for each distinct length, reaches the driver.
-    Rows of a bucket are dealt to chunks of about ``CHUNK_ROWS`` by the known
-    bucket size, so no task ranks a whole bucket.
+    Rows of a bucket are dealt to chunks of about ``CHUNK_ROWS``, or of sixteen
+    full batches where those are more, by the known bucket size, so no task ranks
+    a whole bucket.
     """
     spark = docs.sparkSession
     ship(spark)
@@ -111,7 +112,8 @@ def pack_documents(docs: DataFrame, buckets: int = BUCKETS, token_budget: int =
     held = np.zeros(len(bounds), dtype=np.int64)
     if bounds:
         np.add.at(held, np.searchsorted(bounds, lengths), counts)
-    plan = [(i, int(b), max(1, token_budget // max(1, b)), int(-(-held[i] // CHUNK_ROWS))) for i, b in enumerate(bounds)]
+    per = [max(1, token_budget // max(1, int(b))) for b in bounds]
+    plan = [(i, int(b), per[i], int(-(-held[i] // max(CHUNK_ROWS, CHUNK_BATCHES * per[i])))) for i, b in enumerate(bounds)]
     table = F.array(*[F.struct(F.lit(i).alias("bucket"), F.lit(b).cast("long").alias("len"), F.lit(p).alias("per"), F.lit(c).alias("chunks")) for i, b, p, c in plan]) if plan else None
     if table is None:
         return rows.select("doc_id", "n_tokens", F.lit(0).alias("bucket"), F.lit(0).cast("long").alias("bucket_length"), F.lit("").alias("batch"), F.lit(0).alias("slot"))

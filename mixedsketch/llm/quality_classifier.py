@@ -32,7 +32,7 @@ from .workspace import ship
 SAMPLE_POSITIVE = 12_000
 SAMPLE_UNLABELLED = 24_000
 HIDDEN = 24
-STEPS = 700
+STEPS = 1_500
 BATCH = 1_024
 
 #: Bytes that count one by one; other bytes count by class.
@@ -206,20 +206,21 @@ def train(docs: DataFrame, labels: DataFrame, positives: int = SAMPLE_POSITIVE,
     """Fit on at most ``positives`` + ``unlabelled`` texts of the training folds (the bound of the sample).
 
     ``labels`` has doc_id and quality; conflicting labels of a document count as
-    zero.  Without a trusted positive there is no model.
+    zero, and of rows that share an id one is learnt from.  Without a trusted positive there is no model.
     """
     known = labels.filter("doc_id IS NOT NULL AND quality IS NOT NULL").filter(~held_out("doc_id")).groupBy("doc_id").agg(F.min("quality").alias("quality"))
     ones, zeros = known.agg(F.coalesce(F.sum((F.col("quality") == 1).cast("long")), F.lit(0)), F.coalesce(F.sum((F.col("quality") != 1).cast("long")), F.lit(0))).first()
     order = F.xxhash64("doc_id"), F.col("doc_id")
     trusted = known.filter("quality = 1").select("doc_id").orderBy(*order).limit(positives).withColumn("trusted", F.lit(True))
-    open_text = docs.filter("doc_id IS NOT NULL").select("doc_id").filter(~held_out("doc_id")).orderBy(*order).limit(unlabelled).distinct().withColumn("open", F.lit(True))
+    open_text = docs.filter("doc_id IS NOT NULL").select("doc_id").filter(~held_out("doc_id")).distinct().orderBy(*order).limit(unlabelled).withColumn("open", F.lit(True))
     chosen = trusted.join(open_text, "doc_id", "full")
-    rows = docs.join(F.broadcast(chosen), "doc_id")  # at most positives + unlabelled ids
+    # at most positives + unlabelled ids, and one text of each: rows that share an id count once, with the smallest text
+    rows = docs.join(F.broadcast(chosen.select("doc_id")), "doc_id").groupBy("doc_id").agg(F.min(F.coalesce("text", F.lit(""))).alias("text"))
     flags = chosen.collect()
     got = rows.select("doc_id", "text").mapInArrow(kernel.tidy(_feature_rows), "doc_id long, x binary").toPandas()
     if not len(got):
         return None
-    got = got.assign(x=[bytes(v) for v in got["x"]]).sort_values(["doc_id", "x"]).drop_duplicates()  # any order of arrival gives one model
+    got = got.assign(x=[bytes(v) for v in got["x"]]).sort_values("doc_id")  # any order of arrival gives one model
     x = np.frombuffer(b"".join(got["x"]), dtype=np.float32).reshape(len(got), N_FEATURES).astype(np.float64)
     ids = got["doc_id"].to_numpy()
     p = x[np.isin(ids, [r["doc_id"] for r in flags if r["trusted"]])]

@@ -193,6 +193,13 @@ def test_packing_edges(spark):
     assert length_buckets.pack_documents(docs.filter("false")).isEmpty()
 
 
+def test_short_texts_fill_their_batches(spark):
+    docs = spark.createDataFrame([(i, "one") for i in range(9000)], "doc_id bigint, text string")
+    out = length_buckets.pack_documents(docs, token_budget=8000).toPandas()
+    full = out.groupby("batch").size() * out.bucket_length.iloc[0]
+    assert full.max() <= 8000 and (full >= 7900).sum() >= len(full) - len(out.batch.str.rsplit("-", n=1).str[0].unique())
+
+
 def test_token_counts_are_those_of_the_library(spark, data):
     from tokenizers import Tokenizer
 
@@ -291,6 +298,13 @@ def test_labels_of_the_held_out_third_are_not_used(spark, data):
     assert sorted(a) == sorted(quality_classifier.scored(docs.select("doc_id", "text"), flipped).select("doc_id", "score").collect())
 
 
+def test_one_text_of_an_id_is_learnt_from(spark, data):
+    docs, labels = spark.read.parquet(f"{data}/documents.parquet").select("doc_id", "text"), spark.read.parquet(f"{data}/labels.parquet")
+    once = quality_classifier.train(docs, labels)
+    again = quality_classifier.train(docs.union(docs).union(docs.filter("doc_id % 3 = 0")), labels)
+    assert (once.w1 == again.w1).all() and once.prior == again.prior
+
+
 def test_non_negative_risk_learns_from_positives_and_unlabelled():
     rng = np.random.default_rng(0)
     p = rng.normal(1.5, 1, (800, 5))
@@ -334,6 +348,8 @@ def test_conversation_edges(spark):
     df = spark.createDataFrame([(*r, 1) for r in rows], "conv_id bigint, turn bigint, role string, text string, turns int")
     out = {r["conv_id"]: r for r in chat_format.format_conversations(df).collect()}
     assert len(out) == 6
+    many = chat_format.format_conversations(spark.createDataFrame([(None, 0, "user", f"t{i}") for i in range(3)], "conv_id bigint, turn bigint, role string, text string"))
+    assert sorted(chat_format.parse(r["formatted"])[0][1] for r in many.collect()) == ["t0", "t1", "t2"]  # unknown conversations are not one
     assert chat_format.parse(out[1]["formatted"]) == [("user", "a"), ("assistant", "b")]
     assert chat_format.parse(out[2]["formatted"]) == [("assistant", "")] and not any(out[2]["loss_mask"])
     assert chat_format.parse(out[4]["formatted"]) == [("user", "t")] * 2
@@ -466,6 +482,29 @@ def test_links_against_brute_force(spark, size, percent, monkeypatch):
     assert sorted((tuple(r) for r in out.collect()), key=str) == _joined(docs, size, percent)
 
 
+def test_rows_without_an_id_are_bridges(spark):
+    a, b, c = ("w%d " * 20 % tuple(range(i, i + 20)) for i in (0, 1, 2))
+    for ids in ((3, None, 1), (None, None, 5), (-5, None, None), (2**62 + 9, None, 7), (None, None, None)):
+        docs = list(zip(ids, (a, b, c), strict=True)) + [(None, ""), (50, "other text")]
+        out = jaccard_join.jaccard_components(docs_of(spark, docs), size=1, percent=90)
+        assert sorted((tuple(r) for r in out.collect()), key=str) == _joined(docs, 1, 90), ids
+
+
+def test_every_link_is_counted(spark, monkeypatch):
+    monkeypatch.setattr(jaccard_join, "SMALL_TILE", 6)
+    monkeypatch.setattr(jaccard_join, "BLOCK", 8)
+    rng = random.Random(3)
+    base = [f"u{i}" for i in range(40)]
+    docs = [(i, " ".join(rng.choice([w, w, w, w, w, w, "x"]) if rng.random() < 0.2 else w for w in base)) for i in range(60)] + [(100, ""), (101, None), (102, "solo words here"), (103, "solo words here"), (None, "solo words here")]
+    sets = [set((t or "").split()) for _, t in docs]
+    linked = lambda x, y: bool(x and y) and 100 * len(x & y) >= 90 * len(x | y)
+    want = sorted(((d, sum(linked(s, o) for j, o in enumerate(sets) if j != i)) for i, ((d, _), s) in enumerate(zip(docs, sets, strict=True))), key=str)
+    links, members = jaccard_join.jaccard_links(docs_of(spark, docs), size=1, percent=90)
+    assert sorted(((r["doc_id"], r["n_links"]) for r in members.collect()), key=str) == want
+    of = {frozenset(s): min(d for (d, _), o in zip(docs, sets, strict=True) if o == s and d is not None) for s in sets if s}
+    assert {tuple(sorted(r)) for r in links.select("a", "b").collect()} == {tuple(sorted((of[x], of[y]))) for x, y in itertools.combinations(of, 2) if linked(x, y)}
+
+
 def test_repeated_ids_and_empty_tables(spark):
     rows = [(7, "a b c d e"), (7, "a b c d e"), (3, "a b c d e"), (9, None), (9, None)]
     out = sorted(tuple(r) for r in jaccard_join.jaccard_components(docs_of(spark, rows), size=4, percent=85).collect())
