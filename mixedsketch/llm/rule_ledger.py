@@ -3,11 +3,13 @@
 Every rule is evaluated once per document; the ledger keeps the measurements
 and one failure bit a rule.  A policy is a version and a set of rules, so
 applying one, comparing versions, or asking what a rule alone rejects are
-bitwise operations on the ledger and never touch a text again.
+bitwise operations on the ledger and never touch a text again.  The ledger of a
+table is written once for a version of the rules, and found again by both.
 """
 
 from __future__ import annotations
 
+import hashlib
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -17,7 +19,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import kernel
-from .workspace import ship
+from .workspace import Workspace, shared_folder, ship
 
 WINDOW = 8
 #: Characters that count as symbols.
@@ -142,6 +144,34 @@ def ledger(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> D
     return measured.withColumn("fail_bits", bits.cast("long"))
 
 
+def rules_version() -> str:
+    """Changes whenever a rule or a measurement does."""
+    return hashlib.sha256(repr((MEASURES, RULES, WINDOW, SYMBOLS)).encode()).hexdigest()[:16]
+
+
+def stored_ledger(spark: SparkSession, table: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """The ledger of a Parquet table, in the shared folder: read if these rules have judged these files before, else written.
+
+    Files are told by name, length and time of change.  A ledger appears under its
+    name only when it is complete; of two writers at once, the first one stays.
+    """
+    jvm = spark.sparkContext._jvm
+    at = jvm.org.apache.hadoop.fs.Path(table)
+    files = at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+    seen = sorted((s.getPath().toString(), s.getLen(), s.getModificationTime()) for s in files.listStatus(at))
+    name = hashlib.sha256(repr((seen, id_col, text_col)).encode()).hexdigest()[:24]
+    folder = jvm.org.apache.hadoop.fs.Path(f"{shared_folder(spark)}/ledgers/{name}-{rules_version()}")
+    store = folder.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+    if not store.exists(folder):
+        work = Workspace(spark, "ledger")
+        work.save(ledger(spark.read.parquet(table), id_col, text_col), "book")
+        store.mkdirs(folder.getParent())
+        if not store.exists(folder):
+            store.rename(jvm.org.apache.hadoop.fs.Path(work.path("book")), folder)
+        work.drop()
+    return spark.read.parquet(folder.toString())
+
+
 def apply_policy(book: DataFrame, policy: Policy) -> DataFrame:
     """The ledger with ``kept``: no bit of the policy is set."""
     return book.withColumn("kept", F.col("fail_bits").bitwiseAND(F.lit(policy.mask)) == 0)
@@ -168,14 +198,14 @@ def ablations(book: DataFrame, policies: list[Policy]) -> DataFrame:
 
 def op8_rule_ledger(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All ``documents`` under the strict policy."""
-    book = apply_policy(ledger(spark.read.parquet(f"{sf_dir}/documents.parquet")), STRICT)
+    book = apply_policy(stored_ledger(spark, f"{sf_dir}/documents.parquet"), STRICT)
     failed = F.col("fail_bits").bitwiseAND(F.lit(BASE.mask)) != 0
     return book.select("doc_id", *MEASURES[:5], failed.alias("base_failed"), "kept", "fail_bits", *MEASURES[5:])
 
 
 def op8_policy_ablations(spark: SparkSession, sf_dir: str) -> DataFrame:
     """What each rule of each policy does to ``documents``."""
-    return ablations(ledger(spark.read.parquet(f"{sf_dir}/documents.parquet")), [BASE, LENIENT, STRICT])
+    return ablations(stored_ledger(spark, f"{sf_dir}/documents.parquet"), [BASE, LENIENT, STRICT])
 
 
 _WORD = r"[^\x20\x09-\x0D]+"

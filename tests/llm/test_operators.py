@@ -555,6 +555,21 @@ def test_ledger_edges_and_ablations(spark):
     assert {r["n_kept"] for r in base} == {kept} and all(r["n_kept_without"] == r["n_kept"] + r["n_only"] for r in rows)
 
 
+def test_a_ledger_is_written_once_for_a_version(spark, tmp_path, monkeypatch):
+    table = str(tmp_path / "documents.parquet")
+    docs_of(spark, EDGES).write.parquet(table)
+    calls = []
+    plain = rule_ledger.ledger
+    monkeypatch.setattr(rule_ledger, "ledger", lambda *a: calls.append(1) or plain(*a))
+    first = sorted(map(str, rule_ledger.stored_ledger(spark, table).collect()))
+    assert first == sorted(map(str, rule_ledger.stored_ledger(spark, table).collect())) == sorted(map(str, plain(spark.read.parquet(table)).collect()))
+    assert len(calls) == 1
+    monkeypatch.setitem(rule_ledger.RULES, "few_words", "n_words < 3")
+    assert rule_ledger.stored_ledger(spark, table).filter("fail_bits & 1 = 1").count() == plain(spark.read.parquet(table)).filter("n_words < 3").count() and len(calls) == 2
+    docs_of(spark, EDGES[:3]).write.mode("append").parquet(table)
+    assert rule_ledger.stored_ledger(spark, table).count() == len(EDGES) + 3 and len(calls) == 3
+
+
 # ------------------------------------------------------------------ 9
 
 
