@@ -1,8 +1,9 @@
 """Key folding and the hash family, as column expressions and as numpy twins.
 
-A key is mixed first (md5, or xxhash64 in production) and folded below 2^31 - 1,
-then every hash is linear arithmetic that stays below 2^62, so Spark, DuckDB
-and numpy agree to the bit.
+Family ``md5``: a key is mixed and folded below 2^31 - 1, then every hash is
+linear arithmetic that stays below 2^62, so Spark, DuckDB and numpy agree to
+the bit.  Family ``xxhash64``, for domains beyond some 10^5 keys: a key is its
+64-bit hash, and rows, owners and signs are seeded 64-bit hashes of that.
 """
 
 from __future__ import annotations
@@ -17,15 +18,23 @@ from pyspark.sql import types as T
 from ..spec import PRIME, SketchSpec
 
 
+OWNER_SEED, SIGN_SEED = 1_000_003, 2_000_003
+
+
+def rekeyed(s, spec: SketchSpec):
+    """The stream with its keys in the form of the spec's hash family; it must carry the given keys in ``k``."""
+    return s.withColumn("key", canon_key(F.col("k"), spec.hash_family)) if spec.hash_family != "md5" else s
+
+
 def canon_key(col: Column, family: str = "md5") -> Column:
-    """Fold a key of any accepted type to a BIGINT below 2^31 - 1; null stays null.
+    """Fold a key of any accepted type to a BIGINT, below 2^31 - 1 for ``md5``; null stays null.
 
     Structs fold by their JSON form.  Doubles are refused where the type is
     known (``check_key_type``): equal values may print differently.
     """
     text = col.cast("string")
     if family == "xxhash64":
-        return F.when(text.isNotNull(), F.pmod(F.xxhash64(text), F.lit(PRIME)))
+        return F.when(text.isNotNull(), F.xxhash64(text))
     return F.pmod(F.conv(F.substring(F.md5(text), 1, 15), 16, 10).cast("bigint"), F.lit(PRIME))
 
 
@@ -38,15 +47,25 @@ def linear(x: Column, a: int, b: int, modulus: int) -> Column:
     return F.pmod(F.pmod(x * F.lit(a).cast("bigint") + F.lit(b).cast("bigint"), F.lit(PRIME).cast("bigint")), F.lit(modulus).cast("bigint"))
 
 
+def _seeded(x: Column, seed: int) -> Column:
+    return F.xxhash64(x, F.lit(seed).cast("bigint"))
+
+
 def row_hash(x: Column, spec: SketchSpec, j: int) -> Column:
+    if spec.hash_family == "xxhash64":
+        return F.pmod(_seeded(x, j), F.lit(spec.K).cast("bigint")).cast("int")
     return linear(x, *spec.row(j), spec.K).cast("int")
 
 
 def owner(x: Column, spec: SketchSpec) -> Column:
+    if spec.hash_family == "xxhash64":
+        return F.pmod(_seeded(x, OWNER_SEED), F.lit(spec.P).cast("bigint")).cast("int")
     return linear(x, *spec.owner, spec.P).cast("int")
 
 
 def sign(x: Column, spec: SketchSpec, j: int) -> Column:
+    if spec.hash_family == "xxhash64":
+        return F.when(_seeded(x, SIGN_SEED + j) < 0, F.lit(1)).otherwise(F.lit(-1)).cast("bigint")
     c = [F.lit(v).cast("bigint") for v in spec.sign(j)]
     acc = c[0]
     for v in c[1:]:
@@ -61,11 +80,35 @@ def fold(key) -> int:
 
 def row_hashes_np(x: np.ndarray, spec: SketchSpec) -> np.ndarray:
     """(len(x), H) columns."""
+    if spec.hash_family == "xxhash64":
+        return np.stack([xxhash64_np(x, j) % spec.K for j in range(spec.H)], axis=1)
     x = x.astype(np.int64)
     return np.stack([(a * x + b) % PRIME % spec.K for a, b in (spec.row(j) for j in range(spec.H))], axis=1)
 
 
+#: The primes of the published 64-bit hash.
+_X1, _X2, _X3, _X4, _X5 = (np.uint64(v) for v in (0x9E3779B185EBCA87, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x85EBCA77C2B2AE63, 0x27D4EB2F165667C5))
+
+
+def _xx_long(x: np.ndarray, seed) -> np.ndarray:
+    """The published hash of 8 bytes."""
+    turn = lambda v, r: (v << np.uint64(r)) | (v >> np.uint64(64 - r))
+    h = (seed + _X5 + np.uint64(8)) ^ (turn(x * _X2, 31) * _X1)
+    h = turn(h, 27) * _X1 + _X4
+    h = (h ^ (h >> np.uint64(33))) * _X2
+    h = (h ^ (h >> np.uint64(29))) * _X3
+    return h ^ (h >> np.uint64(32))
+
+
+def xxhash64_np(x: np.ndarray, seed: int) -> np.ndarray:
+    """What ``F.xxhash64(x, seed)`` gives for two BIGINTs: the first hash is the seed of the second."""
+    first = _xx_long(np.asarray(x, dtype=np.int64).view(np.uint64), np.full(len(x), 42, dtype=np.uint64))
+    return _xx_long(np.full(len(x), seed, dtype=np.uint64), first).view(np.int64)
+
+
 def owner_np(x: np.ndarray, spec: SketchSpec) -> np.ndarray:
+    if spec.hash_family == "xxhash64":
+        return xxhash64_np(x, OWNER_SEED) % spec.P
     a, b = spec.owner
     return (a * x.astype(np.int64) + b) % PRIME % spec.P
 

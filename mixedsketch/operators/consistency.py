@@ -25,14 +25,14 @@ def _at(history: DataFrame, points: DataFrame, by: str, value: str) -> DataFrame
     return both.withColumn(value, F.last(value, ignorenulls=True).over(order)).filter("asked = 1").select(by, F.col("bucket").alias("t"), F.coalesce(value, F.lit(0)).alias(value)).distinct()
 
 
-def ivl_f1(s: DataFrame, spec: SketchSpec, grain: int, every: int = 10) -> DataFrame:
+def ivl_f1(s: DataFrame, spec: SketchSpec, grain: int, every: int = 4) -> DataFrame:
     """(t_start, t_end, lo, val, hi, inside): the count read from one producer counter after another."""
     s = s.withColumn("part", buffers.producer(spec))
     history = prefix.f1_history(s, grain, ["part"]).select("part", "bucket", F.col("total").alias("v"))
     return _interval_table(_intervals(s, spec, grain, every), history, "bigint")
 
 
-def ivl_f2(s: DataFrame, spec: SketchSpec, grain: int, every: int = 10) -> DataFrame:
+def ivl_f2(s: DataFrame, spec: SketchSpec, grain: int, every: int = 4) -> DataFrame:
     """(t_start, t_end, lo, val, hi, inside): the partitioned estimate, parts read one after another."""
     asked = _intervals(s, spec, grain, every)
     times = asked.select(F.explode(F.array("t_start", "t", "t_end")).alias("bucket")).distinct()
@@ -76,13 +76,16 @@ QUERIES = ["point", "f1", "f2"]
 def monotone_matrix(s: DataFrame, spec: SketchSpec, grain: int) -> DataFrame:
     """(q1, q2, worst, bound, ok): the most updates that a query sees and the next one, right after it, does not.
 
+    Asked right after some row has entered its buffer, once a ``grain`` of rows
+    (the last such moment of each), when its producer has not counted it yet.
     The updates that q1 sees by T and q2 does not are those of t_q1 <= T less
     those of max(t_q1, t_q2) <= T, and such a maximum is one of the three times,
     so three histograms over the time points answer all nine pairs.
     """
     seen = visibility(s, spec).withColumn("part", owner(F.col("key"), spec))
     times = F.explode(F.array(*[F.struct(F.lit(q).alias("q"), F.col(f"t_{q}").alias("t")) for q in QUERIES])).alias("x")
-    hist = seen.select("part", times).select("part", "x.q", prefix.bucket(F.col("x.t"), 3 * grain).alias("bucket")).filter("bucket IS NOT NULL").groupBy("part", "q", "bucket").agg(F.count("*").alias("n"))
+    # the moments are the t_point of the last row of each grain, 3 * grain * i: the first one not before t is number ceil(t / (3 * grain))
+    hist = seen.select("part", times).select("part", "x.q", F.ceil(F.col("x.t") / F.lit(3 * grain)).cast("bigint").alias("bucket")).filter("bucket IS NOT NULL").groupBy("part", "q", "bucket").agg(F.count("*").alias("n"))
     bound = {("point", "f1"): spec.P, ("point", "f2"): spec.P * spec.B, ("f1", "f2"): spec.P * spec.P * spec.B}
     worst = None
     for local in (True, False):  # a point query sees one part, the others all of them
@@ -94,6 +97,4 @@ def monotone_matrix(s: DataFrame, spec: SketchSpec, grain: int) -> DataFrame:
         cells = F.explode(F.array(*[F.struct(F.lit(a).alias("q1"), F.lit(b).alias("q2"), d.cast("bigint").alias("d"), F.lit(r).cast("bigint").alias("bound")) for a, b, d, r in pairs])).alias("c")
         rows = run.select(cells).groupBy("c.q1", "c.q2", "c.bound").agg(F.max("c.d").alias("worst"))
         worst = rows if worst is None else worst.unionByName(rows)
-    # right after a row entered its buffer its producer's counter lags by that row
-    late = F.when((F.col("q1") == "point") & (F.col("q2") == "f1"), F.greatest("worst", F.lit(1))).otherwise(F.col("worst")).cast("bigint")
-    return worst.select("q1", "q2", late.alias("worst"), "bound", (late <= F.col("bound")).alias("ok"))
+    return worst.select("q1", "q2", F.col("worst").cast("bigint").alias("worst"), "bound", (F.col("worst") <= F.col("bound")).alias("ok"))

@@ -14,18 +14,29 @@ def freq(s: DataFrame) -> DataFrame:
     return s.groupBy("key").agg(F.sum("weight").alias("f"))
 
 
+def counts(s: DataFrame) -> DataFrame:
+    """(k, key, f): one row per distinct key as it was given, beside its folded form.
+
+    The truth is counted on these: two keys that fold to one value are one key
+    to a sketch, but not here.  Streams that carry folded keys alone count those.
+    """
+    if "k" not in s.columns:
+        return freq(s).select(F.col("key").cast("string").alias("k"), "key", "f")
+    return s.groupBy(F.col("k").cast("string").alias("k")).agg(F.first("key").alias("key"), F.sum("weight").alias("f"))
+
+
 def moment(s: DataFrame, n: int) -> DataFrame:
     """One row: F_n, the sum of f^n over distinct keys (n = 0 counts them); 0 for an empty stream."""
     power = F.lit(1).cast(BIG)
     for _ in range(n):
         power = (power * F.col("f").cast("decimal(19,0)")).cast(BIG)
-    return freq(s).agg(F.coalesce(F.sum(power), F.lit(0)).cast(BIG).alias(f"f{n}"))
+    return counts(s).agg(F.coalesce(F.sum(power), F.lit(0)).cast(BIG).alias(f"f{n}"))
 
 
 def moments(s: DataFrame) -> DataFrame:
     """One row: n, f0, f1, f2, max_f."""
     f = F.col("f").cast("decimal(19,0)")
-    return freq(s).agg(
+    return counts(s).agg(
         F.count("*").alias("f0"),
         F.coalesce(F.sum("f"), F.lit(0)).cast("bigint").alias("f1"),
         F.coalesce(F.sum((f * f).cast(BIG)), F.lit(0)).cast(BIG).alias("f2"),
@@ -40,7 +51,7 @@ def skew(s: DataFrame) -> DataFrame:
     there are distinct frequencies, so no task sorts all keys: the m keys of one
     frequency take the m ranks after those of higher frequencies.
     """
-    hist = freq(s).groupBy("f").agg(F.count("*").alias("m"))
+    hist = counts(s).groupBy("f").agg(F.count("*").alias("m"))
     above = F.coalesce(F.sum("m").over(Window.orderBy(F.desc("f")).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
     runs = hist.withColumn("a", above).select("f", F.col("a") + 1, F.explode(F.sequence(F.lit(0), F.col("m") - 1, F.lit(RUN))).alias("at"), (F.col("a") + F.col("m")).alias("last")).toDF("f", "first", "at", "last")
     pieces = runs.select("f", (F.col("first") + F.col("at")).alias("lo"), F.least(F.col("first") + F.col("at") + RUN - 1, F.col("last")).alias("hi")).repartition("lo")

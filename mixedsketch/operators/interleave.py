@@ -8,10 +8,9 @@ hand-over during the read costs one retry at most.
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.hashing import owner
 from ..spec import SketchSpec
 from . import buffers, cm, static_state
 
@@ -20,31 +19,47 @@ def _scan_time(spec: SketchSpec, t0: int, step: int, part="owner"):
     return (F.lit(t0) + F.col(part) * F.lit(step)).cast("bigint")
 
 
-def unsynced(s: DataFrame, spec: SketchSpec, t0: int, step: int, delta: int, order: str = "sketch_first") -> DataFrame:
-    """(part, t, n): rows of each part that the scan misses (``sketch_first``) or counts twice (``buffers_first``).
-
-    These are rows that had arrived when the scan of the part began and whose
-    buffer was handed over before its second look.
-    """
+def _looks(s: DataFrame, spec: SketchSpec, t0: int, step: int, delta: int, order: str) -> DataFrame:
+    """Rows with ``t`` and whether the look at the sketch and the look at the buffers find them."""
     if order not in ("sketch_first", "buffers_first"):
         raise ValueError(order)
     rows = buffers.chunks(s, spec).withColumn("t", _scan_time(spec, t0, step))
-    between = F.col("handed") & (F.col("flush_seq") > F.col("t")) & (F.col("flush_seq") <= F.col("t") + delta) & (F.col("seq") <= F.col("t"))
-    return rows.groupBy(F.col("owner").alias("part"), "t").agg(F.sum(F.coalesce(between, F.lit(False)).cast("bigint")).alias("n"))
+    sketch_at, buffer_at = (F.col("t"), F.col("t") + delta) if order == "sketch_first" else (F.col("t") + delta, F.col("t"))
+    flush = F.coalesce("flush_seq", F.lit(1 << 62))
+    return rows.withColumn("in_sketch", (flush <= sketch_at).cast("bigint")).withColumn("in_buffer", ((F.col("seq") <= buffer_at) & (flush > buffer_at)).cast("bigint"))
+
+
+def unsynced(s: DataFrame, spec: SketchSpec, t0: int, step: int, delta: int, order: str = "sketch_first") -> DataFrame:
+    """(part, t, arrived, in_sketch, in_buffer, missed, doubled): what the two looks of a scan find of each part.
+
+    ``arrived`` rows were there when the scan of the part began.  Those that
+    neither look finds are missed; rows that both find are counted twice.
+    """
+    rows = _looks(s, spec, t0, step, delta, order)
+    here = (F.col("seq") <= F.col("t")).cast("bigint")
+    missed = here * (1 - F.greatest("in_sketch", "in_buffer"))
+    total = lambda c: F.sum(c).cast("bigint")
+    return rows.groupBy(F.col("owner").alias("part"), "t").agg(total(here).alias("arrived"), total("in_sketch").alias("in_sketch"), total("in_buffer").alias("in_buffer"), total(missed).alias("missed"), total(F.col("in_sketch") * F.col("in_buffer")).alias("doubled"))
+
+
+def _slots_of(f: DataFrame, spec: SketchSpec) -> tuple[DataFrame, DataFrame]:
+    """(heavy, light) rows of f(part, key, f, ...): the C heaviest keys of each part at that moment, and the rest."""
+    heavy = f.filter("f > 0").withColumn("rank", F.row_number().over(Window.partitionBy("part").orderBy(F.desc("f"), "key"))).filter(F.col("rank") <= spec.C).drop("rank")
+    return heavy, f.join(F.broadcast(heavy.select("key")), "key", "left_anti")  # at most P * C keys
 
 
 def unsynced_f2(s: DataFrame, spec: SketchSpec, t0: int, step: int, delta: int, order: str = "sketch_first") -> DataFrame:
-    """(part, f2): what the uncoordinated query returns, with static slots: matrix and slots at one moment, buffers at another."""
-    rows = buffers.chunks(s, spec).withColumn("t", _scan_time(spec, t0, step))
-    sketch_at, buffer_at = (F.col("t"), F.col("t") + delta) if order == "sketch_first" else (F.col("t") + delta, F.col("t"))
-    flush = F.coalesce("flush_seq", F.lit((1 << 62)))
-    rows = rows.withColumn("in_sketch", (flush <= sketch_at).cast("bigint")).withColumn("in_buffer", ((F.col("seq") <= buffer_at) & (flush > buffer_at)).cast("bigint"))
-    f = rows.groupBy("key").agg(F.sum("in_sketch").alias("f"), F.sum("in_buffer").alias("buf"))
-    final = static_state.build(s, spec).slots.select("key", F.lit(True).alias("heavy"))
-    f = f.join(F.broadcast(final), "key", "left")
-    light = cm.f2_plus(cm.from_frequencies(f.filter("heavy IS NULL AND f > 0").select("key", "f"), spec, "parts"))
-    heavy = f.filter("heavy").groupBy(owner(F.col("key"), spec).alias("part")).agg(F.sum(cm.square(F.col("f") + F.col("buf"))).alias("h"))
-    return light.join(heavy, "part", "full").select("part", (F.coalesce("f2", F.lit(0)) + F.coalesce("h", F.lit(0))).cast(cm.BIG).alias("f2"))
+    """(part, f2): what the uncoordinated query returns: matrix and slots at one moment, the buffers of the slots' keys at another.
+
+    Slots are those of the look at the sketch: the keys heaviest by what had been handed over.
+    """
+    rows = _looks(s, spec, t0, step, delta, order)
+    f = rows.groupBy(F.col("owner").alias("part"), "key").agg(F.sum("in_sketch").alias("f"), F.sum("in_buffer").alias("buf"))
+    heavy, rest = _slots_of(f, spec)
+    light = cm.f2_plus(cm.from_frequencies(rest.filter("f > 0").select("key", "f"), spec, "parts"))
+    heavy = heavy.groupBy("part").agg(F.sum(cm.square(F.col("f") + F.col("buf"))).alias("h"))
+    parts = s.sparkSession.range(spec.P).select(F.col("id").cast("int").alias("part"))
+    return parts.join(light, "part", "left").join(heavy, "part", "left").select("part", (F.coalesce("f2", F.lit(0)) + F.coalesce("h", F.lit(0))).cast(cm.BIG).alias("f2"))
 
 
 def versioned(s: DataFrame, spec: SketchSpec, t0: int, step: int, width: int = 0) -> DataFrame:
@@ -61,13 +76,12 @@ def versioned(s: DataFrame, spec: SketchSpec, t0: int, step: int, width: int = 0
     at = F.coalesce("again", "t")
     rows = rows.join(F.broadcast(first), "owner", "left").withColumn("seen_at", at)
     seen = rows.filter(flush <= F.col("seen_at"))
-    slots = static_state.build(s, spec).slots.select("key", F.lit(True).alias("heavy"))
-    seen = seen.join(F.broadcast(slots), "key", "left")
-    f = seen.groupBy("key", "heavy").agg(F.count("*").alias("f"))
-    light = cm.f2_plus(cm.from_frequencies(f.filter("heavy IS NULL").select("key", "f"), spec, "parts"))
-    flushes = seen.filter("heavy").groupBy(F.col("owner").alias("part"), "key", "producer", "flush_seq").agg(F.count("*").alias("v"))
+    f = seen.groupBy(F.col("owner").alias("part"), "key").agg(F.count("*").alias("f"))
+    top, rest = _slots_of(f, spec)  # the slots of that moment
+    light = cm.f2_plus(cm.from_frequencies(rest.select("key", "f"), spec, "parts"))
+    flushes = seen.join(F.broadcast(top.select("key")), "key", "left_semi").groupBy(F.col("owner").alias("part"), "key", "producer", "flush_seq").agg(F.count("*").alias("v"))
     avg = static_state.ewma(flushes, spec.w)
-    heavy = f.filter("heavy").join(avg, "key").groupBy("part").agg(F.sum(F.pow(F.col("f") + F.lit(spec.P / 2) * F.col("avg"), F.lit(2))).alias("h"))
+    heavy = top.join(avg, ["part", "key"]).groupBy("part").agg(F.sum(F.pow(F.col("f") + F.lit(spec.P / 2) * F.col("avg"), F.lit(2))).alias("h"))
     parts = s.sparkSession.range(spec.P).select(F.col("id").cast("int").alias("part")).withColumn("t", _scan_time(spec, t0, step, "part"))
     version = ends.join(F.broadcast(first), "owner", "left").filter(F.col("flush_seq") <= F.coalesce("again", "t")).groupBy(F.col("owner").alias("part")).agg(F.count("*").alias("v_end"))
     out = parts.join(version, "part", "left").join(first.withColumnRenamed("owner", "part"), "part", "left").join(light, "part", "left").join(heavy, "part", "left")

@@ -23,10 +23,20 @@ def point_error(est: DataFrame, truth: DataFrame, heavy_from: int) -> DataFrame:
     return both.groupBy(kind.alias("kind")).agg(F.count("*").alias("n"), F.avg(e.cast("double")).alias("avg_error"), F.max(e).cast("bigint").alias("max_error"), F.avg((e == 0).cast("double")).alias("exact_share"))
 
 
-def memory_bytes(spec: SketchSpec, layout: str) -> tuple[int, int]:
-    """(a part, all parts) in bytes with the columns that fit the budget; ``separate`` is a matrix and a 6 x 8192 signed sketch."""
-    if layout == "separate":
-        part = COUNTER_BYTES * (spec.H * spec.K) + 6 * 8192 * 8 - COUNTER_BYTES * spec.H * spec.K
+#: One worker's sketches where every query type has its own, in the published comparison: matrix and signed sketch.
+SEPARATE = SketchSpec(H=6, K=8192)
+HLL_BYTES = 4096  # 2^12 registers
+
+
+def separate_bytes(matrix: SketchSpec, signed: SketchSpec, distinct: bool = False) -> int:
+    """Bytes of one worker's set of sketches."""
+    return COUNTER_BYTES * (matrix.H * matrix.K + signed.H * signed.K) + (HLL_BYTES if distinct else 0)
+
+
+def memory_bytes(spec: SketchSpec, layout: str, matrix: SketchSpec = SEPARATE, signed: SketchSpec = SEPARATE) -> tuple[int, int]:
+    """(a part, all parts) in bytes with the columns that fit the budget; ``separate`` is a set of sketches of their own sizes a worker."""
+    if layout.startswith("separate"):
+        part = separate_bytes(matrix, signed, layout == "separate_f0")
         return part, part * spec.P
     k = fit_width(spec, layout)
     part = COUNTER_BYTES * spec.H * k
@@ -43,7 +53,7 @@ def reads(spec: SketchSpec, method: str) -> int:
 
 def memory_report(spark: SparkSession, spec: SketchSpec, parts: list[int]) -> DataFrame:
     """(P, layout, k, part_bytes, total_bytes)."""
-    rows = [(p, layout, fit_width(spec.but(P=p), layout) if layout != "separate" else spec.K, *memory_bytes(spec.but(P=p), layout)) for p in parts for layout in ("plain", "slots", "composite", "separate")]
+    rows = [(p, layout, SEPARATE.K if layout.startswith("separate") else fit_width(spec.but(P=p), layout), *memory_bytes(spec.but(P=p), layout)) for p in parts for layout in ("plain", "slots", "composite", "separate", "separate_f0")]
     return spark.createDataFrame(rows, "P int, layout string, k int, part_bytes bigint, total_bytes bigint")
 
 
@@ -56,7 +66,8 @@ def reads_report(spark: SparkSession, spec: SketchSpec, parts: list[int]) -> Dat
 def grouped_report(s: DataFrame, spec: SketchSpec, by: list[str]) -> DataFrame:
     """(by, method, f2, exact) of single, wide and partitioned matrices for every group of a labelled stream, in one pass."""
     f = s.groupBy(*by, "key").agg(F.sum("weight").alias("f"))
-    truth = f.groupBy(*by).agg(F.sum(cm.square(F.col("f"))).cast(cm.BIG).alias("exact"))
+    given = s.groupBy(*by, "k").agg(F.sum("weight").alias("f")) if "k" in s.columns else f
+    truth = given.groupBy(*by).agg(F.sum(cm.square(F.col("f"))).cast(cm.BIG).alias("exact"))
     out = None
     for name, layout in (("single", "single"), ("wide", "wide"), ("part_cm", "parts")):
         one = cm.f2_plus(cm.from_frequencies(f, spec, layout, by), by).groupBy(*by).agg(F.sum("f2").cast(cm.BIG).alias("f2")).select(*by, F.lit(name).alias("method"), "f2")

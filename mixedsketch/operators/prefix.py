@@ -56,6 +56,8 @@ def f2_history(s: DataFrame, spec: SketchSpec, grain: int, points: DataFrame) ->
     c, v = F.col("c").cast("decimal(18,0)"), F.col("v").cast("decimal(18,0)")
     delta = inc.withColumn("c", before).select("part", "bucket", "row", (2 * c * v + v * v).cast(cm.BIG).alias("d"))
     rows = delta.groupBy("part", "bucket", "row").agg(F.sum("d").cast(cm.BIG).alias("d"))
-    grid = F.broadcast(points.select(F.col("bucket").alias("at")).distinct())  # the asked time points
-    sums = rows.join(grid, F.col("bucket") <= F.col("at")).groupBy("part", "row", F.col("at").alias("bucket")).agg(F.sum("d").cast(cm.BIG).alias("sq"))
+    lanes = s.sparkSession.range(spec.P * spec.H).select(F.floor(F.col("id") / spec.H).cast("int").alias("part"), F.pmod("id", F.lit(spec.H)).cast("int").alias("row"))
+    grid = points.select("bucket").distinct().crossJoin(F.broadcast(lanes)).select("part", "bucket", "row", F.lit(0).cast(cm.BIG).alias("d"), F.lit(1).alias("asked"))  # P * H rows a time point
+    run = rows.withColumn("asked", F.lit(0)).unionByName(grid).withColumn("sq", F.sum("d").over(Window.partitionBy("part", "row").orderBy("bucket", "asked").rowsBetween(Window.unboundedPreceding, 0)))
+    sums = run.filter("asked = 1").select("part", "row", "bucket", F.col("sq").cast(cm.BIG).alias("sq"))
     return sums.groupBy("part", "bucket").agg(F.min("sq").alias("f2"))

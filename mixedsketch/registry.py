@@ -48,8 +48,9 @@ H, K, P, C, B = T.H, T.K, T.P, T.C, T.B
 
 
 def _freq(stream: str, z: float = 1.5) -> str:
-    """WITH s(seq, x, weight), f(x, f, part)."""
-    return f"""s AS (SELECT seq, {sql_fold("k")} AS x, weight FROM ({sql_stream(stream, z)})),
+    """WITH s(seq, k, x, weight), raw(k, x, f) of keys as given, f(x, f, part) of folded ones."""
+    return f"""s AS (SELECT seq, k, {sql_fold("k")} AS x, weight FROM ({sql_stream(stream, z)})),
+raw AS (SELECT k, any_value(x) AS x, CAST(sum(weight) AS BIGINT) AS f FROM s GROUP BY k),
 f AS (SELECT x, CAST(sum(weight) AS BIGINT) AS f, {sql_owner("x", T)} AS part FROM s GROUP BY x)"""
 
 
@@ -69,7 +70,7 @@ def _median(cells: str) -> str:
 
 _MINUS = f"""(SELECT (list_sort(list(sq))[{(H + 1) // 2}] + list_sort(list(sq))[{H // 2 + 1}]) // 2 FROM (SELECT row, sum(d * d) AS sq FROM
   (SELECT row, col // 2 AS pair, sum(CASE WHEN col % 2 = 0 THEN cnt ELSE -cnt END) AS d FROM c1 GROUP BY ALL) GROUP BY row))"""
-_EXACT2 = "(SELECT CAST(sum(f * f) AS BIGINT) FROM f)"
+_EXACT2 = "(SELECT CAST(sum(f * f) AS BIGINT) FROM raw)"
 
 
 def _signed(source: str = "f") -> str:
@@ -84,15 +85,15 @@ light AS (SELECT * FROM f WHERE x NOT IN (SELECT x FROM h))"""
 # ------------------------------------------------------------------ exact
 
 
-@register("exact_freq", f"WITH {_freq('S3')} SELECT x AS key, f FROM f")
+@register("exact_freq", f"SELECT k AS key, CAST(sum(weight) AS BIGINT) AS f FROM ({sql_stream('S3')}) GROUP BY k")
 def exact_freq(spark, d):
-    return exact.freq(STREAMS["S3"](spark, d)).select("key", F.col("f").cast("bigint").alias("f"))
+    return exact.counts(STREAMS["S3"](spark, d)).select(F.col("k").alias("key"), F.col("f").cast("bigint").alias("f"))
 
 
 @register(
     "exact_moments",
     " UNION ALL ".join(
-        f"SELECT * FROM (WITH {_freq(n)} SELECT '{n}' AS stream, count(*) AS f0, CAST(sum(f) AS BIGINT) AS f1, CAST(sum(f * f) AS BIGINT) AS f2, CAST(sum(f * f * f) AS BIGINT) AS f3, max(f) AS max_f FROM f)"
+        f"SELECT * FROM (WITH {_freq(n)} SELECT '{n}' AS stream, count(*) AS f0, CAST(sum(f) AS BIGINT) AS f1, CAST(sum(f * f) AS BIGINT) AS f2, CAST(sum(f * f * f) AS BIGINT) AS f3, max(f) AS max_f FROM raw)"
         for n in ("S1", "S2", "S3", "S4", "S5", "S6", "S7", "S8", "S9", "S10", "S11", "S12")
     ),
 )
@@ -100,7 +101,7 @@ def exact_moments(spark, d):
     out = None
     for n in ("S1", "S2", "S3", "S4", "S5", "S6", "S7", "S8", "S9", "S10", "S11", "S12"):
         s = STREAMS[n](spark, d)
-        f = exact.freq(s)
+        f = exact.counts(s)
         cube = F.col("f").cast("decimal(12,0)") * F.col("f").cast("decimal(12,0)") * F.col("f").cast("decimal(12,0)")
         row = f.agg(F.count("*").alias("f0"), F.sum("f").cast("bigint").alias("f1"), F.sum(cm.square(F.col("f"))).cast("bigint").alias("f2"), F.sum(cube).cast("bigint").alias("f3"), F.max("f").cast("bigint").alias("max_f")).select(F.lit(n).alias("stream"), "*")
         out = row if out is None else out.unionByName(row)
@@ -110,7 +111,7 @@ def exact_moments(spark, d):
 @register(
     "skew_fit",
     " UNION ALL ".join(
-        f"SELECT * FROM (WITH {_freq(n)}, r AS (SELECT ln(f) AS y, ln(row_number() OVER (ORDER BY f DESC)) AS lr FROM f) SELECT '{n}' AS stream, round(-regr_slope(y, lr), 6) AS z FROM r)" for n in ("S1", "S7", "S8")
+        f"SELECT * FROM (WITH {_freq(n)}, r AS (SELECT ln(f) AS y, ln(row_number() OVER (ORDER BY f DESC)) AS lr FROM raw) SELECT '{n}' AS stream, round(-regr_slope(y, lr), 6) AS z FROM r)" for n in ("S1", "S7", "S8")
     ),
 )
 def skew_fit(spark, d):
@@ -152,18 +153,23 @@ def _estimates(cells: str, part: str = "0") -> str:
     return f"SELECT a.x, min(coalesce(c.cnt, 0)) AS est FROM ({rows}) a LEFT JOIN {cells} c ON a.part = c.part AND a.row = c.row AND a.col = c.col GROUP BY a.x"
 
 
-@register("cm_point", f"WITH {_freq('S3')}, {_ASKED}, c1 AS ({_SINGLE}), e AS ({_estimates('c1')}) SELECT e.x AS key, CAST(est AS BIGINT) AS est, coalesce(f, 0) AS exact FROM e LEFT JOIN f USING (x)")
+def _beside_truth(est: DataFrame, s: DataFrame) -> DataFrame:
+    """(key, est, exact) per key as it was given; absent ones by their folded form."""
+    return est.join(exact.counts(s), "key", "left").select(F.coalesce("k", F.col("key").cast("string")).alias("key"), "est", F.coalesce("f", F.lit(0)).cast("bigint").alias("exact"))
+
+
+@register("cm_point", f"WITH {_freq('S3')}, {_ASKED}, c1 AS ({_SINGLE}), e AS ({_estimates('c1')}) SELECT coalesce(k, CAST(e.x AS VARCHAR)) AS key, CAST(est AS BIGINT) AS est, coalesce(f, 0) AS exact FROM e LEFT JOIN raw USING (x)")
 def cm_point(spark, d):
     s = STREAMS["S3"](spark, d)
     est = cm.point(cm.build(s, T), _asked(spark, d), T)
-    return est.join(exact.freq(s), "key", "left").select("key", "est", F.coalesce("f", F.lit(0)).cast("bigint").alias("exact"))
+    return _beside_truth(est, s)
 
 
 @register("cm_point_all", SQL["cm_point"].replace(_ASKED, _ASKED_ALL))
 def cm_point_all(spark, d):
     s = STREAMS["S3"](spark, d)
     est = cm.point(cm.build(s, T), _asked_all(spark, d), T)
-    return est.join(exact.freq(s), "key", "left").select("key", "est", F.coalesce("f", F.lit(0)).cast("bigint").alias("exact"))
+    return _beside_truth(est, s)
 
 
 @register("cm_f1", f"WITH {_freq('S4')}, c1 AS ({_SINGLE}) SELECT row, CAST(sum(cnt) AS BIGINT) AS f1 FROM c1 GROUP BY row")
@@ -200,12 +206,12 @@ def cm_merge(spark, d):
 
 @register(
     "cm_inner",
-    f"""WITH {_freq('S1')}, c1 AS ({_SINGLE}), g AS (SELECT {sql_fold('k')} AS x, sum(weight) AS f FROM ({sql_stream('S6')}) GROUP BY ALL), c2 AS ({_cells('g', '0')})
-    SELECT CAST(min(v) AS BIGINT) AS est, (SELECT CAST(sum(f.f * g.f) AS BIGINT) FROM f JOIN g USING (x)) AS exact FROM (SELECT c1.row, sum(c1.cnt * c2.cnt) AS v FROM c1 JOIN c2 USING (row, col) GROUP BY c1.row)""",
+    f"""WITH {_freq('S1')}, c1 AS ({_SINGLE}), g AS (SELECT k, {sql_fold('k')} AS x, sum(weight) AS f FROM ({sql_stream('S6')}) GROUP BY ALL), c2 AS ({_cells('g', '0')})
+    SELECT CAST(min(v) AS BIGINT) AS est, (SELECT CAST(sum(raw.f * g.f) AS BIGINT) FROM raw JOIN g USING (k)) AS exact FROM (SELECT c1.row, sum(c1.cnt * c2.cnt) AS v FROM c1 JOIN c2 USING (row, col) GROUP BY c1.row)""",
 )
 def cm_inner(spark, d):
     a, b = STREAMS["S1"](spark, d), STREAMS["S6"](spark, d)
-    truth = exact.freq(a).join(exact.freq(b).withColumnRenamed("f", "g"), "key").agg(F.sum(F.col("f") * F.col("g")).cast("bigint").alias("exact"))
+    truth = exact.counts(a).drop("key").join(exact.counts(b).drop("key").withColumnRenamed("f", "g"), "k").agg(F.sum(F.col("f") * F.col("g")).cast("bigint").alias("exact"))
     return _long(cm.inner(cm.build(a, T), cm.build(b, T)).crossJoin(truth), "est")
 
 
@@ -224,7 +230,7 @@ def ams_f2(spark, d):
 @register(
     "f2_auto",
     " UNION ALL ".join(
-        f"""SELECT * FROM (WITH {_freq(n, z)}, c1 AS ({_SINGLE}), z AS (SELECT -regr_slope(ln(f), lr) AS z FROM (SELECT f, ln(row_number() OVER (ORDER BY f DESC)) AS lr FROM f))
+        f"""SELECT * FROM (WITH {_freq(n, z)}, c1 AS ({_SINGLE}), z AS (SELECT -regr_slope(ln(f), lr) AS z FROM (SELECT f, ln(row_number() OVER (ORDER BY f DESC)) AS lr FROM raw))
       SELECT '{n}' AS stream, CASE WHEN z > 1 THEN 'plus' ELSE 'minus' END AS kind, CAST(CASE WHEN z > 1 THEN {_plus('c1')} ELSE {_MINUS} END AS BIGINT) AS f2, {_EXACT2} AS exact FROM z)"""
         for n, z in (("S3", 0), ("S8", 2))
     ),
@@ -304,7 +310,7 @@ def w9_weighted(spark, d):
 
 # ------------------------------------------------------------------ buffers and the composite, static slots
 
-_CHUNKS = f"""s AS (SELECT seq, {sql_fold("k")} AS x FROM ({sql_stream('S1')})),
+_CHUNKS = f"""s AS (SELECT seq, k, {sql_fold("k")} AS x FROM ({sql_stream('S1')})),
 o AS (SELECT seq, x, CAST(seq % {P} AS INT) AS producer, {sql_owner("x", T)} AS owner FROM s),
 r AS (SELECT *, row_number() OVER (PARTITION BY producer, owner ORDER BY seq, x) AS rank, count(*) OVER (PARTITION BY producer, owner) AS n FROM o),
 k AS (SELECT seq, x, producer, owner, (rank - 1) // {B} AS chunk, ((rank - 1) // {B} + 1) * {B} <= n AS handed,
@@ -346,10 +352,10 @@ def buffer_bound(spark, d):
     return buffers.buffered(buffers.chunks(STREAMS["S1"](spark, d), T), T)
 
 
-@register("composite_point", f"WITH {_STATE}, f AS (SELECT DISTINCT x FROM s), q AS (SELECT x FROM f), e AS ({_estimates('c', sql_owner('x', T))}) SELECT e.x AS key, CAST(coalesce(h.f, est) + coalesce(buf, 0) AS BIGINT) AS est, (SELECT count(*) FROM s WHERE s.x = e.x) AS exact FROM e LEFT JOIN h USING (x) LEFT JOIN buf USING (x)")
+@register("composite_point", f"WITH {_STATE}, raw AS (SELECT k, any_value(x) AS x, count(*) AS n FROM s GROUP BY k), q AS (SELECT DISTINCT x FROM raw), e AS ({_estimates('c', sql_owner('x', T))}) SELECT k AS key, CAST(coalesce(h.f, est) + coalesce(buf, 0) AS BIGINT) AS est, n AS exact FROM raw JOIN e USING (x) LEFT JOIN h USING (x) LEFT JOIN buf USING (x)")
 def composite_point(spark, d):
     s = STREAMS["S1"](spark, d)
-    return static_state.point(_state(spark, d), s.select("key")).join(exact.freq(s).select("key", F.col("f").cast("bigint").alias("exact")), "key")
+    return _beside_truth(static_state.point(_state(spark, d), s.select("key")), s)
 
 
 @register("f1_counters", "SELECT count(*) AS f1 FROM events WHERE user_id IS NOT NULL")
@@ -358,7 +364,7 @@ def f1_counters(spark, d):
 
 
 def _f2_of(name: str, fn, heavy: str):
-    @register(name, f"WITH {_STATE} SELECT CAST({_plus('c')} + (SELECT sum({heavy}) FROM hs) AS BIGINT) AS f2, (SELECT CAST(sum(n * n) AS BIGINT) FROM (SELECT count(*) AS n FROM s GROUP BY x)) AS exact")
+    @register(name, f"WITH {_STATE} SELECT CAST({_plus('c')} + (SELECT sum({heavy}) FROM hs) AS BIGINT) AS f2, (SELECT CAST(sum(n * n) AS BIGINT) FROM (SELECT count(*) AS n FROM s GROUP BY k)) AS exact")
     def run(spark, d):
         truth = exact.moments(STREAMS["S1"](spark, d)).select(F.col("f2").alias("exact"))
         return _long(fn(_state(spark, d)).crossJoin(truth), "f2", "exact")
@@ -427,16 +433,23 @@ def _each_scan(s: DataFrame, run) -> DataFrame:
     return out
 
 
-def _unsynced_sql(t0, step, delta, width=None) -> str:
-    return f"WITH {_CHUNKS} SELECT CAST(owner AS INT) AS part, CAST({t0} + owner * {step} AS BIGINT) AS t, count(*) FILTER (WHERE handed AND flush_seq > {t0} + owner * {step} AND flush_seq <= {t0} + owner * {step} + {delta} AND seq <= {t0} + owner * {step}) AS n FROM k GROUP BY owner"
+def _unsynced_sql(order: str):
+    def sql(t0, step, delta, width=None) -> str:
+        looks = ("t", f"t + {delta}") if order == "sketch_first" else (f"t + {delta}", "t")
+        return f"""WITH {_CHUNKS}, w AS (SELECT owner, seq, coalesce(flush_seq, {1 << 62}) AS gone, {t0} + owner * {step} AS t FROM k),
+        l AS (SELECT owner, t, seq <= t AS here, gone <= {looks[0]} AS a, seq <= {looks[1]} AND gone > {looks[1]} AS b FROM w)
+        SELECT CAST(owner AS INT) AS part, CAST(t AS BIGINT) AS t, count(*) FILTER (WHERE here) AS arrived, count(*) FILTER (WHERE a) AS in_sketch, count(*) FILTER (WHERE b) AS in_buffer,
+          count(*) FILTER (WHERE here AND NOT a AND NOT b) AS missed, count(*) FILTER (WHERE a AND b) AS doubled FROM l GROUP BY owner, t"""
+
+    return sql
 
 
 def _unsynced(name: str, order: str):
-    @register(name, _unsynced_sql(T0, STEP, DELTA))
+    @register(name, _unsynced_sql(order)(T0, STEP, DELTA))
     def run(spark, d):
         return interleave.unsynced(STREAMS["S1"](spark, d), T, T0, STEP, DELTA, order)
 
-    @register(f"{name}_whole", _every_scan(_unsynced_sql))
+    @register(f"{name}_whole", _every_scan(_unsynced_sql(order)))
     def whole(spark, d):
         s = STREAMS["S1"](spark, d)
         return _each_scan(s, lambda t0, step, delta, _: interleave.unsynced(s, T, t0, step, delta, order))
@@ -448,11 +461,12 @@ _unsynced("unsynced_double", "buffers_first")
 
 def _unsynced_f2_sql(t0, step, delta, width=None) -> str:
     return " UNION ALL ".join(
-        f"""SELECT * FROM (WITH {_STATE}, a AS (SELECT x, owner AS part, count(*) FILTER (WHERE coalesce(flush_seq, {1 << 62}) <= {t0} + owner * {step} + {ds}) AS f,
+        f"""SELECT * FROM (WITH {_CHUNKS}, a AS (SELECT x, owner AS part, count(*) FILTER (WHERE coalesce(flush_seq, {1 << 62}) <= {t0} + owner * {step} + {ds}) AS f,
       count(*) FILTER (WHERE seq <= {t0} + owner * {step} + {db} AND coalesce(flush_seq, {1 << 62}) > {t0} + owner * {step} + {db}) AS b FROM k GROUP BY ALL),
+      h AS (SELECT x FROM a WHERE f > 0 QUALIFY row_number() OVER (PARTITION BY part ORDER BY f DESC, x) <= {C}),
       lt AS (SELECT x, part, f FROM a WHERE x NOT IN (SELECT x FROM h) AND f > 0), cl AS ({_cells('lt', 'part')}),
       lp AS (SELECT part, min(sq) AS v FROM (SELECT part, row, sum(cnt * cnt) AS sq FROM cl GROUP BY ALL) GROUP BY part), hp AS (SELECT part, sum((f + b) * (f + b)) AS w FROM a WHERE x IN (SELECT x FROM h) GROUP BY part)
-      SELECT '{o}' AS read_order, CAST(part AS INT) AS part, CAST(coalesce(v, 0) + coalesce(w, 0) AS BIGINT) AS f2 FROM lp FULL JOIN hp USING (part))"""
+      SELECT '{o}' AS read_order, CAST(part AS INT) AS part, CAST(coalesce(v, 0) + coalesce(w, 0) AS BIGINT) AS f2 FROM (SELECT range AS part FROM range({P})) LEFT JOIN lp USING (part) LEFT JOIN hp USING (part))"""
         for o, ds, db in (("sketch_first", 0, delta), ("buffers_first", delta, 0))
     )
 
@@ -477,11 +491,12 @@ WIDTH = 40
 
 
 def _versioned_sql(t0, step, delta, width) -> str:
-    return f"""WITH {_STATE}, e AS (SELECT DISTINCT owner AS part, producer, flush_seq, {t0} + owner * {step} AS t FROM k WHERE handed),
+    return f"""WITH {_CHUNKS}, e AS (SELECT DISTINCT owner AS part, producer, flush_seq, {t0} + owner * {step} AS t FROM k WHERE handed),
 ag AS (SELECT part, min(flush_seq) AS again FROM e WHERE flush_seq > t AND flush_seq <= t + {width} GROUP BY part),
 pt AS (SELECT range AS part, {t0} + range * {step} AS t, again FROM range({P}) LEFT JOIN ag ON part = range),
 sn AS (SELECT k.*, pt.part FROM k JOIN pt ON k.owner = pt.part WHERE flush_seq <= coalesce(again, t)),
-vf AS (SELECT x, part, count(*) AS f FROM sn GROUP BY ALL), vl AS (SELECT * FROM vf WHERE x NOT IN (SELECT x FROM h)), cv AS ({_cells('vl', 'part')}),
+vf AS (SELECT x, part, count(*) AS f FROM sn GROUP BY ALL),
+h AS (SELECT x FROM vf QUALIFY row_number() OVER (PARTITION BY part ORDER BY f DESC, x) <= {C}), vl AS (SELECT * FROM vf WHERE x NOT IN (SELECT x FROM h)), cv AS ({_cells('vl', 'part')}),
 lp AS (SELECT part, min(sq) AS v FROM (SELECT part, row, sum(cnt * cnt) AS sq FROM cv GROUP BY ALL) GROUP BY part),
 va AS (SELECT x, list_reduce(list(n::DOUBLE ORDER BY flush_seq, producer), lambda a, v: {T.w} * v + (1 - {T.w}) * a) AS avg FROM (SELECT x, flush_seq, producer, count(*) AS n FROM sn WHERE x IN (SELECT x FROM h) GROUP BY ALL) GROUP BY x),
 hp AS (SELECT part, sum((f + {P / 2} * avg) ** 2) AS w FROM vf JOIN va USING (x) GROUP BY part),
@@ -502,7 +517,7 @@ def versioned_f2_whole(spark, d):
 
 
 def _concurrent_sql(t0, step, delta=None, width=None) -> str:
-    seen = f"f AS (SELECT x, CAST(count(*) AS BIGINT) AS f, {sql_owner('x', T)} AS part FROM (SELECT seq, {sql_fold('k')} AS x FROM ({sql_stream('S1')})) WHERE seq <= {t0} + {sql_owner('x', T)} * {step} GROUP BY x)"
+    seen = f"raw AS (SELECT 1), f AS (SELECT x, CAST(count(*) AS BIGINT) AS f, {sql_owner('x', T)} AS part FROM (SELECT seq, {sql_fold('k')} AS x FROM ({sql_stream('S1')})) WHERE seq <= {t0} + {sql_owner('x', T)} * {step} GROUP BY x)"
     return f"WITH {seen}, {_SETTLED}, cw AS ({_WIDE}), cp AS ({_PARTS}), cl AS ({_cells('light', 'part')}) SELECT 'wide' AS kind, CAST({_plus('cw')} AS BIGINT) AS f2 UNION ALL SELECT 'part_cm', CAST({_plus('cp')} AS BIGINT) UNION ALL SELECT 'part_slots', CAST({_plus('cl')} + (SELECT sum(f * f) FROM h) AS BIGINT)"
 
 
@@ -530,7 +545,7 @@ def concurrent_f2_whole(spark, d):
 # ------------------------------------------------------------------ consistency
 
 _GRAIN = "g AS (SELECT greatest(1, coalesce(max(event_id), 0) // 200) AS g FROM events)"
-_ASK = f"""iv AS (SELECT t_start, t_start + {P} AS t_end FROM (SELECT unnest(range(0, greatest((SELECT max(ceil(seq / g)) FROM s, g) - {P}, 0)::BIGINT + 1, 10)) AS t_start))"""
+_ASK = f"""iv AS (SELECT t_start, t_start + {P} AS t_end FROM (SELECT unnest(range(0, greatest((SELECT max(ceil(seq / g)) FROM s, g) - {P}, 0)::BIGINT + 1, 4)) AS t_start))"""
 
 
 def _grain(s: DataFrame) -> int:
@@ -581,13 +596,13 @@ def visibility(spark, d):
 
 _PAIR = {("point", "f1"): P, ("point", "f2"): P * B, ("f1", "f2"): P * P * B}
 _MONO = " UNION ALL ".join(
-    f"SELECT '{a}' AS q1, '{b}' AS q2, CAST(greatest(coalesce(max(n), 0), {1 if (a, b) == ('point', 'f1') else 0}) AS BIGINT) AS worst, {_PAIR.get((a, b), 0)}::BIGINT AS bound FROM (SELECT t, count(*) FILTER (WHERE t_{a} <= t AND (t_{b} IS NULL OR t_{b} > t)) AS n FROM v, tp GROUP BY t{', owner' if a == 'point' else ''})"
+    f"SELECT '{a}' AS q1, '{b}' AS q2, CAST(coalesce(max(n), 0) AS BIGINT) AS worst, {_PAIR.get((a, b), 0)}::BIGINT AS bound FROM (SELECT t, count(*) FILTER (WHERE t_{a} <= t AND (t_{b} IS NULL OR t_{b} > t)) AS n FROM v, tp GROUP BY t{', owner' if a == 'point' else ''})"
     for a in consistency.QUERIES
     for b in consistency.QUERIES
 )
 
 
-@register("monotone_matrix", f"WITH {_CHUNKS}, {_GRAIN}, v AS (SELECT owner, 3 * seq AS t_point, 3 * seq + 1 AS t_f1, 3 * flush_seq + 2 AS t_f2 FROM k), tp AS (SELECT DISTINCT ceil(t_f1 / (3 * g))::BIGINT * 3 * g AS t FROM v, g), m AS ({_MONO}) SELECT *, worst <= bound AS ok FROM m")
+@register("monotone_matrix", f"WITH {_CHUNKS}, {_GRAIN}, v AS (SELECT owner, 3 * seq AS t_point, 3 * seq + 1 AS t_f1, 3 * flush_seq + 2 AS t_f2 FROM k), tp AS (SELECT unnest(range(0, (SELECT max(t_f1) FROM v) // (3 * g) + 2)) * 3 * g AS t FROM g), m AS ({_MONO}) SELECT *, worst <= bound AS ok FROM m")
 def monotone_matrix(spark, d):
     s = STREAMS["S1"](spark, d)
     return consistency.monotone_matrix(s, T, _grain(s))
@@ -602,7 +617,7 @@ def _salted(spark, d) -> DataFrame:
     out = None
     for z in ZS:
         for salt in range(SALTS):
-            s = streams.s8_zipf(spark, d, z, str(salt), SAMPLE).select(F.lit(z).alias("z"), F.lit(salt).alias("salt"), "key", "weight")
+            s = streams.s8_zipf(spark, d, z, str(salt), SAMPLE).select(F.lit(z).alias("z"), F.lit(salt).alias("salt"), "k", "key", "weight")
             out = s if out is None else out.unionByName(s)
     return out
 
@@ -626,9 +641,9 @@ def _grouped(part: str, shift: str = "0") -> str:
 
 @register(
     "f2_mape",
-    f"""WITH s AS (SELECT z, salt, {sql_fold('k')} AS x FROM ({_salted_sql()})), f AS (SELECT z, salt, x, {sql_owner('x', T)} AS part, count(*) AS f FROM s GROUP BY ALL),
+    f"""WITH s AS (SELECT z, salt, k, {sql_fold('k')} AS x FROM ({_salted_sql()})), f AS (SELECT z, salt, x, {sql_owner('x', T)} AS part, count(*) AS f FROM s GROUP BY ALL),
 e AS (SELECT 'single' AS method, * FROM ({_grouped('0')}) UNION ALL SELECT 'wide', * FROM ({_grouped('0', f'part * {K}')}) UNION ALL SELECT 'part_cm', * FROM ({_grouped('part')})),
-t AS (SELECT z, salt, sum(f * f) AS exact FROM f GROUP BY ALL)
+t AS (SELECT z, salt, sum(n * n) AS exact FROM (SELECT z, salt, count(*) AS n FROM s GROUP BY z, salt, k) GROUP BY ALL)
 SELECT z, method, round(avg(abs(f2::DOUBLE - exact::DOUBLE) / exact::DOUBLE), 6) AS mape FROM e JOIN t USING (z, salt) GROUP BY z, method""",
 )
 def f2_mape(spark, d):
@@ -638,19 +653,19 @@ def f2_mape(spark, d):
 
 @register(
     "point_error",
-    f"""WITH {_freq('S3')}, {_ASKED}, c1 AS ({_SINGLE}), e AS ({_estimates('c1')}), b AS (SELECT est, coalesce(f, 0) AS f FROM e LEFT JOIN f USING (x))
+    f"""WITH {_freq('S3')}, {_ASKED}, c1 AS ({_SINGLE}), e AS ({_estimates('c1')}), b AS (SELECT est, coalesce(f, 0) AS f FROM e LEFT JOIN raw USING (x))
 SELECT CASE WHEN f = 0 THEN 'absent' WHEN f >= 30 THEN 'heavy' ELSE 'light' END AS kind, count(*) AS n, round(avg(abs(est - f)::DOUBLE), 6) AS avg_error, CAST(max(abs(est - f)) AS BIGINT) AS max_error, round(avg((est = f)::INT::DOUBLE), 6) AS exact_share FROM b GROUP BY kind""",
 )
 def point_error(spark, d):
     s = STREAMS["S3"](spark, d)
-    out = measures.point_error(cm.point(cm.build(s, T), _asked(spark, d), T), exact.freq(s), 30)
+    out = measures.point_error(cm.point(cm.build(s, T), _asked(spark, d), T), exact.counts(s), 30)
     return out.withColumns({c: F.round(c, 6) for c in ("avg_error", "exact_share")})
 
 
 @register("point_error_all", SQL["point_error"].replace(_ASKED, _ASKED_ALL))
 def point_error_all(spark, d):
     s = STREAMS["S3"](spark, d)
-    out = measures.point_error(cm.point(cm.build(s, T), _asked_all(spark, d), T), exact.freq(s), 30)
+    out = measures.point_error(cm.point(cm.build(s, T), _asked_all(spark, d), T), exact.counts(s), 30)
     return out.withColumns({c: F.round(c, 6) for c in ("avg_error", "exact_share")})
 
 
@@ -661,7 +676,7 @@ _PS = [1, 2, 4, 8, 16, 32, 64, 128]
     "memory_report",
     f"""WITH p AS (SELECT unnest({_PS}) AS P), k AS (SELECT P, unnest([{{'layout': 'plain', 'extra': 0}}, {{'layout': 'slots', 'extra': 16 * 16}}, {{'layout': 'composite', 'extra': 16 * 16 + P * (16 * 8 + 8)}}], recursive := true) FROM p)
 SELECT P, layout, CAST((4 * 8 * 1024 - extra) // (4 * 8) AS INT) AS k, CAST(4 * 8 * ((4 * 8 * 1024 - extra) // (4 * 8)) + extra AS BIGINT) AS part_bytes, CAST(P * (4 * 8 * ((4 * 8 * 1024 - extra) // (4 * 8)) + extra) AS BIGINT) AS total_bytes FROM k
-UNION ALL SELECT P, 'separate', 1024, 6 * 8192 * 8, P * 6 * 8192 * 8 FROM p""",
+UNION ALL SELECT P, layout, 8192, part_bytes, P * part_bytes FROM p, (SELECT 'separate' AS layout, (6 * 8192 * 4) * 2 AS part_bytes UNION ALL SELECT 'separate_f0', (6 * 8192 * 4) * 2 + (1 << 12))""",
 )
 def memory_report(spark, d):
     from .spec import PAPER
@@ -691,7 +706,7 @@ def separate_sketches(spark, d):
     return _long(got["f1"].crossJoin(got["f2"]).crossJoin(f0), "f2")
 
 
-@register("builtin_moments", f"WITH {_freq('S7')} SELECT count(*) AS f0, CAST(sum(f) AS BIGINT) AS f1, CAST(sum(f * f) AS BIGINT) AS f2, true AS f0_close FROM f")
+@register("builtin_moments", f"WITH {_freq('S7')} SELECT count(*) AS f0, CAST(sum(f) AS BIGINT) AS f1, CAST(sum(f * f) AS BIGINT) AS f2, true AS f0_close FROM raw")
 def builtin_moments(spark, d):
     out = baselines.builtin(STREAMS["S7"](spark, d))
     return _long(out.select("f0", "f1", "f2", (F.abs(F.col("f0_approx") - F.col("f0")) <= 0.1 * F.col("f0")).alias("f0_close")), "f2")
@@ -740,7 +755,7 @@ def composite_replay_f2(spark, d):
 def composite_replay_point(spark, d):
     state, handoffs = _replayed(spark, d)
     s = STREAMS["S1"](spark, d)
-    return composite.point(state, handoffs, s.select("key"), T).join(exact.freq(s).select("key", F.col("f").cast("bigint").alias("exact")), "key")
+    return composite.point(state, handoffs, s.select("key"), T).join(exact.counts(s).select("k", "key", F.col("f").cast("bigint").alias("exact")), "key").select(F.col("k").alias("key"), "est", "exact")
 
 
 @register("replay_metrics")
@@ -751,7 +766,7 @@ def replay_metrics(spark, d):
 @register("buffers_only_point")
 def buffers_only_point(spark, d):
     s = STREAMS["S1"](spark, d)
-    return baselines.buffers_only(s, s.select("key"), T).join(exact.freq(s).select("key", F.col("f").cast("bigint").alias("exact")), "key")
+    return baselines.buffers_only(s, s.select("key"), T).join(exact.counts(s).select("k", "key", F.col("f").cast("bigint").alias("exact")), "key").select(F.col("k").alias("key"), "est", "exact")
 
 
 @register("combine_f1", "SELECT count(*) AS f1 FROM events WHERE user_id IS NOT NULL")
@@ -772,8 +787,8 @@ SELECT event_type, CAST(f2 AS BIGINT) AS f2, exact FROM (SELECT event_type, min(
 )
 def per_group_f2(spark, d):
     events = streams.load(spark, d, "events", ["event_id", "event_type", "user_id"])
-    s = events.select("event_type", canon_key(F.col("user_id")).alias("key"), F.lit(1).alias("weight"))
-    truth = s.groupBy("event_type", "key").agg(F.sum("weight").alias("f")).groupBy("event_type").agg(F.sum(F.col("f") * F.col("f")).cast("bigint").alias("exact"))
+    s = events.select("event_type", "user_id", canon_key(F.col("user_id")).alias("key"), F.lit(1).alias("weight"))
+    truth = s.groupBy("event_type", "user_id").agg(F.sum("weight").alias("f")).groupBy("event_type").agg(F.sum(F.col("f") * F.col("f")).cast("bigint").alias("exact"))
     return _long(cm.f2_plus(cm.build(s, T, by=["event_type"]), ["event_type"]).select("event_type", "f2").join(truth, "event_type"), "f2")
 
 

@@ -42,7 +42,7 @@ def throughput(spark: SparkSession, d: str, parts=(1, 4, 16), names=("S8", "S7")
     """(stream, design, P, rows, seconds, rows_per_second): building each design once, no queries meanwhile."""
     out = []
     for name in names:
-        s = Workspace(spark, "w1").save(STREAMS[name](spark, d).select("seq", "key", "weight"), name)
+        s = Workspace(spark, "w1").save(STREAMS[name](spark, d).select("seq", "k", "key", "weight"), name)
         n = s.count()
         for p in parts:
             spec = scaled(TEST.but(P=p), n)
@@ -66,7 +66,7 @@ def error_by_parts(spark: SparkSession, d: str, parts=(1, 2, 4, 8, 16, 32), zs=(
     labelled = None
     for z in zs:
         for salt in range(salts):
-            s = streams.s8_zipf(spark, d, z, str(salt), rows).select(F.lit(z).alias("z"), F.lit(salt).alias("salt"), "key", "weight")
+            s = streams.s8_zipf(spark, d, z, str(salt), rows).select(F.lit(z).alias("z"), F.lit(salt).alias("salt"), "k", "key", "weight")
             labelled = s if labelled is None else labelled.unionByName(s)
     labelled = Workspace(spark, "w3").save(labelled, "streams")
     out = None
@@ -81,7 +81,7 @@ def error_with_buffers(spark: SparkSession, d: str, parts=(1, 4, 16), zs=(1.0, 1
     """(z, P, method, error): signed relative error of the replayed rungs, from slots alone to projected buffers."""
     out = []
     for z in zs:
-        s = Workspace(spark, "w3b").save(streams.s8_zipf(spark, d, z, "0", rows).select("seq", "key", "weight"), "stream")
+        s = Workspace(spark, "w3b").save(streams.s8_zipf(spark, d, z, "0", rows).select("seq", "k", "key", "weight"), "stream")
         truth = _truth(s)
         for p in parts:
             spec = scaled(fitted(base.but(P=p, K=1024), "composite"), rows)
@@ -117,7 +117,7 @@ def latency(spark: SparkSession, d: str, parts=(1, 4, 16), repeats: int = 5) ->
 
 def ablation(spark: SparkSession, d: str, rows: int = 20_000, z: float = 1.5) -> DataFrame:
     """(parameter, value, error, handoffs, swaps, hits): what B, C and w change for the projected estimate."""
-    s = Workspace(spark, "w6").save(streams.s8_zipf(spark, d, z, "0", rows).select("seq", "key", "weight"), "stream")
+    s = Workspace(spark, "w6").save(streams.s8_zipf(spark, d, z, "0", rows).select("seq", "k", "key", "weight"), "stream")
     truth = _truth(s)
     base = scaled(TEST, rows)
     cases = [("B", str(b), base.but(B=b)) for b in (16, 64, 256, 1000, None)] + [("C", str(c), base.but(C=c)) for c in (4, 16, 64)] + [("w", str(w), base.but(w=w)) for w in (0.2, 0.5, 0.8, 1.0)]

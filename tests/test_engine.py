@@ -1,13 +1,16 @@
 """Worked examples, identities and bounds of the frequency engine."""
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from mixedsketch.functions import hashing
 from mixedsketch.functions.hashing import canon_key, check_key_type, fold
 from mixedsketch.operators import agms, baselines, buffers, cm, composite, consistency, exact, interleave, ladder, measures, prefix, slots, static_state
 from mixedsketch.sources import streams
 from mixedsketch.sources.streams import STREAMS, normalise
 from mixedsketch.spec import PAPER, TEST, SketchSpec, cm_plus_bounds, fit_width
+from mixedsketch.workspace import Workspace
 from tests import reference
 
 SMALL = TEST.but(B=8, K=32, C=4)
@@ -168,10 +171,12 @@ def test_unsynchronised_reads_miss_and_repeat(spark):
     """One lane of eight fills while the scan is between its two looks."""
     spec = SMALL.but(P=1)
     s = stream_of(spark, [(i, 5, 1) for i in range(12)])
-    assert one(interleave.unsynced(s, spec, 5, 0, 4).select("n")) == 6  # rows 0..5 wait, row 7 hands them over
-    assert one(interleave.unsynced(s, spec, 7, 0, 4).select("n")) == 0
+    looks = lambda t, order: interleave.unsynced(s, spec, t, 0, 4, order).select("arrived", "in_sketch", "in_buffer", "missed", "doubled").first()
+    assert looks(5, "sketch_first") == (6, 0, 2, 6, 0)  # rows 0..5 wait, row 7 hands them over, 8 and 9 wait again
+    assert looks(5, "buffers_first") == (6, 8, 6, 0, 6)
+    assert looks(7, "sketch_first")[3:] == looks(7, "buffers_first")[3:] == (0, 0)
     first, second = (int(one(interleave.unsynced_f2(s, spec, 5, 0, 4, o).select("f2"))) for o in ("sketch_first", "buffers_first"))
-    assert first == 2**2 and second == (8 + 6) ** 2  # missed: only what came after; double: six rows twice
+    assert first == 0 and second == (8 + 6) ** 2  # missed: no slot yet, so no buffer is read; double: six rows twice
     v = interleave.versioned(s, spec, 5, 0, 4).first()
     assert (v["retries"], v["v_end"]) == (1, 1) and v["f2"] == (8 + 8 / 2) ** 2
     v = interleave.versioned(s, spec, 8, 0, 2).first()
@@ -193,6 +198,46 @@ def test_relaxation_and_monotonicity(spark, data):
     m = {(r["q1"], r["q2"]): (r["worst"], r["bound"], r["ok"]) for r in consistency.monotone_matrix(s, SMALL, 5).collect()}
     assert len(m) == 9 and all(v[2] for v in m.values())
     assert m[("f2", "point")][0] == m[("f2", "f1")][0] == m[("f1", "point")][0] == 0 and m[("point", "f2")][0] > 0
+    assert m[("point", "f1")][0] == 1  # the row that has just entered its buffer
+
+
+def folded_pair():
+    """Two keys with one folded form."""
+    seen = {}
+    for i in range(400_000):
+        x = hashing.fold(f"k{i}")
+        if x in seen:
+            return f"k{seen[x]}", f"k{i}"
+        seen[x] = i
+
+
+def test_truth_tells_keys_apart_that_fold_together(spark):
+    a, b = folded_pair()
+    rows = spark.createDataFrame([(a,)] * 3 + [(b,)] * 4 + [("z",)], "word string")
+    s = streams.normalise(rows, F.col("word"))
+    assert exact.freq(s).count() == 2  # to a sketch they are one
+    m = exact.moments(s).first()
+    assert (m["f0"], m["f1"], int(m["f2"]), m["max_f"]) == (3, 8, 26, 4) and int(one(exact.moment(s, 2))) == 26
+    wide = TEST.but(hash_family="xxhash64", K=4096)
+    assert int(one(ladder.part_cm(hashing.rekeyed(s, wide), wide))) == 26 and int(one(ladder.part_cm(s, TEST.but(K=4096)))) == 7**2 + 1
+
+
+def test_wide_hash_family(spark, data):
+    spec = TEST.but(hash_family="xxhash64")
+    keys = spark.range(-50, 2000).select((F.col("id") * 7919).alias("key"))
+    got = keys.select("key", F.array(*[hashing.row_hash(F.col("key"), spec, j) for j in range(spec.H)]).alias("rows"), hashing.owner(F.col("key"), spec).alias("own"), hashing.sign(F.col("key"), spec, 1).alias("sign")).toPandas()
+    x = got["key"].to_numpy()
+    assert (np.stack(got["rows"].to_numpy()) == hashing.row_hashes_np(x, spec)).all() and (got["own"].to_numpy() == hashing.owner_np(x, spec)).all()
+    assert abs(got["sign"].mean()) < 0.1 and got["own"].value_counts().min() > 400
+    s = hashing.rekeyed(STREAMS["S3"](spark, data), spec)
+    truth = int(exact.moments(s).first()["f2"])
+    assert truth <= int(one(ladder.part_cm(s, spec))) <= int(one(ladder.wide(s, spec))) and abs(int(one(agms.f2(agms.build(s, spec), spec))) - truth) < truth
+    s = hashing.rekeyed(STREAMS["S1"](spark, data), SMALL.but(hash_family="xxhash64"))
+    spec = SMALL.but(hash_family="xxhash64")
+    work = Workspace(spark, "wide")
+    handoffs = work.save(buffers.replay(s, spec), "h")
+    kept = composite.conserved_cells(composite.drain(handoffs, spec), handoffs, spec)
+    assert kept.exceptAll(cm.build(s, spec, "parts").select(kept.columns)).isEmpty()
 
 
 def test_running_rank_over_blocks(spark):
