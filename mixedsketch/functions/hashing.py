@@ -73,6 +73,22 @@ def sign(x: Column, spec: SketchSpec, j: int) -> Column:
     return F.when(F.pmod(acc, F.lit(2)) == 1, F.lit(1)).otherwise(F.lit(-1)).cast("bigint")
 
 
+def row_and_sign(x: Column, row: Column, spec: SketchSpec) -> tuple[Column, Column]:
+    """(column, sign) of the row number in ``row``: one expression for sketches of many rows."""
+    if spec.hash_family == "xxhash64":
+        seeded = lambda seed: F.xxhash64(x, row.cast("bigint") + F.lit(seed).cast("bigint"))
+        return F.pmod(seeded(0), F.lit(spec.K).cast("bigint")).cast("int"), F.when(seeded(SIGN_SEED) < 0, F.lit(1)).otherwise(F.lit(-1)).cast("bigint")
+    of = lambda values: F.get(F.array(*[F.lit(v).cast("bigint") for v in values]), row)
+    p = F.lit(PRIME).cast("bigint")
+    pairs = [spec.row(j) for j in range(spec.H)]
+    col = F.pmod(F.pmod(x * of([a for a, _ in pairs]) + of([b for _, b in pairs]), p), F.lit(spec.K).cast("bigint")).cast("int")
+    signs = [spec.sign(j) for j in range(spec.H)]
+    acc = of([c[0] for c in signs])
+    for t in range(1, 4):
+        acc = F.pmod(acc * x + of([c[t] for c in signs]), p)
+    return col, F.when(F.pmod(acc, F.lit(2)) == 1, F.lit(1)).otherwise(F.lit(-1)).cast("bigint")
+
+
 def fold(key) -> int:
     """``canon_key`` of one Python value, for tests and drivers."""
     return int(hashlib.md5(str(key).encode()).hexdigest()[:15], 16) % PRIME

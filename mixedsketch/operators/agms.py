@@ -5,17 +5,27 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.hashing import row_hash, sign
+from ..functions.hashing import row_and_sign, row_hash, sign
 from ..spec import SketchSpec
 from . import cm, exact
 
 
-def build(s: DataFrame, spec: SketchSpec) -> DataFrame:
-    """cells(part, row, col, cnt) with signed counts; a cell may sum to 0."""
+UNROLLED = 16  # rows up to which each has its own expression; more of them would outgrow a compiled method
+
+
+def build(s: DataFrame, spec: SketchSpec, by: list[str] | None = None) -> DataFrame:
+    """cells(part, row, col, cnt) with signed counts; a cell may sum to 0.  ``by`` adds grouping columns: one sketch per group."""
+    keep = by or []
     x = F.col("key")
+    keys = s.groupBy(*keep, "key").agg(F.sum("weight").alias("f"))
+    if spec.H > UNROLLED:
+        rows = keys.select(*keep, "key", "f", F.explode(F.sequence(F.lit(0), F.lit(spec.H - 1))).alias("row"))
+        col, plus = row_and_sign(x, F.col("row"), spec)
+        cells = rows.select(*keep, F.lit(0).alias("part"), "row", col.alias("col"), (plus * F.col("f")).alias("v"))
+        return cells.groupBy(*keep, "part", "row", "col").agg(F.sum("v").cast("bigint").alias("cnt"))
     at = F.array(*[F.struct(F.lit(j).alias("row"), row_hash(x, spec, j).alias("col"), (sign(x, spec, j) * F.col("f")).alias("v")) for j in range(spec.H)])
-    cells = exact.freq(s).select(F.lit(0).alias("part"), F.explode(at).alias("c"))
-    return cells.groupBy("part", F.col("c.row").alias("row"), F.col("c.col").alias("col")).agg(F.sum("c.v").cast("bigint").alias("cnt"))
+    cells = keys.select(*keep, F.lit(0).alias("part"), F.explode(at).alias("c"))
+    return cells.groupBy(*keep, "part", F.col("c.row").alias("row"), F.col("c.col").alias("col")).agg(F.sum("c.v").cast("bigint").alias("cnt"))
 
 
 def f2(cells: DataFrame, spec: SketchSpec) -> DataFrame:

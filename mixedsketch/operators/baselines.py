@@ -20,14 +20,15 @@ def separate(s: DataFrame, spec: SketchSpec, workers: int = 4, agms_spec: Sketch
     other = agms_spec or spec
     lanes = s.withColumn("worker", F.pmod(F.coalesce("seq", F.xxhash64("key")), F.lit(workers)))
     cells = cm.merge(cm.build(lanes, spec, by=["worker"]).drop("worker"))
+    signed = cm.merge(agms.build(lanes, other, by=["worker"]).drop("worker"))
     hll = lanes.groupBy("worker").agg(F.hll_sketch_agg("key", 12).alias("sk")).agg(F.hll_sketch_estimate(F.hll_union_agg("sk")).alias("f0"))
-    return {"cells": cells, "f1": cm.f1(cells), "f2": agms.f2(agms.build(s, other), other), "f0": hll}
+    return {"cells": cells, "f1": cm.f1(cells), "f2": agms.f2(signed, other), "f0": hll, "signed": signed}
 
 
 def buffers_only(s: DataFrame, keys: DataFrame, spec: SketchSpec) -> DataFrame:
-    """(key, est): point queries of parts with slots and buffers, without partial sums, averages or versions being read."""
+    """(key, est): point queries of parts with slots and buffers that keep no partial sums, averages or versions (B may be None)."""
     handoffs = buffers.replay(s, spec)
-    return composite.point(composite.drain(handoffs, spec), handoffs, keys, spec)
+    return composite.point(composite.drain(handoffs, spec, plain=True), handoffs, keys, spec)
 
 
 def builtin(s: DataFrame) -> DataFrame:

@@ -128,7 +128,8 @@ def replay(s: DataFrame, spec: SketchSpec) -> DataFrame:
     """
     ship(s.sparkSession)
     rows = s.select("seq", "key", "weight", producer(spec).alias("producer"), owner(F.col("key"), spec).alias("owner"))
-    lanes = rows.repartition(spec.P * spec.P, "producer", "owner").sortWithinPartitions("seq", "key")
+    tasks = min(spec.P * spec.P, max(spec.P, int(s.sparkSession.conf.get("spark.sql.shuffle.partitions"))))  # a task may have several lanes
+    lanes = rows.repartition(tasks, "producer", "owner").sortWithinPartitions("seq", "key")
     return lanes.select("seq", "key", "weight", "producer").mapInArrow(_lanes(spec, False), HANDOFF)
 
 

@@ -99,10 +99,10 @@ def f2_minus(cells: DataFrame, spec: SketchSpec) -> DataFrame:
     return median_of_rows(rows, spec.H)
 
 
-def median_of_rows(rows: DataFrame, h: int) -> DataFrame:
+def median_of_rows(rows: DataFrame, h: int, by: list[str] | None = None) -> DataFrame:
     sq = F.array_sort(F.collect_list("sq"))  # at most H entries
     lo, hi = F.element_at(sq, (h + 1) // 2), F.element_at(sq, h // 2 + 1)
-    return rows.groupBy("part").agg(F.floor((lo + hi) / 2).cast(BIG).alias("f2"))
+    return rows.groupBy(*(by or []), "part").agg(F.floor((lo + hi) / 2).cast(BIG).alias("f2"))
 
 
 def f2_auto(s: DataFrame, spec: SketchSpec, z: float | None = None) -> DataFrame:

@@ -84,6 +84,29 @@ class OwnerState:
         return {"part": part, "cells": [c for row in self.cells for c in row], "slots": slots, "f2rows": [Decimal(v) for v in self.f2rows], "v_begin": self.v_begin, "v_end": self.v_end} | {n: getattr(self, n) for n in ("updates", "hits", "inserts", "misses", "swaps")}
 
 
+class PlainState(OwnerState):
+    """An owner that answers point queries alone: no partial sums, averages or versions are kept."""
+
+    def _add(self, cols, v: int) -> int:
+        least = None
+        for row, col in zip(self.cells, cols, strict=True):
+            row[col] = n = row[col] + v
+            if least is None or n < least:
+                least = n
+        return least
+
+    def update(self, key: int, v: int, cols) -> None:
+        slot = self.slots.get(key)
+        if slot is not None:
+            self.updates += v
+            self.hits += 1
+            slot[0] += v
+            if key == self.weakest:
+                self.weakest = None
+        else:
+            super().update(key, v, cols)
+
+
 ARROW_STATE = pa.schema(
     [
         ("part", pa.int32()),
@@ -99,7 +122,7 @@ def state_batch(states: list[tuple[int, OwnerState]]) -> pa.RecordBatch:
     return pa.RecordBatch.from_pylist([s.row(p) for p, s in states], schema=ARROW_STATE)
 
 
-def _drain(spec: SketchSpec):
+def _drain(spec: SketchSpec, make=OwnerState):
     """Rows (owner, mark, key, weight) sorted by owner and flush order; a new mark is a new hand-over."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -112,7 +135,7 @@ def _drain(spec: SketchSpec):
                     if state is not None:
                         state.v_end = state.v_begin
                         yield state_batch([(part, state)])
-                    state, part, mark = OwnerState(spec), o, None
+                    state, part, mark = make(spec), o, None
                 if (m, p) != mark:
                     state.v_end = state.v_begin
                     state.v_begin += 1
@@ -125,10 +148,34 @@ def _drain(spec: SketchSpec):
     return run
 
 
-def drain(handoffs: DataFrame, spec: SketchSpec) -> DataFrame:
-    """STATE rows, one an owner that got anything, from the handed-over rows of ``buffers.replay``."""
+def drain(handoffs: DataFrame, spec: SketchSpec, plain: bool = False) -> DataFrame:
+    """STATE rows, one an owner that got anything, from the handed-over rows of ``buffers.replay``; ``plain`` owners serve point queries alone."""
     rows = handoffs.filter("handed").select("owner", "producer", "flush_seq", "pos", "key", "cnt")
-    return rows.repartition(spec.P, "owner").sortWithinPartitions("owner", "flush_seq", "producer", "pos").drop("pos").mapInArrow(_drain(spec), STATE)
+    return rows.repartition(spec.P, "owner").sortWithinPartitions("owner", "flush_seq", "producer", "pos").drop("pos").mapInArrow(_drain(spec, PlainState if plain else OwnerState), STATE)
+
+
+def drain_split(handoffs: DataFrame, spec: SketchSpec, splits: int = 8) -> tuple[DataFrame, DataFrame]:
+    """(cells, slots) of the parts, each drained by ``splits`` writers side by side: the form for few parts and many cores.
+
+    A writer has the keys of one share of its part, and everything of them in
+    order.  Their matrices add up; of their slots each part keeps the C with the
+    highest counts, and what the others gained goes to the matrix.
+    """
+    share = F.pmod(F.xxhash64("key"), F.lit(splits))
+    rows = handoffs.filter("handed").select((F.col("owner") * splits + share).cast("int").alias("owner"), "producer", "flush_seq", "pos", "key", "cnt")
+    states = rows.repartition(spec.P * splits, "owner").sortWithinPartitions("owner", "flush_seq", "producer", "pos").drop("pos").mapInArrow(_drain(spec), STATE)
+    states = states.withColumn("part", F.floor(F.col("part") / splits).cast("int"))
+    ranked = unpack_slots(states).withColumn("rank", F.row_number().over(Window.partitionBy("part").orderBy(F.desc("cnt"), "key")))
+    slots = ranked.filter(F.col("rank") <= spec.C).drop("rank")
+    gone = ranked.filter(F.col("rank") > spec.C).select("key", (F.col("cnt") - F.col("old")).alias("f")).filter("f > 0")
+    return cm.merge(unpack_cells(states, spec), cm.from_frequencies(gone, spec, "parts")), slots
+
+
+def merged_f2(cells: DataFrame, slots: DataFrame, spec: SketchSpec, projected: bool = True) -> DataFrame:
+    """One row: f2 of ``drain_split``, with projected buffers or without buffers."""
+    cnt = F.col("cnt") + (F.lit(spec.P / 2) * F.col("avg") if projected else F.lit(0.0))
+    h = slots.agg(F.sum(F.pow(cnt.cast("double"), F.lit(2)) - F.pow(F.col("old").cast("double"), F.lit(2))).alias("h"))
+    return cm.f2_plus_total(cells).crossJoin(h).select((F.col("f2").cast("double") + F.coalesce("h", F.lit(0.0))).alias("f2"))
 
 
 def replay_slots(s: DataFrame, spec: SketchSpec) -> DataFrame:

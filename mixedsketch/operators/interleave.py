@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..spec import SketchSpec
-from . import buffers, cm, static_state
+from . import buffers, cm, measures, static_state
 
 
 def _scan_time(spec: SketchSpec, t0: int, step: int, part="owner"):
@@ -86,3 +86,44 @@ def versioned(s: DataFrame, spec: SketchSpec, t0: int, step: int, width: int = 0
     version = ends.join(F.broadcast(first), "owner", "left").filter(F.col("flush_seq") <= F.coalesce("again", "t")).groupBy(F.col("owner").alias("part")).agg(F.count("*").alias("v_end"))
     out = parts.join(version, "part", "left").join(first.withColumnRenamed("owner", "part"), "part", "left").join(light, "part", "left").join(heavy, "part", "left")
     return out.select("part", "t", F.coalesce("v_end", F.lit(0)).alias("v_end"), F.col("again").isNotNull().cast("int").alias("retries"), (F.coalesce("f2", F.lit(0)).cast("double") + F.coalesce("h", F.lit(0.0))).alias("f2"))
+
+
+def freshness(s: DataFrame, spec: SketchSpec, scans: int, work) -> DataFrame:
+    """(policy, scan, t_start, t_end, lo, val, hi): answers of both policies beside their own at begin and end.
+
+    ``scans`` begin all along the stream.  How long one takes follows from the
+    counters it reads: an uncoordinated scan reads every matrix and buffer, its
+    buffers after its matrices; a versioned one reads partial sums and slots.
+    """
+    rows = work.save(buffers.chunks(s, spec), "chunks")
+    last = rows.agg(F.max("seq")).first()[0] or 0
+    full, small = measures.reads(spec, "exact_buffers"), measures.reads(spec, "projected")
+    slow = max(1, last // (4 * scans * spec.P))
+    quick = max(1, slow * small // full)
+    delta = max(1, slow // 2)
+    ask = []
+    for i in range(1, scans + 1):
+        t = last * i // (scans + 1)
+        for policy, step in (("unsynced", slow), ("versioned", quick)):
+            end = t + spec.P * step
+            for part in range(spec.P):
+                at = t + part * step
+                ask += [(policy, i, t, end, "lo", part, t, t), (policy, i, t, end, "val", part, at, at + (delta if policy == "unsynced" else 0)), (policy, i, t, end, "hi", part, end, end)]
+    points = s.sparkSession.createDataFrame(ask, "policy string, scan int, t_start bigint, t_end bigint, which string, part int, t bigint, b bigint")
+    cell = ["policy", "scan", "which", "part"]
+    points = F.broadcast(points)  # 6 * scans * P rows
+    flush = F.coalesce("flush_seq", F.lit(1 << 62))
+    seen = rows.select(F.col("owner").alias("part"), "key", "producer", "seq", "flush_seq", flush.alias("gone")).join(points, "part").filter("gone <= t OR (seq <= b AND gone > b)")
+    f = work.save(seen.groupBy(*cell, "key").agg(F.sum((F.col("gone") <= F.col("t")).cast("bigint")).alias("f"), F.sum(((F.col("seq") <= F.col("b")) & (F.col("gone") > F.col("b"))).cast("bigint")).alias("buf")), "counts")
+    rank = F.row_number().over(Window.partitionBy(*cell).orderBy(F.desc("f"), "key"))
+    ranked = work.save(f.filter("f > 0").withColumn("rank", rank), "ranked")
+    light = cm.f2_plus(cm.from_frequencies(ranked.filter(F.col("rank") > spec.C).select("policy", "scan", "which", "key", "f"), spec, "parts", cell[:3]), cell[:3])
+    heavy = ranked.filter(F.col("rank") <= spec.C)
+    flushes = seen.filter("policy = 'versioned' AND gone <= t").join(heavy.select(*cell, "key"), [*cell, "key"], "left_semi").groupBy(*cell, "key", "producer", "flush_seq").agg(F.count("*").alias("v"))
+    age = F.row_number().over(Window.partitionBy(*cell, "key").orderBy(F.desc("flush_seq"), F.desc("producer"))) - 1
+    aged = flushes.withColumn("age", age).withColumn("n", F.count("*").over(Window.partitionBy(*cell, "key")))
+    avg = aged.groupBy(*cell, "key").agg(F.sum(F.pow(F.lit(1 - spec.w), F.col("age")) * F.when(F.col("age") == F.col("n") - 1, F.lit(1.0)).otherwise(F.lit(spec.w)) * F.col("v")).alias("avg"))
+    more = F.when(F.col("policy") == "versioned", F.lit(spec.P / 2) * F.coalesce("avg", F.lit(0.0))).otherwise(F.col("buf").cast("double"))
+    top = heavy.join(avg, [*cell, "key"], "left").groupBy(*cell).agg(F.sum(F.pow(F.col("f") + more, F.lit(2))).alias("h"))
+    out = points.join(light, cell, "left").join(top, cell, "left").withColumn("v", F.coalesce(F.col("f2").cast("double"), F.lit(0.0)) + F.coalesce("h", F.lit(0.0)))
+    return out.groupBy("policy", "scan", "t_start", "t_end").agg(*[F.sum(F.when(F.col("which") == w, F.col("v"))).alias(w) for w in ("lo", "val", "hi")])

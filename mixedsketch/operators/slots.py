@@ -30,6 +30,13 @@ def settled(s: DataFrame, spec: SketchSpec) -> tuple[DataFrame, DataFrame]:
     return cm.from_frequencies(light.select("key", "f"), spec, "parts"), slots
 
 
+def settled_by(f: DataFrame, spec: SketchSpec, by: list[str]) -> tuple[DataFrame, DataFrame]:
+    """(heavy, light) rows (by, key, f) of labelled counts (by, key, weight): the C heaviest keys of each owner in each group, and the rest."""
+    f = f.groupBy(*by, "key").agg(F.sum("weight").alias("f")).withColumn("part", owner(F.col("key"), spec))
+    ranked = f.withColumn("rank", F.row_number().over(Window.partitionBy(*by, "part").orderBy(F.desc("f"), "key")))
+    return ranked.filter(F.col("rank") <= spec.C).select(*by, "key", "f"), ranked.filter(F.col("rank") > spec.C).select(*by, "key", "f")
+
+
 def f2(cells: DataFrame, slots: DataFrame) -> DataFrame:
     """One row: f2 = least squared rows of the parts + sum over slots of cnt^2 - old^2; never below the truth."""
     light = cm.f2_plus_total(cells)

@@ -19,7 +19,7 @@ from .sources import streams
 from .sources.streams import STREAMS, sql_stream
 from .spec import TEST, SketchSpec
 from .streaming import queries as live
-from .workloads import WORKLOADS, weighted
+from .workloads import WORKLOADS, weighted, zipf_rows
 from .workspace import Workspace
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -610,14 +610,15 @@ def monotone_matrix(spark, d):
 
 # ------------------------------------------------------------------ measures
 
-ZS, SALTS, SAMPLE = (1.0, 1.5, 2.0), 3, 20_000
+ZS, SALTS = (1.0, 1.5, 2.0), 3
 
 
 def _salted(spark, d) -> DataFrame:
+    rows = zipf_rows(spark, d)
     out = None
     for z in ZS:
         for salt in range(SALTS):
-            s = streams.s8_zipf(spark, d, z, str(salt), SAMPLE).select(F.lit(z).alias("z"), F.lit(salt).alias("salt"), "k", "key", "weight")
+            s = streams.s8_zipf(spark, d, z, str(salt), rows).select(F.lit(z).alias("z"), F.lit(salt).alias("salt"), "k", "key", "weight")
             out = s if out is None else out.unionByName(s)
     return out
 
@@ -628,7 +629,7 @@ def _salted_sql() -> str:
         cuts = streams.zipf_thresholds(z)
         for salt in range(SALTS):
             parts.append(
-                f"""SELECT {z}::DOUBLE AS z, {salt} AS salt, CAST(rank AS VARCHAR) AS k FROM (SELECT ('0x' || substr(md5('{salt}:' || range), 1, 7))::BIGINT AS u FROM range({SAMPLE}))
+                f"""SELECT {z}::DOUBLE AS z, {salt} AS salt, CAST(rank AS VARCHAR) AS k FROM (SELECT ('0x' || substr(md5('{salt}:' || range), 1, 7))::BIGINT AS u FROM (SELECT unnest(range(greatest(20000, (SELECT count(*) FROM lineitem) // 3)::BIGINT)) AS range))
         JOIN (SELECT i AS rank, CASE WHEN i = 1 THEN 0 ELSE c[i - 1] END AS lo, c[i] AS hi FROM (SELECT {cuts} AS c), range(1, {len(cuts) + 1}) t(i)) ON u >= lo AND u < hi"""
             )
     return " UNION ALL ".join(parts)
@@ -727,11 +728,38 @@ def replay_conserved(spark, d):
     return composite.conserved_cells(state, handoffs, T)
 
 
+def _split(spark, d, stream: str):
+    work = Workspace(spark, "split")
+    handoffs = work.save(buffers.combine(STREAMS[stream](spark, d), T), "handoffs")
+    cells, slots_ = composite.drain_split(handoffs, T)
+    return work.save(cells, "cells"), work.save(slots_, "slots"), handoffs
+
+
+@register("split_conserved", f"WITH {_freq('S7')}, c AS ({_PARTS}) SELECT CAST(part AS INT) AS part, row, col, CAST(cnt AS BIGINT) AS cnt FROM c")
+def split_conserved(spark, d):
+    """The form for many cores: map-side buffers, several writers a part; cells, gains and buffers add up to all rows."""
+    cells, slots_, handoffs = _split(spark, d, "S7")
+    rest = slots_.select("key", (F.col("cnt") - F.col("old")).alias("f")).unionByName(handoffs.filter("NOT handed").select("key", F.col("cnt").alias("f"))).filter("f > 0")
+    return cm.merge(cells, cm.from_frequencies(rest.groupBy("key").agg(F.sum("f").alias("f")), T, "parts"))
+
+
+@register("split_f2")
+def split_f2(spark, d):
+    cells, slots_, _ = _split(spark, d, "S7")
+    return composite.merged_f2(cells, slots_, T).crossJoin(exact.moments(STREAMS["S7"](spark, d)).select(F.col("f2").cast("bigint").alias("exact")))
+
+
 @register("slots_conserved", f"WITH {_freq('S12')}, c AS ({_PARTS}) SELECT CAST(part AS INT) AS part, row, col, CAST(cnt AS BIGINT) AS cnt FROM c")
 def slots_conserved(spark, d):
     return composite.conserved_cells(composite.replay_slots(STREAMS["S12"](spark, d), T), None, T)
 
 
+@register("weighted_slots_conserved", f"WITH {_freq('S4')}, c AS ({_PARTS}) SELECT CAST(part AS INT) AS part, row, col, CAST(cnt AS BIGINT) AS cnt FROM c")
+def weighted_slots_conserved(spark, d):
+    """Weighted updates through the ordered slots: cells and gains add up to all weights."""
+    return composite.conserved_cells(composite.replay_slots(STREAMS["S4"](spark, d).withColumn("seq", F.coalesce("seq", F.monotonically_increasing_id())), T), None, T)
+
+
 @register("slots_replay_f2")
 def slots_replay_f2(spark, d):
     s = STREAMS["S7"](spark, d)
@@ -823,6 +851,16 @@ def stream_window_f1(spark, d):
     return out.select(F.to_date("start").cast("string").alias("day"), F.col("f1").cast("bigint").alias("f1"))
 
 
+@register(
+    "stream_sliding_f1",
+    """SELECT strftime(day + INTERVAL (i) DAY, '%Y-%m-%d') AS first_day, CAST(sum(n) AS BIGINT) AS f1 FROM (SELECT CAST(ts AS DATE) AS day, count(*) AS n FROM events WHERE user_id IS NOT NULL GROUP BY 1), (SELECT unnest([0, -1, -2]) AS i) GROUP BY 1""",
+)
+def stream_sliding_f1(spark, d):
+    """Windows of three days, one a day."""
+    out = _run_stream(spark, d, lambda e: live.window_f1(e, "3 days", "1 day"), "complete")
+    return out.select(F.to_date("start").cast("string").alias("first_day"), F.col("f1").cast("bigint").alias("f1"))
+
+
 @register(
     "stream_cm_window",
     f"""WITH f AS (SELECT CAST(CAST(ts AS DATE) AS VARCHAR) AS day, {sql_fold('CAST(user_id AS VARCHAR)')} AS x, count(*) AS f FROM events GROUP BY ALL)

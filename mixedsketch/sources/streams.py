@@ -94,7 +94,7 @@ def s7_tokens(spark: SparkSession, d: str) -> DataFrame:
     return normalise(words.filter("word <> ''"), F.col("word"), seq=F.col("doc_id") * (1 << 24) + F.col("pos"))
 
 
-ZIPF_DOMAIN, ZIPF_ROWS = 1000, 60_000
+ZIPF_DOMAIN = 1000
 
 
 def zipf_thresholds(z: float, n: int = ZIPF_DOMAIN) -> list[int]:
@@ -108,12 +108,13 @@ def zipf_thresholds(z: float, n: int = ZIPF_DOMAIN) -> list[int]:
     return out
 
 
-def s8_zipf(spark: SparkSession, d: str, z: float = 1.5, salt: str | None = None, rows: int = ZIPF_ROWS, n: int = ZIPF_DOMAIN) -> DataFrame:
-    """A Zipf(z) stream by range join of a hashed sequence with the thresholds (``d`` is not read).
+def s8_zipf(spark: SparkSession, d: str, z: float = 1.5, salt: str | None = None, rows: int | None = None, n: int = ZIPF_DOMAIN) -> DataFrame:
+    """A Zipf(z) stream by range join of a hashed sequence with the thresholds, of ``rows`` or as many as lineitem has.
 
     Buckets of the hash value make the range join an equi join; the threshold
     table has n rows, whatever the length of the stream.
     """
+    rows = load(spark, d, "lineitem", ["l_partkey"]).count() if rows is None else rows
     cuts = zipf_thresholds(z, n)
     lo = [0, *cuts[:-1]]
     shift = 18
@@ -163,5 +164,5 @@ def sql_stream(name: str, z: float = 1.5) -> str:
         return simple[name]
     cuts = zipf_thresholds(z)
     return f"""SELECT seq, CAST(rank AS VARCHAR) AS k, 1::BIGINT AS weight
-      FROM (SELECT range AS seq, ('0x' || substr(md5(CAST(range AS VARCHAR)), 1, 7))::BIGINT AS u FROM range({ZIPF_ROWS}))
+      FROM (SELECT range AS seq, ('0x' || substr(md5(CAST(range AS VARCHAR)), 1, 7))::BIGINT AS u FROM (SELECT unnest(range((SELECT count(*) FROM lineitem)::BIGINT)) AS range))
       JOIN (SELECT i AS rank, CASE WHEN i = 1 THEN 0 ELSE c[i - 1] END AS lo, c[i] AS hi FROM (SELECT {cuts} AS c), range(1, {len(cuts) + 1}) t(i)) ON u >= lo AND u < hi"""

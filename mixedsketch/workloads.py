@@ -6,12 +6,14 @@ machine; relative orders, errors and counts are what carries over.
 
 from __future__ import annotations
 
+import threading
 import time
+from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .operators import agms, baselines, buffers, cm, composite, consistency, exact, ladder, measures, prefix, slots, static_state
+from .operators import agms, baselines, buffers, cm, composite, consistency, exact, interleave, ladder, measures, prefix, slots
 from .sources import streams
 from .sources.streams import STREAMS
 from .spec import PAPER, TEST, SketchSpec, fit_width
@@ -38,89 +40,217 @@ def _truth(s: DataFrame) -> int:
     return int(exact.moments(s).first()["f2"])
 
 
-def throughput(spark: SparkSession, d: str, parts=(1, 4, 16), names=("S8", "S7")) -> DataFrame:
-    """(stream, design, P, rows, seconds, rows_per_second): building each design once, no queries meanwhile."""
+def zipf_rows(spark: SparkSession, d: str) -> int:
+    """Length of the salted streams: a third of lineitem, 20,000 at least."""
+    return max(20_000, streams.load(spark, d, "lineitem", ["l_partkey"]).count() // 3)
+
+
+#: The designs that are compared: what owners keep, how long buffers grow, and what a second-moment query reads (None: point queries alone).
+DESIGNS = ("separate", "buffers_only_unbounded", "buffers_only", "exclusive", "unsynced", "versioned")
+
+
+def _update(design: str, s: DataFrame, spec: SketchSpec, work: Workspace) -> None:
+    """Run the update path of a design over a stream, and keep its state."""
+    if design == "separate":
+        lanes = s.withColumn("worker", F.pmod("seq", F.lit(spec.P)))
+        work.save(cm.build(lanes, spec, by=["worker"]), "matrix")
+        work.save(agms.build(lanes, spec, ["worker"]), "signed")
+        work.save(lanes.groupBy("worker").agg(F.hll_sketch_agg("key", 12).alias("sk")), "distinct")
+        return
+    spec = spec.but(B=None) if design == "buffers_only_unbounded" else spec
+    handoffs = work.save(buffers.replay(s, spec), "handoffs")
+    work.save(composite.drain(handoffs, spec, plain=design.startswith("buffers_only")), "state")
+
+
+def _saved(work: Workspace, *names: str) -> list[DataFrame]:
+    return [work.spark.read.parquet(work.path(n)) for n in names]
+
+
+def _queries(design: str, spec: SketchSpec, work: Workspace, keys: DataFrame) -> dict[str, Callable[[], object]]:
+    """The queries that a design answers, from its kept state."""
+    if design == "separate":
+        matrix, signed = _saved(work, "matrix", "signed")
+        merged = cm.merge(matrix.drop("worker"))
+        return {"f1": cm.f1(merged).collect, "f2": agms.f2(cm.merge(signed.drop("worker")), spec).collect, "point": cm.point(merged, keys, spec).count}
+    state, handoffs = _saved(work, "state", "handoffs")
+    point = composite.point(state, handoffs, keys, spec).count
+    if design.startswith("buffers_only"):
+        return {"point": point}
+    if design == "exclusive":  # everything is drained first
+        whole = composite.conserved_cells(state, handoffs, spec)
+        return {"f1": cm.f1(whole).collect, "f2": cm.f2_plus_total(whole).collect, "point": point}
+    f2 = composite.f2_exact_buffers(state, handoffs) if design == "unsynced" else composite.f2_projected(state, spec)
+    counters = handoffs.groupBy("producer").agg(F.sum("cnt").alias("f1")).agg(F.sum("f1"))
+    return {"f1": counters.collect, "f2": f2.agg(F.sum("f2")).collect, "point": point}
+
+
+def _beside(run: Callable[[], None], asked: dict[str, Callable[[], object]], rate: float) -> tuple[float, dict[str, list[float]]]:
+    """(seconds of ``run``, seconds of every query asked meanwhile): one round of queries each 1 / ``rate`` seconds, one at least."""
+    took: dict[str, list[float]] = {n: [] for n in asked}
+    over = threading.Event()
+
+    def ask():
+        while True:
+            began = time.perf_counter()
+            for name, query in asked.items():
+                t = time.perf_counter()
+                query()
+                took[name].append(time.perf_counter() - t)
+            if over.wait(max(0.0, 1 / rate - (time.perf_counter() - began))):
+                return
+
+    reader = threading.Thread(target=ask)
+    t = time.perf_counter()
+    reader.start()
+    run()
+    seconds = time.perf_counter() - t
+    over.set()
+    reader.join()
+    return seconds, took
+
+
+def throughput(spark: SparkSession, d: str, name: str = "S8", z: float = 1.5, parts=(1, 2, 4, 8, 16), designs=DESIGNS, rate: float = 2.0) -> DataFrame:
+    """(stream, z, design, P, load, rows, seconds, rows_per_second, rounds, reads): updates alone, and with F1, F2 and point queries on 0.1 % of the keys beside them.
+
+    Queries read the state of the first tenth, which is built before the clock
+    starts and is the warm-up.  Where readers exclude writers, updates wait for
+    every round of queries.  ``reads`` is what one second-moment query reads.
+    """
     out = []
-    for name in names:
-        s = Workspace(spark, "w1").save(STREAMS[name](spark, d).select("seq", "k", "key", "weight"), name)
-        n = s.count()
-        for p in parts:
-            spec = scaled(TEST.but(P=p), n)
-            designs = {
-                "parts": cm.build(s, spec, "parts"),
-                "settled": slots.settled(s, spec)[0],
-                "separate": cm.build(s, spec).join(agms.build(s, spec).withColumnRenamed("cnt", "signed"), ["part", "row", "col"]),
-                "buffers": composite.drain(buffers.replay(s, spec), spec),
-                "buffers_unbounded": composite.drain(buffers.replay(s, spec.but(B=None)), spec),
-                "map_side": composite.drain(buffers.combine(s, spec), spec),
-                "direct": composite.replay_slots(s, spec),
-            }
-            for design, df in designs.items():
-                sec = _timed(df)
-                out.append((name, design, p, n, round(sec, 3), round(n / sec)))
-    return spark.createDataFrame(out, "stream string, design string, P int, rows bigint, seconds double, rows_per_second bigint")
-
-
-def error_by_parts(spark: SparkSession, d: str, parts=(1, 2, 4, 8, 16, 32), zs=(1.0, 1.5, 2.0), salts: int = 5, rows: int = 20_000, base: SketchSpec = TEST) -> DataFrame:
-    """(z, P, method, mape) of the order-free rungs, over salted streams; columns fitted to one budget a part."""
+    s = streams.s8_zipf(spark, d, z) if name == "S8" else STREAMS[name](spark, d)
+    s = Workspace(spark, "w1").save(s.select("seq", "key", "weight"), "stream")
+    n, last = s.count(), s.agg(F.max("seq")).first()[0] or 0
+    keys = s.filter(F.pmod(F.xxhash64("seq"), F.lit(1000)) == 0).select("key").distinct()
+    for p in parts:
+        spec = scaled(TEST.but(P=p), n)
+        reads = {"separate": measures.reads(spec, "single"), "exclusive": measures.reads(spec, "exact_buffers"), "unsynced": measures.reads(spec, "exact_buffers"), "versioned": measures.reads(spec, "projected")}
+        for design in designs:
+            work, first = Workspace(spark, "w1b"), Workspace(spark, "w1c")
+            _update(design, s.filter(F.col("seq") <= last // 10), spec, first)
+            asked = _queries(design, spec, first, keys)
+            t = time.perf_counter()
+            _update(design, s, spec, work)
+            alone = time.perf_counter() - t
+            if design == "exclusive":
+                t = time.perf_counter()
+                _update(design, s, spec, work)
+                rounds = max(1, round(alone * rate))
+                for _ in range(rounds):
+                    for query in asked.values():
+                        query()
+                loaded = time.perf_counter() - t
+            else:
+                loaded, took = _beside(lambda: _update(design, s, spec, work), asked, rate)
+                rounds = len(took["point"])
+            out += [(name, z, design, p, load, n, round(sec, 3), round(n / sec), r, reads.get(design, 0)) for load, sec, r in (("none", alone, 0), ("queries", loaded, rounds))]
+            work.drop()
+            first.drop()
+    return spark.createDataFrame(out, "stream string, z double, design string, P int, load string, rows bigint, seconds double, rows_per_second bigint, rounds int, reads bigint")
+
+
+AGMS_BUDGETS = ((6, 8192), (8, 1024), (128, 8 * 1024))
+
+
+def error_by_parts(spark: SparkSession, d: str, parts=(1, 2, 4, 8, 16, 32, 64, 128), zs=(1.0, 1.5, 2.0), salts: int = 5, rows: int | None = None, base: SketchSpec = TEST, budgets=AGMS_BUDGETS) -> DataFrame:
+    """(z, P, method, mape) over salted streams: matrices and slots with the columns that one budget a part leaves, and signed sketches of several budgets (P = 1)."""
+    rows = rows or zipf_rows(spark, d)
     labelled = None
     for z in zs:
         for salt in range(salts):
             s = streams.s8_zipf(spark, d, z, str(salt), rows).select(F.lit(z).alias("z"), F.lit(salt).alias("salt"), "k", "key", "weight")
             labelled = s if labelled is None else labelled.unionByName(s)
-    labelled = Workspace(spark, "w3").save(labelled, "streams")
+    by, work = ["z", "salt"], Workspace(spark, "w3")
+    labelled = work.save(labelled.groupBy(*by, "k", "key").agg(F.sum("weight").cast("bigint").alias("weight")), "streams")
+    truth = work.save(labelled.groupBy(*by).agg(F.sum(cm.square(F.col("weight"))).cast(cm.BIG).alias("exact")), "truth")
     out = None
     for p in parts:
-        report = measures.grouped_report(labelled, base.but(P=p), ["z", "salt"])
-        row = measures.mape(report, ["z", "method"]).select("z", F.lit(p).alias("P"), "method", "mape")
+        report = measures.grouped_report(labelled, base.but(P=p), by)
+        slotted = fitted(base.but(P=p), "slots")
+        heavy, light = slots.settled_by(labelled, slotted, by)
+        matrix = cm.f2_plus(cm.from_frequencies(light, slotted, "parts", by), by).groupBy(*by).agg(F.sum("f2").alias("l"))
+        both = heavy.groupBy(*by).agg(F.sum(cm.square(F.col("f"))).alias("h")).join(matrix, by, "left").select(*by, F.lit("part_slots").alias("method"), (F.col("h") + F.coalesce("l", F.lit(0))).cast(cm.BIG).alias("f2")).join(truth, by)
+        row = measures.mape(report.unionByName(both), ["z", "method"]).select("z", F.lit(p).alias("P"), "method", "mape")
         out = row if out is None else out.unionByName(row)
+    for h, k in budgets:
+        spec = base.but(H=h, K=k)
+        f2 = cm.median_of_rows(cm.f2_rows(agms.build(labelled, spec, by), by), h, by).select(*by, F.lit(f"agms_{h}x{k}").alias("method"), "f2").join(truth, by)
+        out = out.unionByName(measures.mape(f2, ["z", "method"]).select("z", F.lit(1).alias("P"), "method", "mape"))
     return out
 
 
-def error_with_buffers(spark: SparkSession, d: str, parts=(1, 4, 16), zs=(1.0, 1.5, 2.0), rows: int = 20_000, base: SketchSpec = TEST) -> DataFrame:
-    """(z, P, method, error): signed relative error of the replayed rungs, from slots alone to projected buffers."""
+def error_with_buffers(spark: SparkSession, d: str, parts=(1, 2, 4, 8, 16, 32, 64, 128), zs=(1.0, 1.5, 2.0), salts: int = 5, rows: int | None = None, base: SketchSpec = TEST) -> DataFrame:
+    """(z, P, method, mape, error): the replayed rungs, from slots alone to projected buffers; ``error`` is the mean signed one."""
+    rows = rows or zipf_rows(spark, d)
     out = []
     for z in zs:
-        s = Workspace(spark, "w3b").save(streams.s8_zipf(spark, d, z, "0", rows).select("seq", "k", "key", "weight"), "stream")
-        truth = _truth(s)
-        for p in parts:
-            spec = scaled(fitted(base.but(P=p, K=1024), "composite"), rows)
-            work = Workspace(spark, "w3c")
-            handoffs = work.save(buffers.replay(s, spec), "handoffs")
-            state = work.save(composite.drain(handoffs, spec), "state")
-            plain = work.save(composite.replay_slots(s, spec), "plain")
-            for name, df in {"part_slots": composite.f2_ignore_buffers(plain), "ignored": composite.f2_ignore_buffers(state), "exact": composite.f2_exact_buffers(state, handoffs), "projected": composite.f2_projected(state, spec)}.items():
-                out.append((z, p, name, (df.agg(F.sum("f2")).first()[0] - truth) / truth))
-    return spark.createDataFrame(out, "z double, P int, method string, error double")
-
-
-def latency(spark: SparkSession, d: str, parts=(1, 4, 16), repeats: int = 5) -> DataFrame:
-    """(P, query, median_ms, reads): F1 and F2 answered from saved state, after the first tenth of the stream as a warm-up."""
+        for salt in range(salts):
+            s = Workspace(spark, "w3b").save(streams.s8_zipf(spark, d, z, str(salt), rows).select("seq", "k", "key", "weight"), "stream")
+            truth = _truth(s)
+            for p in parts:
+                spec = scaled(fitted(base.but(P=p, K=1024), "composite"), rows)
+                work = Workspace(spark, "w3c")
+                handoffs = work.save(buffers.replay(s, spec), "handoffs")
+                state = work.save(composite.drain(handoffs, spec), "state")
+                plain = work.save(composite.replay_slots(s, spec), "plain")
+                rungs = {"part_slots": composite.f2_ignore_buffers(plain), "ignored": composite.f2_ignore_buffers(state), "exact": composite.f2_exact_buffers(state, handoffs), "projected": composite.f2_projected(state, spec)}
+                all_rungs = None
+                for name, df in rungs.items():
+                    row = df.agg(F.sum("f2").alias("f2")).select(F.lit(name).alias("method"), "f2")
+                    all_rungs = row if all_rungs is None else all_rungs.unionByName(row)
+                out += [(z, p, r["method"], (r["f2"] - truth) / truth) for r in all_rungs.collect()]
+                work.drop()
+    got = spark.createDataFrame(out, "z double, P int, method string, e double")
+    return got.groupBy("z", "P", "method").agg(F.avg(F.abs("e")).alias("mape"), F.avg("e").alias("error"))
+
+
+def latency(spark: SparkSession, d: str, parts=(1, 2, 4, 8, 16), repeats: int = 20, designs=("exclusive", "unsynced", "versioned")) -> DataFrame:
+    """(P, design, query, median_ms, p95_ms, repeats, reads): F1 and F2 of each policy while updates run.
+
+    State and first answers come from the first tenth of the stream, which is
+    the warm-up; then queries are repeated while the rest is being replayed.
+    """
     out = []
+    s = Workspace(spark, "w5").save(streams.s8_zipf(spark, d).select("seq", "key", "weight"), "stream")
+    last = s.agg(F.max("seq")).first()[0] or 0
     for p in parts:
         spec = TEST.but(P=p)
-        work = Workspace(spark, "w5")
-        s = streams.s8_zipf(spark, d)
-        handoffs = work.save(buffers.replay(s, spec), "handoffs")
-        state = work.save(composite.drain(handoffs, spec), "state")
-        asked = {"f1": (state.agg(F.sum("updates")), p), "f2_projected": (composite.f2_projected(state, spec).agg(F.sum("f2")), measures.reads(spec, "projected")), "f2_exact_buffers": (composite.f2_exact_buffers(state, handoffs).agg(F.sum("f2")), measures.reads(spec, "exact_buffers"))}
-        for name, (df, reads) in asked.items():
-            df.collect()
-            times = []
-            for _ in range(repeats):
-                t = time.perf_counter()
-                df.collect()
-                times.append(time.perf_counter() - t)
-            out.append((p, name, round(1000 * sorted(times)[len(times) // 2], 2), reads))
-    return spark.createDataFrame(out, "P int, query string, median_ms double, reads bigint")
-
-
-def ablation(spark: SparkSession, d: str, rows: int = 20_000, z: float = 1.5) -> DataFrame:
-    """(parameter, value, error, handoffs, swaps, hits): what B, C and w change for the projected estimate."""
+        for design in designs:
+            first, rest = Workspace(spark, "w5b"), Workspace(spark, "w5c")
+            _update(design, s.filter(F.col("seq") <= last // 10), spec, first)
+            asked = {n: q for n, q in _queries(design, spec, first, s.select("key").limit(0)).items() if n != "point"}
+            for query in asked.values():
+                query()
+            stop = threading.Event()
+
+            def updates(spec=spec, design=design, rest=rest, stop=stop):
+                while not stop.is_set():
+                    _update(design, s.filter(F.col("seq") > last // 10), spec, rest)
+
+            writer = threading.Thread(target=updates)
+            writer.start()
+            for name, query in asked.items():
+                times = []
+                for _ in range(repeats):
+                    t = time.perf_counter()
+                    query()
+                    times.append(1000 * (time.perf_counter() - t))
+                times.sort()
+                reads = p if name == "f1" and design != "exclusive" else measures.reads(spec, "projected" if design == "versioned" else "exact_buffers")
+                out.append((p, design, name, round(times[len(times) // 2], 2), round(times[int(0.95 * (len(times) - 1))], 2), repeats, reads))
+            stop.set()
+            writer.join()
+            first.drop()
+            rest.drop()
+    return spark.createDataFrame(out, "P int, design string, query string, median_ms double, p95_ms double, repeats int, reads bigint")
+
+
+def ablation(spark: SparkSession, d: str, rows: int | None = None, z: float = 1.5) -> DataFrame:
+    """(parameter, value, error, handoffs, swaps, hits): what B, C, w and the self buffer change for the projected estimate."""
+    rows = rows or zipf_rows(spark, d)
     s = Workspace(spark, "w6").save(streams.s8_zipf(spark, d, z, "0", rows).select("seq", "k", "key", "weight"), "stream")
     truth = _truth(s)
     base = scaled(TEST, rows)
-    cases = [("B", str(b), base.but(B=b)) for b in (16, 64, 256, 1000, None)] + [("C", str(c), base.but(C=c)) for c in (4, 16, 64)] + [("w", str(w), base.but(w=w)) for w in (0.2, 0.5, 0.8, 1.0)]
+    cases = [("B", str(b), base.but(B=b)) for b in (16, 64, 256, 1000, None)] + [("C", str(c), base.but(C=c)) for c in (4, 16, 64)] + [("w", str(w), base.but(w=w)) for w in (0.2, 0.5, 0.8, 1.0)] + [("self_buffer", str(b), base.but(self_buffer=b)) for b in (True, False)]
     out = []
     for name, value, spec in cases:
         work = Workspace(spark, "w6b")
@@ -132,17 +262,21 @@ def ablation(spark: SparkSession, d: str, rows: int = 20_000, z: float = 1.5) ->
     return spark.createDataFrame(out, "parameter string, value string, error double, handoffs bigint, swaps bigint, hits bigint")
 
 
-def freshness(spark: SparkSession, d: str, spec: SketchSpec = TEST) -> DataFrame:
-    """(stream, t_start, lo, val, hi, inside, position, width): where an answer lies between those at its begin and end."""
+def freshness(spark: SparkSession, d: str, scans: int = 50, spec: SketchSpec = TEST, names=("S1", "S7", 1.0, 1.5, 2.0)) -> DataFrame:
+    """(stream, policy, scan, t_start, t_end, lo, val, hi, inside, position, width): versioned and uncoordinated scans on one replay.
+
+    ``lo`` and ``hi`` are the policy's own answers with all parts read at the
+    begin, and at the end; ``width`` is their distance relative to ``hi``.
+    """
     out = None
-    for name in ("S1", "S7", "S8"):
-        s = STREAMS[name](spark, d)
+    for name in names:
+        s = STREAMS[name](spark, d) if isinstance(name, str) else streams.s8_zipf(spark, d, name)
         if name == "S7":  # consecutive numbers for the time axis: documents first, then places
-            s = s.withColumn("seq", F.floor(F.col("seq") / (1 << 24)))
-        grain = prefix.grain_of(s)
-        t = consistency.ivl_f2(s, spec, grain, 4).select(F.lit(name).alias("stream"), "t_start", *[F.col(c).cast("double").alias(c) for c in ("lo", "val", "hi")], "inside")
+            s = prefix.running_rank(s.select("seq", "key").withColumn("lane", F.lit(0)), ["lane"], block=1 << 32).select("key", (F.col("rank") - 1).alias("seq"))
+        t = interleave.freshness(s, scaled(spec, s.count()), scans, Workspace(spark, "w7")).select(F.lit(str(name)).alias("stream"), "*")
         out = t if out is None else out.unionByName(t)
     width = F.col("hi") - F.col("lo")
+    out = out.withColumn("inside", F.col("val").between(F.least("lo", "hi"), F.greatest("lo", "hi")))
     return out.withColumn("position", F.when(width > 0, (F.col("val") - F.col("lo")) / width)).withColumn("width", F.when(F.col("hi") > 0, width / F.col("hi")))
 
 
@@ -166,19 +300,30 @@ def weighted(spark: SparkSession, d: str, spec: SketchSpec = TEST) -> DataFrame:
     return ladder.report(STREAMS["S4"](spark, d), spec)
 
 
-def under_load(spark: SparkSession, d: str, spec: SketchSpec = TEST) -> DataFrame:
-    """(batch, rows, f1, f2, points): a stream in equal batches; after each one F1, one projected F2, and a point query for every thousandth update."""
-    s = streams.s1_users(spark, d)
+def under_load(spark: SparkSession, d: str, spec: SketchSpec = TEST, batches: int = 5) -> DataFrame:
+    """(batch, rows, f1, f2, exact, points, update_seconds, query_seconds, rows_per_second): a stream in equal batches; after each one F1, one projected F2, and a point query for every thousandth update.
+
+    Hand-overs of all batches are computed once; a batch's update is its state
+    from them, and its queries read that state.
+    """
+    s = Workspace(spark, "w2").save(streams.s1_users(spark, d), "stream")
     last = s.agg(F.max("seq")).first()[0] or 0
     out = []
-    for i in range(1, 6):
-        until = last * i // 5
-        state = static_state.build(s, spec, until)
-        asked = s.filter(f"seq <= {until} AND seq % 1000 = 0").select("key")
-        points = static_state.point(state, asked).agg(F.count("*")).first()[0]
-        f1 = static_state.f1(s.filter(f"seq <= {until}"), spec).first()["f1"]
-        out.append((i, until + 1, int(f1), float(static_state.f2_projected(state).first()["f2"]), int(points)))
-    return spark.createDataFrame(out, "batch int, rows bigint, f1 bigint, f2 double, points bigint")
+    for i in range(1, batches + 1):
+        until = last * i // batches
+        seen, work = s.filter(F.col("seq") <= until), Workspace(spark, "w2b")
+        t = time.perf_counter()
+        handoffs = work.save(buffers.replay(seen, spec), "handoffs")
+        state = work.save(composite.drain(handoffs, spec), "state")
+        update, t = time.perf_counter() - t, time.perf_counter()
+        f1 = handoffs.agg(F.sum("cnt")).first()[0]
+        f2 = composite.f2_projected(state, spec).agg(F.sum("f2")).first()[0]
+        points = composite.point(state, handoffs, seen.filter("seq % 1000 = 0").select("key"), spec).count()
+        asked = time.perf_counter() - t
+        n = seen.count()
+        out.append((i, n, int(f1), float(f2), _truth(seen), int(points), round(update, 3), round(asked, 3), round(n / update)))
+        work.drop()
+    return spark.createDataFrame(out, "batch int, rows bigint, f1 bigint, f2 double, exact bigint, points bigint, update_seconds double, query_seconds double, rows_per_second bigint")
 
 
 def quantiles(spark: SparkSession, d: str, bits: int = 11, spec: SketchSpec = PAPER) -> DataFrame:
@@ -191,17 +336,24 @@ def quantiles(spark: SparkSession, d: str, bits: int = 11, spec: SketchSpec = PA
 
 
 def disagreement(spark: SparkSession, d: str, spec: SketchSpec = TEST) -> DataFrame:
-    """(bucket, composite_lag, separate_lag): updates by which F1 is ahead of F2 at each moment.
+    """(bucket, f1, f2_seen, composite_lag, separate_f1, separate_f2, separate_lag): updates by which F1 is ahead of F2 at each moment.
 
-    In the composite the lag is what its buffers hold.  Separate sketches that
-    take turns lag by what arrived since the other one was brought up to date,
-    here one bucket of the time axis.
+    In the composite F2 lags by what the buffers hold.  Separate sketches are
+    replayed as they are merged: every worker's matrix answers F1, its signed
+    sketch F2, and workers take turns, one sketch of one worker a bucket of time,
+    so each answer is the count (a row of the sketch) of what its merges had seen.
     """
     s = streams.s1_users(spark, d)
     grain = prefix.grain_of(s)
-    lag = consistency.relaxed_bound(s, spec, grain).groupBy("bucket").agg(F.sum(F.col("total") - F.col("seen")).cast("bigint").alias("composite_lag"))
-    arrived = s.groupBy(prefix.bucket(F.col("seq"), grain).alias("bucket")).agg(F.count("*").alias("separate_lag"))
-    return lag.join(arrived, "bucket")
+    seen = consistency.relaxed_bound(s, spec, grain).groupBy("bucket").agg(F.sum("total").cast("bigint").alias("f1"), F.sum("seen").cast("bigint").alias("f2_seen"))
+    came = s.groupBy(F.pmod("seq", F.lit(spec.P)).cast("int").alias("worker"), prefix.bucket(F.col("seq"), grain).alias("at")).agg(F.sum("weight").alias("n"))
+    moments = Workspace(spark, "w11").save(seen.select("bucket").distinct(), "moments")  # some 200 moments
+    turn = 2 * spec.P  # a merge of the worker's matrix in turn 2w, of its signed sketch in turn 2w + 1
+    merged = [F.col("bucket") - F.pmod(F.col("bucket") - (2 * F.col("worker") + i), F.lit(turn)) for i in (0, 1)]
+    both = F.broadcast(moments).join(came, F.col("at") <= F.col("bucket"))
+    counts = both.groupBy("bucket").agg(*[F.sum(F.when(F.col("at") <= m, F.col("n")).otherwise(0)).cast("bigint").alias(c) for m, c in zip(merged, ("separate_f1", "separate_f2"), strict=True)])
+    out = seen.join(counts, "bucket")
+    return out.select("bucket", "f1", "f2_seen", (F.col("f1") - F.col("f2_seen")).alias("composite_lag"), "separate_f1", "separate_f2", F.abs(F.col("separate_f1") - F.col("separate_f2")).alias("separate_lag"))
 
 
 def baseline_point(spark: SparkSession, d: str) -> DataFrame:
@@ -211,14 +363,21 @@ def baseline_point(spark: SparkSession, d: str) -> DataFrame:
     return baselines.builtin_points(s, truth).join(truth, "key").select("key", F.col("est").alias("builtin"), F.col("f").cast("bigint").alias("exact"))
 
 
+FEW = (1, 4, 16)  # parts of the registered experiments; the functions take any, by default those of the published grids
+
 WORKLOADS = {
-    "w1_throughput": lambda spark, d: throughput(spark, d, (1, 4), ("S8",)),
+    "w1_throughput": lambda spark, d: throughput(spark, d, "S8", 1.5, FEW),
+    "w1_throughput_z1": lambda spark, d: throughput(spark, d, "S8", 1.0, FEW),
+    "w1_throughput_z2": lambda spark, d: throughput(spark, d, "S8", 2.0, FEW),
+    "w1_throughput_z3": lambda spark, d: throughput(spark, d, "S8", 3.0, FEW),
+    "w1_throughput_tokens": lambda spark, d: throughput(spark, d, "S7", 0.0, (4, 16)),
     "w2_under_load": under_load,
-    "w3_error_by_parts": lambda spark, d: error_by_parts(spark, d, (1, 4, 16), salts=2),
-    "w3_error_with_buffers": lambda spark, d: error_with_buffers(spark, d, (1, 4)),
-    "w5_latency": lambda spark, d: latency(spark, d, (1, 4)),
+    "w3_error_by_parts": error_by_parts,
+    "w3_error_with_buffers": lambda spark, d: error_with_buffers(spark, d, (1, 4, 16, 64), salts=2),
+    "w5_latency": lambda spark, d: latency(spark, d, FEW),
     "w6_ablation": ablation,
-    "w7_freshness": freshness,
+    "w7_freshness": lambda spark, d: freshness(spark, d, names=("S1", 1.0, 1.5, 2.0)),
+    "w7_freshness_tokens": lambda spark, d: freshness(spark, d, names=("S7",)),
     "w8_point_accuracy": point_accuracy,
     "w11_disagreement": disagreement,
     "w13_quantiles": quantiles,
