@@ -12,6 +12,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from . import store
 from .functions.hashing import canon_key, sql_fold, sql_owner, sql_row, sql_sign
 from .operators import agms, baselines, buffers, cm, composite, consistency, exact, interleave, ladder, measures, slots, static_state
 from .relational import RELATIONAL
@@ -131,21 +132,12 @@ def cm_cells(spark, d):
 
 
 def _asked(spark, d, stream: str = "S3") -> DataFrame:
-    """Keys of the stream divisible by 10, and absent ones."""
-    here = STREAMS[stream](spark, d).select("key").filter("key % 10 = 0").distinct()
-    return here.union(spark.range(50).select((F.col("id") * 7919 + 13).alias("key"))).distinct()
-
-
-_ASKED = "q AS (SELECT x FROM f WHERE x % 10 = 0 UNION SELECT range * 7919 + 13 FROM range(50))"
-
-
-def _asked_all(spark, d, stream: str = "S3") -> DataFrame:
     """All keys of the stream, and absent ones."""
     here = STREAMS[stream](spark, d).select("key")
     return here.union(spark.range(50).select((F.col("id") * 7919 + 13).alias("key"))).distinct()
 
 
-_ASKED_ALL = "q AS (SELECT x FROM f UNION SELECT range * 7919 + 13 FROM range(50))"
+_ASKED = "q AS (SELECT x FROM f UNION SELECT range * 7919 + 13 FROM range(50))"
 
 
 def _estimates(cells: str, part: str = "0") -> str:
@@ -158,17 +150,10 @@ def _beside_truth(est: DataFrame, s: DataFrame) -> DataFrame:
     return est.join(exact.counts(s), "key", "left").select(F.coalesce("k", F.col("key").cast("string")).alias("key"), "est", F.coalesce("f", F.lit(0)).cast("bigint").alias("exact"))
 
 
-@register("cm_point", f"WITH {_freq('S3')}, {_ASKED}, c1 AS ({_SINGLE}), e AS ({_estimates('c1')}) SELECT coalesce(k, CAST(e.x AS VARCHAR)) AS key, CAST(est AS BIGINT) AS est, coalesce(f, 0) AS exact FROM e LEFT JOIN raw USING (x)")
-def cm_point(spark, d):
-    s = STREAMS["S3"](spark, d)
-    est = cm.point(cm.build(s, T), _asked(spark, d), T)
-    return _beside_truth(est, s)
-
-
-@register("cm_point_all", SQL["cm_point"].replace(_ASKED, _ASKED_ALL))
+@register("cm_point_all", f"WITH {_freq('S3')}, {_ASKED}, c1 AS ({_SINGLE}), e AS ({_estimates('c1')}) SELECT coalesce(k, CAST(e.x AS VARCHAR)) AS key, CAST(est AS BIGINT) AS est, coalesce(f, 0) AS exact FROM e LEFT JOIN raw USING (x)")
 def cm_point_all(spark, d):
     s = STREAMS["S3"](spark, d)
-    est = cm.point(cm.build(s, T), _asked_all(spark, d), T)
+    est = cm.point(cm.build(s, T), _asked(spark, d), T)
     return _beside_truth(est, s)
 
 
@@ -273,16 +258,10 @@ def settled_f2(spark, d):
     return _long(ladder.part_slots(s, T).crossJoin(exact.moments(s).select(F.col("f2").alias("exact"))), "f2", "exact")
 
 
-@register("settled_point", f"WITH {_freq('S3')}, {_SETTLED}, {_ASKED}, c AS ({_cells('light', 'part')}), e AS ({_estimates('c', sql_owner('x', T))}) SELECT e.x AS key, CAST(coalesce(h.f, est) AS BIGINT) AS est FROM e LEFT JOIN h USING (x)")
-def settled_point(spark, d):
-    cells, top = slots.settled(STREAMS["S3"](spark, d), T)
-    return slots.point(cells, top, _asked(spark, d), T)
-
-
-@register("settled_point_all", SQL["settled_point"].replace(_ASKED, _ASKED_ALL))
+@register("settled_point_all", f"WITH {_freq('S3')}, {_SETTLED}, {_ASKED}, c AS ({_cells('light', 'part')}), e AS ({_estimates('c', sql_owner('x', T))}) SELECT e.x AS key, CAST(coalesce(h.f, est) AS BIGINT) AS est FROM e LEFT JOIN h USING (x)")
 def settled_point_all(spark, d):
     cells, top = slots.settled(STREAMS["S3"](spark, d), T)
-    return slots.point(cells, top, _asked_all(spark, d), T)
+    return slots.point(cells, top, _asked(spark, d), T)
 
 
 @register(
@@ -404,7 +383,6 @@ def exclusive_f2(spark, d):
     return _long(rows[0].unionByName(rows[1]), "f2")
 
 
-T0, STEP, DELTA = 4000, 300, 500
 SCANS = 4  # scans of the whole stream: at each quarter of it, the last after its end
 
 
@@ -445,12 +423,8 @@ def _unsynced_sql(order: str):
 
 
 def _unsynced(name: str, order: str):
-    @register(name, _unsynced_sql(order)(T0, STEP, DELTA))
-    def run(spark, d):
-        return interleave.unsynced(STREAMS["S1"](spark, d), T, T0, STEP, DELTA, order)
-
     @register(f"{name}_whole", _every_scan(_unsynced_sql(order)))
-    def whole(spark, d):
+    def run(spark, d):
         s = STREAMS["S1"](spark, d)
         return _each_scan(s, lambda t0, step, delta, _: interleave.unsynced(s, T, t0, step, delta, order))
 
@@ -471,11 +445,6 @@ def _unsynced_f2_sql(t0, step, delta, width=None) -> str:
     )
 
 
-@register("unsynced_f2", _unsynced_f2_sql(T0, STEP, DELTA))
-def unsynced_f2(spark, d):
-    return _unsynced_f2(STREAMS["S1"](spark, d), T0, STEP, DELTA)
-
-
 def _unsynced_f2(s, t0, step, delta, width=None) -> DataFrame:
     rows = [interleave.unsynced_f2(s, T, t0, step, delta, o).select(F.lit(o).alias("read_order"), "part", "f2") for o in ("sketch_first", "buffers_first")]
     return _long(rows[0].unionByName(rows[1]), "f2")
@@ -487,9 +456,6 @@ def unsynced_f2_whole(spark, d):
     return _each_scan(s, lambda *at: _unsynced_f2(s, *at))
 
 
-WIDTH = 40
-
-
 def _versioned_sql(t0, step, delta, width) -> str:
     return f"""WITH {_CHUNKS}, e AS (SELECT DISTINCT owner AS part, producer, flush_seq, {t0} + owner * {step} AS t FROM k WHERE handed),
 ag AS (SELECT part, min(flush_seq) AS again FROM e WHERE flush_seq > t AND flush_seq <= t + {width} GROUP BY part),
@@ -505,11 +471,6 @@ SELECT CAST(pt.part AS INT) AS part, CAST(pt.t AS BIGINT) AS t, coalesce(v_end,
 FROM pt LEFT JOIN ve USING (part) LEFT JOIN lp USING (part) LEFT JOIN hp USING (part)"""
 
 
-@register("versioned_f2", _versioned_sql(T0, STEP, DELTA, WIDTH))
-def versioned_f2(spark, d):
-    return interleave.versioned(STREAMS["S1"](spark, d), T, T0, STEP, WIDTH).withColumn("f2", F.round("f2", 3))
-
-
 @register("versioned_f2_whole", _every_scan(_versioned_sql))
 def versioned_f2_whole(spark, d):
     s = STREAMS["S1"](spark, d)
@@ -521,12 +482,6 @@ def _concurrent_sql(t0, step, delta=None, width=None) -> str:
     return f"WITH {seen}, {_SETTLED}, cw AS ({_WIDE}), cp AS ({_PARTS}), cl AS ({_cells('light', 'part')}) SELECT 'wide' AS kind, CAST({_plus('cw')} AS BIGINT) AS f2 UNION ALL SELECT 'part_cm', CAST({_plus('cp')} AS BIGINT) UNION ALL SELECT 'part_slots', CAST({_plus('cl')} + (SELECT sum(f * f) FROM h) AS BIGINT)"
 
 
-@register("concurrent_f2", _concurrent_sql(T0, STEP))
-def concurrent_f2(spark, d):
-    """The rungs without buffers, read part after part while rows arrive."""
-    return _concurrent(STREAMS["S1"](spark, d), T0, STEP)
-
-
 def _concurrent(s, t0, step, delta=None, width=None) -> DataFrame:
     out = None
     for kind in ("wide", "part_cm", "part_slots"):
@@ -537,7 +492,7 @@ def _concurrent(s, t0, step, delta=None, width=None) -> DataFrame:
 
 @register("concurrent_f2_whole", _every_scan(_concurrent_sql))
 def concurrent_f2_whole(spark, d):
-    """The same at each quarter of the stream; by the last scan all of it has arrived."""
+    """The rungs without buffers, read part after part while rows arrive, at each quarter of the stream; by the last scan all of it has arrived."""
     s = STREAMS["S1"](spark, d)
     return _each_scan(s, lambda *at: _concurrent(s, *at))
 
@@ -653,20 +608,13 @@ def f2_mape(spark, d):
 
 
 @register(
-    "point_error",
+    "point_error_all",
     f"""WITH {_freq('S3')}, {_ASKED}, c1 AS ({_SINGLE}), e AS ({_estimates('c1')}), b AS (SELECT est, coalesce(f, 0) AS f FROM e LEFT JOIN raw USING (x))
 SELECT CASE WHEN f = 0 THEN 'absent' WHEN f >= 30 THEN 'heavy' ELSE 'light' END AS kind, count(*) AS n, round(avg(abs(est - f)::DOUBLE), 6) AS avg_error, CAST(max(abs(est - f)) AS BIGINT) AS max_error, round(avg((est = f)::INT::DOUBLE), 6) AS exact_share FROM b GROUP BY kind""",
 )
-def point_error(spark, d):
-    s = STREAMS["S3"](spark, d)
-    out = measures.point_error(cm.point(cm.build(s, T), _asked(spark, d), T), exact.counts(s), 30)
-    return out.withColumns({c: F.round(c, 6) for c in ("avg_error", "exact_share")})
-
-
-@register("point_error_all", SQL["point_error"].replace(_ASKED, _ASKED_ALL))
 def point_error_all(spark, d):
     s = STREAMS["S3"](spark, d)
-    out = measures.point_error(cm.point(cm.build(s, T), _asked_all(spark, d), T), exact.counts(s), 30)
+    out = measures.point_error(cm.point(cm.build(s, T), _asked(spark, d), T), exact.counts(s), 30)
     return out.withColumns({c: F.round(c, 6) for c in ("avg_error", "exact_share")})
 
 
@@ -838,11 +786,14 @@ def hosts(spark, d):
 # ------------------------------------------------------------------ streams that arrive
 
 
+def _arriving(spark: SparkSession, d: str) -> DataFrame:
+    return live.keyed(spark.readStream.schema(streams.SCHEMAS["events"]).option("pathGlobFilter", "events.parquet").parquet(d))
+
+
 def _run_stream(spark: SparkSession, d: str, make, mode: str) -> DataFrame:
     """Run a streaming query over the events file until it is read, and return its result table."""
-    events = live.keyed(spark.readStream.schema(streams.SCHEMAS["events"]).option("pathGlobFilter", "events.parquet").parquet(d))
     work = Workspace(spark, "stream")
-    return live.run_available(make(events), f"mixedsketch_{uuid.uuid4().hex}", work.path("checkpoint"), mode)
+    return live.run_available(make(_arriving(spark, d)), f"mixedsketch_{uuid.uuid4().hex}", work.path("checkpoint"), mode)
 
 
 @register("stream_window_f1", "SELECT CAST(CAST(ts AS DATE) AS VARCHAR) AS day, count(*) AS f1 FROM events GROUP BY 1")
@@ -871,6 +822,53 @@ def stream_cm_window(spark, d):
     return out.select(F.to_date("start").cast("string").alias("day"), "row", "col", F.col("cnt").cast("bigint").alias("cnt"))
 
 
+@register("stream_panes", SQL["stream_cm_window"])
+def stream_panes(spark, d):
+    """The matrices of all days, written batch by batch without any state and added up when read."""
+    work = Workspace(spark, "panes")
+    live.panes_to_store(_arriving(spark, d), work.path("store"), T, work.path("checkpoint")).awaitTermination()
+    out = store.load(spark, work.path("store"), T, by=("start",))
+    return out.select(F.to_date("start").cast("string").alias("day"), "row", "col", F.col("cnt").cast("bigint").alias("cnt"))
+
+
+@register(
+    "stream_sliding_f2",
+    f"""WITH f AS (SELECT strftime(CAST(ts AS DATE) + INTERVAL (i) DAY, '%Y-%m-%d') AS first_day, {sql_fold('CAST(user_id AS VARCHAR)')} AS x, count(*) AS f FROM events, (SELECT unnest([0, -1, -2]) AS i) WHERE user_id IS NOT NULL GROUP BY ALL)
+    SELECT first_day, CAST(min(sq) AS BIGINT) AS f2 FROM (SELECT first_day, row, sum(cnt * cnt) AS sq FROM ({" UNION ALL ".join(f"SELECT first_day, {j} AS row, {sql_row('x', T, j)} AS col, sum(f) AS cnt FROM f GROUP BY ALL" for j in range(H))}) GROUP BY ALL) GROUP BY first_day""",
+)
+def stream_sliding_f2(spark, d):
+    """F2 of windows of three days, one a day, from the matrices of days."""
+    panes = _run_stream(spark, d, lambda e: live.window_cells(e, T), "complete")
+    out = live.window_f2(live.sliding_cells(panes, 1, 3))
+    return out.select(F.to_date("start").cast("string").alias("first_day"), F.col("f2").cast("bigint").alias("f2"))
+
+
+@register("stream_composite_conserved", f"WITH {_freq('S1')}, c AS ({_PARTS}) SELECT CAST(part AS INT) AS part, row, col, CAST(cnt AS BIGINT) AS cnt FROM c")
+def stream_composite_conserved(spark, d):
+    """Matrices, gains of slots and open buffers of the live sketch, read from its checkpoint, add up to all updates."""
+    work = Workspace(spark, "stream")
+    live.run_available(live.live_composite(_arriving(spark, d), T), f"mixedsketch_{uuid.uuid4().hex}", work.path("checkpoint"), "update")
+    state, open_ = live.stored_live_state(spark, work.path("checkpoint"))
+    return composite.conserved_cells(state, open_, T)
+
+
+@register("stored_state_conserved", SQL["replay_conserved"])
+def stored_state_conserved(spark, d):
+    """The same of a replay whose matrices, slots, versions and buffers were stored and read again."""
+    work = Workspace(spark, "stored")
+    store.save_state(*_replayed(spark, d), work.path("store"), T, 0)
+    return composite.conserved_cells(*store.load_state(spark, work.path("store"), T, 0), T)
+
+
+@register("shuffle_report")
+def shuffle_report(spark, d):
+    """(method, bytes_per_row): what the hand-over of the token stream writes to shuffles, by method."""
+    s = STREAMS["S7"](spark, d)
+    n = max(1, s.count())
+    forms = {"cells": cm.build(s, T, "parts"), "ordered_buffers": buffers.replay(s, T), "combined_buffers": buffers.combine(s, T).filter("handed").repartition("owner"), "slots_of_each_update": composite.replay_slots(s, T)}
+    return spark.createDataFrame([(name, round(measures.shuffled_bytes(spark, df) / n, 3)) for name, df in forms.items()], "method string, bytes_per_row double")
+
+
 @register("stream_composite", "SELECT count(*) AS f1, true AS settled FROM events WHERE user_id IS NOT NULL")
 def stream_composite(spark, d):
     """The newest snapshots of a live composite sketch: all updates counted, all versions matched."""

@@ -90,18 +90,9 @@ def join_asof(spark: SparkSession, d: str) -> DataFrame:
     return found.select("event_id", F.coalesce("now", "before").alias("snapshot")).filter("snapshot IS NOT NULL")
 
 
-@register("join_interval", "SELECT i.range AS slot, count(*) AS n FROM range(20) i JOIN events ON event_id BETWEEN i.range * 400 AND i.range * 400 + 600 GROUP BY i.range")
-def join_interval(spark: SparkSession, d: str) -> DataFrame:
-    """Rows inside overlapping intervals: intervals are cut into unit blocks, so rows meet candidates by equality."""
-    slots = spark.range(20).select(F.col("id").alias("slot"), (F.col("id") * 400).alias("lo"), (F.col("id") * 400 + 600).alias("hi"))
-    blocks = slots.withColumn("block", F.explode(F.sequence(F.floor(F.col("lo") / 200), F.floor(F.col("hi") / 200))))
-    e = load(spark, d, "events", ["event_id"]).withColumn("block", F.floor(F.col("event_id") / 200))
-    return e.join(F.broadcast(blocks), "block").filter("event_id BETWEEN lo AND hi").groupBy("slot").agg(F.count("*").alias("n"))
-
-
 @register("join_interval_whole", "WITH m AS (SELECT coalesce(max(event_id), 0) // 20 + 1 AS w FROM events) SELECT i.range AS slot, count(*) AS n FROM range(20) i JOIN m ON true JOIN events ON event_id BETWEEN i.range * w AND i.range * w + w * 3 // 2 GROUP BY i.range")
 def join_interval_whole(spark: SparkSession, d: str) -> DataFrame:
-    """The same with twenty overlapping intervals that cover every event number, as wide as the table is long."""
+    """Rows inside twenty overlapping intervals that cover every event number: intervals are cut into blocks, so rows meet candidates by equality."""
     e = load(spark, d, "events", ["event_id"])
     w = (e.agg(F.max("event_id")).first()[0] or 0) // 20 + 1
     slots = spark.range(20).select(F.col("id").alias("slot"), (F.col("id") * w).alias("lo"), (F.col("id") * w + w * 3 // 2).alias("hi"))

@@ -106,7 +106,7 @@ def test_contract(spark):
     assert entry.entry(spark).count() == 12
 
 
-@pytest.mark.parametrize("name", ["cm_cells", "ladder_report", "buffer_chunks", "f2_projected", "versioned_f2", "unsynced_f2", "ivl_f2", "monotone_matrix", "replay_conserved", "join_asof", "stream_cm_window"])
+@pytest.mark.parametrize("name", ["cm_cells", "ladder_report", "buffer_chunks", "f2_projected", "versioned_f2_whole", "unsynced_f2_whole", "ivl_f2", "monotone_matrix", "replay_conserved", "join_asof", "stream_cm_window", "stream_panes", "stream_sliding_f2", "stream_composite_conserved", "stored_state_conserved"])
 def test_twins_agree(spark, data, name):
     """The driver compares all of them; a few are held here."""
     import glob
@@ -150,3 +150,97 @@ def test_matrix_as_an_aggregate(spark, data):
     got = s.agg(cm_agg(TEST)("key", "weight").alias("m")).first()["m"]
     want = {(r["row"], r["col"]): r["cnt"] for r in cm.build(s, TEST).collect()}
     assert {(i // TEST.K, i % TEST.K): c for i, c in enumerate(got) if c} == want
+
+
+def test_live_state_is_read_from_its_checkpoint(spark, data, files, tmp_path):
+    """Four batches, state carried in declared columns: it equals the replay of the whole stream, buffers included."""
+    from mixedsketch.operators import buffers
+
+    spec = TEST.but(B=20, C=3)  # many hand-overs, and keys that swap
+    events = live.keyed(streams.stream(spark, files, "events"))
+    live.run_available(live.live_composite(events, spec), "live_stored", str(tmp_path / "cp"), "update")
+    state, open_ = live.stored_live_state(spark, str(tmp_path / "cp"))
+    handoffs = buffers.replay(STREAMS["S1"](spark, data), spec)
+    want = composite.drain(handoffs, spec)
+    same = ["part", "cells", "slots", "f2rows", "updates", "hits", "inserts", "misses", "swaps"]
+    assert want.agg(F.sum("swaps")).first()[0] > 0
+    assert sorted(map(str, state.filter("updates > 0").select(*same).collect())) == sorted(map(str, want.select(*same).collect()))
+    lanes = ["owner", "producer", "key", "cnt"]
+    assert sorted(open_.select(*lanes).collect()) == sorted(handoffs.filter("NOT handed").select(*lanes).collect())
+
+
+def test_every_batch_commits_beside_readers(spark, files, tmp_path):
+    """A reader that never stops asking holds no batch up, and always finds parts whose versions agree."""
+    import os
+    import time
+
+    events = live.keyed(streams.stream(spark, files, "events"))
+    query = live.live_composite(events, TEST).writeStream.format("memory").queryName("progress").outputMode("update").option("checkpointLocation", str(tmp_path / "p")).trigger(availableNow=True).start()
+    until, seen = time.time() + 120, []
+    while query.isActive and time.time() < until:
+        seen.append(composite.latest(spark.table("progress")).agg(F.coalesce(F.sum("f1"), F.lit(0))).first()[0])
+    query.awaitTermination(60)
+    assert query.exception() is None and not query.isActive
+    assert {n for n in os.listdir(tmp_path / "p" / "commits") if n.isdigit()} == {"0", "1", "2", "3"}
+    assert seen == sorted(seen)
+    assert composite.latest(spark.table("progress")).agg(F.sum("f1")).first()[0] == 1000
+
+
+def test_a_torn_part_is_refused(spark, data, tmp_path):
+    from mixedsketch.operators import buffers
+
+    handoffs = buffers.replay(STREAMS["S1"](spark, data), TEST)
+    state = composite.drain(handoffs, TEST)
+    store.save_state(state, handoffs, str(tmp_path), TEST, 0)
+    assert store.load_state(spark, str(tmp_path), TEST, 0)[0].count() == state.count()
+    store.save_state(state.withColumn("v_begin", F.col("v_begin") + 1), handoffs, str(tmp_path), TEST, 1)
+    with pytest.raises(ValueError):
+        store.load_state(spark, str(tmp_path), TEST, 1)
+
+
+def test_late_rows_are_counted(spark, tmp_path):
+    import time
+
+    folder = str(tmp_path / "late")
+    schema = streams.SCHEMAS["events"]
+    for i, days in enumerate(([1, 1, 2], [9, 9], [1, 9], [20])):  # the third file has one row that is days too late
+        rows = spark.createDataFrame([(10 * i + j, f"2024-01-{day:02d} 12:00:00") for j, day in enumerate(days)], "event_id bigint, ts string")
+        rows = rows.select("event_id", F.col("ts").cast("timestamp").alias("ts"), F.lit(1).cast("bigint").alias("user_id"))
+        full = spark.createDataFrame([], schema)
+        rows = full.unionByName(rows.withColumn("ts", F.col("ts").cast("timestamp_ntz")), allowMissingColumns=True)
+        rows.coalesce(1).write.mode("append").parquet(folder)
+    late = live.LateRows()
+    spark.streams.addListener(late)
+    try:
+        out = live.run_available(live.window_f1(live.keyed(streams.stream(spark, folder, "events")), late="1 hour"), "late_rows", str(tmp_path / "cp"), "append")
+        until = time.time() + 20
+        while not late.dropped.get("late_rows") and time.time() < until:
+            time.sleep(0.2)
+    finally:
+        spark.streams.removeListener(late)
+    assert late.dropped["late_rows"] == 1
+    assert {r["start"].day: r["f1"] for r in out.collect()}.get(1) == 2
+
+
+def test_rate_source_and_timed_trigger(spark, tmp_path):
+    """A synthetic source, the console, and a trigger by time."""
+    import time
+
+    rate = spark.readStream.format("rate").option("rowsPerSecond", 200).load().select(F.col("value").alias("event_id"), F.col("timestamp").alias("ts"), F.pmod("value", F.lit(7)).alias("user_id"))
+    query = live.start(live.window_f1(live.keyed(rate), "10 seconds"), "memory", "complete", str(tmp_path / "r"), "500 milliseconds", queryName="rated")
+    shown = live.start(live.keyed(rate), "console", "append", str(tmp_path / "c"), "1 second", numRows=1)
+    until = time.time() + 60
+    while time.time() < until and not spark.table("rated").agg(F.sum("f1")).first()[0]:
+        time.sleep(0.3)
+    for q in (query, shown):
+        q.stop()
+        assert q.exception() is None
+    assert spark.table("rated").agg(F.sum("f1")).first()[0] > 0
+
+
+def test_view_of_streams_reads_the_asked_one(spark, data):
+    live.f2_view(spark, data, TEST, ["S1", "S2", "S3"])
+    df = spark.sql("SELECT * FROM f2_of_streams WHERE stream = 'S2'")
+    assert {c for s in inspect.scan_columns(df) for c in s} <= {"event_id", "event_type"}
+    row = df.first()
+    assert row["exact"] == exact.moments(STREAMS["S2"](spark, data)).first()["f2"] <= row["f2"]

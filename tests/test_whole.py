@@ -1,4 +1,4 @@
-"""Queries over the whole table, beside those that see a part of it."""
+"""Queries that could stop early see the whole table."""
 
 import glob
 import os
@@ -36,7 +36,7 @@ def test_whole_stream_twins_agree(spark, data, name):
 
 
 def test_scans_reach_the_end_of_the_stream(spark):
-    """The fixed moments of the other queries end at event 4,900; the last scan here sees all rows."""
+    """The last scan sees all rows."""
     d = "/root/testdata/sf0.01"
     last = spark.read.parquet(f"{d}/events.parquet").agg({"event_id": "max"}).first()[0]
     rows = entry.queries()["concurrent_f2_whole"](spark, d).collect()
