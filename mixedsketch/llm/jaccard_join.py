@@ -13,10 +13,11 @@ Exact, and without comparing all pairs:
    share a shingle within the first ``n - ceil(t*n) + 1`` of a global order.  The
    order puts frequent shingles last; frequencies come from a Count-Min row over
    the whole corpus, of a fixed width, so what is broadcast does not grow.
-5. Classes that share a prefix shingle form a tile, sorted by set size.  Small
-   tiles give their pairs within the size band; larger ones are cut into blocks
-   whose size ranges are compatible, and each block pair compares bitmaps in one
-   numpy pass.  Pairs that the star has linked already are skipped.
+5. Classes that share a prefix shingle form a tile.  Tiles are dealt to tasks by
+   ranges of (shingle, star, size), so one that holds a third of all rows is cut
+   by many tasks.  Small tiles give their pairs within the size band; larger ones
+   become blocks, and each pair of blocks whose size ranges are compatible, and
+   which are not both of one star, compares bitmaps in one numpy pass.
 6. What the bitmaps let through is intersected exactly on sorted arrays.
 7. Links are contracted to connected components.
 
@@ -32,6 +33,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -154,78 +156,70 @@ def _prefixes(size: int, percent: int, order):
 
 
 def _tiles(percent: int):
-    """Rows sorted by (key, n, id): pairs of small tiles, block rows and block pairs of large ones."""
+    """Rows sorted by (key, lane, n, id): pairs of small tiles, block rows and block headers of large ones.
+
+    The first and the last tile of a task may go on in its neighbours, so they
+    become blocks whatever their size; block numbers are unique over all tasks.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[np.ndarray] = []
-        state: dict = {}
+        number = TaskContext.get().partitionId() << 32
 
         def emit(kind, *cols):
-            cols = [np.asarray(c, dtype=np.int64) for c in cols]
             k = len(cols[0])
-            cols += [np.zeros(k, dtype=np.int64)] * (4 - len(cols))
-            return pa.RecordBatch.from_arrays([pa.array(np.full(k, kind, dtype=np.int32))] + [pa.array(c) for c in cols], names=["kind", "a", "b", "c", "d"])
-
-        def block_out(key, rows, number):
-            """A full block of a large tile: its rows, and the earlier blocks in reach of its sizes."""
-            lo, hi = rows[1, 0], rows[1, -1]
-            spans = [s for s in state.get("spans", []) if 100 * s[1] >= percent * lo]
-            near = [s[0] for s in spans] + [number]
-            state["spans"] = spans + [(number, hi)]
-            k = rows.shape[1]
-            yield emit(1, np.full(k, key), np.full(k, number), rows[2])
-            yield emit(2, np.full(len(near), key), np.full(len(near), number), near)
-
-        def finish(group):
-            """The end of a tile that is held whole, or the rest of one that was cut."""
-            key = group[0, 0]
-            if state.get("cut") == key:
-                yield from block_out(key, group, state["next"])
-                state.clear()
-                return
-            state.clear()
-            k = group.shape[1]
-            if k < 2 or (group[3] == group[3, 0]).all():
-                return
-            if k > SMALL_TILE:
-                yield from block_out(key, group, 0)
-                state.clear()
-                return
-            i, j = np.triu_indices(k, 1)
-            ok = (100 * group[1, i] >= percent * group[1, j]) & (group[3, i] != group[3, j]) & (group[2, i] != group[2, j])
+            cols = [pa.array(c, pa.int64()) for c in cols] + [pa.nulls(k, pa.int64())] * (5 - len(cols))
+            return pa.RecordBatch.from_arrays([pa.array(np.full(k, kind, dtype=np.int32)), *cols], names=["kind", *"abcde"])
+
+        def blocks(rows):
+            """Blocks of rows of one tile, each with the range of its sizes and its star if it has only one."""
+            nonlocal number
+            for at in range(0, rows.shape[1], BLOCK):
+                part = rows[:, at : at + BLOCK]
+                k = part.shape[1]
+                star = part[3, 0] if (part[3] == part[3, 0]).all() else None
+                yield emit(1, part[0], np.full(k, number), part[2])
+                yield emit(2, part[0, :1], [number], [part[1].min()], [part[1].max()], [star])
+                number += 1
+
+        def pairs(rows, i, j):
+            """Candidates (i, j) of a tile held whole."""
+            small, large = np.minimum(rows[1, i], rows[1, j]), np.maximum(rows[1, i], rows[1, j])
+            ok = (100 * small >= percent * large) & (rows[3, i] != rows[3, j]) & (rows[2, i] != rows[2, j])
             if ok.any():
-                x, y = group[2, i[ok]], group[2, j[ok]]
+                x, y = rows[2, i[ok]], rows[2, j[ok]]
                 yield emit(0, np.minimum(x, y), np.maximum(x, y))
 
         rest = np.zeros((4, 0), dtype=np.int64)
+        opened = True  # the tile at the front of ``rest`` may have begun earlier
         for batch in batches:
             now = np.stack([batch.column(c).to_numpy(zero_copy_only=False).astype(np.int64) for c in ("key", "n", "id", "star")])
             rest = np.concatenate([rest, now], axis=1)
+            if not rest.shape[1]:
+                continue
             bounds = np.concatenate(([0], np.flatnonzero(np.diff(rest[0])) + 1, [rest.shape[1]]))
-            sizes = np.diff(bounds)[:-1]  # the last group may go on in the next batch
+            sizes = np.diff(bounds)[:-1]  # the last tile may go on in the next batch
             if len(sizes):
-                if "cut" in state:
-                    yield from finish(rest[:, bounds[0] : bounds[1]])
+                if opened:
+                    yield from blocks(rest[:, : bounds[1]])
                     sizes[0] = 0
-                two = np.flatnonzero(sizes == 2)
+                opened = False
+                two = bounds[np.flatnonzero(sizes == 2)]
                 if len(two):
-                    i = bounds[two]
-                    ok = (100 * rest[1, i] >= percent * rest[1, i + 1]) & (rest[3, i] != rest[3, i + 1]) & (rest[2, i] != rest[2, i + 1])
-                    x, y = rest[2, i[ok]], rest[2, i[ok] + 1]
-                    if len(x):
-                        yield emit(0, np.minimum(x, y), np.maximum(x, y))
+                    yield from pairs(rest, two, two + 1)
                 for g in np.flatnonzero(sizes > 2):
-                    yield from finish(rest[:, bounds[g] : bounds[g + 1]])
+                    tile = rest[:, bounds[g] : bounds[g + 1]]
+                    if (tile[3] == tile[3, 0]).all():
+                        continue
+                    if sizes[g] > SMALL_TILE:
+                        yield from blocks(tile)
+                    else:
+                        yield from pairs(tile, *np.triu_indices(sizes[g], 1))
             rest = rest[:, bounds[-2] :]
-            while rest.shape[1] >= 2 * BLOCK:  # never hold an unbounded tile
-                key = rest[0, 0]
-                state.setdefault("cut", key)
-                number = state.get("next", 0)
-                yield from block_out(key, rest[:, :BLOCK], number)
-                state["next"] = number + 1
-                rest = rest[:, BLOCK:]
-        if rest.shape[1]:
-            yield from finish(rest)
+            whole = rest.shape[1] // BLOCK * BLOCK
+            if whole >= 2 * BLOCK:  # never hold an unbounded tile
+                yield from blocks(rest[:, :whole])
+                rest, opened = rest[:, whole:], True
+        yield from blocks(rest)
 
     return run
 
@@ -348,6 +342,10 @@ def _numbered(docs: DataFrame, id_col: str, text_col: str, work: Workspace) -> t
     return docs.filter("id IS NOT NULL").unionByName(lost), lost.select("id")
 
 
+def _block_heads(tiles: DataFrame, name: str) -> DataFrame:
+    return tiles.filter("kind = 2").selectExpr("a AS key", f"b AS {name}", f"c AS {name}_least", f"d AS {name}_most", f"e AS {name}_star")
+
+
 @dataclass
 class Linked:
     """Rows with their class key, classes with their smallest id, and links (a, b) between classes."""
@@ -373,27 +371,32 @@ def _linked(docs: DataFrame, id_col: str, text_col: str, size: int, percent: int
     lone = nodes.withColumn("star", F.col("id"))
     star_links = None
     if every:
-        starred = lone.select("id", "n", *sig, "star")
+        starred = lone.select("id", "n", *sig, "star", F.lit(-1).cast("long").alias("lane"))
     else:  # star: each node against the smallest node of its min-hash groups
         hubs = nodes.select("id", F.posexplode(F.array(*mins)).alias("p", "m"))
         heads = hubs.groupBy("p", "m").agg(F.min("id").alias("a"), F.max("id").alias("last")).filter("a <> last").drop("last")
         star_pairs = hubs.join(heads, ["p", "m"]).filter("a <> id").select("a", F.col("id").alias("b")).distinct()
         star_links = _verified(_bounded(star_pairs, lone, percent), profiles, docs, size, percent, work, "star")
-        stars = star_links.groupBy("b").agg(F.min("a").alias("star"))
-        starred = work.save(
-            nodes.select("id", "n", *sig).join(stars.withColumnRenamed("b", "id"), "id", "left").withColumn("star", F.coalesce("star", "id")), "starred"
-        )
+        stars = work.save(star_links.groupBy(F.col("b").alias("id")).agg(F.min("a").alias("star")), "stars")
+        big = stars.groupBy("star").count().filter(F.col("count") >= BLOCK).select("star", F.col("star").alias("lane"))
+        stars = stars.join(big, "star", "left")
+        starred = nodes.select("id", "n", *sig).join(stars, "id", "left").withColumn("star", F.coalesce("star", "id"))
+        starred = work.save(starred.select("id", "n", *sig, "star", F.coalesce("lane", F.lit(-1).cast("long")).alias("lane")), "starred")
 
     order = spark.sparkContext.broadcast(frequency_order(profiles, spark))
-    keys = docs.mapInArrow(kernel.tidy(_prefixes(size, percent, order)), "id long, n long, keys array<long>")
-    keyed = keys.join(starred.select("id", "n", "star"), ["id", "n"]).select(F.explode("keys").alias("key"), "n", "id", "star")
+    keys = work.save(docs.mapInArrow(kernel.tidy(_prefixes(size, percent, order)), "id long, n long, keys array<long>"), "prefixes")
+    keyed = keys.join(starred.select("id", "n", "star", "lane"), ["id", "n"]).select(F.explode("keys").alias("key"), "lane", "n", "id", "star")
     parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), 1)
+    by_key = ["key", "lane", "n", "id"]
     tiles = work.save(
-        keyed.repartition(parts, "key").sortWithinPartitions("key", "n", "id").mapInArrow(kernel.tidy(_tiles(percent)), "kind int, a long, b long, c long, d long"), "tiles"
+        keyed.repartitionByRange(parts, *by_key).sortWithinPartitions(*by_key).mapInArrow(kernel.tidy(_tiles(percent)), "kind int, a long, b long, c long, d long, e long"), "tiles"
     )
     small = tiles.filter("kind = 0").select("a", "b").distinct()
-    block_rows = tiles.filter("kind = 1").select(F.col("a").alias("key"), F.col("b").alias("block"), F.col("c").alias("id")).join(starred, "id")
-    block_pairs = tiles.filter("kind = 2").select(F.col("a").alias("key"), F.col("b").alias("hi"), F.col("c").alias("lo"))
+    block_rows = tiles.filter("kind = 1").select(F.col("a").alias("key"), F.col("b").alias("block"), F.col("c").alias("id")).join(starred.drop("lane"), "id")
+    block_pairs = _block_heads(tiles, "hi").join(_block_heads(tiles, "lo"), "key").filter(
+        f"hi >= lo AND 100 * least(hi_most, lo_most) >= {percent} * greatest(hi_least, lo_least) AND coalesce(hi_star <> lo_star, true)"
+    )
+    block_pairs = block_pairs.select("key", "hi", "lo")
     by = ["key", "hi", "lo"]
     sides = [block_pairs.join(block_rows.withColumnRenamed("block", name), ["key", name]).select(*by, F.lit(i).alias("side"), "id", "n", "star", *sig) for i, name in enumerate(("hi", "lo"))]
     large = sides[0].union(sides[1]).groupBy(*by).applyInArrow(_block_pair(percent), "a long, b long")
@@ -431,7 +434,7 @@ def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     work = Workspace(docs.sparkSession, "jaccard")
     got = _linked(docs, id_col, text_col, size, percent, work, every=False)
     found = components(got.links.select(F.col("a").alias("u"), F.col("b").alias("v")), work)
-    work.drop("starred", "tiles", *[f"{stage}-{table}" for stage in ("star", "tile") for table in ("bounded", "pairs", "ids", "arrays", "links")])  # nothing reads them again
+    work.drop("starred", "stars", "prefixes", "tiles", *[f"{stage}-{table}" for stage in ("star", "tile") for table in ("bounded", "pairs", "ids", "arrays", "links")])  # nothing reads them again
     named = got.classes.withColumnRenamed("id", "class_id").join(found.select(F.col("node").alias("class_id"), "component"), "class_id", "left")
     named = named.select(*SAME, F.coalesce("component", "class_id").alias("component"))
     if got.unnamed is not None:  # the smallest id that a row really has

@@ -490,6 +490,29 @@ def test_rows_without_an_id_are_bridges(spark):
         assert sorted((tuple(r) for r in out.collect()), key=str) == _joined(docs, 1, 90), ids
 
 
+def test_one_tile_is_cut_by_many_tasks(spark, monkeypatch):
+    monkeypatch.setattr(jaccard_join, "SMALL_TILE", 6)
+    monkeypatch.setattr(jaccard_join, "BLOCK", 8)
+    rng = random.Random(5)
+    base = [f"w{i}" for i in range(40)]
+    docs = []
+    for i in range(240):  # copies with one to four words of their own, far and near from each other
+        words = list(base)
+        for _ in range(rng.randint(1, 4)):
+            words[rng.randrange(40)] = f"v{rng.randrange(9)}"
+        docs.append((i, " ".join(words)))
+    work = jaccard_join.Workspace(spark, "tiles")
+    jaccard_join._linked(docs_of(spark, docs), "doc_id", "text", 1, 90, work, every=True)
+    rows = spark.read.parquet(work.path("tiles")).filter("kind = 1").selectExpr("a AS key", "b div 4294967296 AS task")
+    assert rows.groupBy("key").agg({"task": "count"}).count() > 0
+    assert rows.select("task").distinct().count() == 4
+    most, total = rows.groupBy("task").count().agg({"count": "max"}).first()[0], rows.count()
+    assert most < 0.5 * total
+    for percent in (80, 90):
+        out = jaccard_join.jaccard_components(docs_of(spark, docs), size=1, percent=percent)
+        assert sorted((tuple(r) for r in out.collect()), key=str) == _joined(docs, 1, percent)
+
+
 def test_every_link_is_counted(spark, monkeypatch):
     monkeypatch.setattr(jaccard_join, "SMALL_TILE", 6)
     monkeypatch.setattr(jaccard_join, "BLOCK", 8)
