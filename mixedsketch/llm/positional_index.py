@@ -110,7 +110,7 @@ def phrase_matches(index: DataFrame, items: DataFrame, work: Workspace, window:
             postings = postings.join(_small(rows, rows.count()), "rid", "left_semi")
         shifted = postings.join(_small(asked, asked.count()), "term").select("rid", "iid", "set", "need", (F.col("pos") - F.col("ipos")).alias("shift"))
         if left is None:
-            left = shifted.filter("shift >= 0")
+            left = shifted  # below zero where a text begins in the middle of an item
         else:
             on = left.filter(F.col("need") >= rank).join(shifted.select("rid", "set", "shift"), ["rid", "set", "shift"], "left_semi")
             left = work.save(on.unionByName(left.filter(F.col("need") < rank)), f"left{rank}")

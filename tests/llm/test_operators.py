@@ -465,6 +465,17 @@ def _joined(docs, size, percent):
     return sorted(((d, len(sets[i]), least.get(root(i)) if sets[i] else d) for i, (d, _) in enumerate(docs)), key=str)
 
 
+def test_texts_that_begin_or_end_inside_an_item(spark):
+    words = [f"w{k}" for k in range(14)]
+    cuts = [words[1:], words[:-1], words[2:12], words[3:12], words[4:] + ["z"], ["z"] + words[4:], ["z", *words[:10]], words[1:] + words[3:], words[4:9] + words[4:]]
+    docs = [(k, " ".join(w)) for k, w in enumerate(cuts)]
+    items = [(1, " ".join(words)), (2, " ".join(["absent", *words[:12]])), (3, "w5 w6")]
+    out = positional_index.contamination(docs_of(spark, docs), spark.createDataFrame(items, "item_id bigint, text string"))
+    got = sorted(tuple(r) for r in out.collect())
+    assert got == sorted(tuple(r) for r in _contaminated(docs, items))
+    assert [r[2] > 0 for r in got if r[0] in (0, 2, 4)] == [True] * 3
+
+
 @pytest.mark.parametrize(("size", "percent"), [(4, 85), (5, 80), (1, 50)])
 def test_links_against_brute_force(spark, size, percent, monkeypatch):
     monkeypatch.setattr(jaccard_join, "SMALL_TILE", 6)
