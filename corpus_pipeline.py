@@ -16,14 +16,19 @@ COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 BROADCAST_IDS = 1_000_000
 
 
-def without(docs: DataFrame, ids: DataFrame, work: Workspace) -> DataFrame:
-    """Rows of ``docs`` whose doc_id is not among ``ids``; few ids are broadcast, many meet the rows in a shuffle.
+def numbered(docs: DataFrame, work: Workspace) -> DataFrame:
+    """``docs`` with a number ``row`` for each row: the id where all ids differ, else one that is written with the rows."""
+    docs = docs.select(*COLUMNS)
+    if docs.groupBy("doc_id").count().filter("count > 1 OR doc_id IS NULL").isEmpty():
+        return docs.withColumn("row", F.col("doc_id"))
+    return work.save(docs.withColumn("row", F.monotonically_increasing_id()), "rows")
 
-    A null doc_id is among no ids, so its rows stay.
-    """
-    ids = work.save(ids.filter("doc_id IS NOT NULL").select("doc_id").distinct(), "ids")
-    few = ids.count() <= BROADCAST_IDS
-    return docs.join(F.broadcast(ids) if few else ids, "doc_id", "left_anti")
+
+def without(docs: DataFrame, rows: DataFrame, work: Workspace) -> DataFrame:
+    """Documents whose ``row`` is not among ``rows``; few of them are broadcast, many meet the documents in a shuffle."""
+    rows = work.save(rows.select("row").distinct(), "dropped")
+    few = rows.count() <= BROADCAST_IDS
+    return docs.join(F.broadcast(rows) if few else rows, "row", "left_anti").select(*COLUMNS)
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -35,24 +40,27 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each component of five-word shingle sets at Jaccard 0.8: the one with the smallest id.
 
-    Rows that repeat an id count as one document, of which one row stays.
+    Where rows share an id or have none, each row is a document: of a component
+    the row with an id before one without, then the smallest id, then the
+    smallest hash of the text stays.  Texts without words link nothing; rows of
+    one id that have no words are one document.
     """
     work = Workspace(spark, "near-duplicates")
-    found = work.save(jaccard_components(docs, size=5, percent=80), "components")
-    kept = without(docs, found.filter("doc_id <> component_id"), work)
-    again = work.save(found.filter("doc_id = component_id").groupBy("doc_id").count().filter("count > 1").select("doc_id"), "again")
-    if again.isEmpty():
-        return kept.select(*COLUMNS)
-    few = again.count() <= BROADCAST_IDS
-    repeated = kept.join(F.broadcast(again) if few else again, "doc_id", "left_semi").dropDuplicates(["doc_id"])
-    return kept.join(F.broadcast(again) if few else again, "doc_id", "left_anti").select(*COLUMNS).unionByName(repeated.select(*COLUMNS))
+    rows = numbered(docs, work)
+    found = work.save(jaccard_components(rows, "row", size=5, percent=80).withColumnRenamed("doc_id", "row"), "components")
+    facts = rows.select("row", "doc_id", F.sha2(F.coalesce("text", F.lit("")).cast("binary"), 256).alias("hash"))
+    same_id = (F.col("n_shingles") == 0) & F.col("doc_id").isNotNull()
+    found = found.join(facts, "row").select("row", same_id.alias("bare"), F.when(same_id, F.col("doc_id")).otherwise(F.col("component_id")).alias("part"), F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "hash", "row").alias("rank"))
+    kept = found.groupBy("bare", "part").agg(F.min("rank")["row"].alias("row"))
+    return without(rows, found.join(kept, "row", "left_anti"), work)
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without a ten-word window of a benchmark item."""
+    """Documents without a ten-word window of a benchmark item; rows are judged one by one, whatever their ids."""
     work = Workspace(spark, "decontamination")
-    hit = contamination(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet")).filter("contaminated")
-    return without(docs, hit.select("doc_id"), work).select(*COLUMNS)
+    rows = numbered(docs, work)
+    hit = contamination(rows, spark.read.parquet(f"{sf_dir}/benchmark.parquet"), "row").filter("contaminated")
+    return without(rows, hit.withColumnRenamed("doc_id", "row"), work)
 
 
 def pii(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

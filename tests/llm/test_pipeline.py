@@ -76,6 +76,19 @@ def test_near_duplicates_with_repeated_rows(spark):
     assert sorted((r["doc_id"] for r in cp.near_duplicates(spark, docs, D).collect()), key=str) == [5, 7, None]
 
 
+def test_rows_that_share_an_id_are_documents_of_their_own(spark, tmp_path):
+    schema = "doc_id bigint, text string, lang string, source string, n_chars bigint"
+    long = "one two three four five six seven eight nine ten eleven twelve"
+    rows = [(1, long), (1, "quite another text with words of its own"), (None, long), (None, "only here is this sentence"), (None, "only here is this sentence"), (2, long), (3, " "), (3, None), (None, ""), (None, "")]
+    docs = spark.createDataFrame([(i, t, "en", "s", 1) for i, t in rows], schema)
+    got = sorted(((r["doc_id"], r["text"] or "") for r in cp.near_duplicates(spark, docs, D).collect()), key=str)
+    assert [i for i, t in got if t.strip() == ""] == [3, None, None]
+    assert [g for g in got if g[1].strip()] == sorted([(1, long), (1, rows[1][1]), (None, rows[3][1])], key=str)
+    spark.createDataFrame([(9, "x " + long + " y")], "item_id bigint, text string").write.parquet(str(tmp_path / "benchmark.parquet"))
+    left = sorted(((r["doc_id"], r["text"]) for r in cp.decontamination(spark, docs, str(tmp_path)).collect()), key=str)
+    assert left == sorted([r for r in rows if r[1] != long], key=str)
+
+
 def test_entry_without_these_folders(tmp_path, monkeypatch):
     """The driver's entry works when the corpus folders are gone."""
     import shutil
