@@ -5,6 +5,7 @@ from pyspark.sql import functions as F
 
 from mixedsketch import workloads
 from mixedsketch.operators import blocks, buffers, composite
+from mixedsketch.sources import streams
 from mixedsketch.sources.streams import STREAMS
 from mixedsketch.spec import TEST
 from mixedsketch.workspace import Workspace
@@ -97,3 +98,23 @@ def test_queries_read_what_the_update_kept(spark, data):
         if "f1" in asked:
             assert asked["f1"]()[0][0] == s.count()
     work.drop()
+
+
+def test_errors_with_buffers_are_one_pass(spark, data, monkeypatch):
+    """The errors of both stages, without hand-overs being written."""
+    n, spec = 5_000, workloads.scaled(workloads.fitted(TEST.but(P=2, K=1024), "composite"), 5_000)
+    s = streams.s8_zipf(spark, data, 1.5, "0", n)
+    handoffs = buffers.replay(s, spec)
+    state, truth = composite.drain(handoffs, spec), workloads._truth(s)
+    rungs = {"part_slots": composite.f2_ignore_buffers(composite.replay_slots(s, spec)), "ignored": composite.f2_ignore_buffers(state), "exact": composite.f2_exact_buffers(state, handoffs), "projected": composite.f2_projected(state, spec)}
+    want = {m: (df.agg(F.sum("f2")).first()[0] - truth) / truth for m, df in rungs.items()}
+    monkeypatch.setattr(buffers, "replay", forbidden)
+    got = workloads.error_with_buffers(spark, data, (2,), (1.5,), 1, n).collect()
+    assert {r["method"]: r["error"] for r in got} == pytest.approx(want, rel=1e-9)
+
+
+def test_latency_is_one_pass(spark, data, monkeypatch):
+    monkeypatch.setattr(buffers, "replay", forbidden)
+    got = workloads.latency(spark, data, (2,), 2).collect()
+    assert {(r["design"], r["query"]) for r in got} == {(d, q) for d in ("exclusive", "unsynced", "versioned") for q in ("f1", "f2")}
+    assert all(r["repeats"] == 2 and 0 < r["median_ms"] <= 1e6 for r in got)
