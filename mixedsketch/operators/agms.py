@@ -15,9 +15,13 @@ UNROLLED = 16  # rows up to which each has its own expression; more of them woul
 
 def build(s: DataFrame, spec: SketchSpec, by: list[str] | None = None) -> DataFrame:
     """cells(part, row, col, cnt) with signed counts; a cell may sum to 0.  ``by`` adds grouping columns: one sketch per group."""
+    return from_frequencies(s.groupBy(*(by or []), "key").agg(F.sum("weight").alias("f")), spec, by)
+
+
+def from_frequencies(keys: DataFrame, spec: SketchSpec, by: list[str] | None = None) -> DataFrame:
+    """Signed cells of (key, f) rows."""
     keep = by or []
     x = F.col("key")
-    keys = s.groupBy(*keep, "key").agg(F.sum("weight").alias("f"))
     if spec.H > UNROLLED:
         rows = keys.select(*keep, "key", "f", F.explode(F.sequence(F.lit(0), F.lit(spec.H - 1))).alias("row"))
         col, plus = row_and_sign(x, F.col("row"), spec)
