@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.hashing import row_and_sign, row_hash, sign
+from ..functions.hashing import row_and_sign, row_text, sign, sign_text
 from ..spec import SketchSpec
 from . import cm, exact
 
@@ -27,8 +27,8 @@ def from_frequencies(keys: DataFrame, spec: SketchSpec, by: list[str] | None = N
         col, plus = row_and_sign(x, F.col("row"), spec)
         cells = rows.select(*keep, F.lit(0).alias("part"), "row", col.alias("col"), (plus * F.col("f")).alias("v"))
         return cells.groupBy(*keep, "part", "row", "col").agg(F.sum("v").cast("bigint").alias("cnt"))
-    at = F.array(*[F.struct(F.lit(j).alias("row"), row_hash(x, spec, j).alias("col"), (sign(x, spec, j) * F.col("f")).alias("v")) for j in range(spec.H)])
-    cells = keys.select(*keep, F.lit(0).alias("part"), F.explode(at).alias("c"))
+    at = ", ".join(f"named_struct('row', {j}, 'col', {row_text('`key`', spec, j)}, 'v', {sign_text('`key`', spec, j)} * f)" for j in range(spec.H))
+    cells = keys.select(*keep, F.lit(0).alias("part"), F.explode(F.expr(f"array({at})")).alias("c"))
     return cells.groupBy(*keep, "part", F.col("c.row").alias("row"), F.col("c.col").alias("col")).agg(F.sum("c.v").cast("bigint").alias("cnt"))
 
 

@@ -4,8 +4,9 @@ import pytest
 from pyspark.sql import functions as F
 
 from mixedsketch import workloads
+from mixedsketch.functions import hashing
 from mixedsketch.jvm import kernels, map_partitions
-from mixedsketch.operators import blocks, buffers, composite
+from mixedsketch.operators import agms, blocks, buffers, cm, composite
 from mixedsketch.sources import streams
 from mixedsketch.spec import TEST
 from mixedsketch.workspace import Workspace
@@ -77,3 +78,31 @@ def test_skewed_streams_have_the_states_of_both_stages(spark, data, work, z, spe
     assert [r for r in rows(state.select(*twin.columns)) if r[twin.columns.index("updates")]] == rows(twin)
     left = composite.still_open(state)
     assert rows(left) == rows(handoffs.filter("NOT handed").select(*left.columns))
+
+
+@pytest.mark.parametrize("spec", [TEST, TEST.but(P=3, K=7), TEST.but(P=5, hash_family="xxhash64")], ids=str)
+def test_hashes_as_text_are_those_of_columns(spark, spec):
+    s = spark.createDataFrame([(k,) for k in (0, 1, 7, 2147483646, *range(3, 2_000_000_000, 99_999_999))], "key bigint")
+    x, pairs = F.col("key"), [(hashing.owner(F.col("key"), spec), hashing.owner_text("`key`", spec))]
+    for j in range(spec.H):
+        pairs += [(hashing.row_hash(x, spec, j), hashing.row_text("`key`", spec, j)), (hashing.sign(x, spec, j), hashing.sign_text("`key`", spec, j))]
+    both = s.select(*[c.alias(f"a{i}") for i, (c, _) in enumerate(pairs)], *[F.expr(t).alias(f"b{i}") for i, (_, t) in enumerate(pairs)])
+    types = dict(both.dtypes)
+    assert all(types[f"a{i}"] == types[f"b{i}"] for i in range(len(pairs)))
+    assert both.filter(" OR ".join(f"a{i} <> b{i}" for i in range(len(pairs)))).isEmpty() and both.count() == s.count()
+    for layout, shift in (("single", None), ("parts", None), ("wide", hashing.owner(x, spec) * spec.K)):
+        part, at = cm.key_places(spec, layout)
+        got = s.select("key", part.alias("part"), at.alias("at"))
+        want = s.select("key", (hashing.owner(x, spec) if layout == "parts" else F.lit(0)).alias("part"), cm.places(x, spec, shift).alias("at"))
+        assert got.dtypes == want.dtypes and rows(got) == rows(want)
+
+
+def test_sketches_are_made_in_few_calls(spark, monkeypatch):
+    """Every term of every hash was a call, some 0.6 s for the two sketches of a worker."""
+    calls, made = [], F.lit
+    monkeypatch.setattr(F, "lit", lambda v: calls.append(v) or made(v))
+    f = spark.createDataFrame([(0, 1, 2)], "worker bigint, key bigint, f bigint")
+    cm.from_frequencies(f, TEST, by=["worker"])
+    agms.from_frequencies(f, TEST, ["worker"])
+    cm.point(cm.from_frequencies(f, TEST), f.select("key"), TEST)
+    assert len(calls) < 10
